@@ -1,11 +1,14 @@
 """The queries of the training-data operators, and SQL for those that SQL expresses."""
 
-from offsetlink.llm import chat_format, warc
+from offsetlink.llm import chat_format, secrets, warc, winnowing
 
 QUERIES = {
     "op2_chat_format": chat_format.op2_chat_format,
+    "op5_secrets": secrets.op5_secrets,
+    "op9_winnowing": winnowing.op9_winnowing,
     "op10_warc": warc.op10_warc,
 }
 ORACLES = {
+    "op9_winnowing": winnowing.ORACLE_OP9,
     "op2_chat_format": chat_format.ORACLE_OP2,
 }
