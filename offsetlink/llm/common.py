@@ -54,6 +54,17 @@ def remove(spark: SparkSession, path: str) -> None:
     p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
 
 
+def share(spark: SparkSession, value):
+    """A broadcast of any value, with its classes by value; loads() of what it holds gives the value."""
+    return spark.sparkContext.broadcast(cloudpickle.dumps(value))
+
+
+def bound_batches(spark: SparkSession) -> None:
+    """Arrow batches of whole texts: bounded in rows and bytes, as long texts would make 10,000 rows very large."""
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "1000")
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", "4m")
+
+
 def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 

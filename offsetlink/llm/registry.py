@@ -1,8 +1,11 @@
 """The queries of the training-data operators, and SQL for those that SQL expresses."""
 
-from offsetlink.llm import chat_format, secrets, warc, winnowing
+from offsetlink.llm import chat_format, language_id, merge_dropout, secrets, toxicity, warc, winnowing
 
 QUERIES = {
+    "op1_merge_dropout": merge_dropout.op1_merge_dropout,
+    "op4_language_id": language_id.op4_language_id,
+    "op8_toxicity": toxicity.op8_toxicity,
     "op2_chat_format": chat_format.op2_chat_format,
     "op5_secrets": secrets.op5_secrets,
     "op9_winnowing": winnowing.op9_winnowing,
