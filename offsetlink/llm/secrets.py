@@ -33,19 +33,30 @@ SPAN = "array<struct<start:int,rank:int,end:int,kind:string>>"
 MASK = "[SECRET]"
 
 
-def _located(text: Column, pattern: str, kind: str, rank: int, keep=None) -> Column:
-    """Spans of a pattern's matches; keep(i, match) says which of them count."""
-    pieces, hits = F.split(text, pattern, -1), F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-
-    def step(acc: Column, i: Column) -> Column:
-        start = acc["at"] + F.length(F.get(pieces, i))
-        end = start + F.length(F.get(hits, i))
+def _bound(value: Column, use) -> Column:
+    """use(value), with value computed once: a lambda would compute a column expression for each element again."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
+
+
+def _located(text: Column, pattern: str, kind: str, rank: int, keep=None, group: int = 0) -> Column:
+    """Spans of a pattern's matches; keep(group's text) says which of them count."""
+    # One piece more than matches: the last entry of the zip has no match.
+    parts = {"piece": F.split(text, pattern, -1), "hit": F.regexp_extract_all(text, F.lit(pattern), F.lit(0))}
+    if group:
+        parts["value"] = F.regexp_extract_all(text, F.lit(pattern), F.lit(group))
+    value = "value" if group else "hit"
+
+    def step(acc: Column, part: Column) -> Column:
+        start = acc["at"] + F.length(part["piece"])
+        end = start + F.length(part["hit"])
         span = F.array(F.struct(start.alias("start"), F.lit(rank).alias("rank"), end.alias("end"), F.lit(kind).alias("kind")))
         found = F.concat(acc["spans"], span)
-        return F.struct(end.alias("at"), (F.when(keep(i, F.get(hits, i)), found).otherwise(acc["spans"]) if keep else found).alias("spans"))
+        spans = F.when(keep(part[value]), found).otherwise(acc["spans"]) if keep else found
+        return F.when(part["hit"].isNull(), acc).otherwise(F.struct(end.alias("at"), spans.alias("spans")))
 
     none = F.expr(f"cast(array() as {SPAN})")
-    total = F.aggregate(F.sequence(F.lit(0), F.size(hits) - 1), F.struct(F.lit(0).alias("at"), none.alias("spans")), step)
+    zipped = F.arrays_zip(*(c.alias(n) for n, c in parts.items()))
+    total = F.aggregate(zipped, F.struct(F.lit(0).alias("at"), none.alias("spans")), step)
     return F.when(text.rlike(pattern), total["spans"]).otherwise(none)
 
 
@@ -56,6 +67,10 @@ def _n_log_n(n: Column) -> Column:
 def _peak_entropy(text: Column, window: int) -> Column:
     """The largest entropy of a full window of the string, by counts that change with what enters and leaves."""
     codes = F.transform(F.split(text, ""), lambda c: F.instr(F.lit(SYMBOLS), c) - 1)
+    return _bound(codes, lambda known: _peak(known, window))
+
+
+def _peak(codes: Column, window: int) -> Column:
     start = F.struct(F.array_repeat(F.lit(0), len(SYMBOLS)).alias("n"), F.lit(0.0).alias("s"), F.lit(0.0).alias("best"))
 
     def moved(acc: Column, code: Column, by: int) -> tuple[Column, Column]:
@@ -75,7 +90,7 @@ def _peak_entropy(text: Column, window: int) -> Column:
         return F.struct(acc["n"].alias("n"), acc["s"].alias("s"), F.when(i >= window - 1, F.greatest(acc["best"], bits)).otherwise(acc["best"]).alias("best"))
 
     # Three small steps for each position, each with the state of the one before.
-    steps = F.sequence(F.lit(0), 3 * F.length(text) - 1)
+    steps = F.sequence(F.lit(0), 3 * F.size(codes) - 1)
 
     def step(acc: Column, j: Column) -> Column:
         i = F.floor(j / 3).cast("int")
@@ -85,7 +100,7 @@ def _peak_entropy(text: Column, window: int) -> Column:
 
 
 def _random_looking(allow: tuple[str, ...], window: int):
-    def keep(_: Column, hit: Column) -> Column:
+    def keep(hit: Column) -> Column:
         mixed = hit.rlike("[0-9]") & hit.rlike("[A-Za-z]")
         for pattern in allow:
             mixed = mixed & ~hit.rlike(pattern)
@@ -106,8 +121,8 @@ def scan(documents: DataFrame, allow: tuple[str, ...] = ALLOW, window: int = WIN
     replaced; all others stay.
     """
     text = F.coalesce(F.col("text"), F.lit(""))
-    long_value = lambda i, _: F.length(F.get(F.regexp_extract_all(text, F.lit(KINDS["assign"]), F.lit(2)), i)) >= ASSIGN_LEAST
-    base = [_located(text, p, kind, rank, long_value if kind == "assign" else None) for rank, (kind, p) in enumerate(KINDS.items())]
+    how = {"assign": {"keep": lambda value: F.length(value) >= ASSIGN_LEAST, "group": 2}}
+    base = [_located(text, p, kind, rank, **how.get(kind, {})) for rank, (kind, p) in enumerate(KINDS.items())]
     free = lambda e: ~F.exists("base_spans", lambda b: (b["start"] < e["end"]) & (e["start"] < b["end"]))
     drawn = _located(text, CANDIDATE, "entropy", len(KINDS), _random_looking(allow, window))
     return documents.withColumn("base_spans", F.array_sort(F.concat(*base))).withColumn("entropy_spans", drawn).withColumn("entropy_spans", F.filter("entropy_spans", free))
