@@ -127,6 +127,7 @@ def format_conversations(rows: DataFrame, tokenizer_dir: str = common.TOKENIZER_
     and null text are empty.  Rows with a null conv_id form one conversation with that id.  An empty table gives no
     row.  Other columns are ignored.  A conversation is one output row, and memory holds a few at once.
     """
+    common.bound_batches(rows.sparkSession)
     model = rows.sparkSession.sparkContext.broadcast(common.tokenizer_file("byte_bpe_50k.json", tokenizer_dir))
     ordered = rows.select("conv_id", "turn", "role", "text").repartition("conv_id").sortWithinPartitions("conv_id", "turn", "role", "text")
     return ordered.select("conv_id", "role", "text").mapInArrow(lambda batches: _formatted(batches, model.value, loss_role), RENDERED)

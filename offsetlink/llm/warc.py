@@ -137,6 +137,7 @@ def write_archives(pages: DataFrame, root: str, min_bytes: int = 0) -> DataFrame
     the others revisits.  Null html is an empty payload.  Repeated rows each get a record; of equal payloads and equal
     smallest ids all are responses.  Rows are sorted within a task, so that a task run again writes the same bytes.
     """
+    common.bound_batches(pages.sparkSession)
     data = pages.select("page_id", "url", F.coalesce(F.encode("html", "UTF-8"), F.lit(b"")).alias("html")).withColumn("hexed", F.sha1("html"))
     firsts = pages.select(F.sha1(F.coalesce(F.encode("html", "UTF-8"), F.lit(b""))).alias("hexed"), "page_id").groupBy("hexed").agg(F.min("page_id").alias("low_id"))
     joined = data.join(firsts, "hexed")
@@ -255,6 +256,7 @@ def lookup(requests: DataFrame, root: str, top: list[tuple]) -> DataFrame:
 
     Requests are sorted like the index, so that a task reads each block once.  Repeated requests count once.
     """
+    common.bound_batches(requests.sparkSession)
     n = common.partitions(requests.sparkSession)
     keys = requests.select("url", "page_id").mapInArrow(_keys, "url_key string, page_id long").distinct()
     return keys.repartitionByRange(n, "url_key", "page_id").sortWithinPartitions("url_key", "page_id").mapInArrow(lambda batches: _looked_up(batches, root, top), READ)
