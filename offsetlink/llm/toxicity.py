@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import math
 import re
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -83,20 +84,27 @@ def train(texts: list[str], labels: list[int], penalty: float = PENALTY, rounds:
     y = np.array(labels, float)
     if not y.any():
         return Lexicon(-12.0, {})
-    bags = [[set().union(*map(features, WORD.findall(s))) for s in SENTENCE.findall(t.lower())] or [set()] for t in texts]
-    seen: list[dict[str, int]] = [{}, {}]
-    for bag, label in zip(bags, labels, strict=True):
-        for f in set().union(*bag):
-            seen[label][f] = seen[label].get(f, 0) + 1
+    found: dict[str, int] = {}
+    for text, label in zip(texts, labels, strict=True):
+        if label:
+            for f in set(chain.from_iterable(map(features, set(WORD.findall(text.lower()))))):
+                found[f] = found.get(f, 0) + 1
     n_pos, n_neg = y.sum(), len(y) - y.sum()
-    lift = {f: math.log((n + 0.5) / (n_pos + 1)) - math.log((seen[0].get(f, 0) + 0.5) / (n_neg + 1)) for f, n in seen[1].items() if n >= max(5, SUPPORT * n_pos)}
+    found = {f: n for f, n in found.items() if n >= max(5, SUPPORT * n_pos)}
+    clean = dict.fromkeys(found, 0)
+    for text, label in zip(texts, labels, strict=True):
+        if not label:
+            for f in set(chain.from_iterable(map(features, set(WORD.findall(text.lower()))))):
+                if f in clean:
+                    clean[f] += 1
+    lift = {f: math.log((n + 0.5) / (n_pos + 1)) - math.log((clean[f] + 0.5) / (n_neg + 1)) for f, n in found.items()}
     vocabulary = {f: i for i, f in enumerate(sorted(f for f, x in lift.items() if x >= math.log(LIFT)))}
     doc, rows, cols, n = [], [], [], 0
-    for i, bag in enumerate(bags):
-        for sentence in bag:
-            ids = [vocabulary[f] for f in sentence if f in vocabulary]
+    for i, text in enumerate(texts):
+        for sentence in SENTENCE.findall(text.lower()) or [""]:
+            ids = {vocabulary[f] for f in chain.from_iterable(map(features, WORD.findall(sentence))) if f in vocabulary}
             rows += [n] * len(ids)
-            cols += ids
+            cols += sorted(ids)
             doc.append(i)
             n += 1
     doc, rows, cols = np.array(doc, np.int64), np.array(rows, np.int64), np.array(cols, np.int64)
