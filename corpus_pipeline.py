@@ -1,8 +1,73 @@
-"""The corpus pipeline: each stage works on all that the one before kept."""
+"""The corpus pipeline: language ID, n-gram Jaccard join, benchmark decontamination, secret scans, piece encoding.
 
-STAGES: list = []
+Each stage works on all that the one before kept, and takes (spark, docs, sf_dir).  run() writes each stage's result to
+the shared folder and reads it again, so no stage is computed twice and lost executors cost one stage at most.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from offsetlink.llm import common, language_id, merge_dropout, secrets, shingle_join, winnowing
+
+COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
+
+
+def _columns(docs: DataFrame) -> DataFrame:
+    return docs.select(*(c for c in COLUMNS if c in docs.columns))
+
+
+def _by_id(found: DataFrame, *columns) -> DataFrame:
+    """One row for each id, under a name of its own."""
+    return found.select(F.col("doc_id").alias("found_id"), *columns)
+
+
+def identify_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Drop documents without a language: null text, no letter.  lang becomes the predicted one; learned from docs."""
+    trees = language_id.fit(language_id.training_rows(docs))
+    return _columns(language_id.assign(docs, trees)).where(F.col("lang") != "und")
+
+
+def join_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Keep the smallest doc_id of each component; of rows that repeat it, one of those with the least text."""
+    found = shingle_join.join(docs).where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("found_id")).distinct()
+    kept = _columns(docs).join(found, F.col("doc_id") == F.col("found_id"), "left_semi")
+    row = F.struct("text", *(F.col(c) for c in kept.columns if c not in ("doc_id", "text")))
+    return kept.groupBy("doc_id").agg(F.min(row).alias("row")).select("doc_id", "row.*").select(*kept.columns)
+
+
+def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Drop documents that the contamination rule marks; doc_id is unique by now."""
+    judged = winnowing.contamination(docs, common.read(spark, sf_dir, "benchmark"))
+    marked = judged.where("contaminated").select(F.col("doc_id").alias("found_id"))
+    return _columns(docs).join(marked, F.col("doc_id") == F.col("found_id"), "left_anti")
+
+
+def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Replace secrets in texts by a mask, and set n_chars to the new length; no document goes."""
+    return _columns(secrets.redact(secrets.scan(_columns(docs)))).withColumn("n_chars", F.length("text").cast("long"))
+
+
+def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Piece ids of every text under merge-dropout, checked by decoding."""
+    decoded = merge_dropout.decode(merge_dropout.encode(docs).withColumn("text_sha256", F.sha2("text", 256)).drop("text"))
+    return decoded.select("doc_id", "piece_ids", F.size("piece_ids").cast("long").alias("n_pieces"), "text_sha256", (F.sha2("decoded", 256) == F.col("text_sha256")).alias("lossless"))
+
+
+STAGES = [
+    ("language_id", identify_languages),
+    ("shingle_join", join_near_copies),
+    ("winnowing", decontaminate),
+    ("secrets", mask_secrets),
+    ("merge_dropout", encode_pieces),
+]
+# Language ID and piece encoding aren't SQL; tests compare the stages with brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError("stages follow")
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = common.read(spark, sf_dir, "documents")
+    for name, stage in STAGES:
+        docs = common.cut(stage(spark, docs, sf_dir), f"pipeline-{name}")
+    return docs

@@ -14,7 +14,7 @@ import re
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from offsetlink.llm import common
@@ -130,14 +130,22 @@ def _blended(chain: list[np.ndarray]) -> np.ndarray:
 def fit(documents: DataFrame, sample_docs: int = SAMPLE_DOCS, sample_chars: int = SAMPLE_CHARS) -> ContextTrees:
     """Context trees of documents' text and lang.
 
-    The sample is bounded: of each language the sample_docs rows with the least hash of doc_id and text, of each the
-    first sample_chars characters.  Rows with null text or null lang are left out.
+    The sample is bounded: of each language the sample_docs distinct rows with the least hashes of doc_id and text, of
+    each the first sample_chars characters.  Rows with null text or null lang are left out.
     """
-    rows = documents.where(F.col("text").isNotNull() & F.col("lang").isNotNull()).select(F.col("lang").cast("string").alias("lang"), F.xxhash64("doc_id", "text").alias("h"), F.substring("text", 1, sample_chars).alias("text"))
-    order = Window.partitionBy("lang").orderBy("h", "text")
+    rows = documents.where(F.col("text").isNotNull() & F.col("lang").isNotNull()).select(F.col("lang").cast("string").alias("lang"), F.xxhash64("doc_id", "text").alias("h"), "text")
+    # Of each language about twice as many rows as wanted have a hash below a bound set by its count; no group is sorted.
+    counts = {r.lang: r["count"] for r in rows.groupBy("lang").count().collect()}
+    if not counts:
+        return ContextTrees({})
+    bounds = [(k, int(-(1 << 63) + min(1.0, 2 * (sample_docs + 20) / n) * ((1 << 64) - 2049))) for k, n in sorted(counts.items())]
+    bound = documents.sparkSession.createDataFrame(bounds, "lang string, bound long")
+    some = rows.join(F.broadcast(bound), "lang").where(F.col("h") <= F.col("bound"))
+    one = some.groupBy("lang", "h").agg(F.first(F.substring("text", 1, sample_chars)).alias("text"))
     texts: dict[str, list[str]] = {}
-    for r in rows.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= sample_docs).orderBy("lang", "rank").collect():
-        texts.setdefault(r.lang, []).append(r.text)
+    for r in sorted(one.collect(), key=lambda r: (r.lang, r.h)):
+        if len(texts.setdefault(r.lang, [])) < sample_docs:
+            texts[r.lang].append(r.text)
     return ContextTrees(texts)
 
 
@@ -160,6 +168,22 @@ def identify(documents: DataFrame, trees: ContextTrees) -> DataFrame:
     return documents.select("doc_id", "text").mapInArrow(lambda batches: _predicted(batches, shared.value), PREDICTED.format(kind))
 
 
+def _assigned(batches, pickled: bytes):
+    trees = pickle.loads(pickled)
+    for b in batches:
+        langs = pa.array([x[0] for x in trees.predict(b.column("text").to_pylist())], pa.string())
+        at = b.schema.get_field_index("lang")
+        yield b.set_column(at, "lang", langs)
+
+
+def assign(documents: DataFrame, trees: ContextTrees) -> DataFrame:
+    """The input with lang as predicted; all rows and other columns stay."""
+    common.bound_batches(documents.sparkSession)
+    shared = common.share(documents.sparkSession, trees)
+    rows = documents.withColumn("lang", F.col("lang").cast("string"))
+    return rows.mapInArrow(lambda batches: _assigned(batches, shared.value), rows.schema)
+
+
 def training_rows(documents: DataFrame) -> DataFrame:
     return documents.where(common.fold(F.col("doc_id"), 5) != 0)
 
