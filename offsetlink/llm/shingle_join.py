@@ -3,8 +3,8 @@
 Two sets of sizes n and m with Jaccard >= t share at least ceil(t n) tokens, so their shared tokens reach into a prefix
 of either set under any global order.  Three orders filter candidates, and only what passes all is verified:
 
-A. by hash: a document keeps its n - ceil(t n) + l least hashes, l about a twentieth of n.  A partner shares l' of
-   them, so a document with fewer hashes that any other document keeps is out.  For most documents the join ends here.
+A. by hash: a document keeps its n - ceil(t n) + l least hashes, l about a tenth of n.  A partner, which may be
+   smaller, shares l' = l(ceil(t n)) of them, so a document with fewer hashes that any other document keeps is out.  For most documents the join ends here.
 B. by document frequency among kept hashes, rarest first: a pair shares a token among the first m - l' + 1 of m kept
    ones.  Hashes of common passages come last and are mostly cut off.  Documents that share such tokens, directly or
    through others, form a family; a pair across families can't be similar.
@@ -29,7 +29,9 @@ from offsetlink.llm.components import components
 SHINGLE = 5
 #: Similarity in hundredths.
 LEAST = 80
-SPARE = 20  # the longer prefix of order A has n // SPARE tokens more than needed
+SPARE, SPARE_LEAST = 10, 12  # the longer prefix of order A has n // SPARE tokens more than needed, or so many
+#: Up to so many members of families are broadcast to the scan of their texts; more are joined by a shuffle.
+BROADCAST_ROWS = 1_000_000
 PIECE = 4 << 20
 FLUSH = 1_500_000
 BLOCK, BLOCKS, BLOCK_MOST = 128, 64, 8192
@@ -131,13 +133,28 @@ def need(n, least: int):
     return (least * n + 99) // 100
 
 
+def spare(n, least: int):
+    """l: how many tokens beyond the needed prefix; grows with n, and no more than the tokens that a pair shares."""
+    return np.minimum(need(n, least), np.maximum(n // SPARE, SPARE_LEAST))
+
+
 def kept(n: int, least: int) -> int:
-    return n - need(n, least) + max(1, n // SPARE)
+    return n - need(n, least) + int(spare(n, least))
 
 
 SIGNED = "bucket int, doc_id long, n long, fp long, fps binary, ns binary, owner binary, token binary"
 
 
+def _short(tokens: np.ndarray) -> bytes:
+    """The upper 48 bits of tokens.  The lower ones only tell apart what verification tells apart too."""
+    return (tokens >> U(32)).astype(np.uint32).tobytes() + (tokens >> U(16)).astype(np.uint16).tobytes()
+
+
+def _long(raw: bytes) -> np.ndarray:
+    n = len(raw) // 6
+    return (np.frombuffer(raw, np.uint32, n).astype(U) << U(16)) | np.frombuffer(raw, np.uint16, n, 4 * n).astype(U)
+
+
 def _packed(buckets: int, tokens: np.ndarray, owners: np.ndarray, fps: np.ndarray, ns: np.ndarray, by: np.ndarray, extra: np.ndarray | None = None):
     """Entries split by bucket: for each bucket its owners' fps and sizes, and for each entry owner and token."""
     order = np.argsort(by, kind="stable")
@@ -145,7 +162,8 @@ def _packed(buckets: int, tokens: np.ndarray, owners: np.ndarray, fps: np.ndarra
     for k in np.flatnonzero(edges[1:] > edges[:-1]).tolist():
         some = order[edges[k] : edges[k + 1]]
         used, at = np.unique(owners[some], return_inverse=True)
-        yield k, fps[used].tobytes(), ns[used].astype(np.int32).tobytes(), at.astype(np.int32).tobytes(), tokens[some].tobytes(), extra[some].astype(np.int32).tobytes() if extra is not None else None
+        small = np.uint16 if len(used) <= 1 << 16 else np.uint32
+        yield k, fps[used].tobytes(), ns[used].astype(np.int32).tobytes(), at.astype(small).tobytes(), _short(tokens[some]), extra[some].astype(np.int32).tobytes() if extra is not None else None
 
 
 def _signed(batches, least: int, buckets: int, n: int):
@@ -157,7 +175,7 @@ def _signed(batches, least: int, buckets: int, n: int):
         counts = np.array([len(t) for t in tokens])
         owners = np.repeat(np.arange(len(tokens)), counts)
         flat = np.concatenate(tokens)
-        rows = list(_packed(buckets, flat, owners, np.array(fps, np.int64), np.array(ns), (flat % U(buckets)).astype(np.int64)))
+        rows = list(_packed(buckets, flat, owners, np.array(fps, np.int64), np.array(ns), (mix64(flat >> U(16)) % U(buckets)).astype(np.int64)))
         k, f, s, o, t, _ = zip(*rows, strict=True)
         null = [None] * len(rows)
         return pa.RecordBatch.from_arrays([pa.array(x, y) for x, y in zip([k, null, null, null, f, s, o, t], kinds, strict=True)], names=names)
@@ -169,7 +187,6 @@ def _signed(batches, least: int, buckets: int, n: int):
         yield pa.RecordBatch.from_arrays([pa.array(x, y) for x, y in zip([[-1] * size, b.column("doc_id").to_pylist(), [len(s) for s in sets], marks, null, null, null, null], kinds, strict=True)], names=names)
         for s, mark in zip(sets, marks, strict=True):
             if len(s):
-                # Compared by the value of a second mixing, so that buckets and order don't depend on each other.
                 tokens.append(s[: kept(len(s), least)])
                 fps.append(mark)
                 ns.append(len(s))
@@ -188,8 +205,8 @@ def _gathered(table: pa.Table, with_df: bool = False):
         f = np.frombuffer(row["fps"], np.int64)
         fps.append(f)
         ns.append(np.frombuffer(row["ns"], np.int32))
-        owners.append(np.frombuffer(row["owner"], np.int32).astype(np.int64) + base)
-        tokens.append(np.frombuffer(row["token"], U))
+        owners.append(np.frombuffer(row["owner"], np.uint16 if len(f) <= 1 << 16 else np.uint32).astype(np.int64) + base)
+        tokens.append(_long(row["token"]))
         if with_df:
             extra.append(np.frombuffer(row["df"], np.int32))
         base += len(f)
@@ -220,7 +237,7 @@ def _shared_tokens(table: pa.Table, buckets: int) -> pa.Table:
     ok = df > 1
     owner, token, df = owner[ok], token[ok], df[ok]
     by = (mix64(fps.view(U)) % U(buckets)).astype(np.int64)[owner]
-    return _rows(list(_packed(buckets, token, owner, fps, ns, by, df)), True)
+    return _rows(list(_packed(buckets, token << U(16), owner, fps, ns, by, df)), True)
 
 
 def _rare_tokens(table: pa.Table, buckets: int, least: int) -> pa.Table:
@@ -229,11 +246,11 @@ def _rare_tokens(table: pa.Table, buckets: int, least: int) -> pa.Table:
     order = np.lexsort((token, df, owner))
     owner, token = owner[order], token[order]
     shared = np.bincount(owner, minlength=len(fps))
-    wanted = shared - np.maximum(1, need(ns.astype(np.int64), least) // SPARE) + 1
+    wanted = shared - spare(need(ns.astype(np.int64), least), least) + 1
     first = np.concatenate([[0], np.cumsum(shared)[:-1]])
     ok = np.arange(len(owner)) - first[owner] < wanted[owner]
     owner, token = owner[ok], token[ok]
-    return _rows([r[:5] for r in _packed(buckets, token, owner, fps, ns, (token % U(buckets)).astype(np.int64))], False)
+    return _rows([r[:5] for r in _packed(buckets, token << U(16), owner, fps, ns, (mix64(token) % U(buckets)).astype(np.int64))], False)
 
 
 def _stars(table: pa.Table) -> pa.Table:
@@ -320,8 +337,8 @@ def join(documents: DataFrame, least: int = LEAST, n: int = SHINGLE) -> DataFram
     """doc_id, n_shingles and component_id of each row, linked where 100 * intersection >= least * union.
 
     Null, empty and blank texts have an empty set and link with nothing; such a row's component is its own doc_id.  A
-    row with a null doc_id joins its set's component under no id of its own.  Repeated rows share a component.  Other
-    columns are ignored.
+    row with a null doc_id joins its set's component under no id of its own.  Repeated rows share a component; rows that
+    repeat a doc_id with another text each have the component of their text.  Other columns are ignored.
     """
     spark = documents.sparkSession
     common.bound_batches(spark)
@@ -340,8 +357,9 @@ def join(documents: DataFrame, least: int = LEAST, n: int = SHINGLE) -> DataFram
     per = F.least(F.greatest(F.ceil(F.col("size") / BLOCKS), F.lit(BLOCK)), F.lit(BLOCK_MOST))
     placed = members.join(blocks, "family").withColumn("n_blocks", F.ceil(F.col("size") / per).cast("int"))
     placed = placed.select("family", F.col("rep").alias("doc_id"), "n_blocks", F.pmod(F.xxhash64("rep"), F.col("n_blocks")).cast("int").alias("block"))
-    texts = docs.join(placed, "doc_id").select("family", "doc_id", "block", "n_blocks", "text")
-    # Rows that repeat a doc_id with another text would be compared under that id; keep the texts of the class only.
+    placed = common.cut(placed, "placed")
+    few = placed.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
+    texts = docs.join(F.broadcast(placed) if few else placed, "doc_id").select("family", "doc_id", "block", "n_blocks", "text")
     sets = texts.mapInArrow(lambda batches: _block_sets(batches, n), "family long, doc_id long, block int, n_blocks int, tokens binary")
     other = F.explode(F.sequence(F.lit(0), F.col("n_blocks") - 1)).alias("other")
     dealt = sets.select("family", "doc_id", "block", other, "tokens").select("family", F.least("block", "other").alias("one"), F.greatest("block", "other").alias("two"), "doc_id", "tokens")
