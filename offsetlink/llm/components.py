@@ -1,4 +1,4 @@
-"""Connected components by DataFrame joins: labels flow along edges, then jump to the label of the label."""
+"""Connected components by contraction: nodes hang on their least neighbour, trees become nodes, until no edge is left."""
 
 from __future__ import annotations
 
@@ -8,26 +8,39 @@ from pyspark.sql import functions as F
 from offsetlink.llm import common
 
 
+def _hung(edges: DataFrame) -> DataFrame:
+    """node and the label it hangs on: its least neighbour's label if that is less than itself."""
+    both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
+    up = common.cut(both.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("low")).select("node", F.least("node", "low").alias("label")), "hung")
+    further = up.select(F.col("node").alias("label"), F.col("label").alias("further"))
+    return common.cut(up.join(further, "label").select("node", F.col("further").alias("label")), "hung")
+
+
 def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     """node and component (the least node that it reaches) for every end of edges (a, b: long).
 
-    Edges may repeat, point either way or join a node to itself; null ends are left out.  A round has two shuffled
-    joins whose large keys Spark can split, and aggregates that combine before the shuffle; each round is written to
-    the shared folder.  The number of rounds grows with the logarithm of a component's diameter.
+    Edges may repeat, point either way or join a node to itself; null ends are left out.  Each round at least halves the
+    nodes that still have edges, so the rounds together handle few times as many rows as the first.  Joins are on keys
+    that Spark can split, aggregates combine before the shuffle, and each round is written to the shared folder.
     """
-    spark = edges.sparkSession
-    both = edges.where(F.col("a").isNotNull() & F.col("b").isNotNull()).select("a", "b")
-    both = common.cut(both.union(both.select("b", "a")).distinct(), "edges")
-    labels = common.cut(both.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("low")).select("node", F.least("node", "low").alias("label")), "labels")
-    before = None
+    given = edges.where(F.col("a").isNotNull() & F.col("b").isNotNull())
+    left = common.cut(given.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "edges")
+    loops = left.where("a = b").select(F.col("a").alias("node"), F.col("a").alias("label"))
+    left = left.where("a < b")
+    labels = []
     for _ in range(rounds):
-        sent = both.join(labels, both["a"] == labels["node"]).select(F.col("b").alias("node"), "label")
-        pushed = common.cut(labels.unionByName(sent).groupBy("node").agg(F.min("label").alias("label")), "labels")
-        of_label = pushed.select(F.col("node").alias("label"), F.col("label").alias("further"))
-        labels = common.cut(pushed.join(of_label, "label").select("node", F.col("further").alias("label")), "labels")
-        total = labels.agg(F.sum(F.col("label").cast("decimal(38,0)"))).first()[0]
-        if total == before:
+        up = _hung(left)
+        labels.append(up)
+        one, two = up.select(F.col("node").alias("a"), F.col("label").alias("la")), up.select(F.col("node").alias("b"), F.col("label").alias("lb"))
+        moved = left.join(one, "a").join(two, "b").where("la <> lb")
+        left = common.cut(moved.select(F.least("la", "lb").alias("a"), F.greatest("la", "lb").alias("b")).distinct(), "edges")
+        if left.isEmpty():
             break
-        before = total
-    del spark
-    return labels.select("node", F.col("label").alias("component"))
+    else:
+        raise RuntimeError("components did not end")
+    found = labels[0]
+    for up in labels[1:]:
+        of = up.select(F.col("node").alias("label"), F.col("label").alias("further"))
+        found = found.join(of, "label", "left").select("node", F.coalesce("further", "label").alias("label"))
+    alone = loops.join(found.select("node"), "node", "left_anti")
+    return common.cut(found.unionByName(alone).select("node", F.col("label").alias("component")), "components")
