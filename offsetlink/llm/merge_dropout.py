@@ -13,11 +13,12 @@ from __future__ import annotations
 import hashlib
 import heapq
 import re
+import struct
 import sys
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -25,7 +26,7 @@ from offsetlink.llm import common
 from offsetlink.llm.common import SEED, mix64
 
 ALPHA, VARIANTS = 0.1, 2
-CACHE_CHUNKS = 220_000  # for each variant; a full cache starts anew
+CACHE_CHUNKS = 150_000  # for each variant, and as many older ones
 MASK = (1 << 64) - 1
 #: Word characters (but those that some piece continues with others), with what else stands before them.
 CHUNK = re.compile(r"[^\w\n]*[^\W_²]+|(?:[^\w\n]|[_²])+[^\W_²]*|\n")
@@ -137,8 +138,8 @@ class Merger:
             known &= h >= np.uint64(limit)
         return np.where(known, self.ranks[at], self.NONE), self.made[at]
 
-    def run(self, chunks: list[str], keys: np.ndarray, alpha: float) -> list[tuple[int, ...]]:
-        """Ids of chunks of at most LONGEST characters, with their keys."""
+    def run(self, chunks: list[str], keys: np.ndarray, alpha: float) -> list[bytes]:
+        """Packed ids of chunks of at most LONGEST characters, with their keys."""
         limit, count = int(alpha * (1 << 32)), len(chunks)
         size = np.fromiter(map(len, chunks), np.int64, count)
         width = int(size.max())
@@ -175,45 +176,53 @@ class Merger:
                 ok = (k >= 0) & (k < width)
                 r, c = rows[ok], k[ok]
                 rank[r, c], made[r, c] = self._ranked(sym[r, c], sym[r, c + 1], start[r, c], keys[r], limit)
-        raw, byte, ids = final.tolist(), self.pieces.byte, []
-        odd = (final == -1).any(1).tolist()
-        at = None
-        for i, (row, n) in enumerate(zip(raw, left.tolist(), strict=True)):
-            if odd[i]:
-                out, at = [], 0
-                for x in row[:n]:
-                    if x >= 0:
-                        out.append(x)
-                        at += int(self.length[x])
-                    else:
-                        out += [byte[b] for b in chunks[i][at].encode("utf-8", "surrogatepass")]
-                        at += 1
-                ids.append(tuple(out))
-            else:
-                ids.append(tuple(row[:n]))
+        kept = np.arange(width) < left[:, None]
+        blob, ends = final[kept].tobytes(), np.cumsum(left * 4).tolist()
+        ids = [blob[e - n * 4 : e] for e, n in zip(ends, left.tolist(), strict=True)]
+        for i in np.flatnonzero((final == -1).any(1)).tolist():
+            out, at = [], 0
+            for x in final[i, : left[i]].tolist():
+                if x >= 0:
+                    out.append(x)
+                    at += int(self.length[x])
+                else:
+                    out += [self.pieces.byte[b] for b in chunks[i][at].encode("utf-8", "surrogatepass")]
+                    at += 1
+            ids[i] = packed(out)
         return ids
 
 
+def packed(ids) -> bytes:
+    """Ids as little-endian int32, which takes a fraction of the memory of a tuple."""
+    return struct.pack(f"<{len(ids)}i", *ids)
+
+
 class Encoder:
     """Encodes texts with dropout; the same seed, document key and text give the same ids."""
 
     def __init__(self, pieces: Pieces, seed: int = SEED, alpha: float = ALPHA, variants: int = VARIANTS) -> None:
         self.pieces, self.merger, self.seed, self.alpha, self.variants = pieces, Merger(pieces), seed, alpha, variants if alpha else 1
-        self.caches: list[dict[str, tuple[int, ...]]] = [{} for _ in range(self.variants)]
+        self.caches: list[dict[str, bytes]] = [{} for _ in range(self.variants)]
+        self.older: list[dict[str, bytes]] = [{} for _ in range(self.variants)]
 
-    def _picks(self, n: int, key: int) -> list[int]:
-        if self.variants == 1:
-            return [0] * n
-        first = int(mix64(np.array([(key * 0x9E3779B97F4A7C15 + self.seed) & MASK], np.uint64))[0])
         with np.errstate(over="ignore"):
-            return (mix64(np.arange(n, dtype=np.uint64) + np.uint64(first)) % np.uint64(self.variants)).tolist()
+            drawn = mix64(np.arange(1 << 16, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(seed & MASK)) % np.uint64(self.variants)
+        self.drawn = np.tile(drawn.astype(np.uint8), 2).tolist()
 
-    def encode_all(self, texts: list[str | None], keys: list[int]) -> list[list[int] | None]:
-        """Ids of each text.  Chunks that the cache lacks are encoded together, once all texts have been looked up."""
-        for cache in self.caches:
+    def _picks(self, n: int, key: int) -> list[int]:
+        """Which variant each of n chunks gets: a run of drawn variants that starts where the document's hash says."""
+        first = ((key * 0x9E3779B97F4A7C15 + self.seed) & MASK) >> 48
+        picks = self.drawn[first : first + n]
+        while len(picks) < n:
+            picks += self.drawn[: n - len(picks)]
+        return picks
+
+    def encode_all(self, texts: list[str | None], keys: list[int]) -> list[bytes | None]:
+        """Packed ids of each text.  Chunks that the cache lacks are encoded together, once all texts have been looked up."""
+        for v, cache in enumerate(self.caches):
             if len(cache) > CACHE_CHUNKS:
-                cache.clear()
-        caches, found, wanted = self.caches, [], [set() for _ in self.caches]
+                self.older[v], self.caches[v] = cache, {}
+        caches, older, found, wanted = self.caches, self.older, [], [set() for _ in self.caches]
         for text, key in zip(texts, keys, strict=True):
             chunks = CHUNK.findall(" " + text) if text else []
             if self.variants == 1:
@@ -222,15 +231,21 @@ class Encoder:
                 picks = self._picks(len(chunks), key)
                 got = [caches[v].get(c) for v, c in zip(picks, chunks)]
             lacks = [i for i, x in enumerate(got) if x is None]
-            lacks = [(i, picks[i] if picks else 0, chunks[i]) for i in lacks]
-            for _, v, c in lacks:
-                wanted[v].add(c)
-            found.append((got, lacks))
+            left = []
+            for i in lacks:
+                v, c = picks[i] if picks else 0, chunks[i]
+                x = older[v].get(c)
+                if x is None:
+                    wanted[v].add(c)
+                    left.append((i, v, c))
+                else:
+                    caches[v][c] = got[i] = x
+            found.append((got, left))
         long_ones = []
         for v, some in enumerate(wanted):
             for c in some:
                 if len(c) > Merger.LONGEST:
-                    caches[v][c] = self.pieces.chunk(c, self.seed, v, self.alpha)
+                    caches[v][c] = packed(self.pieces.chunk(c, self.seed, v, self.alpha))
                     long_ones.append((v, c))
             short = sorted((c for c in some if len(c) <= Merger.LONGEST), key=len)
             for i in range(0, len(short), 8192):
@@ -240,7 +255,7 @@ class Encoder:
         for text, (got, lacks) in zip(texts, found, strict=True):
             for i, v, c in lacks:
                 got[i] = caches[v][c]
-            out.append(None if text is None else list(chain.from_iterable(got)))
+            out.append(None if text is None else b"".join(got))
         for v, c in long_ones:
             caches[v].pop(c, None)
         return out
@@ -257,7 +272,7 @@ class Encoder:
         return np.frombuffer(b"".join(out), "<u8").copy()
 
     def encode(self, text: str, key: int) -> list[int]:
-        return self.encode_all([text], [key])[0]
+        return np.frombuffer(self.encode_all([text], [key])[0], "<i4").tolist()
 
 
 def _worker_encoder(model: bytes, seed: int, alpha: float, variants: int) -> Encoder:
@@ -274,8 +289,8 @@ def _encoded(batches, model: bytes, seed: int, alpha: float, variants: int):
     encoder = _worker_encoder(model, seed, alpha, variants)
     for b in batches:
         lists = encoder.encode_all(b.column("text").to_pylist(), b.column("key").to_pylist())
-        ends = np.cumsum([0, *(len(x or ()) for x in lists)], dtype=np.int32)
-        values = pa.array(np.fromiter(chain.from_iterable(x or () for x in lists), np.int32, int(ends[-1])))
+        ends = np.cumsum([0, *(len(x or b"") // 4 for x in lists)], dtype=np.int32)
+        values = pa.array(np.frombuffer(b"".join(x or b"" for x in lists), "<i4"))
         ids = pa.ListArray.from_arrays(pa.array(ends), values, mask=pa.array([x is None for x in lists]))
         yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("text"), ids], names=["doc_id", "text", "piece_ids"])
 
@@ -296,9 +311,21 @@ def encode(documents: DataFrame, seed: int = SEED, alpha: float = ALPHA, variant
 
 def _decoded(batches, model: bytes):
     pieces = Pieces(model)
+    size = np.fromiter(map(len, pieces.raw), np.int64, len(pieces.raw))
+    blob, place = np.frombuffer(b"".join(pieces.raw), np.uint8), np.cumsum(size) - size
     for b in batches:
-        rows = b.column("piece_ids").to_pylist()
-        texts = pa.array([None if i is None else pieces.decode(i) for i in rows], pa.string())
+        column = b.column("piece_ids")
+        ids, counts = column.flatten().to_numpy(), np.array(pc.fill_null(pc.list_value_length(column), 0))
+        sizes, starts = size[ids], place[ids]
+        heads = (np.cumsum(counts) - counts)[counts > 0]
+        sizes[heads] -= 1  # the space in front
+        starts[heads] += 1
+        ends = np.cumsum(sizes)
+        raw = blob[np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(starts - (ends - sizes), sizes)]
+        bounds = np.concatenate([[0], ends])[np.concatenate([[0], np.cumsum(counts)])]
+        valid = pc.is_valid(column)
+        texts = pa.LargeStringArray.from_buffers(len(b), pa.py_buffer(bounds.astype(np.int64)), pa.py_buffer(raw), pa.array(valid.to_pylist(), pa.bool_()).buffers()[1])
+        texts = texts.cast(pa.string())
         at = b.schema.get_field_index("decoded")
         yield b.set_column(at, "decoded", texts) if at >= 0 else b.append_column("decoded", texts)
 
@@ -317,14 +344,11 @@ def _with_decoded(encoded: DataFrame, model) -> DataFrame:
     return encoded.select(*[f.name for f in fields]).mapInArrow(lambda batches: _decoded(batches, model.value), schema)
 
 
-def digest(decoded: DataFrame) -> DataFrame:
+def op1_merge_dropout(spark, sf_dir: str) -> DataFrame:
     """doc_id, n_pieces, ids_sha256 (of the ids, comma-joined), decoded_sha256, lossless; nulls where the text is null."""
-    ids = F.array_join("piece_ids", ",")
+    encoded = encode(common.read(spark, sf_dir, "documents")).select("doc_id", "piece_ids", F.sha2("text", 256).alias("text_sha256"))
+    decoded = decode(encoded).withColumn("decoded_sha256", F.sha2("decoded", 256))
     return decoded.select(
         "doc_id", F.when(F.col("piece_ids").isNotNull(), F.size("piece_ids")).cast("long").alias("n_pieces"),
-        F.sha2(ids, 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"), F.col("text").eqNullSafe(F.col("decoded")).alias("lossless"),
+        F.sha2(F.array_join("piece_ids", ","), 256).alias("ids_sha256"), "decoded_sha256", F.col("text_sha256").eqNullSafe(F.col("decoded_sha256")).alias("lossless"),
     )
-
-
-def op1_merge_dropout(spark, sf_dir: str) -> DataFrame:
-    return digest(decode(encode(common.read(spark, sf_dir, "documents"))))
