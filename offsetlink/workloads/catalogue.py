@@ -235,7 +235,10 @@ def n12_attr_diff(spark, sf_dir):
     return train(spark, sf_dir, SIGNED).groupBy("s1", "s2", "y").agg(F.sum("x1").alias("x1"), F.count("*").alias("n"))
 
 
-ORDER = P.mix(F.col("r") * 1009 + F.col("s1") * 31 + F.col("s2"), 5)
+def order():
+    return F.struct(P.mix(F.col("r") * 1009 + F.col("s1") * 31 + F.col("s2"), 5), "s1", "s2", "r")
+
+
 ORDER_SQL = P.mix_sql("(r * 1009 + s1 * 31 + s2)", 5)
 
 
@@ -244,7 +247,7 @@ def _sample(name: str, per: str, k: int):
     sql = f"SELECT s1, s2, r, y FROM (SELECT *, row_number() OVER ({keys}ORDER BY {ORDER_SQL}, s1, s2, r) AS rn FROM ({TRAIN_SQL})) WHERE rn <= {k}"
 
     def run(spark, sf_dir):
-        return sampling.sample_labels(train(spark, sf_dir), F.struct(ORDER, "s1", "s2", "r"), k, per).select("s1", "s2", "r", "y")
+        return sampling.sample_labels(train(spark, sf_dir), order(), k, per).select("s1", "s2", "r", "y")
 
     run.__name__ = name
     query(sql)(run)
@@ -876,7 +879,7 @@ def w1_budget_units(spark, sf_dir):
     out, models = None, []
     for unit, sizes in (("pair", (5, 20, 100)), ("source", (25, 100, 500)), ("total", (75, 300, 1500))):
         for k in sizes:
-            some = sampling.sample_labels(pairs, F.struct(ORDER, "s1", "s2", "r"), k, unit)
+            some = sampling.sample_labels(pairs, order(), k, unit)
             for m in fit_three(block_of(some)[()]):
                 models.append(({"method": m.method, "unit": unit, "labels": k}, m))
     scored = scoring.score(train(spark, sf_dir, SIX_TEST), models, XS, SCALE)
