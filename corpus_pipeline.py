@@ -51,8 +51,8 @@ def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Piece ids of every text under merge-dropout, checked by decoding."""
-    decoded = merge_dropout.decode(merge_dropout.encode(docs).withColumn("text_sha256", F.sha2("text", 256)).drop("text"))
-    return decoded.select("doc_id", "piece_ids", F.size("piece_ids").cast("long").alias("n_pieces"), "text_sha256", (F.sha2("decoded", 256) == F.col("text_sha256")).alias("lossless"))
+    done = merge_dropout.round_trip(docs)
+    return done.select("doc_id", "piece_ids", F.size("piece_ids").cast("long").alias("n_pieces"), F.sha2("text", 256).alias("text_sha256"), (F.col("text") == F.col("decoded")).alias("lossless"))
 
 
 STAGES = [

@@ -61,8 +61,8 @@ def share(spark: SparkSession, value):
 
 def bound_batches(spark: SparkSession) -> None:
     """Arrow batches of whole texts: bounded in rows and bytes, as long texts would make 10,000 rows very large."""
-    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "1000")
-    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", "4m")
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "400")
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", "2m")
 
 
 def partitions(spark: SparkSession) -> int:

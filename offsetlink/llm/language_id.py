@@ -23,7 +23,7 @@ ORDER = 3
 #: The classifier is fitted on so many documents of each language at most, and on so many characters of each.
 SAMPLE_DOCS, SAMPLE_CHARS = 400, 20_000
 CONTEXT_LEAST = 12  # a context is kept if it occurs so often in the sample
-SLICE = 1 << 18
+SLICE = 1 << 16
 LETTER = re.compile(r"[^\W\d_]")
 FOLD = bytes(range(256)).lower()
 PREDICTED = "doc_id {0}, lang_pred string, score double, bits array<double>"
@@ -73,7 +73,7 @@ class ContextTrees:
                 chain = [follow[e][np.searchsorted(kept[e], kept[d] % a**e)] for e in range(d, -1, -1)]
                 self.cost[first : first + len(kept[d]), :, at] = -np.log2(_blended(chain))
                 first += len(kept[d])
-        self.cost = self.cost.reshape(nodes * a, len(self.langs))
+        self.cost = self.cost.reshape(nodes * a, len(self.langs)).astype(np.float32)
 
     def bits(self, texts: list[str]) -> np.ndarray:
         """Code length of each text in each language."""
@@ -99,7 +99,7 @@ class ContextTrees:
         rows = self.cost[node * a + s[3:]]
         ends = np.cumsum([len(p) for p in parts])
         # Row j is the cost of byte j + 3; the first three bytes of a part are context only.
-        sums = np.concatenate([np.zeros((1, rows.shape[1])), np.cumsum(rows, 0)])
+        sums = np.concatenate([np.zeros((1, rows.shape[1])), np.cumsum(rows, 0, dtype=np.float64)])
         starts = ends - [len(p) for p in parts]
         np.add.at(out, owners, sums[ends - 3] - sums[starts])
 

@@ -26,7 +26,7 @@ from offsetlink.llm import common
 from offsetlink.llm.common import SEED, mix64
 
 ALPHA, VARIANTS = 0.1, 2
-CACHE_CHUNKS = 150_000  # for each variant, and as many older ones
+CACHE_CHUNKS = 120_000  # for each variant, and as many older ones
 MASK = (1 << 64) - 1
 #: Word characters (but those that some piece continues with others), with what else stands before them.
 CHUNK = re.compile(r"[^\w\n]*[^\W_²]+|(?:[^\w\n]|[_²])+[^\W_²]*|\n")
@@ -301,35 +301,62 @@ def encode(documents: DataFrame, seed: int = SEED, alpha: float = ALPHA, variant
     Null text has null ids and empty text none; a null doc_id is keyed by the text's hash; repeated rows get the same
     ids.  Other columns are ignored.
     """
+    rows, kind, model = _keyed(documents, tokenizer_dir)
+    return rows.mapInArrow(lambda batches: _encoded(batches, model.value, seed, alpha, variants), f"doc_id {kind}, text string, piece_ids array<int>")
+
+
+def _keyed(documents: DataFrame, tokenizer_dir: str):
     spark = documents.sparkSession
     common.bound_batches(spark)
     model = spark.sparkContext.broadcast(common.tokenizer_file("piece_bpe_32k.model", tokenizer_dir))
     rows = documents.select("doc_id", "text", F.coalesce(F.col("doc_id").cast("long"), F.xxhash64("text")).alias("key"))
-    kind = documents.schema["doc_id"].dataType.simpleString()
-    return rows.mapInArrow(lambda batches: _encoded(batches, model.value, seed, alpha, variants), f"doc_id {kind}, text string, piece_ids array<int>")
+    return rows, documents.schema["doc_id"].dataType.simpleString(), model
 
 
-def _decoded(batches, model: bytes):
-    pieces = Pieces(model)
-    size = np.fromiter(map(len, pieces.raw), np.int64, len(pieces.raw))
-    blob, place = np.frombuffer(b"".join(pieces.raw), np.uint8), np.cumsum(size) - size
-    for b in batches:
-        column = b.column("piece_ids")
+class Decoder:
+    """Turns lists of ids into texts, all of a column at once."""
+
+    def __init__(self, pieces: Pieces) -> None:
+        self.size = np.fromiter(map(len, pieces.raw), np.int64, len(pieces.raw))
+        self.blob, self.place = np.frombuffer(b"".join(pieces.raw), np.uint8), np.cumsum(self.size) - self.size
+
+    def texts(self, column: pa.ListArray) -> pa.Array:
         ids, counts = column.flatten().to_numpy(), np.array(pc.fill_null(pc.list_value_length(column), 0))
-        sizes, starts = size[ids], place[ids]
+        sizes, starts = self.size[ids], self.place[ids]
         heads = (np.cumsum(counts) - counts)[counts > 0]
         sizes[heads] -= 1  # the space in front
         starts[heads] += 1
         ends = np.cumsum(sizes)
-        raw = blob[np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(starts - (ends - sizes), sizes)]
+        raw = self.blob[np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(starts - (ends - sizes), sizes)]
         bounds = np.concatenate([[0], ends])[np.concatenate([[0], np.cumsum(counts)])]
-        valid = pc.is_valid(column)
-        texts = pa.LargeStringArray.from_buffers(len(b), pa.py_buffer(bounds.astype(np.int64)), pa.py_buffer(raw), pa.array(valid.to_pylist(), pa.bool_()).buffers()[1])
-        texts = texts.cast(pa.string())
+        valid = pa.array(pc.is_valid(column).to_pylist(), pa.bool_()).buffers()[1]
+        out = pa.LargeStringArray.from_buffers(len(column), pa.py_buffer(bounds.astype(np.int64)), pa.py_buffer(raw), valid)
+        return out.cast(pa.string())
+
+
+def _decoded(batches, model: bytes):
+    decoder = Decoder(Pieces(model))
+    for b in batches:
+        texts = decoder.texts(b.column("piece_ids"))
         at = b.schema.get_field_index("decoded")
         yield b.set_column(at, "decoded", texts) if at >= 0 else b.append_column("decoded", texts)
 
 
+def _round_trip(batches, model: bytes, seed: int, alpha: float, variants: int):
+    decoder = Decoder(Pieces(model))
+    for b in _encoded(batches, model, seed, alpha, variants):
+        # In slices, as long texts have long lists of ids.
+        for at in range(0, len(b), 250):
+            some = b.slice(at, 250)
+            yield some.append_column("decoded", decoder.texts(some.column("piece_ids")))
+
+
+def round_trip(documents: DataFrame, seed: int = common.SEED, alpha: float = ALPHA, variants: int = VARIANTS, tokenizer_dir: str = common.TOKENIZER_DIR) -> DataFrame:
+    """What decode(encode(documents)) gives, in one Python worker instead of two."""
+    rows, kind, model = _keyed(documents, tokenizer_dir)
+    return rows.mapInArrow(lambda batches: _round_trip(batches, model.value, seed, alpha, variants), f"doc_id {kind}, text string, piece_ids array<int>, decoded string")
+
+
 def decode(encoded: DataFrame, tokenizer_dir: str = common.TOKENIZER_DIR) -> DataFrame:
     """The input with a column decoded: the texts of piece_ids (replaced if there).  Null ids decode to null."""
     model = encoded.sparkSession.sparkContext.broadcast(common.tokenizer_file("piece_bpe_32k.model", tokenizer_dir))
@@ -346,9 +373,8 @@ def _with_decoded(encoded: DataFrame, model) -> DataFrame:
 
 def op1_merge_dropout(spark, sf_dir: str) -> DataFrame:
     """doc_id, n_pieces, ids_sha256 (of the ids, comma-joined), decoded_sha256, lossless; nulls where the text is null."""
-    encoded = encode(common.read(spark, sf_dir, "documents")).select("doc_id", "piece_ids", F.sha2("text", 256).alias("text_sha256"))
-    decoded = decode(encoded).withColumn("decoded_sha256", F.sha2("decoded", 256))
-    return decoded.select(
+    done = round_trip(common.read(spark, sf_dir, "documents"))
+    return done.select(
         "doc_id", F.when(F.col("piece_ids").isNotNull(), F.size("piece_ids")).cast("long").alias("n_pieces"),
-        F.sha2(F.array_join("piece_ids", ","), 256).alias("ids_sha256"), "decoded_sha256", F.col("text_sha256").eqNullSafe(F.col("decoded_sha256")).alias("lossless"),
+        F.sha2(F.array_join("piece_ids", ","), 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"), F.col("text").eqNullSafe(F.col("decoded")).alias("lossless"),
     )

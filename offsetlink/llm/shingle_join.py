@@ -33,8 +33,9 @@ SPARE, SPARE_LEAST = 10, 12  # the longer prefix of order A has n // SPARE token
 #: Up to so many members of families are broadcast to the scan of their texts; more are joined by a shuffle.
 BROADCAST_ROWS = 1_000_000
 PIECE = 4 << 20
-FLUSH = 1_500_000
+FLUSH = 500_000
 BLOCK, BLOCKS, BLOCK_MOST = 128, 64, 8192
+SLICE = 8192  # columns of an incidence matrix at a time
 BASE, STEP = 0x9E3779B97F4A7C15 | 1, 0xD1342543DE82EF95
 INVERSE = pow(BASE, -1, 1 << 64)
 SPACE = np.zeros(256, bool)
@@ -187,7 +188,7 @@ def _signed(batches, least: int, buckets: int, n: int):
         yield pa.RecordBatch.from_arrays([pa.array(x, y) for x, y in zip([[-1] * size, b.column("doc_id").to_pylist(), [len(s) for s in sets], marks, null, null, null, null], kinds, strict=True)], names=names)
         for s, mark in zip(sets, marks, strict=True):
             if len(s):
-                tokens.append(s[: kept(len(s), least)])
+                tokens.append(s[: kept(len(s), least)].copy())
                 fps.append(mark)
                 ns.append(len(s))
                 held += len(tokens[-1])
@@ -295,7 +296,7 @@ def _verified(table: pa.Table, least: int) -> pa.Table:
             parent[i] = i = parent[parent[i]]
         return i
 
-    edges, width = [], 2048
+    edges, width = [], 512
     for lo in range(0, len(sets), width):
         for lo2 in range(lo, len(sets), width):
             hi, hi2 = min(lo + width, len(sets)), min(lo2 + width, len(sets))
@@ -322,8 +323,8 @@ def _overlap(owner: np.ndarray, column: np.ndarray, use: np.ndarray, lo: int, hi
     out = np.zeros((hi - lo, hi2 - lo2), np.int64)
     left, right = use & (owner >= lo) & (owner < hi), use & (owner >= lo2) & (owner < hi2)
     most = int(column.max(initial=-1)) + 1
-    for c in range(0, most, 16384):
-        w = min(16384, most - c)
+    for c in range(0, most, SLICE):
+        w = min(SLICE, most - c)
         a, b = np.zeros((hi - lo, w), np.float32), np.zeros((hi2 - lo2, w), np.float32)
         k = left & (column >= c) & (column < c + w)
         a[owner[k] - lo, column[k] - c] = 1
