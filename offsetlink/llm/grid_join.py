@@ -25,7 +25,7 @@ from offsetlink.llm.components import components
 LEAST = 0.9
 GRID_DIMS, FILTER_DIMS = 8, 24
 #: Vectors in a block, and intervals that aren't cut further.
-BLOCK, LEAF = 1024, 128
+BLOCK, LEAF = 2048, 128
 RUN_BITS = 5
 SLACK = 1e-6
 
@@ -215,14 +215,16 @@ def join(embeddings: DataFrame, least: float = LEAST, block: int = BLOCK) -> Dat
     dims = usual.d
     fit = F.size("vec") == dims
     classes = common.cut(rows.where(F.col("fp").isNotNull() & fit).groupBy("fp", "vec").agg(F.min("vec_id").alias("low"), F.count("*").alias("copies")), "classes")
-    # Classes whose rows all have null ids still count as links; they go by an id above all others.
-    classes = classes.withColumn("rep", F.coalesce("low", F.lit(1 << 62) + F.shiftrightunsigned("fp", 3)))
+    # Classes go by the hash of their vector, so ids may repeat or be null; components are named by ids at the end.
+    classes = classes.withColumn("rep", F.col("fp"))
     axes = principal_axes(classes, dims, min(dims, FILTER_DIMS))
     epsilon = math.sqrt(2 - 2 * least)
     cells = [f"c{k}" for k in range(min(GRID_DIMS, dims))]
     schema = "rep long, copies long, vec binary, " + ", ".join(f"{c} long" for c in cells)
     projected = classes.select("rep", "copies", "vec").mapInArrow(lambda b: _projected(b, dims, axes, epsilon), schema)
-    ordered = projected.repartitionByRange(common.partitions(spark), *cells, "rep").sortWithinPartitions(*cells, "rep").select("rep", "copies", "vec")
+    # As many runs as make whole blocks of several: short runs would make many small blocks, and so many pairs.
+    runs = max(1, min(common.partitions(spark), -(-classes.count() // (4 * block))))
+    ordered = projected.repartitionByRange(runs, *cells, "rep").sortWithinPartitions(*cells, "rep").select("rep", "copies", "vec").coalesce(runs)
     blocks = common.cut(ordered.mapInArrow(lambda b: _blocks(b, dims, axes, block), PACKED), "blocks")
     pairs = near_blocks(blocks.select("block", "low", "high"), 2 - 2 * least, axes.shape[1])
     one, two = blocks.select("block", "reps", "copies", "vectors"), blocks.select(F.col("block").alias("other"), F.col("reps").alias("other_reps"), F.col("copies").alias("other_copies"), F.col("vectors").alias("other_vectors"))
@@ -231,8 +233,10 @@ def join(embeddings: DataFrame, least: float = LEAST, block: int = BLOCK) -> Dat
     links = common.cut(mine.unionByName(both).mapInArrow(lambda b: _joined(b, dims, axes, least), LINKS), "links")
     counts = links.where("kind = 0").groupBy(F.col("a").alias("rep")).agg(F.sum("b").alias("linked"))
     found = components(links.where("kind = 1").select("a", "b"))
-    named = classes.select("fp", "vec", "rep", "copies").join(counts, "rep", "left").join(found.select(F.col("node").alias("rep"), "component"), "rep", "left")
-    named = named.select(F.col("fp").alias("fp_"), F.col("vec").alias("vec_"), "copies", F.coalesce("linked", F.lit(0)).alias("linked"), F.coalesce("component", "rep").alias("component"))
+    named = classes.select("fp", "vec", "rep", "copies", "low").join(counts, "rep", "left").join(found.select(F.col("node").alias("rep"), "component"), "rep", "left")
+    named = named.withColumn("component", F.coalesce("component", "rep"))
+    least_id = named.groupBy("component").agg(F.min("low").alias("name"))
+    named = named.join(least_id, "component").select(F.col("fp").alias("fp_"), F.col("vec").alias("vec_"), "copies", F.coalesce("linked", F.lit(0)).alias("linked"), F.col("name").alias("component"))
     out = rows.join(named, (rows["fp"] == named["fp_"]) & (rows["vec"] == named["vec_"]), "left")
     component = F.when(F.col("vec_id").isNotNull(), F.coalesce("component", "vec_id"))
     return out.select("vec_id", F.coalesce(F.col("copies") - 1 + F.col("linked"), F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(component == F.col("vec_id"), F.lit(False)).alias("kept"))
