@@ -10,6 +10,7 @@ from collections.abc import Callable
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -72,6 +73,7 @@ class LossLearner:
     penalty: str = "l1"
     max_iter: int = 40
     tol: float = 1e-6
+    pooled: bool = False  # one weight vector for all pairs of sources
 
     def fit(self, pairs: DataFrame, features: list[str], scale: float = 1.0) -> OffsetModel:
         sources = sorted({r[0] for r in pairs.select("s1").union(pairs.select("s2")).distinct().collect()})
@@ -81,14 +83,30 @@ class LossLearner:
         v0, v, t, value = w0, w, 1.0, None
         for _ in range(self.max_iter):
             value, g0, g = gradient(pairs, features, v0, v, sources, self.loss, scale)
-            n0, n = v0 - rate * g0, PENALTIES[self.penalty](v - rate * g, rate * self.lam)
+            n0, n = v0 - rate * g0, v if self.pooled else PENALTIES[self.penalty](v - rate * g, rate * self.lam)
             t2 = (1 + np.sqrt(1 + 4 * t * t)) / 2
             v0, v, t = n0 + (t - 1) / t2 * (n0 - w0), n + (t - 1) / t2 * (n - w), t2
             moved = np.abs(n0 - w0).max()
             w0, w = n0, n
             if moved < self.tol:
                 break
-        return OffsetModel(f"offset_{self.loss}", w0, {s: w[i] for i, s in enumerate(sources) if np.any(w[i])}, info={"loss": value})
+        return OffsetModel(f"{'pooled' if self.pooled else 'offset'}_{self.loss}", w0, {s: w[i] for i, s in enumerate(sources) if np.any(w[i])}, info={"loss": value})
+
+
+def fit_pairwise_loss(pairs: DataFrame, features: list[str], loss: str = "logistic", scale: float = 1.0, ridge: float = 1e-3, rounds: int = 400) -> OffsetModel:
+    """An unrelated weight vector per source pair under a loss, one task for each pair's labels."""
+    bound = LOSSES[loss][1]
+
+    def fit(key, frame: pd.DataFrame) -> pd.DataFrame:
+        x = np.column_stack([np.ones(len(frame)), frame[features].to_numpy(float) / scale])
+        y, w = frame["y"].to_numpy(float), np.zeros(len(features) + 1)
+        rate = 1 / (bound * np.linalg.eigvalsh(x.T @ x)[-1] + ridge)
+        for _ in range(rounds):
+            w = w - rate * (x.T @ LOSSES[loss][0](x @ w, y)[1] + ridge * w)
+        return pd.DataFrame({"s1": [key[0]], "s2": [key[1]], "w": [w.tolist()]})
+
+    rows = pairs.select("s1", "s2", "y", *features).groupBy("s1", "s2").applyInPandas(fit, "s1 int, s2 int, w array<double>").collect()
+    return OffsetModel(f"pairwise_{loss}", np.zeros(len(features) + 1), pairs={(r.s1, r.s2): np.array(r.w) for r in rows}, pairs_only=True)
 
 
 def gradient_from_moments(moments: DataFrame, d: int, w0: np.ndarray, w: dict[int, np.ndarray], scale: float = 1.0) -> tuple[np.ndarray, dict[int, np.ndarray]]:

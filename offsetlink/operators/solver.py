@@ -122,7 +122,18 @@ def solve(problem: Problem, lam: float, penalty: str = "l1", max_iter: int = 500
         freeze_offsets, lam = True, 0.0
     if freeze_offsets:
         w[:] = 0
-    rate = 1 / (problem.curvature() if step == "exact" else problem.bound() if step == "bound" else 1 / float(step))
+    search = step == "backtrack"
+    rate = 100 / problem.bound() if search else 1 / (problem.curvature() if step == "exact" else problem.bound() if step == "bound" else 1 / float(step))
+
+    def move(v0, v, rate):
+        g0, g = problem.gradient(v0, v)
+        n0 = v0 if freeze_w0 else v0 - rate * g0
+        n = v if freeze_offsets else problem.clean(prox(v - rate * g, rate * lam))
+        # Whether the step stays under its quadratic model, which a step of at most 1 / curvature always does.
+        d0, d = n0 - v0, n - v
+        model = problem.loss(v0, v) + d0 @ g0 + (d * g).sum() + (d0 @ d0 + (d * d).sum()) / (2 * rate)
+        return n0, n, not search or problem.loss(n0, n) <= model + 1e-12 * abs(model)
+
     cost = lambda a, b: problem.loss(a, b) + lam * value(b)
     began, best = time.perf_counter(), cost(w0, w)
     v0, v, t, rows = w0, w, 1.0, []
@@ -131,9 +142,10 @@ def solve(problem: Problem, lam: float, penalty: str = "l1", max_iter: int = 500
         note(0, best)
     i = 0
     for i in range(1, max_iter + 1):
-        g0, g = problem.gradient(v0, v)
-        n0 = v0 if freeze_w0 else v0 - rate * g0
-        n = w if freeze_offsets else problem.clean(prox(v - rate * g, rate * lam))
+        n0, n, fits = move(v0, v, rate)
+        while not fits:
+            rate /= 2
+            n0, n, fits = move(v0, v, rate)
         now = cost(n0, n)
         if accelerate and now > best and t > 1:
             v0, v, t = w0, w, 1.0  # momentum overshot: once more without it

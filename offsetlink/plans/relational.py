@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import re
+
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -32,3 +35,24 @@ def sql_functions(spark) -> None:
     """Session functions that Catalyst inlines."""
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION soft_threshold(v DOUBLE, tau DOUBLE) RETURNS DOUBLE RETURN signum(v) * greatest(abs(v) - tau, 0.0D)")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION jaccard(a ARRAY<STRING>, b ARRAY<STRING>) RETURNS DOUBLE RETURN try_divide(size(array_intersect(a, b)), size(array_union(a, b)))")
+
+
+def token_blocks():
+    """A table function from a title to its block keys; explode over an expression is the faster form."""
+
+    @F.udtf(returnType="block_key: string")
+    class TokenBlocks:
+        def eval(self, title: str):
+            for word in sorted(set(re.findall("[a-z0-9]+", (title or "").lower()))):
+                yield (word,)
+
+    return TokenBlocks
+
+
+def grouped_gram():
+    """The sum of products as a grouped-aggregate function; a check of the plain sums."""
+    @F.pandas_udf("double")
+    def gram(a: pd.Series, b: pd.Series) -> float:
+        return float((a.astype(float) * b.astype(float)).sum())
+
+    return gram

@@ -48,3 +48,18 @@ def throughput(labels: DataFrame, width: str = "1 day", slide: str | None = None
 
 def sessions(labels: DataFrame, gap: str = "30 minutes", by: str = "s1") -> DataFrame:
     return labels.groupBy(F.session_window("ts", gap).alias("w"), by).agg(F.count("*").alias("labels")).select(by, F.col("w.start").alias("start"), F.col("w.end").alias("end"), "labels")
+
+
+def score_stream(labels: DataFrame, models: list, features: list[str], scale: float = 1.0) -> DataFrame:
+    """Arriving pairs scored under models that are broadcast; a static side, so no state."""
+    from offsetlink.operators import scoring
+
+    return scoring.score(labels, models, features, scale)
+
+
+def meet(left: DataFrame, right: DataFrame, key: str, within: str = "1 hour", delay: str = "2 hours") -> DataFrame:
+    """Records of two streams with the same block key within a time of one another; watermarks bound the state."""
+    a = left.withWatermark("ts", delay).select(F.col(key), F.col("event_id").alias("e1"), F.col("ts").alias("t1"))
+    b = right.withWatermark("ts", delay).select(F.col(key).alias("other_key"), F.col("event_id").alias("e2"), F.col("ts").alias("t2"))
+    near = F.expr(f"{key} = other_key AND t2 BETWEEN t1 - INTERVAL {within} AND t1 + INTERVAL {within}")
+    return a.join(b, near).select(key, "e1", "e2")

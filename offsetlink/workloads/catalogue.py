@@ -1096,6 +1096,131 @@ def rel_top_k(spark, sf_dir):
     return relational.top_k(joined, ["n_name"], [F.desc("p_retailprice"), "p_partkey"], 2).select("n_name", "p_partkey")
 
 
+# -- more variants and operators ---------------------------------------------------------------------------------------
+
+
+@query("SELECT p_partkey, round((c - a) / 2, 6) AS first, round((d - b) / 2, 6) AS second FROM (SELECT p_partkey, p_size::DOUBLE AS a, p_retailprice AS b, (p_size % 7)::DOUBLE AS c, p_retailprice / 3 AS d FROM part)")
+def m2_limit_deviation(spark, sf_dir):
+    a = F.array(F.col("p_size").cast("double"), F.col("p_retailprice"))
+    b = F.array((F.col("p_size") % 7).cast("double"), F.col("p_retailprice") / 3)
+    v = vectors.limit_deviation(a, b)
+    return rounded(part(spark, sf_dir).select("p_partkey", v[0].alias("first"), v[1].alias("second")), "first", "second")
+
+
+@query("SELECT p_partkey, round(abs(p_size - 25) + abs(p_retailprice), 6) AS l1, round(sqrt(pow(p_size - 25, 2) + pow(p_retailprice, 2)), 6) AS l2, round(greatest(abs(p_size - 25), abs(p_retailprice)), 6) AS largest FROM part")
+def rel_norms(spark, sf_dir):
+    v = F.array((F.col("p_size") - 25).cast("double"), F.col("p_retailprice"))
+    return rounded(part(spark, sf_dir).select("p_partkey", *(vectors.norm(v, k).alias(n) for k, n in (("l1", "l1"), ("l2", "l2"), ("max", "largest")))), "l1", "l2", "largest")
+
+
+@query("SELECT * FROM (VALUES ('backtrack', true), ('bound', true), ('exact', true)) t(step, optimal)")
+def m3_step_sizes(spark, sf_dir):
+    b, _ = scaled(block_of(train(spark, sf_dir))[()])
+    rows = []
+    for step in ("backtrack", "bound", "exact"):
+        learner = learners.SourceOffsetLearner(5.0, step=step, max_iter=20000, tol=1e-11)
+        rows.append((step, bool(solver.kkt_residual(learner.problem(b), learner.solution(b), 5.0) < 1e-6)))
+    return flagged(spark, rows, "step string, optimal boolean")
+
+
+@query()
+def r14_convergence(spark, sf_dir):
+    """Ratios of successive gaps of plain steps, against the optimum of the reference solver."""
+    b, _ = scaled(block_of(train(spark, sf_dir))[()])
+    learner = learners.SourceOffsetLearner(5.0, accelerate=False, max_iter=60, tol=-1)
+    best = solver.solve_reference(learner.problem(b), 5.0).objective
+    trace = flagged(spark, [(r["iter"], float(r["objective"])) for r in learner.solution(b, trace=True).trace], "iter int, objective double")
+    return rounded(evaluate.convergence_rate(trace, best), "gap", "ratio")
+
+
+@query()
+def r15_dominance(spark, sf_dir):
+    """Which method leads at which recall, with 20 labels per pair."""
+    scored = sweep(spark, sf_dir, Design(sources=6, per_pair=20), SIX_TEST, (20,), svm_too=True)
+    return rounded(evaluate.dominance(evaluate.pr_curve(scored, ["method"], bins=512)), "precision")
+
+
+@query()
+def b5_other_losses(spark, sf_dir):
+    """Pooled and pairwise learners under logistic and squared hinge losses."""
+    df = train(spark, sf_dir).cache()
+    pooled = [losses.LossLearner(0.0, loss, pooled=True).fit(df, XS, SCALE) for loss in ("logistic", "squared_hinge")]
+    return _errors(spark, sf_dir, [*pooled, *(losses.fit_pairwise_loss(df, XS, loss, SCALE) for loss in ("logistic", "squared_hinge"))])
+
+
+@query()
+def w1_documents(spark, sf_dir):
+    """Curves on documents in six unequal sources, learned from half of the candidates: pooled against offset learner."""
+    pairs = doc_pairs(spark, sf_dir).withColumns({"s1": tables.six_way(F.col("d1")).cast("int"), "s2": tables.six_way(F.col("d2")).cast("int")})
+    pairs = moments.canonical(pairs).cache()
+    half = P.mix(F.col("d1") * 7919 + F.col("d2"), 3) % 2
+    b, t = scaled(moments.to_driver(moments.pair_moments(pairs.where(half == 0), XS, number="double"), D)[()])
+    models = [learners.PooledLearner().fit(b).untransformed(t), doc_model(pairs.where(half == 0))]
+    scored = scoring.score(pairs.where(half == 1), [({"method": m.method}, m) for m in models], XS)
+    return rounded(evaluate.pr_curve(scored, ["method"], bins=128), "tau", "precision", "recall")
+
+
+@query("SELECT doc_id, 'quality' AS what, quality AS value FROM labels UNION ALL SELECT doc_id, 'toxic', toxic FROM labels")
+def rel_unpivot(spark, sf_dir):
+    return tables.load(spark, sf_dir, "labels").unpivot("doc_id", ["quality", "toxic"], "what", "value")
+
+
+@query("SELECT p_partkey, CAST(ntile(10) OVER (ORDER BY p_retailprice, p_partkey) AS INTEGER) AS tenth FROM part")
+def rel_ntile(spark, sf_dir):
+    return part(spark, sf_dir).select("p_partkey", F.ntile(10).over(Window.orderBy("p_retailprice", "p_partkey")).alias("tenth"))
+
+
+@query(f"SELECT token, df FROM (SELECT *, row_number() OVER (ORDER BY df DESC, token) AS rn FROM ({DF_SQL})) WHERE rn <= 25")
+def rel_heavy_tokens(spark, sf_dir):
+    return blocking.token_frequency(titled(spark, sf_dir), "title_tokens").orderBy(F.desc("df"), "token").limit(25)
+
+
+@query("SELECT a.lang, count(*) AS pairs FROM (SELECT DISTINCT lang, source FROM documents) a JOIN (SELECT DISTINCT lang FROM documents) b ON a.lang IS NOT DISTINCT FROM b.lang GROUP BY a.lang")
+def rel_null_safe_join(spark, sf_dir):
+    d = documents(spark, sf_dir)
+    a, b = d.select("lang", "source").distinct(), d.select(F.col("lang").alias("other")).distinct()
+    return a.join(b, a["lang"].eqNullSafe(b["other"])).groupBy("lang").agg(F.count("*").alias("pairs"))
+
+
+@query("SELECT item_id, unnest(list_sort(list_distinct(regexp_extract_all(lower(text), '[a-z0-9]+')))) AS block_key FROM benchmark")
+def rel_table_function(spark, sf_dir):
+    spark.udtf.register("token_blocks", relational.token_blocks())
+    tables.load(spark, sf_dir, "benchmark").createOrReplaceTempView("offsetlink_benchmark")
+    return spark.sql("SELECT item_id, block_key FROM offsetlink_benchmark, LATERAL token_blocks(text)")
+
+
+@query(f"SELECT s1, s2, CAST(sum(x1 * x2) AS DOUBLE) AS g1_2 FROM ({TRAIN_SQL}) GROUP BY s1, s2")
+def rel_grouped_gram(spark, sf_dir):
+    return train(spark, sf_dir).groupBy("s1", "s2").agg(relational.grouped_gram()("x1", "x2").alias("g1_2"))
+
+
+@query("SELECT approx.source, approx.langs FROM (SELECT source, count(DISTINCT lang) AS langs FROM documents GROUP BY source) approx")
+def rel_distinct_counts(spark, sf_dir):
+    return documents(spark, sf_dir).groupBy("source").agg(F.count_distinct("lang").alias("langs"))
+
+
+@query(f"SELECT event_id, round((0.5 - 0.01 * x1 + CASE WHEN s1 = 2 THEN 0.1 ELSE 0 END + CASE WHEN s2 = 2 THEN 0.1 ELSE 0 END)::DOUBLE, 6) AS score FROM (SELECT event_id, least(s1, s2) AS s1, greatest(s1, s2) AS s2, x1 FROM ({EVENT_SQL}) WHERE s1 <> s2)")
+def w14_stream_scores(spark, sf_dir):
+    """Arriving pairs scored as they come."""
+    import uuid
+
+    source = spark.readStream.schema(spark.read.parquet(f"{sf_dir}/events.parquet").schema).option("pathGlobFilter", "events.parquet").parquet(sf_dir)
+    model = learners.OffsetModel("m", np.array([0.5, -0.01]), {2: np.array([0.2, 0.0])})
+    scored = stream.score_stream(moments.canonical(stream.label_events(source)), [({"method": "m"}, model)], ["x1"])
+    return stream.run_to_memory(rounded(scored.select("event_id", "score"), "score"), f"scores_{uuid.uuid4().hex}", "append")
+
+
+@query("SELECT user_id, a.event_id AS e1, b.event_id AS e2 FROM events a JOIN events b USING (user_id) WHERE a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts BETWEEN a.ts - INTERVAL 6 HOUR AND a.ts + INTERVAL 6 HOUR")
+def w14_stream_meeting(spark, sf_dir):
+    """Two streams joined within a time bound."""
+    import uuid
+
+    schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
+    read = lambda: spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(sf_dir).withColumn("ts", F.col("ts").cast("timestamp"))
+    met = stream.meet(read().where("event_type = 'click'"), read().where("event_type = 'purchase'"), "user_id", "6 HOURS", "60 days")
+    return stream.run_to_memory(met, f"met_{uuid.uuid4().hex}", "append")
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One row per method: errors, precision, recall, labels used, parameters and those not 0."""
     df = train(spark, sf_dir)
