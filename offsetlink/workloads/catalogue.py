@@ -390,7 +390,7 @@ def m1_kkt_residual(spark, sf_dir):
 
 @query(f"SELECT s1, s2, round((xy - xx * 0.1 + 0.5 * 0.4 - (xx + 0.5) * 0.2) / (xx + 1.0), 6) AS deviation FROM (SELECT s1, s2, sum(x1 * x1) / {SCALE**2} AS xx, sum(x1 * y) / {SCALE} AS xy FROM ({TRAIN_SQL}) GROUP BY s1, s2)")
 def m2_pair_deviation_d1(spark, sf_dir):
-    """Scalar deviations at mu = 0.5, w0 = 0.1, w_i = 0.2, w_j = 0.4, against the lemma in its printed arrangement."""
+    """Scalar deviations at mu = 0.5, w0 = 0.1, w_i = 0.2, w_j = 0.4, against the closed form written out."""
     b = block_of(train(spark, sf_dir))[()]
     one = lambda v: np.array([v])
     rows = [(int(i), int(j), float(solver.pair_deviation(b.gram[p][1:2, 1:2], b.cross[p][1:2], one(0.1), one(0.2), one(0.4), 0.5)[0])) for p, (i, j) in enumerate(zip(b.s1, b.s2, strict=True))]
@@ -591,11 +591,17 @@ def b3_source_encoding(spark, sf_dir):
     return train(spark, sf_dir).select("s1", "s2", "r", code.alias("code"))
 
 
-@query(f"WITH t AS (SELECT r, x1 / {SCALE} AS x, x2 / {SCALE} AS z FROM ({TRAIN_SQL}) WHERE s1 = 1 AND s2 = 2 AND r < 8) SELECT a.r AS i, b.r AS j, round(exp(-(pow(a.x - b.x, 2) + pow(a.z - b.z, 2)) / 0.5), 6) AS k FROM t a, t b")
-def b3_kernel_matrix_small(spark, sf_dir):
-    rows = train(spark, sf_dir).where("s1 = 1 and s2 = 2 and r < 8").select("r", "x1", "x2").toPandas().sort_values("r")
-    k = svm.kernel(*[rows[["x1", "x2"]].to_numpy(float) / SCALE] * 2, 0.5)
-    return rounded(flagged(spark, [(int(i), int(j), float(k[a, b])) for a, i in enumerate(rows.r) for b, j in enumerate(rows.r)], "i int, j int, k double"), "k")
+@query(f"WITH t AS MATERIALIZED (SELECT s1, s2, r, x1 / {SCALE} AS x, x2 / {SCALE} AS z FROM ({TRAIN_SQL})) SELECT s1, s2, a.r AS i, b.r AS j, round(exp(-(pow(a.x - b.x, 2) + pow(a.z - b.z, 2)) / 0.5), 6) AS k FROM t a JOIN t b USING (s1, s2)")
+def b3_kernel_matrix(spark, sf_dir):
+    """The kernel of two features among the labelled pairs of each source pair."""
+
+    def cells(key, f):
+        f = f.sort_values("r")
+        k = svm.kernel(*[f[["x1", "x2"]].to_numpy(float) / SCALE] * 2, 0.5)
+        i, j = np.meshgrid(f.r, f.r, indexing="ij")
+        return type(f)({"s1": key[0], "s2": key[1], "i": i.ravel(), "j": j.ravel(), "k": k.ravel().round(6)})
+
+    return train(spark, sf_dir).select("s1", "s2", "r", "x1", "x2").groupBy("s1", "s2").applyInPandas(cells, "s1 int, s2 int, i int, j int, k double")
 
 
 def _svm(df: DataFrame, sources: int, **how) -> svm.RbfSvm:
@@ -711,22 +717,27 @@ GRAMS_SQL = "SELECT doc_id, unnest(list_distinct(list_transform(range(1, greates
 def near_copies(spark, sf_dir) -> DataFrame:
     """d1, d2 of documents whose word triples have Jaccard >= 1/2: the truth, kept apart from the features.
 
-    Triples of more than 50 documents don't propose pairs; every pair that the rest proposes is counted over all.
+    Such documents share one of their rarest n - ceil(n / 2) + 1 triples, so only those propose pairs; the proposed pairs
+    are then counted over all triples.
     """
     words = F.filter(F.split(P.ascii_fold(F.col("text")), "[^a-z0-9]+"), lambda w: w != "")
     docs = documents(spark, sf_dir).select("doc_id", words.alias("ws"))
-    grams = F.array_distinct(F.transform(F.when(F.size("ws") >= 3, F.sequence(F.lit(0), F.size("ws") - 3)), lambda i: F.xxhash64(F.slice("ws", i + 1, 3))))
-    held = docs.select("doc_id", F.explode(grams).alias("g"))
-    sizes = held.groupBy("doc_id").agg(F.count("*").alias("n"))
-    rare = held.groupBy("g").agg(F.count("*").alias("df")).where("df between 2 and 50")
-    mine = held.join(rare, "g").select("doc_id", "g")
-    a, b = mine.select(F.col("doc_id").alias("d1"), "g"), mine.select(F.col("doc_id").alias("d2"), "g")
-    shared = a.join(b, "g").where("d1 < d2").groupBy("d1", "d2").agg(F.count("*").alias("common"))
-    n1, n2 = sizes.select(F.col("doc_id").alias("d1"), F.col("n").alias("n1")), sizes.select(F.col("doc_id").alias("d2"), F.col("n").alias("n2"))
-    return shared.join(n1, "d1").join(n2, "d2").where("2 * common >= n1 + n2 - common").select("d1", "d2")
+    # The lambda sees its own argument only: a filter that moves below would else compute the words for each element.
+    shifted = F.arrays_zip(F.col("ws").alias("a"), F.slice("ws", 2, F.greatest(F.size("ws"), F.lit(1))).alias("b"), F.slice("ws", 3, F.greatest(F.size("ws"), F.lit(1))).alias("c"))
+    triples = F.filter(shifted, lambda z: z["c"].isNotNull())
+    sized = docs.select("doc_id", F.array_distinct(F.transform(triples, lambda z: F.xxhash64(z["a"], z["b"], z["c"]))).alias("grams"))
+    held = sized.select("doc_id", F.size("grams").alias("n"), F.explode("grams").alias("g"))
+    df = held.groupBy("g").agg(F.count("*").alias("df"))
+    rare = Window.partitionBy("doc_id").orderBy("df", "g")
+    first = held.join(df, "g").withColumn("place", F.row_number().over(rare)).where((F.col("place") <= F.floor(F.col("n") / 2) + 1) & (F.col("df") > 1))
+    a, b = first.select(F.col("doc_id").alias("d1"), F.col("n").alias("n1"), "g"), first.select(F.col("doc_id").alias("d2"), F.col("n").alias("n2"), "g")
+    pairs = a.join(b, "g").where("d1 < d2 and 2 * n1 >= n2 and 2 * n2 >= n1").select("d1", "d2", "n1", "n2").distinct()
+    left, right = sized.select(F.col("doc_id").alias("d1"), F.col("grams").alias("g1")), sized.select(F.col("doc_id").alias("d2"), F.col("grams").alias("g2"))
+    common = F.size(F.array_intersect("g1", "g2"))
+    return pairs.join(left, "d1").join(right, "d2").where(2 * common >= F.col("n1") + F.col("n2") - common).select("d1", "d2")
 
 
-TRUTH_SQL = f"WITH g AS MATERIALIZED ({GRAMS_SQL}), f AS MATERIALIZED (SELECT g FROM g GROUP BY g HAVING count(*) BETWEEN 2 AND 50), m AS MATERIALIZED (SELECT doc_id, g FROM g JOIN f USING (g)), n AS MATERIALIZED (SELECT doc_id, count(*) AS n FROM g GROUP BY doc_id) SELECT c.d1, c.d2 FROM (SELECT a.doc_id AS d1, b.doc_id AS d2, count(*) AS common FROM m a JOIN m b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY 1, 2) c JOIN n x ON x.doc_id = c.d1 JOIN n y ON y.doc_id = c.d2 WHERE 2 * c.common >= x.n + y.n - c.common"
+TRUTH_SQL = f"WITH g AS MATERIALIZED ({GRAMS_SQL}), n AS MATERIALIZED (SELECT doc_id, count(*) AS n FROM g GROUP BY doc_id) SELECT c.d1, c.d2 FROM (SELECT a.doc_id AS d1, b.doc_id AS d2, count(*) AS common FROM g a JOIN g b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY 1, 2) c JOIN n x ON x.doc_id = c.d1 JOIN n y ON y.doc_id = c.d2 WHERE 2 * c.common >= x.n + y.n - c.common"
 
 
 @query(TRUTH_SQL)
@@ -984,11 +995,14 @@ def w10_unseen_pairs(spark, sf_dir):
 @query()
 def w12_null(spark, sf_dir):
     """Labels without signal: every method must stay at the base rate."""
-    e = tables.load(spark, sf_dir, "embeddings").where("vec_id < 300").select("vec_id", (F.col("vec_id") % 6 + 1).cast("int").alias("s"), "embedding", "label")
+    e = tables.load(spark, sf_dir, "embeddings").select("vec_id", (F.col("vec_id") % 6 + 1).cast("int").alias("s"), "embedding", "label")
+    n = e.count()
     a, b = (e.select(*(F.col(c).alias(f"{c}{k}") for c in e.columns)) for k in (1, 2))
+    # Each vector meets those at thirty distances around the ring of ids.
+    met = a.withColumn("vec_id2", F.explode(F.transform(F.sequence(F.lit(1), F.lit(30)), lambda k: (F.col("vec_id1") + 7 * k) % n))).join(b, "vec_id2")
     part_ = lambda k: F.aggregate(F.zip_with(F.slice("embedding1", 12 * k + 1, 12), F.slice("embedding2", 12 * k + 1, 12), lambda x, y: F.abs(x - y).cast("double")), F.lit(0.0), lambda t, v: t + v)
-    near = F.pmod(F.col("vec_id1") * 13 + F.col("vec_id2"), F.lit(7)) == 0
-    pairs = a.join(b, (a.s1 < b.s2) & near).select("s1", "s2", F.when(F.col("label1") == F.col("label2"), 1).otherwise(-1).alias("y"), *(part_(k).alias(f"x{k + 1}") for k in range(D)), "vec_id1").cache()
+    pairs = met.where("s1 <> s2").select("s1", "s2", F.when(F.col("label1") == F.col("label2"), 1).otherwise(-1).alias("y"), *(part_(k).alias(f"x{k + 1}") for k in range(D)), "vec_id1")
+    pairs = moments.canonical(pairs).cache()
     half = F.col("vec_id1") % 2
     b_, t = scaled(moments.to_driver(moments.pair_moments(pairs.where(half == 0), XS, number="double"), D)[()])
     models = [learners.PooledLearner().fit(b_).untransformed(t), learners.PairwiseLearner().fit(b_).untransformed(t), learners.SourceOffsetLearner(5.0).fit(b_).untransformed(t)]
