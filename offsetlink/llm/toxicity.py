@@ -22,7 +22,7 @@ from offsetlink.llm import common
 SAMPLE_DOCS, SAMPLE_CHARS = 6000, 20_000
 SUPPORT = 0.004  # a word is a feature if it occurs in this share of the sample's positive documents, and five at least
 LIFT = 4.0
-PENALTY = 0.1
+PENALTY, RATE = 0.05, 0.05
 PREFIXES = (4, 5)
 THRESHOLD = 0.7
 SENTENCE, WORD = re.compile(r"[^.!?\n|]+"), re.compile(r"[^\W\d_]+")
@@ -109,18 +109,20 @@ def train(texts: list[str], labels: list[int], penalty: float = PENALTY, rounds:
             n += 1
     doc, rows, cols = np.array(doc, np.int64), np.array(rows, np.int64), np.array(cols, np.int64)
     w = np.array([lift[f] for f in vocabulary]) / 2
-    bias, moved, moved_bias = -6.0, np.full(len(w), 1e-9), 1e-9
-    for _ in range(rounds):
+    bias, mean, square, mean_bias, square_bias = -6.0, np.zeros(len(w)), np.zeros(len(w)), 0.0, 0.0
+    for step in range(1, rounds + 1):
         p = np.clip(_sigmoid(bias + np.bincount(rows, w[cols], n)), 1e-12, 1 - 1e-9)
         clean = np.bincount(doc, np.log1p(-p), len(y))
         dirty = np.maximum(-np.expm1(clean), 1e-12)
         # d log likelihood / d logit of a sentence: its share of a positive document, or minus its own probability.
         pull = np.where(y[doc] > 0, p * np.exp(clean)[doc] / dirty[doc], -p)
         gradient, of_bias = np.bincount(cols, pull[rows], len(w)) - penalty * (w > 0), float(pull.sum())
-        moved += gradient**2
-        moved_bias += of_bias**2
-        w = np.maximum(w + gradient / np.sqrt(moved), 0)
-        bias += 0.5 * of_bias / math.sqrt(moved_bias)
+        # Steps of momentum over the root of the mean square; weights stay at 0 or above.
+        mean, square = mean + 0.1 * (gradient - mean), square + 0.01 * (gradient**2 - square)
+        mean_bias, square_bias = mean_bias + 0.1 * (of_bias - mean_bias), square_bias + 0.01 * (of_bias**2 - square_bias)
+        one, two = 1 - 0.9**step, 1 - 0.99**step
+        w = np.maximum(w + RATE * (mean / one) / (np.sqrt(square / two) + 1e-6), 0)
+        bias += RATE * (mean_bias / one) / (math.sqrt(square_bias / two) + 1e-6)
     return Lexicon(float(bias), {f: float(w[i]) for f, i in vocabulary.items() if w[i] > 1e-2})
 
 
