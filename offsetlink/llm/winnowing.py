@@ -18,6 +18,8 @@ WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 #: Up to so many benchmark fingerprints are looked up as constants within a document's row; more are joined.
 INLINE_PRINTS = 20_000
+#: Up to so many occurrences of fingerprints in the benchmark are broadcast.
+PRINT_ROWS = 100_000
 
 
 def word_list(text: Column) -> Column:
@@ -71,7 +73,6 @@ def benchmark_prints(benchmark: DataFrame, span: int, k: int) -> DataFrame:
 
 def _found(documents: DataFrame, prints: DataFrame, span: int, k: int, inline: int) -> DataFrame:
     """Document rows with the array hits of (item_id, start, end): runs of span words or more, or short items."""
-    spark = documents.sparkSession
     rows = documents.select("doc_id", F.monotonically_increasing_id().alias("row_id"), word_list(F.col("text")).alias("words"))
     lengths = sorted(r.n for r in prints.where(F.size("item_words") < span).select("n").distinct().collect())  # fewer than span
     rows = rows.withColumn("hashes", gram_hashes(F.col("words"), k))
@@ -81,7 +82,8 @@ def _found(documents: DataFrame, prints: DataFrame, span: int, k: int, inline: i
     if len(values) <= inline:
         rows = rows.withColumn("prints", F.filter("prints", lambda x: x.isin(values)) if values else F.expr("cast(array() as array<bigint>)"))
         matched = rows.select("row_id", "doc_id", F.size("words").alias("n_words"), F.when(F.size("prints") > 0, F.col("words")).alias("words"), F.explode_outer("prints").alias("print"))
-        pairs = matched.join(F.broadcast(prints), "print", "left")
+        few = prints.limit(PRINT_ROWS + 1).count() <= PRINT_ROWS
+        pairs = matched.join(F.broadcast(prints) if few else prints, "print", "left")
     else:
         # Too many to be constants: join, then bring the words of matching documents only.
         known = rows.select("row_id", F.explode("prints").alias("print")).join(prints, "print")
@@ -97,7 +99,6 @@ def _found(documents: DataFrame, prints: DataFrame, span: int, k: int, inline: i
     pairs = pairs.select("row_id", "doc_id", "n_words", "item_id", p, same.alias("same"), F.when(short_item, F.lit(0)).otherwise(back).alias("back"), F.when(short_item, F.lit(0)).otherwise(ahead).alias("ahead"), "n", short_item.alias("short"))
     hit = F.col("same") & (F.col("short") | (F.col("back") + F.col("n") + F.col("ahead") >= span))
     run = F.struct("item_id", (p - F.col("back")).alias("start"), (p + F.col("n") + F.col("ahead")).alias("end"))
-    del spark
     return pairs.groupBy("row_id").agg(F.first("doc_id").alias("doc_id"), F.max("n_words").cast("long").alias("n_words"), F.collect_set(F.when(hit, run)).alias("hits"))
 
 
