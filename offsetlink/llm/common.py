@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
 import os
+import shutil
 import tempfile
 import uuid
 
@@ -30,7 +32,12 @@ def shared_dir(spark: SparkSession) -> str:
     at = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir")
     if not at:
         known = sc._jsc.sc().getCheckpointDir()
-        at = known.get() if known.isDefined() else "file://" + tempfile.mkdtemp(prefix="offsetlink-")
+        if known.isDefined():
+            at = known.get()
+        else:
+            own = tempfile.mkdtemp(prefix="offsetlink-")
+            atexit.register(shutil.rmtree, own, ignore_errors=True)
+            at = f"file://{own}"
     if not sc._jsc.sc().getCheckpointDir().isDefined():
         sc.setCheckpointDir(at)
     return at.rstrip("/")

@@ -107,7 +107,11 @@ class _Output:
 
     def close(self) -> None:
         self.out.close()
-        self.fs.move(self.temp, self.path)
+        try:
+            self.fs.move(self.temp, self.path)
+        except OSError:  # some stores don't replace a file
+            self.fs.delete_file(self.path)
+            self.fs.move(self.temp, self.path)
 
 
 def _written(batches, root: str):
