@@ -187,7 +187,7 @@ def test_attention_scores_each_id_once():
             first = max(0, i // attention_lm.STRIDE * attention_lm.STRIDE - (attention_lm.WINDOW - attention_lm.STRIDE))
             keys = np.array(ids[first : i + 1])
             w = np.exp(m.qe[ids[i], :d] @ m.k[keys].T + np.array([m.position[attention_lm.STRIDE - 1, attention_lm.WINDOW - 1 - (i - first - j)] for j in range(len(keys))]))
-            h = w @ m.v[keys] / w.sum() + m.qe[ids[i], d:]
+            h = w @ m.v[keys, :d] / w.sum() + m.qe[ids[i], d:]
             z = np.exp(h @ m.out + m.out_bias)
             want += math.log10(z[m.classes[goal]] / z.sum()) + m.share[goal]
         assert total == pytest.approx(want, rel=1e-3)
