@@ -13,11 +13,6 @@ from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-import offsetlink
-
-# Functions travel to the executors by value, so these need no copy of the package.
-cloudpickle.register_pickle_by_value(offsetlink)
-
 TOKENIZER_DIR = "/opt/tokenizers"
 SEED = 20240607
 
