@@ -62,6 +62,24 @@ def refine(blocks: DataFrame, second: Column, most: int) -> DataFrame:
     return blocks.join(sizes, "block_key").withColumn("block_key", key).drop("size")
 
 
+def similar_sets(sets: DataFrame, key: str, column: str, tau: float = 0.5, stop: tuple[str, ...] = STOP) -> DataFrame:
+    """Pairs (k1, k2) of different sets of Jaccard at least tau that share a word that is no stop word; each pair once.
+
+    Exact, with words of any frequency: the lesser set (by size, then key) is indexed by its rarest words, as many as it
+    can lack of the overlap with a set of its size, the other asks with as many as it can lack of tau of its own.
+    """
+    words = sets.select(key, F.explode(column).alias("w"))
+    df = words.groupBy("w").agg(F.count("*").alias("df"))
+    ranked = words.join(df, "w").groupBy(key).agg(F.transform(F.array_sort(F.collect_list(F.struct("df", "w"))), lambda x: x["w"]).alias("ws")).withColumn("n", F.size("ws"))
+    # A thousandth of a word against rounding errors; a longer prefix is always right.
+    prefix = lambda share: F.explode(F.slice("ws", F.lit(1), F.col("n") - F.ceil(F.col("n") * share - 1e-3).cast("int") + 1)).alias("w")
+    side = lambda k, share: ranked.select(F.col(key).alias(f"k{k}"), F.col("ws").alias(f"ws{k}"), F.col("n").alias(f"n{k}"), prefix(share))
+    met = side(1, 2 * tau / (1 + tau)).join(side(2, tau), "w").where((F.struct("n1", "k1") < F.struct("n2", "k2")) & (F.col("n1") >= tau * F.col("n2") - 1e-3))
+    met = met.withColumn("both", F.array_intersect("ws1", "ws2")).where(F.get("both", F.lit(0)) == F.col("w"))
+    alike = F.size("both") / (F.col("n1") + F.col("n2") - F.size("both")) >= tau
+    return met.where(alike & (F.size(F.array_except("both", F.array(*map(F.lit, stop)))) > 0)).select("k1", "k2")
+
+
 def salted_self_join(blocks: DataFrame, salts: int, key: str = "doc_id", source: str = "source_id") -> DataFrame:
     """The self-join with one side dealt into salts and the other repeated for each, so that a hot block is split."""
     a = blocks.select("block_key", F.col(key).alias("d1"), F.col(source).alias("s1"), F.pmod(F.xxhash64(key), F.lit(salts)).alias("salt"))

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from offsetlink.operators import blocking
+
 
 def resolve(scored: DataFrame, tau: float = 0.0) -> DataFrame:
     return scored.where(F.col("score") >= tau)
@@ -33,6 +35,23 @@ def cluster(matches: DataFrame, rounds: int = 50) -> DataFrame:
     return labels
 
 
+def cluster_by_words(records: DataFrame, column: str, tau: float = 0.5, key: str = "doc_id", source: str = "source_id") -> DataFrame:
+    """What cluster gives on all pairs of records of different sources whose word sets are alike, without those pairs.
+
+    Records with equal sets stand behind one set.  A set with records of two sources or more is connected in itself; two
+    alike sets are connected unless all records of both are of one source.
+    """
+    held = records.where(F.col(source).isNotNull()).select(key, source, F.array_sort(F.array_distinct(column)).alias("ws")).withColumn("text_", F.array_join("ws", " "))
+    words = F.size(F.array_except("ws", F.array(*map(F.lit, blocking.STOP)))) > 0
+    sets = held.where(words).groupBy("text_").agg(F.first("ws").alias("ws"), F.min(key).alias("least"), F.min(source).alias("from"), F.max(source).alias("to"))
+    pairs = blocking.similar_sets(sets, "text_", "ws", tau)
+    named = lambda k: sets.select(F.col("text_").alias(f"k{k}"), F.col("least").alias(f"d{k}"), F.col("from").alias(f"from{k}"), F.col("to").alias(f"to{k}"))
+    one = (F.col("from1") == F.col("to1")) & (F.col("from2") == F.col("to2")) & (F.col("from1") == F.col("from2"))
+    labels = cluster(pairs.join(named(1), "k1").join(named(2), "k2").where(~one).select("d1", "d2")).withColumnRenamed("record", "least")
+    found = sets.join(labels, "least", "left").where(F.col("cluster").isNotNull() | (F.col("from") < F.col("to")))
+    return held.join(found.select("text_", F.coalesce("cluster", "least").alias("cluster")), "text_").select(F.col(key).alias("record"), "cluster")
+
+
 def best_match(scored: DataFrame, record: str = "d1") -> DataFrame:
     """The best-scored partner of each record; ties go to the lesser partner."""
     w = Window.partitionBy(record).orderBy(F.desc("score"), "d2")

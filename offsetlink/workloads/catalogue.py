@@ -821,7 +821,9 @@ def n15_one_per_source(spark, sf_dir):
 
 @query()
 def n16_merge(spark, sf_dir):
-    return resolve.merge_records(tables.document_records(documents(spark, sf_dir)), resolve.cluster(title_matches(spark, sf_dir)))
+    """Merges by titles, common words and large groups of copies included."""
+    records = tables.document_records(documents(spark, sf_dir))
+    return resolve.merge_records(records, resolve.cluster_by_words(records, "title_tokens"))
 
 
 @query()
