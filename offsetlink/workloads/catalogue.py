@@ -828,12 +828,19 @@ def n16_merge(spark, sf_dir):
 
 @query()
 def w9_master_match(spark, sf_dir):
-    """Benchmark items are the master, documents the other sources; blocks are rare words of whole texts."""
+    """Benchmark items are the master, documents the other sources.
+
+    A document that holds six tenths of an item's words holds one of any four tenths and one more of them, so documents meet
+    items by each item's rarest words, as many as that and however common.
+    """
     words = lambda c: F.array_distinct(F.filter(F.split(P.ascii_fold(c), "[^a-z0-9]+"), lambda w: F.length(w) >= 6))
-    items = tables.load(spark, sf_dir, "benchmark").select(F.col("item_id").alias("doc_id"), F.lit(0).alias("source_id"), words(F.col("text")).alias("ws"))
-    docs = documents(spark, sf_dir).select((F.col("doc_id") + 1_000_000_000).alias("doc_id"), tables.six_way(F.col("doc_id")).alias("source_id"), words(F.col("text")).alias("ws"))
-    both = items.unionByName(docs)
-    pairs = blocking.candidates(blocking.rare_keys(both, "ws", 20)).where("s1 = 0")
+    items = tables.load(spark, sf_dir, "benchmark").select(F.col("item_id").alias("doc_id"), words(F.col("text")).alias("ws"))
+    docs = documents(spark, sf_dir).select((F.col("doc_id") + 1_000_000_000).alias("doc_id"), words(F.col("text")).alias("ws"))
+    asked, held = (x.select(F.col("doc_id").alias(d), F.explode("ws").alias("w")) for x, d in ((items, "d1"), (docs, "d2")))
+    df = held.join(asked.select("w").distinct(), "w", "left_semi").groupBy("w").agg(F.count("*").alias("df"))
+    ranked = asked.join(df, "w", "left").groupBy("d1").agg(F.array_sort(F.collect_list(F.struct(F.coalesce("df", F.lit(0)).alias("df"), "w"))).alias("ws"))
+    rarest = ranked.select("d1", F.explode(F.slice("ws", F.lit(1), F.floor(F.size("ws") * 2 / 5 + 1e-3).cast("int") + 1)).alias("x")).select("d1", "x.w")
+    pairs = held.join(rarest, "w").select("d1", "d2").distinct()
     left, right = items.select(F.col("doc_id").alias("d1"), F.col("ws").alias("w1")), docs.select(F.col("doc_id").alias("d2"), F.col("ws").alias("w2"))
     share = F.size(F.array_intersect("w1", "w2")) / F.greatest(F.size("w1"), F.lit(1))
     scored = pairs.join(left, "d1").join(right, "d2").select(F.col("d1").alias("item_id"), (F.col("d2") - 1_000_000_000).alias("doc_id"), share.alias("containment"))
