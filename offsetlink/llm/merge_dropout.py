@@ -4,14 +4,17 @@ Text is taken as it is (no normalisation): a space in front, spaces as the model
 piece as byte pieces.  As no piece goes from a word character to another kind of character (checked when a model is
 read), merges never cross the end of a run of word characters, so texts fall into chunks that are encoded alone.
 Within a chunk an agenda holds the possible merges, best piece first, leftmost first; each one popped is skipped with
-probability ``alpha``, decided by a keyed hash of the seed, the chunk, its variant and the place of the merge.  Which of ``variants`` segmentations an occurrence of a chunk
-gets is decided by a hash of seed, document and position.  So output depends on nothing but seed and input.
+probability ``alpha``, decided by a keyed hash of the seed, the document, the chunk's position in it and the number of the
+pop.  So each occurrence draws for each of its merges, and output depends on nothing but seed and input.  Ids depend on a
+chunk and on which pops are skipped, so they are kept by both; most occurrences skip none or one.
 """
 
 from __future__ import annotations
 
+import bisect
 import hashlib
 import heapq
+import itertools
 import re
 import struct
 import sys
@@ -25,13 +28,54 @@ from pyspark.sql import functions as F
 from offsetlink.llm import common
 from offsetlink.llm.common import SEED, mix64
 
-ALPHA, VARIANTS = 0.1, 2
-CACHE_CHUNKS = 120_000  # for each variant, and as many older ones
+ALPHA = 0.1
+CACHE_CHUNKS = 120_000  # without skips, as many with skips, and as many older ones of both
 MASK = (1 << 64) - 1
 #: Word characters (but those that some piece continues with others), with what else stands before them.
 CHUNK = re.compile(r"[^\w\n]*[^\W_²]+|(?:[^\w\n]|[_²])+[^\W_²]*|\n")
 
 
+class Draws:
+    """Which pops are skipped: gaps between skips are geometric, each drawn from 32 bits of a hash of the occurrence."""
+
+    NEVER = 1 << 30
+    STEP = 0x9E3779B97F4A7C15
+
+    def __init__(self, alpha: float) -> None:
+        self.limits = []  # 32 bits below the n-th limit: at least n pops before the next skip
+        while alpha and (x := int((1 - alpha) ** (len(self.limits) + 1) * (1 << 32))):
+            self.limits.append(x)
+        self.alpha, self.rising = alpha, self.limits[::-1]
+        self.rising_array = np.array(self.rising, np.uint64)
+
+    def keys(self, seed: int, key: int, n: int) -> np.ndarray:
+        """Hashes of the first n positions of a document."""
+        with np.errstate(over="ignore"):
+            first = mix64(np.array([((key * self.STEP) ^ (seed * 0xBF58476D1CE4E5B9)) & MASK], np.uint64))
+            return mix64(first + np.arange(1, n + 1, dtype=np.uint64) * np.uint64(self.STEP))
+
+    def gaps(self, keys: np.ndarray, k: int) -> np.ndarray:
+        """How many pops pass before skip k (from 0) since the one before."""
+        if not self.alpha:
+            return np.full(len(keys), self.NEVER)
+        with np.errstate(over="ignore"):
+            h = keys if k < 2 else mix64(keys + np.uint64((k >> 1) * self.STEP & MASK))
+        bits = h >> np.uint64(32) if k & 1 else h & np.uint64(0xFFFFFFFF)
+        return len(self.rising) - np.searchsorted(self.rising_array, bits, "right")
+
+    def gap(self, key: int, k: int) -> int:
+        if not self.alpha:
+            return self.NEVER
+        h = key if k < 2 else int(mix64(np.array([(key + (k >> 1) * self.STEP) & MASK], np.uint64))[0])
+        return len(self.rising) - bisect.bisect_right(self.rising, h >> 32 if k & 1 else h & 0xFFFFFFFF)
+
+    def skips(self, key: int):
+        at = -1
+        for k in itertools.count():
+            at += 1 + self.gap(key, k)
+            yield at
+
+
 class Pieces:
     """The piece table of a model file: ids, merge ranks, bytes."""
 
@@ -58,11 +102,14 @@ class Pieces:
         self.rank = {p: -s for p, s in scores.items() if len(p) > 1}
 
     def chunk(self, text: str, seed: int = 0, variant: int = 0, alpha: float = 0.0) -> tuple[int, ...]:
-        """Ids of one chunk."""
-        rank, limit = self.rank, int(alpha * (1 << 32))
-        key = 0
-        if limit:
-            key = int.from_bytes(hashlib.blake2b(text.encode("utf-8", "surrogatepass"), digest_size=8, key=b"%d:%d" % (seed, variant)).digest(), "little")
+        """Ids of one chunk, with a key from its text and a number."""
+        key = int.from_bytes(hashlib.blake2b(text.encode("utf-8", "surrogatepass"), digest_size=8, key=b"%d:%d" % (seed, variant)).digest(), "little")
+        return self.agenda(text, Draws(alpha).skips(key))[0]
+
+    def agenda(self, text: str, skips) -> tuple[tuple[int, ...], int]:
+        """Ids of one chunk whose pops of the given rising numbers are skipped, and the number of pops."""
+        rank, pops, skips = self.rank, 0, iter(skips)
+        skip = next(skips, -1)
         symbols: list[str | None] = list(text)
         n = len(symbols)
         after, before = list(range(1, n + 1)), list(range(-1, n - 1))
@@ -73,11 +120,10 @@ class Pieces:
             left = symbols[i]
             if left is None or (j := after[i]) >= n or len(left) + len(symbols[j]) != len(piece):
                 continue  # one of its sides has been merged since
-            if limit:
-                h = (key + (i * 1_000_003 + len(left) * 8191 + len(piece)) * 0x9E3779B97F4A7C15) & MASK
-                h = ((h ^ (h >> 30)) * 0xBF58476D1CE4E5B9) & MASK
-                if (((h ^ (h >> 27)) * 0x94D049BB133111EB) & MASK) >> 32 < limit:
-                    continue
+            pops += 1
+            if pops - 1 == skip:
+                skip = next(skips, -1)
+                continue
             symbols[i], symbols[j] = piece, None
             after[i] = k = after[j]
             if k < n:
@@ -93,7 +139,7 @@ class Pieces:
                     out.append(x)
                 else:
                     out += [self.byte[b] for b in s.encode("utf-8", "surrogatepass")]
-        return tuple(out)
+        return tuple(out), pops
 
     def decode(self, ids) -> str:
         """The text of ids: their bytes, without the space in front."""
@@ -103,8 +149,8 @@ class Pieces:
 class Merger:
     """Runs the agendas of many chunks at once: each step merges the best remaining pair of every chunk.
 
-    A row holds a chunk's symbols and the ranks of its neighbouring pairs; pairs that the keyed hash skips have no rank.
-    Gives what Pieces.chunk gives, as both skip by the same hash and break ties to the left.
+    A row holds a chunk's symbols and the ranks of its neighbouring pairs; pairs that have been skipped have no rank.
+    Gives what Pieces.agenda gives, as both skip the same pops and break ties to the left.
     """
 
     LONGEST = 32
@@ -119,28 +165,29 @@ class Merger:
         pairs = [(pieces.ids[p[:k]] * n + pieces.ids[p[k:]], pieces.ids[p], r, len(p)) for p, r in pieces.rank.items() for k in range(1, len(p)) if p[:k] in pieces.ids and p[k:] in pieces.ids]
         pairs.sort()
         self.n, self.keys = n, np.array([x[0] for x in pairs], np.int64)
-        self.made, self.ranks, self.sizes = np.array([x[1] for x in pairs], np.int32), np.array([x[2] for x in pairs], np.float32), np.array([x[3] for x in pairs], np.int64)
+        self.made, self.ranks = np.array([x[1] for x in pairs], np.int32), np.array([x[2] for x in pairs], np.float32)
         self.length = np.ones(n, np.int64)
         for p, i in pieces.ids.items():
             self.length[i] = len(p)
 
-    def _ranked(self, left: np.ndarray, right: np.ndarray, start: np.ndarray, key: np.ndarray, limit: int) -> tuple[np.ndarray, np.ndarray]:
-        """Rank (none if no piece or skipped) and piece of pairs."""
+    def _ranked(self, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Rank (none if no piece) and piece of pairs."""
         pair = np.where((left >= 0) & (right >= 0), left.astype(np.int64) * self.n + right, -1)
         at = np.minimum(np.searchsorted(self.keys, pair), len(self.keys) - 1)
-        known = self.keys[at] == pair
-        if limit:
-            with np.errstate(over="ignore"):
-                place = (start * 1_000_003 + self.length[left] * 8191 + self.sizes[at]).astype(np.uint64)
-                h = key + place * np.uint64(0x9E3779B97F4A7C15)
-                h = (h ^ (h >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-                h = ((h ^ (h >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)) >> np.uint64(32)
-            known &= h >= np.uint64(limit)
-        return np.where(known, self.ranks[at], self.NONE), self.made[at]
+        return np.where(self.keys[at] == pair, self.ranks[at], self.NONE), self.made[at]
 
     def run(self, chunks: list[str], keys: np.ndarray, alpha: float) -> list[bytes]:
         """Packed ids of chunks of at most LONGEST characters, with their keys."""
-        limit, count = int(alpha * (1 << 32)), len(chunks)
+        draws, at, skips = Draws(alpha), np.full(len(chunks), -1), []
+        # A chunk has no more pops than neighbours at first and two new ones for each merge.
+        while alpha and (not skips or at.min() < 3 * self.LONGEST):
+            at = at + 1 + draws.gaps(keys, len(skips))
+            skips.append(at)
+        return self.skipping(chunks, np.stack(skips, 1) if skips else np.zeros((len(chunks), 0), np.int64))[0]
+
+    def skipping(self, chunks: list[str], skips: np.ndarray) -> tuple[list[bytes], list[int]]:
+        """Packed ids of chunks, those pops skipped whose numbers are in the chunk's row, and numbers of pops."""
+        count = len(chunks)
         size = np.fromiter(map(len, chunks), np.int64, count)
         width = int(size.max())
         flat = self.code[np.frombuffer("".join(chunks).encode("utf-32-le", "surrogatepass"), np.uint32)]
@@ -149,33 +196,41 @@ class Merger:
         final[cells] = flat
         left = size.copy()
         live, sym = np.arange(count), np.concatenate([final, np.full((count, 1), -2, np.int32)], 1)
-        start = np.broadcast_to(np.arange(width + 1, dtype=np.int64), sym.shape).copy()
+        pops, step = np.zeros(count, np.int64), -1
         grid = np.arange(width + 1)
-        rank, made = self._ranked(sym[:, :-1], sym[:, 1:], start[:, :-1], keys[:, None], limit)
+        rank, made = self._ranked(sym[:, :-1], sym[:, 1:])
         while len(live):
+            step += 1
             j = rank.argmin(1)
             rows = np.arange(len(live))
             go = rank[rows, j] < self.NONE
             if not go.all():
                 stay = live[~go]
-                final[stay] = sym[~go, :-1]
-                live, sym, start, rank, made, keys, j = live[go], sym[go], start[go], rank[go], made[go], keys[go], j[go]
+                final[stay], pops[stay] = sym[~go, :-1], step
+                live, sym, rank, made, skips, j = live[go], sym[go], rank[go], made[go], skips[go], j[go]
                 rows = np.arange(len(live))
                 if not len(live):
                     break
+            skip = (skips == step).any(1)
+            if skip.any():
+                rank[rows[skip], j[skip]] = self.NONE
+                if skip.all():
+                    continue
             new = made[rows, j]
+            # Skipped rows stay as they are: none of their columns moves, and no pair is ranked anew.
+            j = np.where(skip, width + 1, j)
             moved = np.minimum(grid + (grid > j[:, None]), width)
-            sym, start = np.take_along_axis(sym, moved, 1), np.take_along_axis(start, moved, 1)
-            sym[rows, j] = new
+            sym = np.take_along_axis(sym, moved, 1)
+            sym[rows[~skip], j[~skip]] = new[~skip]
             sym[:, -1] = -2
             pairs = moved[:, :-1].clip(max=width - 1)
             rank, made = np.take_along_axis(rank, pairs, 1), np.take_along_axis(made, pairs, 1)
             rank[:, -1] = self.NONE
-            left[live] -= 1
+            left[live[~skip]] -= 1
             for k in (j - 1, j):
-                ok = (k >= 0) & (k < width)
+                ok = (k >= 0) & (k < width) & ~skip
                 r, c = rows[ok], k[ok]
-                rank[r, c], made[r, c] = self._ranked(sym[r, c], sym[r, c + 1], start[r, c], keys[r], limit)
+                rank[r, c], made[r, c] = self._ranked(sym[r, c], sym[r, c + 1])
         kept = np.arange(width) < left[:, None]
         blob, ends = final[kept].tobytes(), np.cumsum(left * 4).tolist()
         ids = [blob[e - n * 4 : e] for e, n in zip(ends, left.tolist(), strict=True)]
@@ -189,7 +244,7 @@ class Merger:
                     out += [self.pieces.byte[b] for b in chunks[i][at].encode("utf-8", "surrogatepass")]
                     at += 1
             ids[i] = packed(out)
-        return ids
+        return ids, pops.tolist()
 
 
 def packed(ids) -> bytes:
@@ -200,65 +255,75 @@ def packed(ids) -> bytes:
 class Encoder:
     """Encodes texts with dropout; the same seed, document key and text give the same ids."""
 
-    def __init__(self, pieces: Pieces, seed: int = SEED, alpha: float = ALPHA, variants: int = VARIANTS) -> None:
-        self.pieces, self.merger, self.seed, self.alpha, self.variants = pieces, Merger(pieces), seed, alpha, variants if alpha else 1
-        self.caches: list[dict[str, bytes]] = [{} for _ in range(self.variants)]
-        self.older: list[dict[str, bytes]] = [{} for _ in range(self.variants)]
-
-        with np.errstate(over="ignore"):
-            drawn = mix64(np.arange(1 << 16, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(seed & MASK)) % np.uint64(self.variants)
-        self.drawn = np.tile(drawn.astype(np.uint8), 2).tolist()
-
-    def _picks(self, n: int, key: int) -> list[int]:
-        """Which variant each of n chunks gets: a run of drawn variants that starts where the document's hash says."""
-        first = ((key * 0x9E3779B97F4A7C15 + self.seed) & MASK) >> 48
-        picks = self.drawn[first : first + n]
-        while len(picks) < n:
-            picks += self.drawn[: n - len(picks)]
-        return picks
+    def __init__(self, pieces: Pieces, seed: int = SEED, alpha: float = ALPHA) -> None:
+        self.pieces, self.merger, self.seed, self.alpha, self.draws = pieces, Merger(pieces), seed, alpha, Draws(alpha)
+        # Number of pops and packed ids, by chunk, and by chunk and numbers of the skipped pops.
+        self.plain: dict[str, tuple[int, bytes]] = {}
+        self.broken: dict[tuple, tuple[int, bytes]] = {}
+        self.older_plain, self.older_broken = {}, {}
+
+    def _run(self, wanted: set[tuple]) -> None:
+        """Puts (chunk, skipped pops) into the caches."""
+        by_skips: dict[int, list[tuple]] = {}
+        for key in wanted:
+            by_skips.setdefault(len(key) - 1, []).append(key)
+        for n, keys in by_skips.items():
+            keys.sort(key=lambda key: len(key[0]))
+            for i in range(0, len(keys), 8192):
+                part = keys[i : i + 8192]
+                ids, pops = self.merger.skipping([key[0] for key in part], np.array([key[1:] for key in part], np.int64).reshape(len(part), n))
+                for key, p, x in zip(part, pops, ids, strict=True):
+                    self._put(key, (p, x))
+
+    def _put(self, key: tuple, found: tuple[int, bytes]) -> None:
+        if len(key) == 1:
+            self.plain[key[0]] = found
+        else:
+            self.broken[key] = found
+
+    def _get(self, key: tuple) -> tuple[int, bytes] | None:
+        cache, older, name = (self.plain, self.older_plain, key[0]) if len(key) == 1 else (self.broken, self.older_broken, key)
+        found = cache.get(name)
+        if found is None and (found := older.get(name)) is not None:
+            cache[name] = found
+        return found
 
     def encode_all(self, texts: list[str | None], keys: list[int]) -> list[bytes | None]:
-        """Packed ids of each text.  Chunks that the cache lacks are encoded together, once all texts have been looked up."""
-        for v, cache in enumerate(self.caches):
-            if len(cache) > CACHE_CHUNKS:
-                self.older[v], self.caches[v] = cache, {}
-        caches, older, found, wanted = self.caches, self.older, [], [set() for _ in self.caches]
+        """Packed ids of each text.  What the caches lack is encoded together, once all texts have been looked up."""
+        if len(self.plain) > CACHE_CHUNKS:
+            self.older_plain, self.plain = self.plain, {}
+        if len(self.broken) > CACHE_CHUNKS:
+            self.older_broken, self.broken = self.broken, {}
+        done, open_ = [], []
         for text, key in zip(texts, keys, strict=True):
             chunks = CHUNK.findall(" " + text) if text else []
-            if self.variants == 1:
-                got, picks = list(map(caches[0].get, chunks)), None
-            else:
-                picks = self._picks(len(chunks), key)
-                got = [caches[v].get(c) for v, c in zip(picks, chunks)]
-            lacks = [i for i, x in enumerate(got) if x is None]
-            left = []
-            for i in lacks:
-                v, c = picks[i] if picks else 0, chunks[i]
-                x = older[v].get(c)
-                if x is None:
-                    wanted[v].add(c)
-                    left.append((i, v, c))
+            hashes = self.draws.keys(self.seed, key, len(chunks))
+            gaps = self.draws.gaps(hashes, 0).tolist()
+            got = [x[1] if x is not None and x[0] <= g else None for x, g in zip(map(self.plain.get, chunks), gaps, strict=True)]
+            done.append(got)
+            if None in got:
+                rest = [i for i, x in enumerate(got) if x is None]
+                seconds = self.draws.gaps(hashes[rest], 1).tolist()
+                for i, s, h in zip(rest, seconds, hashes[rest].tolist(), strict=True):
+                    if len(chunks[i]) > Merger.LONGEST:  # with its many skips, hardly ever met again
+                        got[i] = packed(self.pieces.agenda(chunks[i], self.draws.skips(h))[0])
+                    else:
+                        open_.append((got, i, (chunks[i],), gaps[i], s, h))
+        while open_:
+            wanted, waiting = set(), []
+            for got, i, key, skip, second, h in open_:
+                while (found := self._get(key)) is not None:
+                    if skip >= found[0]:
+                        got[i] = found[1]
+                        break
+                    key = (*key, skip)
+                    skip += 1 + (second if len(key) == 2 else self.draws.gap(h, len(key) - 1))
                 else:
-                    caches[v][c] = got[i] = x
-            found.append((got, left))
-        long_ones = []
-        for v, some in enumerate(wanted):
-            for c in some:
-                if len(c) > Merger.LONGEST:
-                    caches[v][c] = packed(self.pieces.chunk(c, self.seed, v, self.alpha))
-                    long_ones.append((v, c))
-            short = sorted((c for c in some if len(c) <= Merger.LONGEST), key=len)
-            for i in range(0, len(short), 8192):
-                part = short[i : i + 8192]
-                caches[v].update(zip(part, self.merger.run(part, self._keys(part, v), self.alpha), strict=True))
-        out = []
-        for text, (got, lacks) in zip(texts, found, strict=True):
-            for i, v, c in lacks:
-                got[i] = caches[v][c]
-            out.append(None if text is None else b"".join(got))
-        for v, c in long_ones:
-            caches[v].pop(c, None)
-        return out
+                    wanted.add(key)
+                    waiting.append((got, i, key, skip, second, h))
+            self._run(wanted)
+            open_ = waiting
+        return [None if text is None else b"".join(got) for text, got in zip(texts, done, strict=True)]
 
     def _keys(self, chunks: list[str], variant: int) -> np.ndarray:
         if not self.alpha:
@@ -275,18 +340,18 @@ class Encoder:
         return np.frombuffer(self.encode_all([text], [key])[0], "<i4").tolist()
 
 
-def _worker_encoder(model: bytes, seed: int, alpha: float, variants: int) -> Encoder:
+def _worker_encoder(model: bytes, seed: int, alpha: float) -> Encoder:
     """One encoder for all tasks of a worker process, as its cache costs more than any task's rows."""
     kept = sys.__dict__.setdefault("_offsetlink_encoders", {})
-    how = (hashlib.sha256(model).digest(), seed, alpha, variants)
+    how = (hashlib.sha256(model).digest(), seed, alpha)
     if how not in kept:
         kept.clear()
-        kept[how] = Encoder(Pieces(model), seed, alpha, variants)
+        kept[how] = Encoder(Pieces(model), seed, alpha)
     return kept[how]
 
 
-def _encoded(batches, model: bytes, seed: int, alpha: float, variants: int):
-    encoder = _worker_encoder(model, seed, alpha, variants)
+def _encoded(batches, model: bytes, seed: int, alpha: float):
+    encoder = _worker_encoder(model, seed, alpha)
     for b in batches:
         lists = encoder.encode_all(b.column("text").to_pylist(), b.column("key").to_pylist())
         ends = np.cumsum([0, *(len(x or b"") // 4 for x in lists)], dtype=np.int32)
@@ -295,14 +360,14 @@ def _encoded(batches, model: bytes, seed: int, alpha: float, variants: int):
         yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("text"), ids], names=["doc_id", "text", "piece_ids"])
 
 
-def encode(documents: DataFrame, seed: int = SEED, alpha: float = ALPHA, variants: int = VARIANTS, tokenizer_dir: str = common.TOKENIZER_DIR) -> DataFrame:
+def encode(documents: DataFrame, seed: int = SEED, alpha: float = ALPHA, tokenizer_dir: str = common.TOKENIZER_DIR) -> DataFrame:
     """doc_id, text and piece_ids of each row.  Narrow: no shuffle, and each row alone decides its ids.
 
     Null text has null ids and empty text none; a null doc_id is keyed by the text's hash; repeated rows get the same
     ids.  Other columns are ignored.
     """
     rows, kind, model = _keyed(documents, tokenizer_dir)
-    return rows.mapInArrow(lambda batches: _encoded(batches, model.value, seed, alpha, variants), f"doc_id {kind}, text string, piece_ids array<int>")
+    return rows.mapInArrow(lambda batches: _encoded(batches, model.value, seed, alpha), f"doc_id {kind}, text string, piece_ids array<int>")
 
 
 def _keyed(documents: DataFrame, tokenizer_dir: str):
@@ -342,19 +407,19 @@ def _decoded(batches, model: bytes):
         yield b.set_column(at, "decoded", texts) if at >= 0 else b.append_column("decoded", texts)
 
 
-def _round_trip(batches, model: bytes, seed: int, alpha: float, variants: int):
+def _round_trip(batches, model: bytes, seed: int, alpha: float):
     decoder = Decoder(Pieces(model))
-    for b in _encoded(batches, model, seed, alpha, variants):
+    for b in _encoded(batches, model, seed, alpha):
         # In slices, as long texts have long lists of ids.
         for at in range(0, len(b), 250):
             some = b.slice(at, 250)
             yield some.append_column("decoded", decoder.texts(some.column("piece_ids")))
 
 
-def round_trip(documents: DataFrame, seed: int = common.SEED, alpha: float = ALPHA, variants: int = VARIANTS, tokenizer_dir: str = common.TOKENIZER_DIR) -> DataFrame:
+def round_trip(documents: DataFrame, seed: int = common.SEED, alpha: float = ALPHA, tokenizer_dir: str = common.TOKENIZER_DIR) -> DataFrame:
     """What decode(encode(documents)) gives, in one Python worker instead of two."""
     rows, kind, model = _keyed(documents, tokenizer_dir)
-    return rows.mapInArrow(lambda batches: _round_trip(batches, model.value, seed, alpha, variants), f"doc_id {kind}, text string, piece_ids array<int>, decoded string")
+    return rows.mapInArrow(lambda batches: _round_trip(batches, model.value, seed, alpha), f"doc_id {kind}, text string, piece_ids array<int>, decoded string")
 
 
 def decode(encoded: DataFrame, tokenizer_dir: str = common.TOKENIZER_DIR) -> DataFrame:
