@@ -22,13 +22,15 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share (``spark.checkpoint.dir``); a temporary one only if it is unset."""
+    """The folder that driver and executors share (``spark.checkpoint.dir``); a temporary one only where it is unset and there is one machine."""
     sc = spark.sparkContext
     at = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir")
     if not at:
         known = sc._jsc.sc().getCheckpointDir()
         if known.isDefined():
             at = known.get()
+        elif not sc.master.startswith("local") or sc.master.startswith("local-cluster"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         else:
             own = tempfile.mkdtemp(prefix="offsetlink-")
             atexit.register(shutil.rmtree, own, ignore_errors=True)
