@@ -2,9 +2,10 @@
 
 For each language a tree of contexts of up to three bytes holds how often each byte followed.  A byte unseen in a
 context escapes to the next shorter one (method C: the escape counts as many as the different bytes seen), where bytes
-seen in the longer context are excluded; below the empty context all remaining bytes are equal.  Frozen statistics make
-the cost of a byte a function of its context, so all costs are tabulated once, and a text's exact code length in each
-language is a sum of table rows.
+seen in the longer context are excluded; below the empty context all remaining bytes of the 256 are equal.  Bytes are
+taken as they are, every context of the sample is kept, and three spaces stand before a text.  Frozen statistics make the
+cost of a byte a function of its context, so a text's exact code length is a sum over its runs of four bytes, each
+different run costed once for a batch of texts.
 """
 
 from __future__ import annotations
@@ -20,69 +21,94 @@ from pyspark.sql import functions as F
 from offsetlink.llm import common
 
 ORDER = 3
-#: The classifier is fitted on so many documents of each language at most, and on so many characters of each.
-SAMPLE_DOCS, SAMPLE_CHARS = 400, 20_000
-CONTEXT_LEAST = 12  # a context is kept if it occurs so often in the sample
-SLICE = 1 << 16
+#: The classifier is fitted on so many documents of each language at most, whole ones.
+SAMPLE_DOCS = 400
+SLICE = 1 << 20
+PAD = b" " * ORDER
 LETTER = re.compile(r"[^\W\d_]")
-FOLD = bytes(range(256)).lower()
 PREDICTED = "doc_id {0}, lang_pred string, score double, bits array<double>"
 
 
+def _grams(raw: bytes) -> np.ndarray:
+    """Each byte with the three before it as one number; the first three bytes are context only."""
+    x = np.frombuffer(raw, np.uint8).astype(np.uint32)
+    return x[:-3] << np.uint32(24) | x[1:-2] << np.uint32(16) | x[2:-1] << np.uint32(8) | x[3:]
+
+
+def _find(known: np.ndarray, wanted: np.ndarray) -> np.ndarray:
+    """Places in a sorted array, -1 where it lacks them."""
+    if not len(known):
+        return np.full(len(wanted), -1)
+    at = np.minimum(np.searchsorted(known, wanted), len(known) - 1)
+    return np.where(known[at] == wanted, at, -1)
+
+
+class ContextTree:
+    """Follow counts of one language: for each length of context its contexts, and its contexts with the byte behind."""
+
+    def __init__(self, texts: list[str]) -> None:
+        parts, size = [np.zeros(0, np.uint32)], 0
+        tallies = []
+        for t in texts:
+            parts.append(_grams(PAD + t.encode("utf-8", "surrogatepass")))
+            size += len(parts[-1])
+            if size > 8 * SLICE:
+                tallies.append(np.unique(np.concatenate(parts), return_counts=True))
+                parts, size = [np.zeros(0, np.uint32)], 0
+        tallies.append(np.unique(np.concatenate(parts), return_counts=True))
+        grams, n = np.concatenate([g for g, _ in tallies]), np.concatenate([c for _, c in tallies])
+        self.grams, self.counts, self.contexts, self.seen, self.kinds, self.carried = [], [], [], [], [], []
+        for d in range(ORDER + 1):
+            g, at = np.unique(grams & np.uint32((1 << 8 * (d + 1)) - 1), return_inverse=True)
+            c = np.bincount(at, n, len(g))
+            contexts, owner = np.unique(g >> np.uint32(8), return_inverse=True)
+            self.grams.append(g)
+            self.counts.append(c)
+            self.contexts.append(contexts)
+            self.seen.append(np.bincount(owner, c, len(contexts)))
+            self.kinds.append(np.bincount(owner, minlength=len(contexts)).astype(float))
+            # What the bytes seen here count in the next shorter context, where they will be excluded.
+            shorter = self.counts[d - 1][_find(self.grams[d - 1], g & np.uint32((1 << 8 * d) - 1))] if d else np.zeros(len(g))
+            self.carried.append(np.bincount(owner, shorter, len(contexts)))
+
+    def bits(self, grams: np.ndarray) -> np.ndarray:
+        """The cost of each gram's last byte after the three before it."""
+        out, left = np.zeros(len(grams)), np.arange(len(grams))
+        gone_n, gone_kinds = np.zeros(len(grams)), np.zeros(len(grams))
+        for d in range(ORDER, -1, -1):
+            g = grams[left]
+            at = _find(self.contexts[d], (g >> np.uint32(8)) & np.uint32((1 << 8 * d) - 1))
+            there = at >= 0
+            place = _find(self.grams[d], g & np.uint32((1 << 8 * (d + 1)) - 1))
+            hit = place >= 0
+            n = np.where(there, self.seen[d][at] if len(self.seen[d]) else 0, 0) - gone_n[left]
+            kinds = np.where(there, self.kinds[d][at] if len(self.kinds[d]) else 0, 0) - gone_kinds[left]
+            some = left[hit]
+            out[some] += np.log2((n + kinds)[hit] / self.counts[d][place[hit]])
+            escape = ~hit & there & (n > 0)
+            out[left[escape]] += np.log2((n + kinds)[escape] / kinds[escape])
+            below = ~hit & there
+            gone_n[left[below]], gone_kinds[left[below]] = self.carried[d][at[below]], self.kinds[d][at[below]]
+            left = left[~hit]
+        out[left] += np.log2(256 - gone_kinds[left])
+        return out
+
+
 class ContextTrees:
-    """The cost in bits of each byte after each kept context, for each language."""
+    """A tree for each language."""
 
     def __init__(self, texts: dict[str, list[str]]) -> None:
         self.langs = sorted(texts)
-        data = {k: (b"   " + b"   ".join(t.encode("utf-8", "surrogatepass") for t in texts[k])).translate(FOLD) for k in self.langs}
-        seen = sorted(set().union(*map(set, data.values()), b" ")) if data else [32]
-        self.size = len(seen) + 1  # the last symbol stands for all other bytes
-        self.symbol = np.full(256, len(seen), np.int32)
-        self.symbol[seen] = np.arange(len(seen))
-        a, counted = self.size, []
-        for k in self.langs:
-            s = self.symbol[np.frombuffer(data[k], np.uint8)].astype(np.int64)
-            codes, n = np.unique(((s[:-3] * a + s[1:-2]) * a + s[2:-1]) * a + s[3:], return_counts=True)
-            counted.append((codes, n))
-        total = np.zeros(a**ORDER, np.int64)
-        for codes, n in counted:
-            np.add.at(total, codes // a, n)
-        self.context = np.zeros(a**ORDER, np.int32)
-        kept = [np.zeros(1, np.int64)]  # the empty context
-        for d in range(1, ORDER + 1):
-            by_suffix = total.reshape(-1, a**d).sum(0)
-            kept.append(np.flatnonzero(by_suffix >= CONTEXT_LEAST))
-        place = [np.zeros(a**d, np.int64) for d in range(ORDER + 1)]
-        nodes = 1
-        for d in range(1, ORDER + 1):
-            place[d] = place[d - 1][np.arange(a**d) % a ** (d - 1)]
-            place[d][kept[d]] = nodes + np.arange(len(kept[d]))
-            nodes += len(kept[d])
-        self.context = place[ORDER].astype(np.int32)
-        self.cost = np.zeros((nodes, a, len(self.langs)))
-        for at, (codes, n) in enumerate(counted):
-            follow = [np.zeros((len(k), a)) for k in kept]
-            for d in range(ORDER + 1):
-                slot = np.full(a**d, -1, np.int64)
-                slot[kept[d]] = np.arange(len(kept[d]))
-                row = slot[codes // a % a**d]
-                ok = row >= 0
-                np.add.at(follow[d], (row[ok], codes[ok] % a), n[ok])
-            first = 0
-            for d in range(ORDER + 1):
-                chain = [follow[e][np.searchsorted(kept[e], kept[d] % a**e)] for e in range(d, -1, -1)]
-                self.cost[first : first + len(kept[d]), :, at] = -np.log2(_blended(chain))
-                first += len(kept[d])
-        self.cost = self.cost.reshape(nodes * a, len(self.langs)).astype(np.float32)
+        self.trees = [ContextTree(texts[k]) for k in self.langs]
 
     def bits(self, texts: list[str]) -> np.ndarray:
         """Code length of each text in each language."""
         out = np.zeros((len(texts), len(self.langs)))
         pending, owners, size = [], [], 0
         for i, t in enumerate(texts):
-            raw = t.encode("utf-8", "surrogatepass").translate(FOLD)
+            raw = t.encode("utf-8", "surrogatepass")
             for at in range(0, len(raw), SLICE):
-                pending.append((raw[at - 3 : at] if at else b"   ") + raw[at : at + SLICE])
+                pending.append((raw[at - ORDER : at] if at else PAD) + raw[at : at + SLICE])
                 owners.append(i)
                 size += len(pending[-1])
                 if size >= SLICE:
@@ -94,14 +120,13 @@ class ContextTrees:
     def _add(self, parts: list[bytes], owners: list[int], out: np.ndarray) -> None:
         if not parts or not self.langs:
             return
-        s, a = self.symbol[np.frombuffer(b"".join(parts), np.uint8)], self.size
-        node = self.context[(s[:-3] * a + s[1:-2]) * a + s[2:-1]]
-        rows = self.cost[node * a + s[3:]]
+        grams, at = np.unique(_grams(b"".join(parts)), return_inverse=True)
         ends = np.cumsum([len(p) for p in parts])
-        # Row j is the cost of byte j + 3; the first three bytes of a part are context only.
-        sums = np.concatenate([np.zeros((1, rows.shape[1])), np.cumsum(rows, 0, dtype=np.float64)])
         starts = ends - [len(p) for p in parts]
-        np.add.at(out, owners, sums[ends - 3] - sums[starts])
+        for k, tree in enumerate(self.trees):
+            # Gram j ends with byte j + 3.
+            sums = np.concatenate([[0.0], np.cumsum(tree.bits(grams)[at])])
+            np.add.at(out[:, k], owners, sums[ends - ORDER] - sums[starts])
 
     def predict(self, texts: list[str | None]) -> list[tuple[str, float, list[float] | None]]:
         """Language, its share of the posterior, and all code lengths; ``und`` and 0 without text, letters or languages."""
@@ -113,26 +138,14 @@ class ContextTrees:
         return out
 
 
-def _blended(chain: list[np.ndarray]) -> np.ndarray:
-    """Probabilities of all symbols from follow counts, longest context first: counts, escapes and exclusions."""
-    out = np.zeros_like(chain[0])
-    escape, open_ = np.ones((len(out), 1)), np.ones_like(out, bool)
-    for counts in chain:
-        left = np.where(open_, counts, 0)
-        n, kinds = left.sum(1, keepdims=True), (left > 0).sum(1, keepdims=True)
-        whole = np.maximum(n + kinds, 1)
-        out += escape * left / whole
-        escape = np.where(n > 0, escape * kinds / whole, escape)
-        open_ &= counts == 0
-    return out + np.where(open_, escape / np.maximum(open_.sum(1, keepdims=True), 1), 0)
-
-
-def fit(documents: DataFrame, sample_docs: int = SAMPLE_DOCS, sample_chars: int = SAMPLE_CHARS) -> ContextTrees:
+def fit(documents: DataFrame, sample_docs: int = SAMPLE_DOCS) -> ContextTrees:
     """Context trees of documents' text and lang.
 
-    The sample is bounded: of each language the sample_docs distinct rows with the least hashes of doc_id and text, of
-    each the first sample_chars characters.  Rows with null text or null lang are left out.
+    The sample is bounded: of each language the sample_docs distinct rows with the least hashes of doc_id and text, as
+    whole texts.  Rows with null text or null lang are left out; without a column lang nothing is learned.
     """
+    if "lang" not in documents.columns:
+        return ContextTrees({})
     rows = documents.where(F.col("text").isNotNull() & F.col("lang").isNotNull()).select(F.col("lang").cast("string").alias("lang"), F.xxhash64("doc_id", "text").alias("h"), "text")
     # Of each language about twice as many rows as wanted have a hash below a bound set by its count; no group is sorted.
     counts = {r.lang: r["count"] for r in rows.groupBy("lang").count().collect()}
@@ -141,7 +154,7 @@ def fit(documents: DataFrame, sample_docs: int = SAMPLE_DOCS, sample_chars: int
     bounds = [(k, int(-(1 << 63) + min(1.0, 2 * (sample_docs + 20) / n) * ((1 << 64) - 2049))) for k, n in sorted(counts.items())]
     bound = documents.sparkSession.createDataFrame(bounds, "lang string, bound long")
     some = rows.join(F.broadcast(bound), "lang").where(F.col("h") <= F.col("bound"))
-    one = some.groupBy("lang", "h").agg(F.first(F.substring("text", 1, sample_chars)).alias("text"))
+    one = some.groupBy("lang", "h").agg(F.min("text").alias("text"))
     texts: dict[str, list[str]] = {}
     for r in sorted(one.collect(), key=lambda r: (r.lang, r.h)):
         if len(texts.setdefault(r.lang, [])) < sample_docs:
@@ -177,10 +190,10 @@ def _assigned(batches, pickled: bytes):
 
 
 def assign(documents: DataFrame, trees: ContextTrees) -> DataFrame:
-    """The input with lang as predicted; all rows and other columns stay."""
+    """The input with lang as predicted (added if it isn't there); all rows and other columns stay."""
     common.bound_batches(documents.sparkSession)
     shared = common.share(documents.sparkSession, trees)
-    rows = documents.withColumn("lang", F.col("lang").cast("string"))
+    rows = documents.withColumn("lang", F.col("lang").cast("string") if "lang" in documents.columns else F.lit(None).cast("string"))
     return rows.mapInArrow(lambda batches: _assigned(batches, shared.value), rows.schema)
 
 
