@@ -1,18 +1,23 @@
 """N-gram Jaccard join with several global token orders.
 
 Two sets of sizes n and m with Jaccard >= t share at least ceil(t n) tokens, so their shared tokens reach into a prefix
-of either set under any global order.  Three orders filter candidates, and only what passes all is verified:
-
-A. by hash: a document keeps its n - ceil(t n) + l least hashes, l about a tenth of n.  A partner, which may be
-   smaller, shares l' = l(ceil(t n)) of them, so a document with fewer hashes that any other document keeps is out.  For most documents the join ends here.
-B. by document frequency among kept hashes, rarest first: a pair shares a token among the first m - l' + 1 of m kept
-   ones.  Hashes of common passages come last and are mostly cut off.  Documents that share such tokens, directly or
-   through others, form a family; a pair across families can't be similar.
-C. by a second hash: within a family, a pair must share one of the n - ceil(t n) + 1 first tokens in this order.
-
-Families are compared in blocks of bounded size, by products of incidence matrices, which count overlaps exactly.  A
-block gives a spanning forest of its links instead of all of them, as only components are asked for.  Equal sets are one
-set from the start (by a 64-bit hash of the set; shingles are 64-bit hashes too).
+of either set under any global order.  Orders filter twice:
+
+Over the whole table, sets meet by tokens:
+1. by hash: a set keeps its n - ceil(t n) + l least hashes, l about a tenth of n.  A partner, which may be smaller,
+   shares l' = l(ceil(t n)) of them, so a set with fewer hashes that any other keeps is out; most documents end here.
+2. by frequency among kept hashes, rarest first: a pair shares a token among the first m - l' + 1 of m kept ones.  Hashes
+   of common passages come last and are mostly cut off.  Sets that share such tokens, directly or through others, form a
+   family; a pair across families can't be similar.
+
+Within a family, a candidate pair must share a prefix token under each of three orders (by hash, by frequency in the
+group, by a second hash), and only what is in all three filters is verified by counting shared tokens.  Pairs that are
+connected already aren't looked at, as only components are asked for.
+
+Nothing is gathered by a token alone: documents are taken in flushes, a flush asks once for the frequency of each of its
+tokens, and links the sets that share one before it passes on one of them.  Families are compared in blocks bounded in
+sets and tokens: first each block with itself and with some leaders of the family, then only blocks of different
+components.  Equal sets are one set (by a 64-bit hash of the set; shingles are 64-bit hashes too).
 """
 
 from __future__ import annotations
@@ -31,11 +36,11 @@ SHINGLE = 5
 LEAST = 80
 SPARE, SPARE_LEAST = 10, 12  # the longer prefix of order A has n // SPARE tokens more than needed, or so many
 #: Up to so many members of families are broadcast to the scan of their texts; more are joined by a shuffle.
-BROADCAST_ROWS = 1_000_000
+BROADCAST_ROWS = 400_000
 PIECE = 4 << 20
-FLUSH = 500_000
-BLOCK, BLOCKS, BLOCK_MOST = 128, 64, 8192
-SLICE = 8192  # columns of an incidence matrix at a time
+FLUSH = 300_000  # kept tokens of the documents taken together
+BUCKET_BYTES = 8 << 20  # of the input for each bucket of tokens
+BLOCK_SETS, BLOCK_TOKENS, LEADERS = 1024, 1_500_000, 64
 BASE, STEP = 0x9E3779B97F4A7C15 | 1, 0xD1342543DE82EF95
 INVERSE = pow(BASE, -1, 1 << 64)
 SPACE = np.zeros(256, bool)
@@ -143,7 +148,7 @@ def kept(n: int, least: int) -> int:
     return n - need(n, least) + int(spare(n, least))
 
 
-SIGNED = "bucket int, doc_id long, n long, fp long, fps binary, ns binary, owner binary, token binary"
+SIGNED = "kind int, doc_id long, n long, fp long, th long, bucket int, flush long, fps binary, ns binary, owner binary, token binary, count binary"
 
 
 def _short(tokens: np.ndarray) -> bytes:
@@ -153,221 +158,302 @@ def _short(tokens: np.ndarray) -> bytes:
 
 def _long(raw: bytes) -> np.ndarray:
     n = len(raw) // 6
-    return (np.frombuffer(raw, np.uint32, n).astype(U) << U(16)) | np.frombuffer(raw, np.uint16, n, 4 * n).astype(U)
+    return (np.frombuffer(raw, np.uint32, n).astype(U) << U(32)) | (np.frombuffer(raw, np.uint16, n, 4 * n).astype(U) << U(16))
 
 
-def _packed(buckets: int, tokens: np.ndarray, owners: np.ndarray, fps: np.ndarray, ns: np.ndarray, by: np.ndarray, extra: np.ndarray | None = None):
-    """Entries split by bucket: for each bucket its owners' fps and sizes, and for each entry owner and token."""
+def _batch(ddl: str, size: int, /, **columns) -> pa.RecordBatch:
+    """A batch of rows with the columns given; the others are null."""
+    kinds = {"int": pa.int32(), "long": pa.int64(), "binary": pa.binary()}
+    fields = [x.split() for x in ddl.split(", ")]
+    return pa.RecordBatch.from_arrays([pa.array(columns[k], kinds[t]) if k in columns else pa.nulls(size, kinds[t]) for k, t in fields], names=[k for k, _ in fields])
+
+
+def _table(ddl: str, rows: list[tuple]) -> pa.Table:
+    names = [x.split()[0] for x in ddl.split(", ")]
+    columns = zip(*rows, strict=True) if rows else [()] * len(names)
+    return pa.Table.from_batches([_batch(ddl, len(rows), **dict(zip(names, columns, strict=True)))])
+
+
+def _dealt(tokens: np.ndarray, buckets: int):
+    """Places of tokens by bucket."""
+    by = (mix64(tokens >> U(16)) % U(buckets)).astype(np.int64)
     order = np.argsort(by, kind="stable")
-    edges = np.searchsorted(by[order], np.arange(buckets + 1))
-    for k in np.flatnonzero(edges[1:] > edges[:-1]).tolist():
-        some = order[edges[k] : edges[k + 1]]
-        used, at = np.unique(owners[some], return_inverse=True)
-        small = np.uint16 if len(used) <= 1 << 16 else np.uint32
-        yield k, fps[used].tobytes(), ns[used].astype(np.int32).tobytes(), at.astype(small).tobytes(), _short(tokens[some]), extra[some].astype(np.int32).tobytes() if extra is not None else None
+    heads = np.flatnonzero(np.concatenate([[True], by[order][1:] != by[order][:-1]]))
+    for lo, hi in zip(heads.tolist(), [*heads.tolist()[1:], len(order)], strict=True):
+        yield int(by[order[lo]]), order[lo:hi]
 
 
 def _signed(batches, least: int, buckets: int, n: int):
-    ints, blob = pa.int64(), pa.binary()
-    names, kinds = [x.split()[0] for x in SIGNED.split(", ")], [pa.int32(), ints, ints, ints, blob, blob, blob, blob]
-    tokens, fps, ns, held = [], [], [], 0
+    """Kind 0: a row for each text; kind 1: what a flush asks, by bucket; kind 2: a flush's sets and their kept tokens."""
+    from pyspark import TaskContext
+
+    part, ordinal = TaskContext.get().partitionId(), 0
+    sets: dict[int, tuple[int, np.ndarray]] = {}
+    held = 0
 
     def flush():
-        counts = np.array([len(t) for t in tokens])
-        owners = np.repeat(np.arange(len(tokens)), counts)
-        flat = np.concatenate(tokens)
-        rows = list(_packed(buckets, flat, owners, np.array(fps, np.int64), np.array(ns), (mix64(flat >> U(16)) % U(buckets)).astype(np.int64)))
-        k, f, s, o, t, _ = zip(*rows, strict=True)
-        null = [None] * len(rows)
-        return pa.RecordBatch.from_arrays([pa.array(x, y) for x, y in zip([k, null, null, null, f, s, o, t], kinds, strict=True)], names=names)
+        flat = np.concatenate([t for _, t in sets.values()]) >> U(16) << U(16)
+        owner = np.repeat(np.arange(len(sets)), [len(t) for _, t in sets.values()])
+        tokens, count = np.unique(flat, return_counts=True)
+        mark = (part << 32) + ordinal
+        rows = [(k, _short(tokens[some]), count[some].astype(np.int32).tobytes()) for k, some in _dealt(tokens, buckets)]
+        k, t, c = zip(*rows, strict=True)
+        yield _batch(SIGNED, len(rows), kind=[1] * len(rows), flush=[mark] * len(rows), bucket=k, token=t, count=c)
+        fps, ns = np.fromiter(sets, np.int64, len(sets)), np.array([x for x, _ in sets.values()], np.int64)
+        yield _batch(SIGNED, 1, kind=[2], flush=[mark], fps=[fps.tobytes()], ns=[ns.tobytes()], owner=[owner.astype(np.int32).tobytes()], token=[_short(flat)])
 
     for b in batches:
-        sets = shingle_sets(b.column("text").to_pylist(), n)
-        marks = [fingerprint(s) if len(s) else None for s in sets]
-        null, size = [None] * len(sets), len(sets)
-        yield pa.RecordBatch.from_arrays([pa.array(x, y) for x, y in zip([[-1] * size, b.column("doc_id").to_pylist(), [len(s) for s in sets], marks, null, null, null, null], kinds, strict=True)], names=names)
-        for s, mark in zip(sets, marks, strict=True):
-            if len(s):
-                tokens.append(s[: kept(len(s), least)].copy())
-                fps.append(mark)
-                ns.append(len(s))
-                held += len(tokens[-1])
-        if held > FLUSH:
-            yield flush()
-            tokens, fps, ns, held = [], [], [], 0
-    if tokens:
-        yield flush()
-
-
-def _gathered(table: pa.Table, with_df: bool = False):
-    """All entries of a group's rows: owner (index into the distinct fps), token, fps, sizes, frequencies."""
-    fps, ns, owners, tokens, extra, base = [], [], [], [], [], 0
-    for row in table.to_pylist():
-        f = np.frombuffer(row["fps"], np.int64)
-        fps.append(f)
-        ns.append(np.frombuffer(row["ns"], np.int32))
-        owners.append(np.frombuffer(row["owner"], np.uint16 if len(f) <= 1 << 16 else np.uint32).astype(np.int64) + base)
-        tokens.append(_long(row["token"]))
-        if with_df:
-            extra.append(np.frombuffer(row["df"], np.int32))
-        base += len(f)
-    every, first, at = np.unique(np.concatenate(fps), return_index=True, return_inverse=True)
-    return at[np.concatenate(owners)], np.concatenate(tokens), every, np.concatenate(ns)[first], np.concatenate(extra) if with_df else None
-
-
-FREQUENT = "bucket int, fps binary, ns binary, owner binary, token binary, df binary"
-
-
-def _rows(rows: list[tuple], with_df: bool) -> pa.Table:
-    names = [x.split()[0] for x in FREQUENT.split(", ")]
-    columns = list(zip(*rows, strict=True)) if rows else [()] * 6
-    kinds = [pa.int32(), *[pa.binary()] * 5]
-    count = 6 if with_df else 5
-    return pa.Table.from_arrays([pa.array(c, k) for c, k in zip(columns[:count], kinds)], names=names[:count])
-
-
-def _shared_tokens(table: pa.Table, buckets: int) -> pa.Table:
-    """Entries of tokens that more than one set keeps, with their frequency, dealt by set."""
-    owner, token, fps, ns, _ = _gathered(table)
-    pair = np.lexsort((owner, token))
-    owner, token = owner[pair], token[pair]
-    fresh = np.concatenate([[True], (token[1:] != token[:-1]) | (owner[1:] != owner[:-1])])
-    owner, token = owner[fresh], token[fresh]
-    run = np.concatenate([[0], np.cumsum(token[1:] != token[:-1])]) if len(token) else np.zeros(0, np.int64)
-    df = np.bincount(run)[run] if len(token) else run
-    ok = df > 1
-    owner, token, df = owner[ok], token[ok], df[ok]
-    by = (mix64(fps.view(U)) % U(buckets)).astype(np.int64)[owner]
-    return _rows(list(_packed(buckets, token << U(16), owner, fps, ns, by, df)), True)
-
-
-def _rare_tokens(table: pa.Table, buckets: int, least: int) -> pa.Table:
-    """Of sets with enough shared tokens, the first ones in order of frequency, dealt by token."""
-    owner, token, fps, ns, df = _gathered(table, True)
-    order = np.lexsort((token, df, owner))
-    owner, token = owner[order], token[order]
-    shared = np.bincount(owner, minlength=len(fps))
-    wanted = shared - spare(need(ns.astype(np.int64), least), least) + 1
-    first = np.concatenate([[0], np.cumsum(shared)[:-1]])
-    ok = np.arange(len(owner)) - first[owner] < wanted[owner]
-    owner, token = owner[ok], token[ok]
-    return _rows([r[:5] for r in _packed(buckets, token << U(16), owner, fps, ns, (mix64(token) % U(buckets)).astype(np.int64))], False)
-
-
-def _stars(table: pa.Table) -> pa.Table:
-    """For each token the least set that has it, linked to the others."""
-    owner, token, fps, _, _ = _gathered(table)
-    order = np.lexsort((owner, token))  # owners are in the order of fps
-    owner, token = owner[order], token[order]
-    head = np.concatenate([[True], token[1:] != token[:-1]])
-    center = owner[np.flatnonzero(head)][np.cumsum(head) - 1]
-    pairs = np.unique(np.stack([center, owner], 1)[center != owner], axis=0)
-    return pa.Table.from_arrays([pa.array(fps[pairs[:, 0]]), pa.array(fps[pairs[:, 1]])], names=["a", "b"])
-
-
-def _block_sets(batches, n: int):
+        found = shingle_sets(b.column("text").to_pylist(), n)
+        marks = [fingerprint(s) if len(s) else None for s in found]
+        yield _batch(SIGNED, len(found), kind=[0] * len(found), doc_id=b.column("doc_id"), n=[len(s) for s in found], fp=marks, th=b.column("th"))
+        for s, mark in zip(found, marks, strict=True):
+            if len(s) and mark not in sets:
+                sets[mark] = (len(s), s[: kept(len(s), least)].copy())
+                held += len(sets[mark][1])
+                if held > FLUSH:
+                    yield from flush()
+                    sets, held, ordinal = {}, 0, ordinal + 1
+    if sets:
+        yield from flush()
+
+
+ANSWER = "flush long, token binary, count binary"
+
+
+def _answered(table: pa.Table) -> pa.Table:
+    """For each flush its tokens that occur in other sets too, with their frequency."""
+    tokens = [_long(t) for t in table.column("token").to_pylist()]
+    counts = [np.frombuffer(c, np.int32) for c in table.column("count").to_pylist()]
+    every, at = np.unique(np.concatenate(tokens), return_inverse=True)
+    df = np.bincount(at, np.concatenate(counts)).astype(np.int64)[at]
+    rows, lo = [], 0
+    for flush, t in zip(table.column("flush").to_pylist(), tokens, strict=True):
+        mine = df[lo : lo + len(t)]
+        lo += len(t)
+        some = mine > 1
+        if some.any():
+            rows.append((flush, _short(t[some]), np.minimum(mine[some], (1 << 31) - 1).astype(np.int32).tobytes()))
+    return _table(ANSWER, rows)
+
+
+MET = "bucket int, a long, b long, fps binary, token binary"
+
+
+def _stars(tokens: np.ndarray, fps: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The different tokens, the least fp of each, and links of that to the others."""
+    order = np.lexsort((fps, tokens))
+    tokens, fps = tokens[order], fps[order]
+    head = np.concatenate([[True], tokens[1:] != tokens[:-1]])[: len(tokens)]
+    least = fps[head][np.cumsum(head) - 1]
+    links = np.unique(np.stack([least, fps], 1)[least != fps], axis=0)
+    return tokens[head], fps[head], links
+
+
+def _met(sets: pa.Table, answers: pa.Table, least: int, buckets: int) -> pa.Table:
+    """Of a flush's sets with enough shared tokens the first ones in order of frequency: links, and one set for each token."""
+    rows = []
+    if len(answers):
+        token = np.concatenate([_long(t) for t in answers.column("token").to_pylist()])
+        df = np.concatenate([np.frombuffer(c, np.int32) for c in answers.column("count").to_pylist()])
+        order = np.argsort(token)
+        token, df = token[order], df[order]
+        for row in sets.to_pylist():
+            fps, ns = np.frombuffer(row["fps"], np.int64), np.frombuffer(row["ns"], np.int64)
+            owner, mine = np.frombuffer(row["owner"], np.int32).astype(np.int64), _long(row["token"])
+            at = np.minimum(np.searchsorted(token, mine), len(token) - 1)
+            ok = token[at] == mine
+            owner, mine, n = owner[ok], mine[ok], df[at[ok]]
+            order = np.lexsort((mine, n, owner))
+            owner, mine = owner[order], mine[order]
+            shared = np.bincount(owner, minlength=len(fps))
+            wanted = shared - spare(need(ns, least), least) + 1
+            first = np.cumsum(shared) - shared
+            ok = np.arange(len(owner)) - first[owner] < wanted[owner]
+            tokens, heads, links = _stars(mine[ok], fps[owner[ok]])
+            rows += [(-1, a, b, None, None) for a, b in links.tolist()]
+            rows += [(k, None, None, heads[some].tobytes(), _short(tokens[some])) for k, some in (_dealt(tokens, buckets) if len(tokens) else ())]
+    return _table(MET, rows)
+
+
+def _linked(table: pa.Table) -> pa.Table:
+    """Links between the sets that flushes passed on for one token."""
+    tokens = np.concatenate([_long(t) for t in table.column("token").to_pylist()])
+    fps = np.concatenate([np.frombuffer(f, np.int64) for f in table.column("fps").to_pylist()])
+    links = _stars(tokens, fps)[2]
+    return pa.Table.from_arrays([pa.array(links[:, 0]), pa.array(links[:, 1])], names=["a", "b"])
+
+
+def _family_sets(batches, n: int):
+    """Token sets of texts of members of families, each set once in a task."""
+    done = set()
     for b in batches:
         sets = shingle_sets(b.column("text").to_pylist(), n)
-        yield pa.RecordBatch.from_arrays([b.column("family"), b.column("doc_id"), b.column("block"), b.column("n_blocks"), pa.array([s.tobytes() for s in sets], pa.binary())], names=["family", "doc_id", "block", "n_blocks", "tokens"])
+        keep = []
+        for i, (s, fp) in enumerate(zip(sets, b.column("fp").to_pylist(), strict=True)):
+            if fp not in done and len(s) and fingerprint(s) == fp:
+                done.add(fp)
+                keep.append(i)
+        some = b.take(pa.array(keep, pa.int64()))
+        tokens = pa.array([sets[i].tobytes() for i in keep], pa.binary())
+        yield pa.RecordBatch.from_arrays([*(some.column(c) for c in some.schema.names if c != "text"), tokens], names=[*(c for c in some.schema.names if c != "text"), "tokens"])
+
 
+def links_between(fps: np.ndarray, sets: list[np.ndarray], label: np.ndarray, least: int) -> list[tuple[int, int]]:
+    """Links that connect all similar sets; sets of one label count as connected.
 
-def _verified(table: pa.Table, least: int) -> pa.Table:
-    """A spanning forest of the links between two blocks of a family, or within one."""
-    ids = table.column("doc_id").to_numpy()
-    order = np.argsort(ids, kind="stable")
-    ids, raw = ids[order], table.column("tokens").to_pylist()
-    sets = [np.frombuffer(raw[i], U) for i in order]
+    A candidate shares a prefix token with a set under each of three orders and has a label of its own.
+    """
     sizes = np.array([len(s) for s in sets], np.int64)
     owner = np.repeat(np.arange(len(sets)), sizes)
-    tokens, at, df = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
-    ok = df[at] > 1
-    # Order C: each set's first tokens by another hash.
-    second = mix64(tokens ^ U(INVERSE))[at]
-    ranked = np.lexsort((second, owner))
-    place = np.empty(len(owner), np.int64)
-    place[ranked] = np.arange(len(owner)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
-    early = ok & (place < (sizes - need(sizes, least) + 1)[owner])
-    column = np.full(len(tokens), -1, np.int64)
-    column[np.flatnonzero(df > 1)] = np.arange((df > 1).sum())
-    parent = np.arange(len(sets))
-
-    def top(i: int) -> int:
-        while parent[i] != i:
-            parent[i] = i = parent[parent[i]]
-        return i
-
-    edges, width = [], 512
-    for lo in range(0, len(sets), width):
-        for lo2 in range(lo, len(sets), width):
-            hi, hi2 = min(lo + width, len(sets)), min(lo2 + width, len(sets))
-            near = _overlap(owner, column[at], early, lo, hi, lo2, hi2) > 0
-            if lo == lo2:
-                near = np.triu(near, 1)
-            big, other = np.maximum(sizes[lo:hi, None], sizes[None, lo2:hi2]), np.minimum(sizes[lo:hi, None], sizes[None, lo2:hi2])
-            near &= 100 * other >= least * big
-            if not near.any():
-                continue
-            both = _overlap(owner, column[at], ok, lo, hi, lo2, hi2)
-            union = sizes[lo:hi, None] + sizes[None, lo2:hi2] - both
-            for i, j in np.argwhere(near & (100 * both >= least * union)).tolist():
-                a, b = top(lo + i), top(lo2 + j)
-                if a != b:
-                    parent[max(a, b)] = min(a, b)
-                    edges.append((lo + i, lo2 + j))
-    pairs = np.array(edges, np.int64).reshape(-1, 2)
-    return pa.Table.from_arrays([pa.array(ids[pairs[:, 0]]), pa.array(ids[pairs[:, 1]])], names=["a", "b"])
-
-
-def _overlap(owner: np.ndarray, column: np.ndarray, use: np.ndarray, lo: int, hi: int, lo2: int, hi2: int) -> np.ndarray:
-    """Shared tokens of each pair of rows, summed over slices of the columns."""
-    out = np.zeros((hi - lo, hi2 - lo2), np.int64)
-    left, right = use & (owner >= lo) & (owner < hi), use & (owner >= lo2) & (owner < hi2)
-    most = int(column.max(initial=-1)) + 1
-    for c in range(0, most, SLICE):
-        w = min(SLICE, most - c)
-        a, b = np.zeros((hi - lo, w), np.float32), np.zeros((hi2 - lo2, w), np.float32)
-        k = left & (column >= c) & (column < c + w)
-        a[owner[k] - lo, column[k] - c] = 1
-        k = right & (column >= c) & (column < c + w)
-        b[owner[k] - lo2, column[k] - c] = 1
-        out += (a @ b.T).astype(np.int64)
-    return out
+    _, token, df = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    ends = np.cumsum(sizes)
+    starts = ends - sizes
+    hashed = np.argsort(np.argsort(mix64(np.arange(len(df), dtype=U) ^ U(INVERSE))))
+    prefixes = []
+    for order in (np.arange(len(df)), np.argsort(np.argsort(df, kind="stable")), hashed):
+        ranked = np.lexsort((order[token], owner))
+        early = np.arange(len(owner)) - starts[owner] < (sizes - need(sizes, least) + 1)[owner]
+        early &= df[token[ranked]] > 1
+        prefixes.append((owner[early], token[ranked][early]))
+    bounds = [np.searchsorted(o, np.arange(len(sets) + 1)) for o, _ in prefixes]
+    mark, found, label = np.zeros(len(df), bool), [], label.copy()
+    after = np.arange(len(sets))
+    for i in range(len(sets)):
+        big, small = np.maximum(sizes, sizes[i]), np.minimum(sizes, sizes[i])
+        open_ = (label != label[i]) & (after > i) & (100 * small >= least * big)
+        for (o, t), edge in zip(prefixes, bounds, strict=True):
+            if not open_.any():
+                break
+            mine = t[edge[i] : edge[i + 1]]
+            mark[mine] = True
+            open_ &= np.bincount(o[mark[t]], minlength=len(sets)) > 0
+            mark[mine] = False
+        candidates = np.flatnonzero(open_)
+        if not len(candidates):
+            continue
+        mine = token[starts[i] : ends[i]]
+        mark[mine] = True
+        for j in candidates.tolist():
+            if label[j] != label[i]:
+                both = int(mark[token[starts[j] : ends[j]]].sum())
+                if 100 * both >= least * (sizes[i] + sizes[j] - both):
+                    found.append((int(fps[i]), int(fps[j])))
+                    label[label == label[j]] = label[i]
+        mark[mine] = False
+    return found
+
+
+def _compared(table: pa.Table, least: int) -> pa.Table:
+    """Links within each family of a table; column label, if there, says what is connected already."""
+    family, fps = table.column("family").to_numpy(), table.column("fp").to_numpy()
+    label = table.column("label").to_numpy() if "label" in table.column_names else fps
+    order = np.lexsort((fps, family))
+    # A set that came more than once counts once.
+    order = order[np.concatenate([[True], (fps[order][1:] != fps[order][:-1]) | (family[order][1:] != family[order][:-1])])]
+    tokens, rows = table.column("tokens"), []
+    heads = np.flatnonzero(np.concatenate([[True], family[order][1:] != family[order][:-1]])).tolist()
+    for lo, hi in zip(heads, [*heads[1:], len(order)], strict=True):
+        some = order[lo:hi]
+        if len(some) > 1:
+            rows += links_between(fps[some], [np.frombuffer(tokens[i].as_py(), U) for i in some.tolist()], label[some], least)
+    return _table("a long, b long", rows)
+
+
+def _buckets(documents: DataFrame) -> int:
+    """As many buckets of tokens as the input has BUCKET_BYTES, and some for each shuffle partition."""
+    size = int(str(documents._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return max(64, 2 * common.partitions(documents.sparkSession), size // BUCKET_BYTES if size < 1 << 60 else 0)
+
+
+def _blocks(size, tokens):
+    return F.ceil(F.greatest(size / BLOCK_SETS, tokens / BLOCK_TOKENS)).cast("int")
+
+
+def families(signed: DataFrame, least: int, buckets: int) -> DataFrame:
+    """fp and family of sets that share one of their first tokens with another, directly or through others."""
+    answers = signed.where("kind = 1").select("bucket", "flush", "token", "count").groupBy("bucket").applyInArrow(_answered, ANSWER)
+    sets = signed.where("kind = 2").select("flush", "fps", "ns", "owner", "token")
+    met = common.cut(sets.groupBy("flush").cogroup(answers.groupBy("flush")).applyInArrow(lambda a, b: _met(a, b, least, buckets), MET), "met")
+    across = met.where("bucket >= 0").select("bucket", "fps", "token").groupBy("bucket").applyInArrow(_linked, "a long, b long")
+    stars = met.where("bucket < 0").select("a", "b").unionByName(across).distinct()
+    return components(stars).select(F.col("node").alias("fp"), F.col("component").alias("family"))
+
+
+def _with_sets(docs: DataFrame, members: DataFrame, n: int) -> DataFrame:
+    """family, fp, and the other columns of members, with tokens, from the texts of one row of each member."""
+    columns = [f for f in members.schema.fields if f.name not in ("th", "low")]
+    few = members.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
+    other = members.withColumnsRenamed({"th": "its_th", "low": "its_id"})
+    texts = docs.join(F.broadcast(other) if few else other, (docs["th"] == other["its_th"]) & docs["doc_id"].eqNullSafe(other["its_id"]))
+    ddl = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in columns)
+    return texts.select(*(f.name for f in columns), "text").mapInArrow(lambda batches: _family_sets(batches, n), f"{ddl}, tokens binary")
+
+
+def _crossed(sets: DataFrame, links: DataFrame, least: int) -> DataFrame:
+    """Links between different components of families of several blocks."""
+    found = components(links).select(F.col("node").alias("fp"), F.col("component").alias("label"))
+    known = sets.select("family", "fp", "n").join(found, "fp", "left").withColumn("label", F.coalesce("label", "fp"))
+    known = common.cut(known, "known")
+    parts = known.groupBy("family", "label").agg(F.count("*").alias("size"), F.sum("n").alias("total"))
+    parts = parts.withColumn("large", (F.col("size") > BLOCK_SETS // 2) | (F.col("total") > BLOCK_TOKENS // 2))
+    mixed = parts.groupBy("family").agg(F.count("*").alias("n_parts"), F.sum(F.when(~F.col("large"), F.col("size"))).alias("m_size"), F.sum(F.when(~F.col("large"), F.col("total"))).alias("m_total")).where("n_parts > 1")
+    parts = parts.join(mixed, "family")
+    subs = F.when(F.col("large"), _blocks(F.col("size"), F.col("total"))).otherwise(_blocks(F.col("m_size"), F.col("m_total")))
+    parts = parts.select("family", "label", F.when(F.col("large"), F.col("label")).alias("whole"), subs.alias("subs"))
+    # A large component has blocks of its own; the others share blocks, each component in one of them.
+    sub = F.when(F.col("whole").isNotNull(), F.pmod(F.xxhash64("fp"), F.col("subs"))).otherwise(F.pmod(F.xxhash64("label"), F.col("subs")))
+    placed = known.join(parts, ["family", "label"]).select("family", "fp", "label", "whole", F.xxhash64(F.coalesce("whole", F.lit(0)), F.col("whole").isNull(), sub).alias("block"))
+    placed = common.cut(placed, "crossed")
+    blocks = placed.select("family", "block", "whole").distinct()
+    others = blocks.select("family", F.col("block").alias("other"), F.col("whole").alias("other_whole"))
+    pairs = blocks.join(others, "family").where((F.col("block") <= F.col("other")) & ~F.coalesce(F.col("whole") == F.col("other_whole"), F.lit(False)))
+    pairs = pairs.select("family", F.col("block").alias("one"), F.col("other").alias("two"))
+    sides = F.explode(F.array_distinct(F.array("one", "two"))).alias("block")
+    meeting = placed.select("family", "fp", "label", "block").join(pairs.select("family", "one", "two", sides), ["family", "block"]).join(sets.select("fp", "tokens"), "fp")
+    return meeting.groupBy("family", "one", "two").applyInArrow(lambda t: _compared(t.select(["family", "fp", "label", "tokens"]), least), "a long, b long")
 
 
 def join(documents: DataFrame, least: int = LEAST, n: int = SHINGLE) -> DataFrame:
     """doc_id, n_shingles and component_id of each row, linked where 100 * intersection >= least * union.
 
-    Null, empty and blank texts have an empty set and link with nothing; such a row's component is its own doc_id.  A
-    row with a null doc_id joins its set's component under no id of its own.  Repeated rows share a component; rows that
-    repeat a doc_id with another text each have the component of their text.  Other columns are ignored.
+    component_id is the least doc_id of rows whose sets are connected by links.  Null, empty and blank texts have an empty
+    set and link with nothing; such a row's component is its own doc_id.  A row with a null doc_id links like any other,
+    but lends no name: its component is null if no row in it has an id.  Repeated rows share a component; rows that repeat
+    a doc_id with another text each have the component of their text.  Other columns are ignored.
     """
     spark = documents.sparkSession
     common.bound_batches(spark)
-    buckets = max(256, 4 * common.partitions(spark))
-    docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    buckets = _buckets(documents)
+    docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.xxhash64("text").alias("th"))
     signed = common.cut(docs.mapInArrow(lambda batches: _signed(batches, least, buckets, n), SIGNED), "signed")
-    rows = signed.where(F.col("bucket") < 0).select("doc_id", "n", "fp")
-    kept_ = signed.where(F.col("bucket") >= 0).select("bucket", "fps", "ns", "owner", "token")
-    shared = kept_.groupBy("bucket").applyInArrow(lambda t: _shared_tokens(t, buckets), FREQUENT)
-    rare = shared.groupBy("bucket").applyInArrow(lambda t: _rare_tokens(t, buckets, least), FREQUENT.removesuffix(", df binary"))
-    stars = rare.groupBy("bucket").applyInArrow(_stars, "a long, b long").distinct()
-    family = components(stars).select(F.col("node").alias("fp"), F.col("component").alias("family"))
-    classes = common.cut(rows.where(F.col("n") > 0).groupBy("fp").agg(F.min("doc_id").alias("rep")), "classes")
-    members = common.cut(classes.where(F.col("rep").isNotNull()).join(family, "fp").select("rep", "family"), "members")
-    blocks = members.groupBy("family").agg(F.count("*").alias("size")).where(F.col("size") > 1)
-    per = F.least(F.greatest(F.ceil(F.col("size") / BLOCKS), F.lit(BLOCK)), F.lit(BLOCK_MOST))
-    placed = members.join(blocks, "family").withColumn("n_blocks", F.ceil(F.col("size") / per).cast("int"))
-    placed = placed.select("family", F.col("rep").alias("doc_id"), "n_blocks", F.pmod(F.xxhash64("rep"), F.col("n_blocks")).cast("int").alias("block"))
-    placed = common.cut(placed, "placed")
-    few = placed.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
-    texts = docs.join(F.broadcast(placed) if few else placed, "doc_id").select("family", "doc_id", "block", "n_blocks", "text")
-    sets = texts.mapInArrow(lambda batches: _block_sets(batches, n), "family long, doc_id long, block int, n_blocks int, tokens binary")
-    other = F.explode(F.sequence(F.lit(0), F.col("n_blocks") - 1)).alias("other")
-    dealt = sets.select("family", "doc_id", "block", other, "tokens").select("family", F.least("block", "other").alias("one"), F.greatest("block", "other").alias("two"), "doc_id", "tokens")
-    links = dealt.groupBy("family", "one", "two").applyInArrow(lambda t: _verified(t.select(["doc_id", "tokens"]), least), "a long, b long")
-    found = components(links)
-    named = rows.join(classes, "fp", "left").join(found.select(F.col("node").alias("rep"), "component"), "rep", "left")
-    return named.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "rep", "doc_id").alias("component_id"))
+    rows = signed.where("kind = 0").select("doc_id", "n", "fp", "th")
+    # Of each set the least id and the hash of that row's text, which find its text again.
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("nameless"), "doc_id", "th")).alias("first")
+    classes = rows.where("n > 0").groupBy("fp").agg(first, F.first("n").alias("n"))
+    classes = common.cut(classes.select("fp", "n", F.col("first.doc_id").alias("low"), F.col("first.th").alias("th")), "classes")
+    members = classes.join(families(signed, least, buckets), "fp")
+    members = common.cut(members, "members")
+    sizes = members.groupBy("family").agg(F.count("*").alias("size"), F.sum("n").alias("total")).where("size > 1")
+    placed = common.cut(members.join(sizes, "family").withColumn("n_blocks", _blocks(F.col("size"), F.col("total"))), "placed")
+    counted = placed.agg(F.sum(F.when(F.col("n_blocks") == 1, F.col("n"))).alias("small"), F.count(F.when(F.col("n_blocks") > 1, 1)).alias("large")).first()
+    bins = max(common.partitions(spark), -(-(counted.small or 0) // BLOCK_TOKENS))
+    small = placed.where("n_blocks = 1").select("family", "fp", "th", "low", F.pmod(F.xxhash64("family"), F.lit(bins)).alias("bin"))
+    links = _with_sets(docs, small, n).groupBy("bin").applyInArrow(lambda t: _compared(t.select(["family", "fp", "tokens"]), least), "a long, b long")
+    if counted.large:
+        leaders = F.greatest(F.lit(1), F.least(F.lit(LEADERS), F.floor(BLOCK_TOKENS / 4 * F.col("size") / F.col("total")))).cast("int")
+        large = placed.where("n_blocks > 1").select("family", "fp", "th", "low", "n", "n_blocks", (F.pmod(F.xxhash64("fp", F.lit(7)), F.col("size")) < leaders).alias("leads"))
+        sets = common.cut(_with_sets(docs, large, n), "sets")
+        own = F.pmod(F.xxhash64("fp"), F.col("n_blocks")).cast("int")
+        at = F.explode(F.when(F.col("leads"), F.sequence(F.lit(0), F.col("n_blocks") - 1)).otherwise(F.array(own))).alias("block")
+        within = sets.select("family", "fp", "tokens", at).groupBy("family", "block").applyInArrow(lambda t: _compared(t.select(["family", "fp", "tokens"]), least), "a long, b long")
+        within = common.cut(within, "within")
+        links = links.unionByName(within).unionByName(_crossed(sets, within, least))
+    found = components(common.cut(links, "links")).select(F.col("node").alias("fp"), "component")
+    named = classes.select("fp", "low").join(found, "fp", "left").withColumn("component", F.coalesce("component", "fp"))
+    names = named.groupBy("component").agg(F.min("low").alias("name"))
+    named = named.join(names, "component").select("fp", "name")
+    out = rows.select("doc_id", "n", "fp").join(named, "fp", "left")
+    return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("name")).otherwise(F.col("doc_id")).alias("component_id"))
 
 
 def op6_shingle_join(spark, sf_dir: str) -> DataFrame:
