@@ -1,12 +1,15 @@
 """Benchmark decontamination by winnowing, with DataFrame functions only.
 
 The fingerprints of a word sequence are the least k-gram hashes of all windows of w consecutive k-grams.  Any shared
-run of k + w - 1 words shares a fingerprint.  Matching fingerprints are extended word by word on both sides, so hashes
-only propose and words decide.
+run of k + w - 1 words shares a fingerprint.  Where a document shares fingerprints, the spans of k + w - 1 words around
+matching k-grams are compared with those of the benchmark, word by word, so hashes only propose and words decide.
+Overlapping spans that match make up the whole extent of a hit.
 """
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -14,12 +17,10 @@ from offsetlink.llm import common
 
 SPAN_WORDS, GRAM = 13, 7
 # Fixed value of the contract: what separates words.
-WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+BETWEEN = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 #: Up to so many benchmark fingerprints are looked up as constants within a document's row; more are joined.
 INLINE_PRINTS = 20_000
-#: Up to so many occurrences of fingerprints in the benchmark are broadcast.
-PRINT_ROWS = 100_000
 
 
 def word_list(text: Column) -> Column:
@@ -27,7 +28,7 @@ def word_list(text: Column) -> Column:
     text = F.coalesce(text, F.lit(""))
     # Without characters beyond ASCII, lower() does the same and faster.
     lowered = F.when(F.length(text) == F.octet_length(text), F.lower(text)).otherwise(F.translate(text, UPPER, LOWER))
-    return F.regexp_extract_all(lowered, F.lit(WORD), F.lit(0))
+    return F.array_remove(F.split(lowered, BETWEEN), "")
 
 
 def _span(first: Column | int, last: Column) -> Column:
@@ -45,61 +46,97 @@ def winnow(hashes: Column, w: int) -> Column:
     return F.array_distinct(F.transform(_span(0, F.size(hashes) - w), lambda i: F.array_min(F.slice(hashes, i + 1, w))))
 
 
-def _reach(a: Column, p: Column, b: Column, q: Column, most: int, back: bool) -> Column:
-    """How many words, most at most, agree before (or from) positions p of a and q of b."""
-    out = F.lit(0)
-    for n in range(1, most + 1):
-        if back:
-            same = (p >= n) & (q >= n) & (F.slice(a, F.greatest(p - n, F.lit(0)) + 1, n) == F.slice(b, F.greatest(q - n, F.lit(0)) + 1, n))
-        else:
-            same = (p + n <= F.size(a)) & (q + n <= F.size(b)) & (F.slice(a, p + 1, n) == F.slice(b, q + 1, n))
-        out = F.when(same, F.lit(n)).otherwise(out)
-    return out
+def _items(benchmark: DataFrame) -> DataFrame:
+    return benchmark.select("item_id", word_list(F.col("text")).alias("words")).where(F.size("words") > 0)
 
 
 def benchmark_prints(benchmark: DataFrame, span: int, k: int) -> DataFrame:
-    """Fingerprints of items with span words or more, with each position of that k-gram: print, n, item_id, item_words, q.
+    """Different fingerprints: n (words under the hash) and print.
 
-    An item of fewer words, but not none, has one print: the hash of all its words, with n its number of words.
+    Of items with span words or more, k-grams by winnowing; of shorter ones, but not empty ones, the hash of all words.
     """
-    items = benchmark.select("item_id", word_list(F.col("text")).alias("item_words")).where(F.size("item_words") > 0)
-    long_ones = items.where(F.size("item_words") >= span).withColumn("hashes", gram_hashes(F.col("item_words"), k)).withColumn("prints", winnow(F.col("hashes"), span - k + 1))
-    placed = long_ones.select("item_id", "item_words", "prints", F.posexplode("hashes").alias("q", "print")).where(F.array_contains("prints", F.col("print")))
-    short_ones = items.where(F.size("item_words") < span)
-    return placed.select("print", F.lit(k).alias("n"), "item_id", "item_words", "q").unionByName(
-        short_ones.select(F.xxhash64("item_words").alias("print"), F.size("item_words").alias("n"), "item_id", "item_words", F.lit(0).alias("q"))
-    )
-
-
-def _found(documents: DataFrame, prints: DataFrame, span: int, k: int, inline: int) -> DataFrame:
-    """Document rows with the array hits of (item_id, start, end): runs of span words or more, or short items."""
-    rows = documents.select("doc_id", F.monotonically_increasing_id().alias("row_id"), word_list(F.col("text")).alias("words"))
-    lengths = sorted(r.n for r in prints.where(F.size("item_words") < span).select("n").distinct().collect())  # fewer than span
+    items = _items(benchmark)
+    by_window = items.where(F.size("words") >= span).select(F.lit(k).alias("n"), F.explode(winnow(gram_hashes(F.col("words"), k), span - k + 1)).alias("print"))
+    # Their own n goes below 0 where it could be taken for that of a k-gram.
+    whole = items.where(F.size("words") < span).select((-F.size("words")).alias("n"), F.xxhash64("words").alias("print"))
+    return by_window.unionByName(whole).distinct()
+
+
+def benchmark_windows(benchmark: DataFrame, span: int) -> DataFrame:
+    """window (span words, or all words of a shorter item, joined by spaces) and item_id, each pair once."""
+    n = F.least(F.size("words"), F.lit(span))
+    windows = F.transform(_span(0, F.size("words") - n), lambda i: F.array_join(F.slice("words", i + 1, n), " "))
+    return _items(benchmark).select("item_id", F.explode(F.array_distinct(windows)).alias("window")).distinct()
+
+
+def _empty(kind: str) -> Column:
+    return F.expr(f"cast(array() as array<{kind}>)")
+
+
+def _places(n: int, wanted: list[int]) -> Column:
+    """Positions of grams of n words whose hash is wanted."""
+    return F.filter(_span(0, F.size("words") - n), lambda i: F.xxhash64(F.slice("words", i + 1, n)).isin(wanted)) if wanted else _empty("int")
+
+
+def _any(hashes: Column, wanted: list[int]) -> Column:
+    return F.exists(hashes, lambda h: h.isin(wanted)) if wanted else F.lit(False)
+
+
+def _with(n: int, positions: Column) -> Column:
+    return F.transform(positions, lambda p: F.struct(F.lit(n).alias("n"), p.alias("p")))
+
+
+def _prints(n: int, hashes: Column) -> Column:
+    return F.transform(hashes, lambda h: F.struct(F.lit(n).alias("n"), h.alias("print")))
+
+
+def _grams(n: int) -> Column:
+    return F.transform(gram_hashes(F.col("words"), abs(n)), lambda h, p: F.struct(F.lit(n).alias("n"), p.alias("p"), h.alias("print")))
+
+
+def _candidates(rows: DataFrame, prints: DataFrame, span: int, k: int, inline: int) -> tuple[DataFrame, DataFrame]:
+    """All rows (row_id, doc_id, n_words), and those that share a print: row_id, words, near (of k-grams), whole (n, p)."""
+    lengths = sorted(-r.n for r in prints.where("n < 0").select("n").distinct().collect())  # fewer than span
     rows = rows.withColumn("hashes", gram_hashes(F.col("words"), k))
-    short = [F.array_distinct(gram_hashes(F.col("words"), n)) for n in lengths]
-    rows = rows.withColumn("prints", F.array_distinct(F.concat(winnow(F.col("hashes"), span - k + 1), *short)))
-    values = [r[0] for r in prints.select("print").distinct().limit(inline + 1).collect()]
-    if len(values) <= inline:
-        rows = rows.withColumn("prints", F.filter("prints", lambda x: x.isin(values)) if values else F.expr("cast(array() as array<bigint>)"))
-        matched = rows.select("row_id", "doc_id", F.size("words").alias("n_words"), F.when(F.size("prints") > 0, F.col("words")).alias("words"), F.explode_outer("prints").alias("print"))
-        few = prints.limit(PRINT_ROWS + 1).count() <= PRINT_ROWS
-        pairs = matched.join(F.broadcast(prints) if few else prints, "print", "left")
-    else:
-        # Too many to be constants: join, then bring the words of matching documents only.
-        known = rows.select("row_id", F.explode("prints").alias("print")).join(prints, "print")
-        rows = common.cut(rows.select("row_id", "doc_id", "words"), "words")
-        pairs = rows.withColumn("n_words", F.size("words")).join(known, "row_id", "left")
-    p = F.col("p")
-    short_item = F.size("item_words") < span
-    places = F.filter(_span(0, F.size("words") - F.col("n")), lambda i: F.xxhash64(F.slice("words", i + 1, F.col("n"))) == F.col("print"))
-    pairs = pairs.select("row_id", "doc_id", "n_words", "words", "n", "item_id", "item_words", "q", F.explode_outer(F.when(F.col("item_words").isNotNull(), places)).alias("p"))
-    back = _reach(F.col("words"), p, F.col("item_words"), F.col("q"), span - k, True)
-    ahead = _reach(F.col("words"), p + k, F.col("item_words"), F.col("q") + k, span - k, False)
-    same = F.slice("words", p + 1, F.col("n")) == F.slice("item_words", F.col("q") + 1, F.col("n"))
-    pairs = pairs.select("row_id", "doc_id", "n_words", "item_id", p, same.alias("same"), F.when(short_item, F.lit(0)).otherwise(back).alias("back"), F.when(short_item, F.lit(0)).otherwise(ahead).alias("ahead"), "n", short_item.alias("short"))
-    hit = F.col("same") & (F.col("short") | (F.col("back") + F.col("n") + F.col("ahead") >= span))
-    run = F.struct("item_id", (p - F.col("back")).alias("start"), (p + F.col("n") + F.col("ahead")).alias("end"))
-    return pairs.groupBy("row_id").agg(F.first("doc_id").alias("doc_id"), F.max("n_words").cast("long").alias("n_words"), F.collect_set(F.when(hit, run)).alias("hits"))
+    kinds = [(k, winnow(F.col("hashes"), span - k + 1)), *((-n, F.array_distinct(gram_hashes(F.col("words"), n))) for n in lengths)]
+    some = prints.limit(inline + 1).collect()
+    if len(some) <= inline:
+        wanted = {n: [r.print for r in some if r.n == n] for n, _ in kinds}
+        hit = reduce(Column.__or__, (_any(hashes, wanted[n]) for n, hashes in kinds))
+        # Written once, so all that follows sees the same row ids; words only of rows that share a print.
+        all_rows = common.cut(rows.select(F.monotonically_increasing_id().alias("row_id"), "doc_id", F.size("words").alias("n_words"), F.when(hit, F.col("words")).alias("words")), "winnowed")
+        whole = F.concat(_empty("struct<n:int,p:int>"), *(_with(n, _places(n, wanted[-n])) for n in lengths))
+        return all_rows.drop("words"), all_rows.where("words is not null").select("row_id", "words", _places(k, wanted[k]).alias("near"), whole.alias("whole"))
+    # Too many to be constants: join, then bring the words of matching documents only.
+    marks = F.array_distinct(F.concat(*(_prints(n, hashes) for n, hashes in kinds)))
+    all_rows = common.cut(rows.select(F.monotonically_increasing_id().alias("row_id"), "doc_id", F.size("words").alias("n_words"), "words", marks.alias("marks")), "winnowed")
+    sharing = all_rows.select("row_id", F.explode("marks").alias("mark")).select("row_id", "mark.*").join(prints, ["n", "print"], "left_semi").select("row_id").distinct()
+    matched = common.cut(all_rows.select("row_id", "words").join(sharing, "row_id", "left_semi"), "matched")
+    spots = matched.select("row_id", F.explode(F.concat(*(_grams(n) for n, _ in kinds))).alias("gram")).select("row_id", "gram.*").join(prints, ["n", "print"], "left_semi")
+    whole = F.struct((-F.col("n")).alias("n"), "p")
+    spots = spots.groupBy("row_id").agg(F.collect_list(F.when(F.col("n") > 0, F.col("p"))).alias("near"), F.collect_list(F.when(F.col("n") < 0, whole)).alias("whole"))
+    return all_rows.select("row_id", "doc_id", "n_words"), matched.join(spots, "row_id")
+
+
+def _found(documents: DataFrame, benchmark: DataFrame, span: int, k: int, inline: int) -> DataFrame:
+    """row_id, doc_id, n_words, n_hit and items of each row of documents."""
+    prints, windows = common.cut(benchmark_prints(benchmark, span, k), "prints"), common.cut(benchmark_windows(benchmark, span), "windows")
+    rows = documents.select("doc_id", word_list(F.col("text")).alias("words"))
+    all_rows, matched = _candidates(rows, prints, span, k, inline)
+    # Spans of span words that hold a matching k-gram: they start up to span - k words before it.
+    starts = F.array_distinct(F.flatten(F.transform("near", lambda p: _span(F.greatest(p - (span - k), F.lit(0)), F.least(p, F.size("words") - span)))))
+    spots = F.concat(F.transform(starts, lambda p: F.struct(F.lit(span).alias("n"), p.alias("p"))), F.col("whole"))
+    texts = F.transform(spots, lambda s: F.struct(s["n"].alias("n"), s["p"].alias("p"), F.array_join(F.slice("words", s["p"] + 1, s["n"]), " ").alias("window")))
+    asked = matched.select("row_id", F.explode(texts).alias("spot")).select("row_id", "spot.*")
+    # windows is a table of known size, so Spark itself decides whether to broadcast it.
+    hits = common.cut(asked.join(windows.select("window").distinct(), "window", "left_semi"), "hits")
+    ordered = F.array_sort(F.collect_set(F.struct("p", (F.col("p") + F.col("n")).alias("e"))))
+    start = F.struct(F.lit(0).alias("end"), F.lit(0).cast("long").alias("n"))
+    merged = F.aggregate("spots", start, lambda a, s: F.struct(F.greatest(a["end"], s["e"]).alias("end"), (a["n"] + F.greatest(s["e"] - F.greatest(a["end"], s["p"]), F.lit(0))).alias("n")))
+    covered = hits.groupBy("row_id").agg(ordered.alias("spots")).select("row_id", merged["n"].alias("n_hit"))
+    named = hits.select("row_id", "window").distinct().join(windows, "window").select("row_id", F.col("item_id").cast("string").alias("item")).where("item is not null")
+    items = named.groupBy("row_id").agg(F.array_sort(F.collect_set("item")).alias("items"))
+    return all_rows.join(covered, "row_id", "left").join(items, "row_id", "left").select("doc_id", F.col("n_words").cast("long").alias("n_words"), F.coalesce("n_hit", F.lit(0)).cast("long").alias("n_hit"), F.coalesce("items", _empty("string")).alias("items"))
 
 
 def contamination(documents: DataFrame, benchmark: DataFrame, span: int = SPAN_WORDS, k: int = GRAM, inline: int = INLINE_PRINTS, share: int = 20) -> DataFrame:
@@ -110,10 +147,7 @@ def contamination(documents: DataFrame, benchmark: DataFrame, span: int = SPAN_W
     or empty text are no items; an item with a null id hits words and is counted nowhere.  Repeated rows are judged
     each.  Other columns are ignored.
     """
-    found = _found(documents, benchmark_prints(benchmark, span, k), span, k, inline)
-    covered = F.array_distinct(F.flatten(F.transform("hits", lambda h: F.sequence(h["start"], h["end"] - 1))))
-    items = F.array_sort(F.array_distinct(F.filter(F.transform("hits", lambda h: h["item_id"].cast("string")), lambda x: x.isNotNull())))
-    judged = found.select("doc_id", "n_words", F.size(covered).cast("long").alias("n_hit"), items.alias("items"))
+    judged = _found(documents, benchmark, span, k, inline)
     return judged.withColumn("contaminated", (F.col("n_hit") > 0) & (share * F.col("n_hit") >= F.col("n_words")))
 
 
