@@ -1,8 +1,9 @@
 """Toxicity by multiple-instance learning: sentences are scored, documents are labelled.
 
 A sentence is toxic with probability sigmoid(bias + weights of its words); a document is toxic if any sentence is, so
-its probability is the noisy-or of its sentences.  Bias and weights maximise the likelihood of document labels less an
-l1 penalty; weights stay non-negative, so the model is a short lexicon, and a sentence's words explain its score.
+its probability is the noisy-or of its sentences.  Bias and weights, of either sign, maximise the likelihood of document
+labels less a weighted l1 penalty: a feature's penalty is SCREEN standard deviations of its gradient where it has no
+effect.  So most weights are 0, the model is a short lexicon, and a sentence's words explain its score.
 """
 
 from __future__ import annotations
@@ -18,11 +19,12 @@ from pyspark.sql import functions as F
 
 from offsetlink.llm import common
 
-#: The model is fitted on so many labelled documents at most, those with the least hashes, and so many characters of each.
-SAMPLE_DOCS, SAMPLE_CHARS = 6000, 20_000
-SUPPORT = 0.004  # a word is a feature if it occurs in this share of the sample's positive documents, and five at least
-LIFT = 4.0
-PENALTY, RATE = 0.05, 0.05
+#: The model is fitted on so many labelled documents at most, those with the least hashes, whole ones.
+SAMPLE_DOCS = 6000
+SUPPORT = 0.004  # a weight above (below) 0 needs this share of the sample's positive documents with (others) its feature, and five at least
+SCREEN, RATE = 5.0, 0.05
+PASSES, ROUNDS = 4, 120
+MOST_WORDS = 200_000  # kept with their features between texts
 PREFIXES = (4, 5)
 THRESHOLD = 0.7
 SENTENCE, WORD = re.compile(r"[^.!?\n|]+"), re.compile(r"[^\W\d_]+")
@@ -43,9 +45,16 @@ class Lexicon:
 
     def __init__(self, bias: float, weights: dict[str, float]) -> None:
         self.bias, self.weights = bias, weights
-        stems = sorted({w.removesuffix("-") for w in weights})
-        self.pattern = re.compile("|".join(map(re.escape, stems))) if stems else None
         self.quiet = math.log1p(-float(_sigmoid(bias)))
+        self.known: dict[str, list[str]] = {}
+
+    def _of(self, words: set[str]) -> set[str]:
+        """Features with a weight among those of the words."""
+        if len(self.known) > MOST_WORDS:
+            self.known.clear()
+        for w in words.difference(self.known):
+            self.known[w] = [f for f in features(w) if f in self.weights]
+        return set(chain.from_iterable(map(self.known.__getitem__, words)))
 
     def score(self, text: str | None) -> tuple[float, list[tuple[int, int, float]]]:
         """Probability of a text, and the sentences with any word of the lexicon; positions are code points."""
@@ -53,22 +62,12 @@ class Lexicon:
         lowered = text.lower()
         if len(lowered) != len(text):
             lowered = "".join(x if len(x := c.lower()) == 1 else c for c in text)
-        hits = []
-        for m in self.pattern.finditer(lowered) if self.pattern else ():
-            if not (m.start() and WORD.match(lowered, m.start() - 1, m.start())):
-                known = [f for f in features(WORD.match(lowered, m.start())[0]) if f in self.weights]
-                if known:
-                    hits.append((m.start(), known))
-        if not hits:
-            return -math.expm1(self.quiet * max(sum(1 for _ in SENTENCE.finditer(text)), 1)), []
-        found, at, log_clean = [], 0, 0.0
-        for m in SENTENCE.finditer(text):
-            known = set()
-            while at < len(hits) and hits[at][0] < m.end():
-                known.update(hits[at][1])
-                at += 1
-            if known:
-                p = float(_sigmoid(self.bias + sum(self.weights[f] for f in known)))
+        if not self._of(set(WORD.findall(lowered))):
+            return -math.expm1(self.quiet * max(sum(1 for _ in SENTENCE.finditer(lowered)), 1)), []
+        found, log_clean = [], 0.0
+        for m in SENTENCE.finditer(lowered):
+            if known := self._of(set(WORD.findall(m[0]))):
+                p = float(_sigmoid(self.bias + math.fsum(self.weights[f] for f in known)))
                 found.append((m.start(), m.end(), p))
                 log_clean += math.log1p(-min(p, 1 - 1e-12))
             else:
@@ -76,65 +75,116 @@ class Lexicon:
         return -math.expm1(log_clean), found
 
 
-def train(texts: list[str], labels: list[int], penalty: float = PENALTY, rounds: int = 500) -> Lexicon:
+class Bags:
+    """Sentences of documents as sets of features: parallel arrays of sentence and feature, and each sentence's document."""
+
+    def __init__(self, texts: list[str]) -> None:
+        known: dict[str, int] = {}
+        words, sentences, owners = [], [], []
+        for i, text in enumerate(texts):
+            for sentence in SENTENCE.findall(text.lower()) or [""]:
+                ids = [known.setdefault(w, len(known)) for w in WORD.findall(sentence)]
+                words += ids
+                sentences += [len(owners)] * len(ids)
+                owners.append(i)
+        self.doc = np.array(owners, np.int64)
+        names: dict[str, int] = {}
+        per_word = [[names.setdefault(f, len(names)) for f in features(w)] for w in known]
+        size = np.array([len(x) for x in per_word], np.int64)
+        flat = np.array(list(chain.from_iterable(per_word)), np.int64)
+        words, sentences = np.array(words, np.int64), np.array(sentences, np.int64)
+        count = size[words] if len(words) else words
+        ends = np.cumsum(count)
+        first = (np.cumsum(size) - size)[words] if len(words) else words
+        at = np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(first - (ends - count), count)
+        pairs = np.unique(np.repeat(sentences, count) * len(names) + flat[at]) if len(words) else words
+        self.rows, self.cols, self.names = pairs // max(len(names), 1), pairs % max(len(names), 1), list(names)
+
+    def support(self, chosen: np.ndarray) -> np.ndarray:
+        """In how many of the chosen documents each feature occurs."""
+        n = max(len(self.names), 1)
+        pairs = np.unique(self.doc[self.rows] * n + self.cols)
+        return np.bincount(pairs % n, chosen[pairs // n], len(self.names))
+
+    def keep(self, features: np.ndarray) -> None:
+        place = np.full(len(self.names), -1)
+        place[features] = np.arange(len(features))
+        ok = place[self.cols] >= 0
+        self.rows, self.cols, self.names = self.rows[ok], place[self.cols[ok]], [self.names[i] for i in features.tolist()]
+
+
+def train(texts: list[str], labels: list[int], screen: float = SCREEN, passes: int = PASSES, rounds: int = ROUNDS) -> Lexicon:
     """Proximal gradient ascent on the noisy-or likelihood, on sentences as bags of features.
 
-    Features are those of at least SUPPORT of the positive documents that are LIFT times as frequent there.
+    Each pass takes into the working set all features whose gradient exceeds their penalty, which is the condition that
+    a weight of 0 is not optimal, and then fits bias and working set.
     """
     y = np.array(labels, float)
-    if not y.any():
-        return Lexicon(-12.0, {})
-    found: dict[str, int] = {}
-    for text, label in zip(texts, labels, strict=True):
-        if label:
-            for f in set(chain.from_iterable(map(features, set(WORD.findall(text.lower()))))):
-                found[f] = found.get(f, 0) + 1
-    n_pos, n_neg = y.sum(), len(y) - y.sum()
-    found = {f: n for f, n in found.items() if n >= max(5, SUPPORT * n_pos)}
-    clean = dict.fromkeys(found, 0)
-    for text, label in zip(texts, labels, strict=True):
-        if not label:
-            for f in set(chain.from_iterable(map(features, set(WORD.findall(text.lower()))))):
-                if f in clean:
-                    clean[f] += 1
-    lift = {f: math.log((n + 0.5) / (n_pos + 1)) - math.log((clean[f] + 0.5) / (n_neg + 1)) for f, n in found.items()}
-    vocabulary = {f: i for i, f in enumerate(sorted(f for f, x in lift.items() if x >= math.log(LIFT)))}
-    doc, rows, cols, n = [], [], [], 0
-    for i, text in enumerate(texts):
-        for sentence in SENTENCE.findall(text.lower()) or [""]:
-            ids = {vocabulary[f] for f in chain.from_iterable(map(features, WORD.findall(sentence))) if f in vocabulary}
-            rows += [n] * len(ids)
-            cols += sorted(ids)
-            doc.append(i)
-            n += 1
-    doc, rows, cols = np.array(doc, np.int64), np.array(rows, np.int64), np.array(cols, np.int64)
-    w = np.array([lift[f] for f in vocabulary]) / 2
-    bias, mean, square, mean_bias, square_bias = -6.0, np.zeros(len(w)), np.zeros(len(w)), 0.0, 0.0
-    for step in range(1, rounds + 1):
-        p = np.clip(_sigmoid(bias + np.bincount(rows, w[cols], n)), 1e-12, 1 - 1e-9)
+    if not y.any() or y.all():
+        return Lexicon(12.0 if len(y) and y.all() else -12.0, {})
+    bags = Bags(texts)
+    few = [max(5, SUPPORT * y.sum()), max(5, SUPPORT * (1 - y).sum())]
+    with_label = bags.support(y)
+    without = bags.support(1 - y)
+    some = np.flatnonzero((with_label >= few[0]) | (without >= few[1]))
+    up, down = with_label[some] >= few[0], without[some] >= few[1]
+    bags.keep(some)
+    doc, rows, cols, n = bags.doc, bags.rows, bags.cols, len(bags.names)
+
+    def pulls(logits):
+        """d log likelihood / d logit of a sentence: its share of a positive document, or minus its own probability."""
+        p = np.clip(_sigmoid(logits), 1e-12, 1 - 1e-9)
         clean = np.bincount(doc, np.log1p(-p), len(y))
         dirty = np.maximum(-np.expm1(clean), 1e-12)
-        # d log likelihood / d logit of a sentence: its share of a positive document, or minus its own probability.
-        pull = np.where(y[doc] > 0, p * np.exp(clean)[doc] / dirty[doc], -p)
-        gradient, of_bias = np.bincount(cols, pull[rows], len(w)) - penalty * (w > 0), float(pull.sum())
-        # Steps of momentum over the root of the mean square; weights stay at 0 or above.
-        mean, square = mean + 0.1 * (gradient - mean), square + 0.01 * (gradient**2 - square)
-        mean_bias, square_bias = mean_bias + 0.1 * (of_bias - mean_bias), square_bias + 0.01 * (of_bias**2 - square_bias)
-        one, two = 1 - 0.9**step, 1 - 0.99**step
-        w = np.maximum(w + RATE * (mean / one) / (np.sqrt(square / two) + 1e-6), 0)
-        bias += RATE * (mean_bias / one) / (math.sqrt(square_bias / two) + 1e-6)
-    return Lexicon(float(bias), {f: float(w[i]) for f, i in vocabulary.items() if w[i] > 1e-2})
-
-
-def fit(documents: DataFrame, labels: DataFrame, sample_docs: int = SAMPLE_DOCS, sample_chars: int = SAMPLE_CHARS) -> Lexicon:
+        return p, clean, dirty, np.where(y[doc] > 0, p * np.exp(clean)[doc] / dirty[doc], -p)
+
+    bias, w, working, penalty = -math.log(len(doc) / y.sum()), np.zeros(n), np.zeros(0, np.int64), None
+    for _ in range(passes):
+        logits = bias + np.bincount(rows, w[cols], len(doc))
+        p, clean, dirty, pull = pulls(logits)
+        gradient = np.bincount(cols, pull[rows], n)
+        if penalty is None:
+            # Variance of a sentence's pull where labels are drawn with the model's own probabilities.
+            spread = dirty[doc] * (p * np.exp(clean)[doc] / dirty[doc]) ** 2 + (1 - dirty[doc]) * p**2
+            penalty = screen * np.sqrt(np.bincount(cols, spread[rows], n))
+        more = np.flatnonzero((w == 0) & (up & (gradient > penalty) | down & (gradient < -penalty)))
+        fresh = np.setdiff1d(more, working)
+        if not len(fresh) and len(working):
+            break
+        working = np.union1d(working, fresh)
+        place = np.full(n, -1)
+        place[working] = np.arange(len(working))
+        ok = place[cols] >= 0
+        r, c, v, cost = rows[ok], place[cols[ok]], w[working], penalty[working]
+        low, high = np.where(down[working], -np.inf, 0), np.where(up[working], np.inf, 0)
+        mean, square, mean_bias, square_bias = np.zeros(len(v)), np.zeros(len(v)), 0.0, 0.0
+        for step in range(1, rounds + 1):
+            pull = pulls(bias + np.bincount(r, v[c], len(doc)))[3]
+            slope, of_bias = np.bincount(c, pull[r], len(v)), float(pull.sum())
+            # At 0 the penalty takes from the gradient what it can; elsewhere it pulls towards 0.
+            slope = np.where(v == 0, np.sign(slope) * np.maximum(np.abs(slope) - cost, 0), slope - cost * np.sign(v))
+            # Steps of momentum over the root of the mean square; a weight that would change its sign stops at 0.
+            mean, square = mean + 0.1 * (slope - mean), square + 0.01 * (slope**2 - square)
+            mean_bias, square_bias = mean_bias + 0.1 * (of_bias - mean_bias), square_bias + 0.01 * (of_bias**2 - square_bias)
+            one, two = 1 - 0.9**step, 1 - 0.99**step
+            new = np.clip(v + RATE * (mean / one) / (np.sqrt(square / two) + 1e-6), low, high)
+            v = np.where(new * v < 0, 0, new)
+            bias += RATE * (mean_bias / one) / (math.sqrt(square_bias / two) + 1e-6)
+        w[working] = v
+    # A weight that goes back and forth around 0 is at most a step or two away from it.
+    return Lexicon(float(bias), {f: float(w[i]) for i, f in enumerate(bags.names) if abs(w[i]) > 2 * RATE})
+
+
+def fit(documents: DataFrame, labels: DataFrame, sample_docs: int = SAMPLE_DOCS) -> Lexicon:
     """Learn from labelled documents (labels: doc_id, toxic).
 
-    The sample is bounded: the sample_docs labelled ids with the least hashes, the first sample_chars characters of
-    each.  Null labels, ids and texts are left out; an id labelled more than once counts with its greatest label.
+    The sample is bounded: the sample_docs labelled ids with the least hashes, as whole texts; of rows that repeat an id,
+    the one with the least text.  Null labels, ids and texts are left out; an id labelled more than once counts with its
+    greatest label.
     """
     chosen = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max("toxic").alias("toxic")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_docs)
-    rows = documents.where(F.col("text").isNotNull()).select("doc_id", F.substring("text", 1, sample_chars).alias("text"))
-    found = rows.join(F.broadcast(chosen), "doc_id").select("doc_id", "text", "toxic").collect()
+    rows = documents.where(F.col("text").isNotNull()).select("doc_id", "text")
+    found = rows.join(F.broadcast(chosen), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.max("toxic").alias("toxic")).collect()
     found.sort(key=lambda r: (r.doc_id, r.text))
     unique = list({(r.text, r.toxic): r for r in found}.values())  # copies don't count as more evidence
     return train([r.text for r in unique], [int(r.toxic) for r in unique])

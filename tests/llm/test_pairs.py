@@ -4,6 +4,7 @@ import base64
 import hashlib
 import math
 import re
+import time
 from itertools import combinations
 
 import numpy as np
@@ -88,19 +89,48 @@ def test_join_against_brute_force(spark):
     assert got == brute_jaccard(rows)
 
 
-def test_big_family_in_blocks(spark, monkeypatch):
+@pytest.mark.parametrize("sets, flush", [(1024, 300_000), (40, 2000), (8, 300)])
+def test_big_families_in_blocks(spark, monkeypatch, sets, flush):
+    monkeypatch.setattr(shingle_join, "BLOCK_SETS", sets)
+    monkeypatch.setattr(shingle_join, "FLUSH", flush)
     rng = np.random.default_rng(9)
-    base = [f"t{x}" for x in range(120)]
     rows = []
-    for i in range(300):
-        w = list(base)
-        for _ in range(rng.integers(0, 5)):
-            w[rng.integers(0, len(w))] = f"e{i}_{rng.integers(0, 99)}"
-        rows.append((i, " ".join(w)))
+    for family in range(3):
+        base = [f"t{family}_{x}" for x in range(120)]
+        for i in range(100):
+            w = list(base)
+            for _ in range(rng.integers(0, 2 + 4 * family)):  # from one component to many
+                w[rng.integers(0, len(w))] = f"e{i}_{rng.integers(0, 99)}"
+            rows.append((len(rows), " ".join(w)))
     got = {r.doc_id: (r.n_shingles, r.component_id) for r in shingle_join.join(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got == brute_jaccard(rows)
 
 
+def test_candidates_pass_three_filters(monkeypatch):
+    rng = np.random.default_rng(4)
+    base = np.arange(200)
+    sets = [np.unique(shingle_join.mix64(np.where(rng.random(200) < p, rng.integers(1000, 9999, 200), base).astype(np.uint64))) for p in rng.choice([0.02, 0.1, 0.3], 60)]
+    near = {(i, j) for i, j in combinations(range(60), 2) if 100 * len(np.intersect1d(sets[i], sets[j])) >= 80 * len(np.union1d(sets[i], sets[j]))}
+    links = shingle_join.links_between(np.arange(60), sets, np.arange(60), 80)
+    assert {tuple(sorted(p)) for p in links} <= near and union_find(range(60), links) == union_find(range(60), near)
+    assert shingle_join.links_between(np.arange(60), sets, np.zeros(60, int), 80) == []
+
+
+def test_ids_that_repeat_or_lack(spark):
+    words = [f"w{i}" for i in range(60)]
+    text = " ".join(words)
+    near, far = " ".join([*words[:-1], "x"]), " ".join([*words[:-3], "x", "y", "z"])
+    rows = [(1, text), (5, near), (5, "something else " * 9), (9, "something else " * 9), (None, far), (7, " ".join([*words[:-5], *"xyzab"])), (None, "alone in the world it is"), (5, near)]
+    links = [(a, b) for a, b in combinations(range(8), 2) if 100 * len(shingles(rows[a][1]) & shingles(rows[b][1])) >= 80 * len(shingles(rows[a][1]) | shingles(rows[b][1]))]
+    top = union_find(range(8), links)
+    name = {c: min((rows[i][0] for i in top if top[i] == c and rows[i][0] is not None), default=None) for c in top.values()}
+    got = shingle_join.join(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    want = [(i, len(shingles(t)), name[top[k]]) for k, (i, t) in enumerate(rows)]
+    order = lambda x: tuple(-1 if v is None else v for v in x)
+    assert sorted(map(tuple, got), key=order) == sorted(want, key=order)
+    assert {r.component_id for r in got if r.doc_id == 5} == {1, 5}
+
+
 def test_op6_equals_sql(spark, duck):
     got, want = shingle_join.op6_shingle_join(spark, TINY).collect(), duck(TINY).sql(shingle_join.ORACLE_OP6).df()
     assert values(got, sorted(want.columns)) == values(want.to_dict("records"), sorted(want.columns))
@@ -231,6 +261,16 @@ def test_winnowing_by_brute_force(spark):
     assert winnowing.contamination(edge.documents(spark), bench).count() == 10
 
 
+def test_many_equal_words(spark):
+    began = time.perf_counter()
+    docs = spark.createDataFrame([(1, "a " * 6000), (2, "b " + "a " * 12 + "b")], "doc_id long, text string")
+    bench = spark.createDataFrame([(1, "a " * 1000), (2, "a " * 13)], "item_id long, text string")
+    for inline in (winnowing.INLINE_PRINTS, 0):
+        got = {r.doc_id: (r.n_words, r.n_hit, r["items"], r.contaminated) for r in winnowing.contamination(docs, bench, inline=inline).collect()}
+        assert got == {1: (6000, 6000, ["1", "2"], True), 2: (14, 0, [], False)}
+    assert time.perf_counter() - began < 30  # positions times positions took minutes
+
+
 # -- archives ----------------------------------------------------------------------------------------------------------
 
 

@@ -109,19 +109,47 @@ def test_chat_edges(spark):
     assert chat_format.format_conversations(df.limit(0)).count() == 0
 
 
+def brute_bits(training, text):
+    """Code length by partial matching, straight from its definition: one context and byte at a time."""
+    follow = {}
+    for t in training:
+        raw = b"   " + t.encode()
+        for i in range(3, len(raw)):
+            for d in range(4):
+                follow.setdefault(raw[i - d : i], Counter())[raw[i]] += 1
+    raw, bits = b"   " + text.encode(), 0.0
+    for i in range(3, len(raw)):
+        gone = set()
+        for d in range(3, -1, -1):
+            left = {x: n for x, n in follow.get(raw[i - d : i], {}).items() if x not in gone}
+            whole = sum(left.values()) + len(left)
+            if raw[i] in left:
+                bits -= math.log2(left[raw[i]] / whole)
+                break
+            if left:
+                bits -= math.log2(len(left) / whole)
+            gone |= set(left)
+        else:
+            bits += math.log2(256 - len(gone))
+    return bits
+
+
+def test_code_lengths_by_partial_matching(monkeypatch):
+    texts = pd.read_parquet(f"{TINY}/documents.parquet").text.tolist()
+    sample = {"a": ["abracadabra", "Abra é"], "b": texts[:6], "c": [""]}
+    trees = language_id.ContextTrees(sample)
+    monkeypatch.setattr(language_id, "SLICE", 500)  # texts longer than a slice
+    asked = [*texts[6:9], "abracadabra", "", "\x00é😀", "zzzz"]
+    for text, got in zip(asked, trees.bits(asked), strict=True):
+        assert got == pytest.approx([brute_bits(sample[k], text) for k in "abc"], rel=1e-9, abs=1e-9)
+
+
 def test_context_trees_are_distributions():
     trees = language_id.ContextTrees({"a": ["abracadabra " * 30], "b": ["bananas and cabanas " * 30]})
-    p = np.exp2(-trees.cost.astype(float)).reshape(-1, trees.size, 2)
-    assert np.allclose(p.sum(1), 1, atol=1e-5)
+    for context in (b"abr", b"zab", b"zza", b"zzz", b"ana"):
+        grams = (np.uint32(int.from_bytes(context, "big")) << np.uint32(8)) + np.arange(256, dtype=np.uint32)
+        assert all(np.exp2(-t.bits(grams)).sum() == pytest.approx(1, abs=1e-9) for t in trees.trees)
     assert trees.predict(["abracadabra", "banana cabana", "", None, "123 .", "Z" * 400_000])[:5] == [("a", pytest.approx(1, abs=0.1), pytest.approx(trees.bits(["abracadabra"])[0])), ("b", pytest.approx(1, abs=0.1), pytest.approx(trees.bits(["banana cabana"])[0])), ("und", 0.0, None), ("und", 0.0, None), ("und", 0.0, None)]
-    whole = "cab ana" * 90_000  # longer than a slice
-    assert trees.bits([whole])[0] == pytest.approx(_slow_bits(trees, whole), rel=1e-9)
-
-
-def _slow_bits(trees, text):
-    s = trees.symbol[np.frombuffer(b"   " + text.lower().encode(), np.uint8)]
-    node = trees.context[(s[:-3] * trees.size + s[1:-2]) * trees.size + s[2:-1]]
-    return trees.cost[node * trees.size + s[3:]].sum(0, dtype=np.float64)
 
 
 def test_op4_accuracy(spark):
