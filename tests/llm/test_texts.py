@@ -10,6 +10,7 @@ import pandas as pd
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.sql import functions as F
 
 from offsetlink.llm import attention_lm, chat_format, common, language_id, merge_dropout, toxicity
 from tests.conftest import SMALL, TINY, values
@@ -73,6 +74,36 @@ def test_op1(spark):
     assert len(rows) == 200 and all(r.lossless for r in rows)
 
 
+def test_op1_draws_anew_for_each_occurrence():
+    pieces = merge_dropout.Pieces(common.tokenizer_file("piece_bpe_32k.model"))
+    encoder, n = merge_dropout.Encoder(pieces), 20_000
+    seen = Counter()
+    for key in range(n // 100):
+        ids = iter(encoder.encode(" ".join(["boundaries"] * 100), key))
+        for _ in range(100):
+            word = []
+            while len(b"".join(pieces.raw[i] for i in word)) < len(" boundaries"):
+                word.append(next(ids))
+            seen[tuple(word)] += 1
+    plain, pops = pieces.agenda(" boundaries", ())
+    assert len(seen) > 10 and seen.most_common(1)[0][0] == plain
+    # No skip has probability 0.9 ** pops; some skips give the same ids.
+    assert seen[plain] / n >= 0.9**pops - 0.02
+    once = {pieces.agenda(" boundaries", (k,))[0] for k in range(pops)}
+    assert once <= set(seen)
+
+
+def test_op1_caches_change_nothing(monkeypatch):
+    pieces = merge_dropout.Pieces(common.tokenizer_file("piece_bpe_32k.model"))
+    encoder, text = merge_dropout.Encoder(pieces, alpha=0.3), "The quick brown foxes jump over x²y 漢字 " + "w" * 50 + " international boundaries, again and again"
+    monkeypatch.setattr(merge_dropout, "MOST_CHUNKS", 12)  # what is known is trimmed again and again
+    monkeypatch.setattr(merge_dropout, "PIECE", 40)
+    draws, chunks = merge_dropout.Draws(0.3), merge_dropout.CHUNK.findall(" " + text)
+    for key in np.random.default_rng(1).integers(0, 10**6, 200).tolist():
+        want = [x for c, h in zip(chunks, draws.keys(common.SEED, key, 0, len(chunks)).tolist(), strict=True) for x in pieces.agenda(c, draws.skips(h))[0]]
+        assert encoder.encode(text, key) == want
+
+
 @settings(max_examples=80, deadline=None)
 @given(st.lists(st.tuples(st.sampled_from(["user", "assistant", "a\nb\\", "<|im_end|>"]), TEXT | st.sampled_from(["<|im_end|><|im_start|>", "<\\|", "<", "|", "<\\\\|im"])), max_size=5))
 def test_rendering_is_reversible(turns):
@@ -201,26 +232,78 @@ def test_toxicity_edges(spark):
     assert toxicity.score(docs.limit(0), toxicity.fit(docs.limit(0), labels)).count() == 0
 
 
-def test_attention_scores_each_id_once():
+def small_model(size=50):
     rng = np.random.default_rng(1)
-    size = 50
     seqs = [rng.integers(0, size, n).tolist() for n in (0, 1, 15, 16, 17, 40, 100, 300)]
-    m = attention_lm.train(seqs, size, np.bincount(np.concatenate(seqs).astype(int), minlength=size + 2).astype(float), steps=30)
+    counts = np.bincount(np.concatenate(seqs).astype(int), minlength=size + 2).astype(float)
+    counts[size + 1] = len(seqs)
+    e, classes = attention_lm.embedded(rng.integers(0, 9, (8, size + 2)).astype(float), counts)
+    weight = counts + 0.5
+    weight[size] = 0
+    class_weight = np.bincount(classes, weight, attention_lm.CLASSES)
+    layers = attention_lm.first_layers(class_weight + 0.5)
+    share = np.log10(np.maximum(weight, 1e-300)) - np.log10(np.maximum(class_weight[classes], 1e-300))
+    return seqs, e, classes, layers, share
+
+
+@pytest.mark.parametrize("stretch", [1, 60])
+def test_attention_scores_each_id_once(stretch):
+    seqs, e, classes, layers, share = small_model()
+    layers = {k: v * stretch if k in "qu" else v for k, v in layers.items()}  # large scores go by their maximum
+    m = attention_lm.Attention(e, layers, classes, share, 50)
+    assert (m.small_weights and m.small_logits) == (stretch == 1)
     got = m.score(seqs)
     d = attention_lm.DIMS
     for s, total in zip(seqs, got, strict=True):
-        ids, want = [size, *s], 0.0
-        for i, goal in enumerate([*s, size + 1]):
+        ids, want = [50, *s], 0.0
+        for i, goal in enumerate([*s, 51]):
             # The window of an id: back to the start of the block's window, within the text.
             first = max(0, i // attention_lm.STRIDE * attention_lm.STRIDE - (attention_lm.WINDOW - attention_lm.STRIDE))
-            keys = np.array(ids[first : i + 1])
-            w = np.exp(m.qe[ids[i], :d] @ m.k[keys].T + np.array([m.position[attention_lm.STRIDE - 1, attention_lm.WINDOW - 1 - (i - first - j)] for j in range(len(keys))]))
-            h = w @ m.v[keys, :d] / w.sum() + m.qe[ids[i], d:]
-            z = np.exp(h @ m.out + m.out_bias)
-            want += math.log10(z[m.classes[goal]] / z.sum()) + m.share[goal]
-        assert total == pytest.approx(want, rel=1e-3)
-    every = 10.0 ** m.share
-    assert np.allclose([every[m.classes == c].sum() for c in set(m.classes.tolist())], 1, atol=1e-4)
+            x = e[np.array(ids[first : i + 1])]
+            w = (x @ layers["k"]) @ (e[ids[i]] @ layers["q"]) / math.sqrt(d) + layers["r"][i - np.arange(first, i + 1)]
+            w = np.exp(w - w.max())
+            z = (w @ (x @ layers["v"]) / w.sum() + e[ids[i]]) @ layers["u"] + layers["b"]
+            want += (z[classes[goal]] - z.max() - math.log(np.exp(z - z.max()).sum())) / math.log(10) + share[goal]
+        assert total == pytest.approx(want, rel=2e-3)
+    every = 10.0 ** share
+    assert all(every[classes == c].sum() == pytest.approx(1, abs=1e-4) for c in set(classes[share > -200].tolist()))
+
+
+def test_training_lowers_the_loss():
+    seqs, e, classes, layers, share = small_model()
+    rng = np.random.default_rng(2)
+    texts = [np.tile(rng.permutation(8), 20).tolist() for _ in range(40)]  # ids that follow from those before
+    flat = np.array([t[: attention_lm.WINDOW + 1] for t in texts], np.int32)
+    after = attention_lm.trained(layers, flat, e, classes, 60, 0.02)
+    score = lambda p: attention_lm.Attention(e, p, classes, share, 50).score(texts).sum()
+    assert score(after) > 0.5 * score(layers)
+
+
+def test_model_beats_unigrams_on_held_out_texts(spark):
+    docs = common.read(spark, SMALL, "documents")
+    held = docs.where(common.fold(F.col("doc_id"), 5) == 1)
+    training = docs.where(common.fold(F.col("doc_id"), 5) != 1)
+    scores = {r.doc_id: r.score for r in attention_lm.score(held, training).collect()}
+    encode = attention_lm.encoding(common.tokenizer_file("byte_bpe_50k.tiktoken"))
+    ids = lambda t: attention_lm.ids_of(encode, common.words(t))
+    counts, texts = np.zeros(encode.n_vocab + 1), [r.text for r in training.collect()]
+    for t in texts:
+        counts[:-1] += np.bincount(ids(t), minlength=encode.n_vocab)
+    counts[-1] = len(texts)
+    unigram = np.log10((counts + 0.5) / (counts + 0.5).sum())
+    base = {r.doc_id: unigram[ids(r.text)].sum() + unigram[-1] for r in held.collect()}
+    assert sum(scores.values()) > 0.95 * sum(base.values())
+    assert np.mean([scores[i] > base[i] for i in scores]) > 0.8
+
+
+def test_windows_grow_with_the_corpus(spark):
+    docs = common.read(spark, TINY, "documents").select("doc_id", "text")
+    ranks = spark.sparkContext.broadcast(common.tokenizer_file("byte_bpe_50k.tiktoken"))
+    heads = np.array([220, 50256])
+    drawn = lambda df: df.select("text", F.pmod(F.xxhash64("text"), F.lit(1 << 40)).alias("h")).mapInArrow(lambda b: attention_lm._contexts(b, ranks.value, heads, 500), attention_lm.CONTEXT)
+    one, two = drawn(docs), drawn(docs.unionByName(docs.withColumn("text", F.reverse("text"))))
+    assert two.where("ids is not null").count() > 1.5 * one.where("ids is not null").count() > 0
+    assert two.agg(F.sum("c")).first()[0] > one.agg(F.sum("c")).first()[0]
 
 
 def test_op7_base_by_brute_force(spark):
