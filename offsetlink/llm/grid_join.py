@@ -2,9 +2,11 @@
 
 Unit vectors with cosine >= c lie within epsilon = sqrt(2 - 2c) of each other.  Vectors are projected on their leading
 principal dimensions, which never lengthens a distance, and sorted by the grid cells (of side epsilon) of the
-projections.  The sorted sequence is cut into blocks; pairs of blocks, then of ever shorter intervals of blocks, are
-joined recursively, and skipped where the boxes around their projections are further apart than epsilon.  Of the pairs
-left, projected distances drop most before the cosine is computed in double precision.
+projections.  The sorted sequence is joined with itself by recursion on its intervals: a pair of intervals is skipped where
+the boxes around their projections are further apart than epsilon, else their parts are paired.  Down to blocks, intervals
+are rows of tables and a step is a join on the intervals of the step before; a pair of blocks within reach is one task's
+work and goes on in memory.  Of the pairs left, projected distances drop most before the cosine is computed in double
+precision.  A block travels once for each block within reach, as the numbers that were given.
 
 Equal vectors are one vector from the start.  A pair of blocks gives each vector's number of links and a spanning forest
 of the links, so groups of near-copies aren't expanded into pairs.
@@ -25,8 +27,8 @@ from offsetlink.llm.components import components
 LEAST = 0.9
 GRID_DIMS, FILTER_DIMS = 8, 24
 #: Vectors in a block, and intervals that aren't cut further.
-BLOCK, LEAF = 2048, 128
-RUN_BITS = 5
+BLOCK, LEAF = 8192, 128
+FAN_BITS = 3  # an interval has up to eight parts
 SLACK = 1e-6
 
 
@@ -65,10 +67,23 @@ def _projected(batches, dims: int, axes: np.ndarray, epsilon: float):
     for b in batches:
         x = normed(_matrix(b.column("vec"), dims))
         cells = np.floor(x @ axes[:, :GRID_DIMS] / epsilon).astype(np.int64)
-        arrays = [b.column("rep"), b.column("copies"), pa.array([v.tobytes() for v in x], pa.binary()), *(pa.array(c) for c in cells.T)]
+        arrays = [b.column("rep"), b.column("copies"), pa.array([v.tobytes() for v in _given(b.column("vec"), dims)], pa.binary()), *(pa.array(c) for c in cells.T)]
         yield pa.RecordBatch.from_arrays(arrays, names=["rep", "copies", "vec", *(f"c{k}" for k in range(cells.shape[1]))])
 
 
+def _given(column: pa.Array, dims: int) -> np.ndarray:
+    """Vectors as they were given: in single precision where that holds all their values."""
+    x = _matrix(column, dims)
+    with np.errstate(over="ignore"):
+        single = x.astype(np.float32)
+    return single if np.array_equal(single, x) else x
+
+
+def _unit(raw: bytes, dims: int, n: int) -> np.ndarray:
+    """n vectors of length 1 in double precision, from given ones."""
+    return normed(np.frombuffer(raw, np.float32 if len(raw) == 4 * n * dims else np.float64).reshape(n, dims).astype(np.float64))
+
+
 def _blocks(batches, dims: int, axes: np.ndarray, block: int):
     """Cut a task's sorted run into packed blocks with the box around each block's projections."""
     from pyspark import TaskContext
@@ -77,9 +92,11 @@ def _blocks(batches, dims: int, axes: np.ndarray, block: int):
     reps, copies, vectors = [], [], []
 
     def packed(k: int) -> pa.RecordBatch:
-        x = np.frombuffer(b"".join(vectors[:k]), np.float64).reshape(-1, dims)
-        p = x @ axes
-        arrays = [pa.array([(part << 32) + at]), pa.array([np.array(reps[:k], np.int64).tobytes()]), pa.array([np.array(copies[:k], np.int64).tobytes()]), pa.array([x.tobytes()]), pa.array([p.min(0).tolist()]), pa.array([p.max(0).tolist()])]
+        size = max(map(len, vectors[:k]))
+        wide = [v if len(v) == size else np.frombuffer(v, np.float32).astype(np.float64).tobytes() for v in vectors[:k]]
+        raw = b"".join(wide)
+        p = _unit(raw, dims, k) @ axes
+        arrays = [pa.array([(part << 32) + at]), pa.array([np.array(reps[:k], np.int64).tobytes()]), pa.array([np.array(copies[:k], np.int64).tobytes()]), pa.array([raw], pa.binary()), pa.array([p.min(0).tolist()]), pa.array([p.max(0).tolist()])]
         return pa.RecordBatch.from_arrays(arrays, names=["block", "reps", "copies", "vectors", "low", "high"])
 
     for b in batches:
@@ -98,21 +115,32 @@ PACKED = "block long, reps binary, copies binary, vectors binary, low array<doub
 
 
 class PairJoin:
-    """The recursive join of two sorted runs, or of one with itself."""
+    """The recursive join of two sorted runs, or of one with itself.
 
-    def __init__(self, x: np.ndarray, y: np.ndarray, axes: np.ndarray, least: float) -> None:
-        self.x, self.y, self.least, self.limit = x, y, least, 2 - 2 * least + SLACK
+    Links are counted as they are found and only a spanning forest of them is kept, so their number costs no memory.
+    Vectors of the second run go by their place behind those of the first.
+    """
+
+    def __init__(self, x: np.ndarray, y: np.ndarray, axes: np.ndarray, least: float, weight: np.ndarray) -> None:
+        self.x, self.y, self.least, self.limit, self.weight = x, y, least, 2 - 2 * least + SLACK, weight
         self.same = x is y
+        self.behind = 0 if self.same else len(x)
         self.p = (x @ axes).astype(np.float32)
         self.q = self.p if self.same else (y @ axes).astype(np.float32)
-        self.found: list[tuple[np.ndarray, np.ndarray]] = []
-
-    def run(self) -> tuple[np.ndarray, np.ndarray]:
-        self._join(0, len(self.x), 0, len(self.y))
-        if not self.found:
-            return np.zeros(0, np.int64), np.zeros(0, np.int64)
-        i, j = zip(*self.found, strict=True)
-        return np.concatenate(i), np.concatenate(j)
+        self.links, self.label, self.forest = np.zeros(len(weight)), np.arange(len(weight)), []
+        self._join(0, len(x), 0, len(y))
+
+    def _found(self, i: np.ndarray, j: np.ndarray) -> None:
+        j = j + self.behind
+        lo = min(i[0], int(j.min()))
+        n = max(int(i[-1]), int(j.max())) + 1 - lo
+        self.links[lo : lo + n] += np.bincount(i - lo, self.weight[j], n) + np.bincount(j - lo, self.weight[i], n)
+        while len(i):
+            apart = self.label[i] != self.label[j]
+            i, j = i[apart], j[apart]
+            if len(i):
+                self.forest.append((int(i[0]), int(j[0])))
+                self.label[self.label == self.label[j[0]]] = self.label[i[0]]
 
     def _join(self, a: int, b: int, c: int, d: int) -> None:
         if self.same and d <= a or a == b or c == d:
@@ -131,7 +159,7 @@ class PairJoin:
                 i, j = i + a, j + c
                 ok = np.einsum("ij,ij->i", self.x[i], self.y[j]) >= self.least
                 if ok.any():
-                    self.found.append((i[ok], j[ok]))
+                    self._found(i[ok], j[ok])
             return
         if b - a >= d - c:
             m = (a + b) // 2
@@ -150,27 +178,16 @@ def _joined(batches, dims: int, axes: np.ndarray, least: float):
     """Rows (0, rep, links) with each vector's number of links, and (1, rep, rep) with a forest of the links."""
     for b in batches:
         for row in b.to_pylist():
-            x = np.frombuffer(row["vectors"], np.float64).reshape(-1, dims)
             reps, copies = np.frombuffer(row["reps"], np.int64), np.frombuffer(row["copies"], np.int64)
+            x = _unit(row["vectors"], dims, len(reps))
             own = row["other_vectors"] is None
-            y = x if own else np.frombuffer(row["other_vectors"], np.float64).reshape(-1, dims)
             reps2, copies2 = (reps, copies) if own else (np.frombuffer(row["other_reps"], np.int64), np.frombuffer(row["other_copies"], np.int64))
-            i, j = PairJoin(x, y, axes, least).run()
-            if not len(i):
-                continue
+            y = x if own else _unit(row["other_vectors"], dims, len(reps2))
             ids, weight = (reps, copies) if own else (np.concatenate([reps, reps2]), np.concatenate([copies, copies2]))
-            j = j if own else j + len(reps)
-            links = np.bincount(i, weight[j], len(ids)) + np.bincount(j, weight[i], len(ids))
-            parent = np.arange(len(ids))
-            forest = []
-            for u, v in zip(i.tolist(), j.tolist(), strict=True):
-                while parent[u] != u:
-                    parent[u] = u = parent[parent[u]]
-                while parent[v] != v:
-                    parent[v] = v = parent[parent[v]]
-                if u != v:
-                    parent[max(u, v)] = min(u, v)
-                    forest.append((u, v))
+            done = PairJoin(x, y, axes, least, weight.astype(float))
+            if not done.forest:
+                continue
+            links, forest = done.links, done.forest
             some = np.flatnonzero(links)
             f = np.array(forest, np.int64).reshape(-1, 2)
             yield pa.RecordBatch.from_arrays(
@@ -179,20 +196,37 @@ def _joined(batches, dims: int, axes: np.ndarray, least: float):
             )
 
 
+def _interval(block, level: int, block_levels: int):
+    """The interval of a level that holds a block: runs of a partition's blocks at first, then runs of partitions."""
+    if level <= block_levels:
+        return F.shiftleft(F.shiftright(block, 32), 32) + F.shiftright(block.bitwiseAND((1 << 32) - 1), FAN_BITS * level)
+    return F.shiftright(block, 32 + FAN_BITS * (level - block_levels))
+
+
 def near_blocks(boxes: DataFrame, limit: float, dims: int) -> DataFrame:
     """Pairs (block, other) of blocks whose boxes are within reach, each block with itself too.
 
-    Runs of neighbouring blocks are compared first; only blocks of runs within reach are compared then.
+    Recursion from the whole sequence down: pairs of intervals within reach give the pairs of their parts.
     """
+    most = boxes.agg(F.max(F.col("block").bitwiseAND((1 << 32) - 1)).alias("at"), F.max(F.shiftright("block", 32)).alias("part")).first()
+    if most.at is None:
+        return boxes.select("block", F.col("block").alias("other"))
+    steps = lambda n: -(-int(n).bit_length() // FAN_BITS)
+    block_levels = steps(most.at)
+    edge = lambda side, of: F.array(*(of(F.get(side, F.lit(k))) for k in range(dims)))
+    levels = [boxes.select(F.col("block").alias("node"), F.col("block").alias("least"), "low", "high")]
+    for level in range(1, block_levels + steps(most.part) + 1):
+        up = levels[-1].groupBy(_interval(F.col("least"), level, block_levels).alias("node")).agg(F.min("least").alias("least"), edge("low", F.min).alias("low"), edge("high", F.max).alias("high"))
+        levels.append(common.cut(up, "intervals"))
     gaps = F.zip_with(F.zip_with("low", "high2", lambda a, b: a - b), F.zip_with("low2", "high", lambda a, b: a - b), lambda a, b: F.greatest(a, b, F.lit(0.0)))
     reach = F.aggregate(gaps, F.lit(0.0), lambda s, g: s + g * g) <= limit + SLACK
-    second = lambda df, *keys: df.select(*(F.col(k).alias(f"{k}2") for k in (*keys, "low", "high")))
-    boxes = boxes.withColumn("run", F.shiftright("block", RUN_BITS))
-    edge = lambda side, of: F.array(*(of(F.get(side, F.lit(k))) for k in range(dims)))
-    runs = boxes.groupBy("run").agg(edge("low", F.min).alias("low"), edge("high", F.max).alias("high"))
-    near_runs = runs.join(second(runs, "run"), F.col("run") <= F.col("run2")).where(reach).select("run", "run2")
-    ours = near_runs.join(boxes, "run").join(second(boxes, "block", "run"), "run2")
-    return ours.where((F.col("block") <= F.col("block2")) & reach).select("block", F.col("block2").alias("other"))
+    top = levels[-1].select("node", F.col("node").alias("node2"))
+    for level in range(len(levels) - 1, 0, -1):
+        parts = levels[level - 1].withColumn("whole", _interval(F.col("least"), level, block_levels))
+        other = parts.select(*(F.col(c).alias(f"{c}2") for c in parts.columns))
+        pairs = top.withColumnsRenamed({"node": "whole", "node2": "whole2"}).join(parts, "whole").join(other, "whole2")
+        top = pairs.where((F.col("node") <= F.col("node2")) & reach).select("node", "node2")
+    return top.select(F.col("node").alias("block"), F.col("node2").alias("other"))
 
 
 def join(embeddings: DataFrame, least: float = LEAST, block: int = BLOCK) -> DataFrame:
