@@ -48,7 +48,15 @@ def cut(df: DataFrame, name: str) -> DataFrame:
     """Write to the shared folder and read again: ends the lineage and survives lost executors."""
     path = new_folder(df.sparkSession, name)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out.cut_path = path
+    return out
+
+
+def drop(*tables: DataFrame) -> None:
+    """Delete what cut() wrote, once nothing that is still to be computed reads it."""
+    for t in tables:
+        remove(t.sparkSession, t.cut_path)
 
 
 def remove(spark: SparkSession, path: str) -> None:

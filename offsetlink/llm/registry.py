@@ -11,6 +11,7 @@ QUERIES = {
     "op8_toxicity": toxicity.op8_toxicity,
     "op2_chat_format": chat_format.op2_chat_format,
     "op5_secrets": secrets.op5_secrets,
+    "secrets_base": secrets.secrets_base,
     "op9_winnowing": winnowing.op9_winnowing,
     "op10_warc": warc.op10_warc,
 }
@@ -18,5 +19,7 @@ ORACLES = {
     "op3_grid_join": grid_join.ORACLE_OP3,
     "op6_shingle_join": shingle_join.ORACLE_OP6,
     "op9_winnowing": winnowing.ORACLE_OP9,
+    "op10_warc": warc.ORACLE_OP10,
+    "secrets_base": secrets.ORACLE_BASE,
     "op2_chat_format": chat_format.ORACLE_OP2,
 }

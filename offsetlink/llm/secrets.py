@@ -156,3 +156,26 @@ def redact(scanned: DataFrame, mask: str = MASK) -> DataFrame:
 
 def op5_secrets(spark, sf_dir: str) -> DataFrame:
     return report(scan(common.read(spark, sf_dir, "documents").select("doc_id", "text")))
+
+
+def secrets_base(spark, sf_dir: str) -> DataFrame:
+    """The base columns of op5_secrets alone, which SQL expresses too."""
+    return op5_secrets(spark, sf_dir).drop("spans")
+
+
+def _spans_sql(pattern: str, kind: str, rank: int, group: int, least: int) -> str:
+    hits = f"regexp_extract_all(t, '{pattern}')"
+    values = f"regexp_extract_all(t, '{pattern}', {group})"
+    return f"""SELECT doc_id, {rank} AS rank, '{kind}' AS kind, list_sum(list_transform(parts[1:i], lambda x: length(x))) + coalesce(list_sum(list_transform(hits[1:i - 1], lambda x: length(x))), 0) AS a, length(hits[i]) AS n
+  FROM (SELECT doc_id, string_split_regex(t, '{pattern}') AS parts, {hits} AS hits, {values} AS vals, unnest(range(1, len({hits}) + 1)) AS i FROM d) WHERE length(vals[i]) >= {least}"""
+
+
+ORACLE_BASE = f"""
+WITH d AS MATERIALIZED (SELECT doc_id, coalesce(text, '') AS t FROM documents),
+s AS MATERIALIZED (
+  {_spans_sql(KINDS["assign"].replace("'", "''"), "assign", 0, 2, ASSIGN_LEAST)}
+  UNION ALL {_spans_sql(KINDS["access"], "access", 1, 0, 18)}
+  UNION ALL {_spans_sql(KINDS["hex"], "hex", 2, 0, 16)})
+SELECT d.doc_id, count(*) FILTER (WHERE kind = 'assign') AS n_assign, count(*) FILTER (WHERE kind = 'access') AS n_access, count(*) FILTER (WHERE kind = 'hex') AS n_hex,
+  sha256(coalesce(string_agg(kind || ':' || CAST(a AS BIGINT) || ':' || CAST(a + n AS BIGINT), ',' ORDER BY a, rank), '')) AS base_sha256
+FROM d LEFT JOIN s USING (doc_id) GROUP BY d.doc_id"""

@@ -376,7 +376,9 @@ def families(signed: DataFrame, least: int, buckets: int) -> DataFrame:
     met = common.cut(sets.groupBy("flush").cogroup(answers.groupBy("flush")).applyInArrow(lambda a, b: _met(a, b, least, buckets), MET), "met")
     across = met.where("bucket >= 0").select("bucket", "fps", "token").groupBy("bucket").applyInArrow(_linked, "a long, b long")
     stars = met.where("bucket < 0").select("a", "b").unionByName(across).distinct()
-    return components(stars).select(F.col("node").alias("fp"), F.col("component").alias("family"))
+    found = components(stars)
+    common.drop(met)
+    return found.select(F.col("node").alias("fp"), F.col("component").alias("family"))
 
 
 def _with_sets(docs: DataFrame, members: DataFrame, n: int) -> DataFrame:
@@ -389,8 +391,8 @@ def _with_sets(docs: DataFrame, members: DataFrame, n: int) -> DataFrame:
     return texts.select(*(f.name for f in columns), "text").mapInArrow(lambda batches: _family_sets(batches, n), f"{ddl}, tokens binary")
 
 
-def _crossed(sets: DataFrame, links: DataFrame, least: int) -> DataFrame:
-    """Links between different components of families of several blocks."""
+def _crossed(sets: DataFrame, links: DataFrame, least: int) -> tuple[DataFrame, list[DataFrame]]:
+    """Links between different components of families of several blocks, and the tables that they are computed from."""
     found = components(links).select(F.col("node").alias("fp"), F.col("component").alias("label"))
     known = sets.select("family", "fp", "n").join(found, "fp", "left").withColumn("label", F.coalesce("label", "fp"))
     known = common.cut(known, "known")
@@ -410,17 +412,11 @@ def _crossed(sets: DataFrame, links: DataFrame, least: int) -> DataFrame:
     pairs = pairs.select("family", F.col("block").alias("one"), F.col("other").alias("two"))
     sides = F.explode(F.array_distinct(F.array("one", "two"))).alias("block")
     meeting = placed.select("family", "fp", "label", "block").join(pairs.select("family", "one", "two", sides), ["family", "block"]).join(sets.select("fp", "tokens"), "fp")
-    return meeting.groupBy("family", "one", "two").applyInArrow(lambda t: _compared(t.select(["family", "fp", "label", "tokens"]), least), "a long, b long")
+    return meeting.groupBy("family", "one", "two").applyInArrow(lambda t: _compared(t.select(["family", "fp", "label", "tokens"]), least), "a long, b long"), [known, placed]
 
 
-def join(documents: DataFrame, least: int = LEAST, n: int = SHINGLE) -> DataFrame:
-    """doc_id, n_shingles and component_id of each row, linked where 100 * intersection >= least * union.
-
-    component_id is the least doc_id of rows whose sets are connected by links.  Null, empty and blank texts have an empty
-    set and link with nothing; such a row's component is its own doc_id.  A row with a null doc_id links like any other,
-    but lends no name: its component is null if no row in it has an id.  Repeated rows share a component; rows that repeat
-    a doc_id with another text each have the component of their text.  Other columns are ignored.
-    """
+def _grouped(documents: DataFrame, least: int, n: int) -> tuple[DataFrame, DataFrame]:
+    """doc_id, n and fp of each row; and of each set fp, its least doc_id (low), th of that row's text, and component."""
     spark = documents.sparkSession
     common.bound_batches(spark)
     buckets = _buckets(documents)
@@ -439,6 +435,7 @@ def join(documents: DataFrame, least: int = LEAST, n: int = SHINGLE) -> DataFram
     bins = max(common.partitions(spark), -(-(counted.small or 0) // BLOCK_TOKENS))
     small = placed.where("n_blocks = 1").select("family", "fp", "th", "low", F.pmod(F.xxhash64("family"), F.lit(bins)).alias("bin"))
     links = _with_sets(docs, small, n).groupBy("bin").applyInArrow(lambda t: _compared(t.select(["family", "fp", "tokens"]), least), "a long, b long")
+    used = [members, placed]
     if counted.large:
         leaders = F.greatest(F.lit(1), F.least(F.lit(LEADERS), F.floor(BLOCK_TOKENS / 4 * F.col("size") / F.col("total")))).cast("int")
         large = placed.where("n_blocks > 1").select("family", "fp", "th", "low", "n", "n_blocks", (F.pmod(F.xxhash64("fp", F.lit(7)), F.col("size")) < leaders).alias("leads"))
@@ -447,15 +444,47 @@ def join(documents: DataFrame, least: int = LEAST, n: int = SHINGLE) -> DataFram
         at = F.explode(F.when(F.col("leads"), F.sequence(F.lit(0), F.col("n_blocks") - 1)).otherwise(F.array(own))).alias("block")
         within = sets.select("family", "fp", "tokens", at).groupBy("family", "block").applyInArrow(lambda t: _compared(t.select(["family", "fp", "tokens"]), least), "a long, b long")
         within = common.cut(within, "within")
-        links = links.unionByName(within).unionByName(_crossed(sets, within, least))
-    found = components(common.cut(links, "links")).select(F.col("node").alias("fp"), "component")
-    named = classes.select("fp", "low").join(found, "fp", "left").withColumn("component", F.coalesce("component", "fp"))
+        across, more = _crossed(sets, within, least)
+        links = links.unionByName(within).unionByName(across)
+        used += [sets, within, *more]
+    links = common.cut(links, "links")
+    found = components(links).select(F.col("node").alias("fp"), "component")
+    common.drop(*used, links)
+    return rows, classes.select("fp", "low", "th").join(found, "fp", "left").withColumn("component", F.coalesce("component", "fp"))
+
+
+def join(documents: DataFrame, least: int = LEAST, n: int = SHINGLE) -> DataFrame:
+    """doc_id, n_shingles and component_id of each row, linked where 100 * intersection >= least * union.
+
+    component_id is the least doc_id of rows whose sets are connected by links.  Null, empty and blank texts have an empty
+    set and link with nothing; such a row's component is its own doc_id.  A row with a null doc_id links like any other,
+    but lends no name: its component is null if no row in it has an id.  Repeated rows share a component; rows that repeat
+    a doc_id with another text each have the component of their text.  Other columns are ignored.
+    """
+    rows, named = _grouped(documents, least, n)
     names = named.groupBy("component").agg(F.min("low").alias("name"))
     named = named.join(names, "component").select("fp", "name")
     out = rows.select("doc_id", "n", "fp").join(named, "fp", "left")
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("name")).otherwise(F.col("doc_id")).alias("component_id"))
 
 
+def keep_one(documents: DataFrame, least: int = LEAST, n: int = SHINGLE) -> DataFrame:
+    """The input with one row of each component: the least doc_id, null last, then the least hash of its text.
+
+    Of rows that repeat both doc_id and text the least in their other columns stays.  Rows whose set is empty (null, empty
+    and blank texts) link with nothing, and all of them stay.  A column named th is replaced.
+    """
+    _, named = _grouped(documents, least, n)
+    first = F.min(F.struct(F.col("low").isNull().alias("nameless"), "low", "th")).alias("first")
+    chosen = named.groupBy("component").agg(first).select(F.col("first.low").alias("its_id"), F.col("first.th").alias("its_th"))
+    columns = documents.columns
+    blank = ~F.coalesce(F.col("text").rlike("[^\\x20\\x09-\\x0D]"), F.lit(False))
+    docs = documents.withColumn("th", F.xxhash64("text"))
+    kept = docs.where(~blank).join(chosen, F.col("doc_id").cast("long").eqNullSafe(F.col("its_id")) & (F.col("th") == F.col("its_th")), "left_semi")
+    row = F.min(F.struct("text", *(F.col(c) for c in columns if c not in ("doc_id", "text")))).alias("row")
+    return kept.groupBy("doc_id", "th").agg(row).select("doc_id", "row.*").select(columns).unionByName(docs.where(blank).select(columns))
+
+
 def op6_shingle_join(spark, sf_dir: str) -> DataFrame:
     return join(common.read(spark, sf_dir, "documents"))
 

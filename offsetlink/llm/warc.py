@@ -275,3 +275,14 @@ def op10_warc(spark, sf_dir: str) -> DataFrame:
     root = common.new_folder(spark, "warc")
     top = archive_pages(spark, pages, root)
     return lookup(pages, root, top).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
+# Base 32 of the digest, four characters for each five hex digits; its letters are the fixed values of the format.
+ORACLE_OP10 = """
+WITH p AS (SELECT page_id, coalesce(html, '') AS h FROM pages),
+d AS (SELECT page_id, strlen(h) AS n, sha1(h) AS x, min(page_id) OVER (PARTITION BY h) AS first FROM p),
+v AS (SELECT *, list_transform(range(0, 8), lambda i: CAST('0x' || substr(x, i * 5 + 1, 5) AS BIGINT)) AS parts FROM d)
+SELECT page_id, CAST(n AS BIGINT) AS payload_bytes,
+  array_to_string(list_transform(parts, lambda v: array_to_string(list_transform([15, 10, 5, 0], lambda k: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', ((v >> k) & 31) + 1, 1)), '')), '') AS payload_digest,
+  CASE WHEN page_id = first THEN 'response' ELSE 'revisit' END AS record_type, CASE WHEN page_id <> first THEN first END AS refers_to
+FROM v"""

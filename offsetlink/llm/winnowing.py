@@ -94,8 +94,8 @@ def _grams(n: int) -> Column:
     return F.transform(gram_hashes(F.col("words"), abs(n)), lambda h, p: F.struct(F.lit(n).alias("n"), p.alias("p"), h.alias("print")))
 
 
-def _candidates(rows: DataFrame, prints: DataFrame, span: int, k: int, inline: int) -> tuple[DataFrame, DataFrame]:
-    """All rows (row_id, doc_id, n_words), and those that share a print: row_id, words, near (of k-grams), whole (n, p)."""
+def _candidates(rows: DataFrame, ids: list[str], prints: DataFrame, span: int, k: int, inline: int) -> tuple[DataFrame, DataFrame]:
+    """All rows (row_id, ids, n_words), and those that share a print: row_id, words, near (of k-grams), whole (n, p)."""
     lengths = sorted(-r.n for r in prints.where("n < 0").select("n").distinct().collect())  # fewer than span
     rows = rows.withColumn("hashes", gram_hashes(F.col("words"), k))
     kinds = [(k, winnow(F.col("hashes"), span - k + 1)), *((-n, F.array_distinct(gram_hashes(F.col("words"), n))) for n in lengths)]
@@ -104,25 +104,25 @@ def _candidates(rows: DataFrame, prints: DataFrame, span: int, k: int, inline: i
         wanted = {n: [r.print for r in some if r.n == n] for n, _ in kinds}
         hit = reduce(Column.__or__, (_any(hashes, wanted[n]) for n, hashes in kinds))
         # Written once, so all that follows sees the same row ids; words only of rows that share a print.
-        all_rows = common.cut(rows.select(F.monotonically_increasing_id().alias("row_id"), "doc_id", F.size("words").alias("n_words"), F.when(hit, F.col("words")).alias("words")), "winnowed")
+        all_rows = common.cut(rows.select(F.monotonically_increasing_id().alias("row_id"), *ids, F.size("words").alias("n_words"), F.when(hit, F.col("words")).alias("words")), "winnowed")
         whole = F.concat(_empty("struct<n:int,p:int>"), *(_with(n, _places(n, wanted[-n])) for n in lengths))
         return all_rows.drop("words"), all_rows.where("words is not null").select("row_id", "words", _places(k, wanted[k]).alias("near"), whole.alias("whole"))
     # Too many to be constants: join, then bring the words of matching documents only.
     marks = F.array_distinct(F.concat(*(_prints(n, hashes) for n, hashes in kinds)))
-    all_rows = common.cut(rows.select(F.monotonically_increasing_id().alias("row_id"), "doc_id", F.size("words").alias("n_words"), "words", marks.alias("marks")), "winnowed")
+    all_rows = common.cut(rows.select(F.monotonically_increasing_id().alias("row_id"), *ids, F.size("words").alias("n_words"), "words", marks.alias("marks")), "winnowed")
     sharing = all_rows.select("row_id", F.explode("marks").alias("mark")).select("row_id", "mark.*").join(prints, ["n", "print"], "left_semi").select("row_id").distinct()
     matched = common.cut(all_rows.select("row_id", "words").join(sharing, "row_id", "left_semi"), "matched")
     spots = matched.select("row_id", F.explode(F.concat(*(_grams(n) for n, _ in kinds))).alias("gram")).select("row_id", "gram.*").join(prints, ["n", "print"], "left_semi")
     whole = F.struct((-F.col("n")).alias("n"), "p")
     spots = spots.groupBy("row_id").agg(F.collect_list(F.when(F.col("n") > 0, F.col("p"))).alias("near"), F.collect_list(F.when(F.col("n") < 0, whole)).alias("whole"))
-    return all_rows.select("row_id", "doc_id", "n_words"), matched.join(spots, "row_id")
+    return all_rows.select("row_id", *ids, "n_words"), matched.join(spots, "row_id")
 
 
-def _found(documents: DataFrame, benchmark: DataFrame, span: int, k: int, inline: int) -> DataFrame:
-    """row_id, doc_id, n_words, n_hit and items of each row of documents."""
+def _found(documents: DataFrame, ids: list[str], benchmark: DataFrame, span: int, k: int, inline: int) -> DataFrame:
+    """ids, n_words, n_hit and items of each row of documents."""
     prints, windows = common.cut(benchmark_prints(benchmark, span, k), "prints"), common.cut(benchmark_windows(benchmark, span), "windows")
-    rows = documents.select("doc_id", word_list(F.col("text")).alias("words"))
-    all_rows, matched = _candidates(rows, prints, span, k, inline)
+    rows = documents.select(*ids, word_list(F.col("text")).alias("words"))
+    all_rows, matched = _candidates(rows, ids, prints, span, k, inline)
     # Spans of span words that hold a matching k-gram: they start up to span - k words before it.
     starts = F.array_distinct(F.flatten(F.transform("near", lambda p: _span(F.greatest(p - (span - k), F.lit(0)), F.least(p, F.size("words") - span)))))
     spots = F.concat(F.transform(starts, lambda p: F.struct(F.lit(span).alias("n"), p.alias("p"))), F.col("whole"))
@@ -136,7 +136,7 @@ def _found(documents: DataFrame, benchmark: DataFrame, span: int, k: int, inline
     covered = hits.groupBy("row_id").agg(ordered.alias("spots")).select("row_id", merged["n"].alias("n_hit"))
     named = hits.select("row_id", "window").distinct().join(windows, "window").select("row_id", F.col("item_id").cast("string").alias("item")).where("item is not null")
     items = named.groupBy("row_id").agg(F.array_sort(F.collect_set("item")).alias("items"))
-    return all_rows.join(covered, "row_id", "left").join(items, "row_id", "left").select("doc_id", F.col("n_words").cast("long").alias("n_words"), F.coalesce("n_hit", F.lit(0)).cast("long").alias("n_hit"), F.coalesce("items", _empty("string")).alias("items"))
+    return all_rows.join(covered, "row_id", "left").join(items, "row_id", "left").select(*ids, F.col("n_words").cast("long").alias("n_words"), F.coalesce("n_hit", F.lit(0)).cast("long").alias("n_hit"), F.coalesce("items", _empty("string")).alias("items"))
 
 
 def contamination(documents: DataFrame, benchmark: DataFrame, span: int = SPAN_WORDS, k: int = GRAM, inline: int = INLINE_PRINTS, share: int = 20) -> DataFrame:
@@ -147,10 +147,25 @@ def contamination(documents: DataFrame, benchmark: DataFrame, span: int = SPAN_W
     or empty text are no items; an item with a null id hits words and is counted nowhere.  Repeated rows are judged
     each.  Other columns are ignored.
     """
-    judged = _found(documents, benchmark, span, k, inline)
+    return _judged(documents, ["doc_id"], benchmark, span, k, inline, share)
+
+
+def _judged(documents: DataFrame, ids: list[str], benchmark: DataFrame, span: int, k: int, inline: int, share: int) -> DataFrame:
+    judged = _found(documents, ids, benchmark, span, k, inline)
     return judged.withColumn("contaminated", (F.col("n_hit") > 0) & (share * F.col("n_hit") >= F.col("n_words")))
 
 
+def clean(documents: DataFrame, benchmark: DataFrame, span: int = SPAN_WORDS, k: int = GRAM, inline: int = INLINE_PRINTS, share: int = 20) -> DataFrame:
+    """The input without contaminated rows.
+
+    A row goes by its own text, whatever its doc_id: of rows that repeat an id, or have none, the others stay.  Rows with
+    null or empty text stay.  A column named th is replaced.
+    """
+    rows = documents.withColumn("th", F.xxhash64("text"))
+    marked = _judged(rows, ["th"], benchmark, span, k, inline, share).where("contaminated").select(F.col("th").alias("its_th")).distinct()
+    return rows.join(marked, F.col("th") == F.col("its_th"), "left_anti").select(documents.columns)
+
+
 def op9_winnowing(spark, sf_dir: str) -> DataFrame:
     judged = contamination(common.read(spark, sf_dir, "documents"), common.read(spark, sf_dir, "benchmark"))
     return judged.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), "contaminated")
