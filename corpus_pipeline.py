@@ -18,11 +18,6 @@ def _columns(docs: DataFrame) -> DataFrame:
     return docs.select(*(c for c in COLUMNS if c in docs.columns))
 
 
-def _by_id(found: DataFrame, *columns) -> DataFrame:
-    """One row for each id, under a name of its own."""
-    return found.select(F.col("doc_id").alias("found_id"), *columns)
-
-
 def identify_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drop documents without a language: null text, no letter.  lang becomes the predicted one; learned from docs."""
     trees = language_id.fit(language_id.training_rows(docs))
@@ -30,18 +25,13 @@ def identify_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 
 def join_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keep the smallest doc_id of each component; of rows that repeat it, one of those with the least text."""
-    found = shingle_join.join(docs).where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("found_id")).distinct()
-    kept = _columns(docs).join(found, F.col("doc_id") == F.col("found_id"), "left_semi")
-    row = F.struct("text", *(F.col(c) for c in kept.columns if c not in ("doc_id", "text")))
-    return kept.groupBy("doc_id").agg(F.min(row).alias("row")).select("doc_id", "row.*").select(*kept.columns)
+    """Keep one row of each group of near copies, the one with the least doc_id; ids may repeat or be null."""
+    return shingle_join.keep_one(_columns(docs))
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drop documents that the contamination rule marks; doc_id is unique by now."""
-    judged = winnowing.contamination(docs, common.read(spark, sf_dir, "benchmark"))
-    marked = judged.where("contaminated").select(F.col("doc_id").alias("found_id"))
-    return _columns(docs).join(marked, F.col("doc_id") == F.col("found_id"), "left_anti")
+    """Drop documents whose text the contamination rule marks; other rows with their doc_id, or without one, stay."""
+    return winnowing.clean(_columns(docs), common.read(spark, sf_dir, "benchmark"))
 
 
 def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -50,9 +40,9 @@ def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Piece ids of every text under merge-dropout, checked by decoding."""
+    """Piece ids of every text under merge-dropout, checked by decoding; a row for each row, nulls where the text is null."""
     done = merge_dropout.round_trip(docs)
-    return done.select("doc_id", "piece_ids", F.size("piece_ids").cast("long").alias("n_pieces"), F.sha2("text", 256).alias("text_sha256"), (F.col("text") == F.col("decoded")).alias("lossless"))
+    return done.select("doc_id", "piece_ids", F.when(F.col("piece_ids").isNotNull(), F.size("piece_ids")).cast("long").alias("n_pieces"), F.sha2("text", 256).alias("text_sha256"), F.col("text").eqNullSafe(F.col("decoded")).alias("lossless"))
 
 
 STAGES = [
@@ -68,6 +58,9 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = common.read(spark, sf_dir, "documents")
+    before = []
     for name, stage in STAGES:
         docs = common.cut(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        common.drop(*before)
+        before = [docs]
     return docs
