@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-import math
-
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from offsetlink.plans import relational
+
 # Two-sided 95 % points of Student's t for 1 to 30 degrees of freedom; beyond, the normal one.
 T95 = [12.706, 4.303, 3.182, 2.776, 2.571, 2.447, 2.365, 2.306, 2.262, 2.228, 2.201, 2.179, 2.160, 2.145, 2.131, 2.120, 2.110, 2.101, 2.093, 2.086, 2.080, 2.074, 2.069, 2.064, 2.060, 2.056, 2.052, 2.048, 2.045, 2.042]
 
@@ -44,9 +44,28 @@ def pr_curve(scored: DataFrame, by: list[str] | None = None, bins: int | None =
     tau = F.col("score") if bins is None else low + F.greatest(F.lit(0), F.least(F.lit(bins - 1), F.floor((F.col("score") - low) / ((high - low) / bins)))) * ((high - low) / bins)
     true = (F.col("y") > 0).cast("long")
     counts = scored.where(F.col("score").isNotNull()).groupBy(*keys, tau.alias("tau")).agg(F.sum(true).alias("pos"), F.sum(1 - true).alias("neg"))
-    down = Window.partitionBy(*(keys or [F.lit(0)])).orderBy(F.desc("tau")).rowsBetween(Window.unboundedPreceding, 0)
-    every = Window.partitionBy(*(keys or [F.lit(0)]))
-    c = counts.select(*keys, "tau", F.sum("pos").over(down).alias("tp"), F.sum("neg").over(down).alias("fp"), F.sum("pos").over(every).alias("all_pos"))
+    if bins is None:
+        # Thresholds are as many as scores: running sums go by ranges of thresholds, and ranges by their totals.
+        counts = counts.withColumn("range_", relational.range_bins(counts, "tau"))
+        totals = counts.groupBy(*keys, "range_").agg(F.sum("pos").alias("pos_"), F.sum("neg").alias("neg_"))
+        above = Window.partitionBy(*(keys or [F.lit(0)])).orderBy(F.desc("range_")).rowsBetween(Window.unboundedPreceding, -1)
+        starts = totals.select(*(F.col(k).alias(f"{k}_") for k in keys), F.col("range_").alias("its_"), *(F.coalesce(F.sum(f"{c}_").over(above), F.lit(0)).alias(f"{c}_above") for c in ("pos", "neg")))
+        inside = Window.partitionBy(*keys, "range_").orderBy(F.desc("tau")).rowsBetween(Window.unboundedPreceding, 0)
+        same = F.col("range_") == F.col("its_")
+        for k in keys:
+            same = same & F.col(k).eqNullSafe(F.col(f"{k}_"))
+        c = counts.withColumns({"tp": F.sum("pos").over(inside), "fp": F.sum("neg").over(inside)}).join(starts, same)
+        every = totals.groupBy(*keys).agg(F.sum("pos_").alias("all_pos"))
+        c = c.select(*keys, "tau", (F.col("tp") + F.col("pos_above")).alias("tp"), (F.col("fp") + F.col("neg_above")).alias("fp"))
+        named = every.select(*(F.col(k).alias(f"{k}_") for k in keys), "all_pos")
+        match = F.lit(True)
+        for k in keys:
+            match = match & F.col(k).eqNullSafe(F.col(f"{k}_"))
+        c = c.join(named, match) if keys else c.crossJoin(F.broadcast(named))
+    else:
+        down = Window.partitionBy(*(keys or [F.lit(0)])).orderBy(F.desc("tau")).rowsBetween(Window.unboundedPreceding, 0)
+        whole = Window.partitionBy(*(keys or [F.lit(0)]))
+        c = counts.select(*keys, "tau", F.sum("pos").over(down).alias("tp"), F.sum("neg").over(down).alias("fp"), F.sum("pos").over(whole).alias("all_pos"))
     return c.select(*keys, "tau", "tp", "fp", (F.col("all_pos") - F.col("tp")).alias("fn"), (F.col("tp") / (F.col("tp") + F.col("fp"))).alias("precision"), F.try_divide("tp", "all_pos").alias("recall"))
 
 
@@ -109,6 +128,3 @@ def blocking_quality(candidates: DataFrame, truth: DataFrame, all_pairs: int, ke
     t = kept.agg(F.count("*").alias("true_pairs"), F.count("kept").alias("kept_pairs"))
     return t.crossJoin(n).select("true_pairs", "kept_pairs", "candidates", F.try_divide("kept_pairs", "true_pairs").alias("completeness"), (1 - F.col("candidates") / F.lit(float(max(all_pairs, 1)))).alias("reduction"))
 
-
-def half_width(sd: float, trials: int) -> float:
-    return (T95[min(trials - 1, 30) - 1] if trials <= 31 else 1.96) * sd / math.sqrt(trials)

@@ -107,7 +107,7 @@ class SourceOffsetLearner:
         return self.model(block, self.solution(block, start=start))
 
     def model(self, block: Block, s: Solution) -> OffsetModel:
-        out = OffsetModel(self.name, s.w0, {int(k): w for k, w in zip(s.sources, s.w, strict=True) if np.any(w)}, share=1.0 if self.master is not None else 0.5, info={"steps": s.steps, "objective": s.objective})
+        out = OffsetModel(self.name, s.w0, {int(k): w for k, w in zip(s.sources, s.w, strict=True) if np.any(w)}, share=1.0 if self.master is not None else 0.5, info={"steps": s.steps, "objective": s.objective, "converged": s.converged})
         if self.pair_ridge is not None:
             none = np.zeros_like(s.w0)
             for p, (i, j) in enumerate(zip(block.s1.tolist(), block.s2.tolist(), strict=True)):
@@ -163,6 +163,11 @@ class PairwiseLearner:
         return out
 
 
+def with_fallback(model: OffsetModel, other: OffsetModel) -> OffsetModel:
+    """The model's weights for its own pairs, and the other's for pairs that it can't score."""
+    return OffsetModel(f"{model.method}_or_{other.method}", other.w0, other.offsets, other.pairs | model.pairs, other.share, other.pairs_only)
+
+
 def fit_pairwise_distributed(moments: DataFrame, d: int, scale: float = 1.0, ridge: float = 0.0) -> DataFrame:
     """Pairwise weights without the driver: batched small solves where the moments are."""
     upper = np.triu_indices(d + 1)

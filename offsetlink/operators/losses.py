@@ -1,7 +1,8 @@
 """Other losses with the same offsets, and the squared loss for more source pairs than a driver holds.
 
-Gradients are summed within tasks in numpy and added up by one aggregation; the weights travel with the function.  An
-iteration costs one pass: over the labels for logistic and hinge losses, over the moments for the squared one.
+A step for another loss takes one pass over the labels, which sums the loss's local quadratic model by source pair: these
+are moments with curvatures as weights, so the solver for moments takes the step.  Few such steps converge.  For the
+squared loss on the cluster, an iteration is one pass over moments; only weights meet on the driver.
 """
 
 from __future__ import annotations
@@ -12,11 +13,12 @@ from dataclasses import dataclass
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from offsetlink.operators import moments, scoring, solver
 from offsetlink.operators.learners import OffsetModel
-from offsetlink.operators.solver import PENALTIES
+from offsetlink.operators.solver import PENALTIES, VALUES
 
 
 def _squared(m, y):
@@ -33,10 +35,20 @@ def _squared_hinge(m, y):
     return slack**2 / 2, -y * slack
 
 
+#: Source pairs for each task of an iteration on the cluster.
+PAIRS_A_TASK = 2000
 #: Value and derivative by margin, and a bound of the second derivative.
 LOSSES: dict[str, tuple[Callable, float]] = {"squared": (_squared, 1.0), "logistic": (_logistic, 0.25), "squared_hinge": (_squared_hinge, 1.0)}
 
 
+#: Second derivative by margin.
+CURVES: dict[str, Callable] = {
+    "squared": lambda m, y: np.ones_like(m),
+    "logistic": lambda m, y: 1 / (2 + np.exp(y * m) + np.exp(-y * m)),
+    "squared_hinge": lambda m, y: (y * m < 1).astype(float),
+}
+
+
 def gradient(pairs: DataFrame, features: list[str], w0: np.ndarray, w: np.ndarray, sources: list[int], loss: str = "logistic", scale: float = 1.0) -> tuple[float, np.ndarray, np.ndarray]:
     """Loss and gradients of the shared vector and the offsets, over all rows, in one pass."""
     at, d = {s: i for i, s in enumerate(sources)}, len(features) + 1
@@ -64,46 +76,101 @@ def gradient(pairs: DataFrame, features: list[str], w0: np.ndarray, w: np.ndarra
     return float(out[0]), g[0], g[1:]
 
 
+def local_terms(loss: str, m: Column, y: Column) -> tuple[Column, Column, Column]:
+    """Value, derivative and second derivative of a loss at margin m of a label y."""
+    if loss == "squared":
+        return (m - y) ** 2 / 2, m - y, F.lit(1.0)
+    if loss == "logistic":
+        p = 1 / (1 + F.exp(y * m))
+        return F.greatest(-y * m, F.lit(0.0)) + F.log1p(F.exp(-F.abs(y * m))), -y * p, p * (1 - p)
+    if loss == "squared_hinge":
+        slack = F.greatest(1 - y * m, F.lit(0.0))
+        return slack**2 / 2, -y * slack, (slack > 0).cast("double")
+    raise ValueError(f"no loss {loss}")
+
+
+def local_moments(pairs: DataFrame, features: list[str], model: OffsetModel, loss: str, scale: float = 1.0) -> moments.Block:
+    """The loss's quadratic model at a model's weights, by source pair: curvatures as gram, slopes as cross, values as yy."""
+    scored = scoring.score(moments.canonical(pairs), [({"model": 0}, model)], features, scale)
+    value, slope, curve = local_terms(loss, F.col("score"), F.col("y").cast("double"))
+    xs = [F.lit(1.0), *(F.col(f) / scale for f in features)]
+    d = len(features)
+    gram = [F.sum(curve * xs[a] * xs[b]).alias(f"g{a}_{b}") for a in range(d + 1) for b in range(a, d + 1)]
+    cross = [F.sum(slope * xs[a]).alias(f"c{a}") for a in range(d + 1)]
+    return moments.to_driver(scored.groupBy("s1", "s2").agg(F.count("*").alias("n"), *gram, *cross, F.sum(value).alias("yy")), d)[()]
+
+
 @dataclass
 class LossLearner:
-    """Source offsets under a loss of choice, fitted over the rows; rows should be cached."""
+    """Source offsets under a loss of choice, by steps that solve the loss's quadratic model; rows should be cached.
+
+    A step is halved until the objective falls.  Ends when the optimality conditions hold to tol, relative to the number
+    of labels, and raises where that isn't reached, as on separable labels under a logistic loss without penalty.
+    """
 
     lam: float
     loss: str = "logistic"
     penalty: str = "l1"
-    max_iter: int = 40
-    tol: float = 1e-6
+    max_iter: int = 60
+    tol: float = 1e-7
     pooled: bool = False  # one weight vector for all pairs of sources
 
     def fit(self, pairs: DataFrame, features: list[str], scale: float = 1.0) -> OffsetModel:
-        sources = sorted({r[0] for r in pairs.select("s1").union(pairs.select("s2")).distinct().collect()})
-        square = pairs.select(F.count("*").alias("n"), *(F.sum((F.col(f) / scale) ** 2).alias(f) for f in features)).first()
-        rate = 1 / (LOSSES[self.loss][1] * 1.5 * (square.n + sum(square[f] or 0 for f in features)))
-        w0, w = np.zeros(len(features) + 1), np.zeros((len(sources), len(features) + 1))
-        v0, v, t, value = w0, w, 1.0, None
-        for _ in range(self.max_iter):
-            value, g0, g = gradient(pairs, features, v0, v, sources, self.loss, scale)
-            n0, n = v0 - rate * g0, v if self.pooled else PENALTIES[self.penalty](v - rate * g, rate * self.lam)
-            t2 = (1 + np.sqrt(1 + 4 * t * t)) / 2
-            v0, v, t = n0 + (t - 1) / t2 * (n0 - w0), n + (t - 1) / t2 * (n - w), t2
-            moved = np.abs(n0 - w0).max()
-            w0, w = n0, n
-            if moved < self.tol:
-                break
-        return OffsetModel(f"{'pooled' if self.pooled else 'offset'}_{self.loss}", w0, {s: w[i] for i, s in enumerate(sources) if np.any(w[i])}, info={"loss": value})
-
-
-def fit_pairwise_loss(pairs: DataFrame, features: list[str], loss: str = "logistic", scale: float = 1.0, ridge: float = 1e-3, rounds: int = 400) -> OffsetModel:
+        d = len(features) + 1
+        name = f"{'pooled' if self.pooled else 'offset'}_{self.loss}"
+        lam = 0.0 if self.pooled else self.lam
+        at = OffsetModel(name, np.zeros(d))
+        block = local_moments(pairs, features, at, self.loss, scale)
+        sources = block.sources
+        w0, w = np.zeros(d), np.zeros((len(sources), d))
+        cost = block.yy.sum()
+        for steps in range(self.max_iter):
+            problem = solver.Problem.of(block)
+            u = problem.pair_weights(w0, w)
+            model = moments.Block(block.s1, block.s2, block.n, block.gram, np.einsum("pab,pb->pa", block.gram, u) - block.cross, np.zeros(len(block.n)))
+            local = solver.Problem.of(model)
+            if optimality(local, w0, w, lam, self.penalty, self.pooled) <= self.tol * block.n.sum():
+                return OffsetModel(name, w0, {int(s): w[i] for i, s in enumerate(sources) if np.any(w[i])}, info={"loss": float(block.yy.sum()), "objective": float(cost), "steps": steps})
+            start = solver.Solution(w0, w, sources, 0, 0.0)
+            to = solver.solve(local, lam, self.penalty, max_iter=20000, tol=1e-11, start=start, freeze_offsets=self.pooled)
+            share, before = 1.0, cost
+            while True:
+                n0, n = w0 + share * (to.w0 - w0), w + share * (to.w - w)
+                tried = local_moments(pairs, features, OffsetModel(name, n0, {int(s): n[i] for i, s in enumerate(sources)}), self.loss, scale)
+                cost = tried.yy.sum() + lam * VALUES[self.penalty](n)
+                if cost <= before + 1e-12 * abs(before) or share < 1e-8:
+                    break
+                share /= 2
+            w0, w, block = n0, n, tried
+        raise RuntimeError(f"{name} has not converged in {self.max_iter} steps")
+
+
+def optimality(problem: solver.Problem, w0: np.ndarray, w: np.ndarray, lam: float, penalty: str = "l1", pooled: bool = False) -> float:
+    """How far a step of unit length moves: 0 at an optimum of the loss and its penalty."""
+    g0, g = problem.gradient(w0, w)
+    moved = 0.0 if pooled else float(np.abs(w - PENALTIES[penalty](w - g, lam)).max(initial=0))
+    return max(float(np.abs(g0).max(initial=0)), moved)
+
+
+def fit_pairwise_loss(pairs: DataFrame, features: list[str], loss: str = "logistic", scale: float = 1.0, ridge: float = 1e-3, rounds: int = 200) -> OffsetModel:
     """An unrelated weight vector per source pair under a loss, one task for each pair's labels."""
     bound = LOSSES[loss][1]
 
     def fit(key, frame: pd.DataFrame) -> pd.DataFrame:
         x = np.column_stack([np.ones(len(frame)), frame[features].to_numpy(float) / scale])
         y, w = frame["y"].to_numpy(float), np.zeros(len(features) + 1)
-        rate = 1 / (bound * np.linalg.eigvalsh(x.T @ x)[-1] + ridge)
+        curve = CURVES[loss]
+        cost = lambda w: LOSSES[loss][0](x @ w, y)[0].sum() + ridge / 2 * (w @ w)
         for _ in range(rounds):
-            w = w - rate * (x.T @ LOSSES[loss][0](x @ w, y)[1] + ridge * w)
-        return pd.DataFrame({"s1": [key[0]], "s2": [key[1]], "w": [w.tolist()]})
+            m = x @ w
+            g = x.T @ LOSSES[loss][0](m, y)[1] + ridge * w
+            if np.abs(g).max() <= 1e-9 * len(y):
+                return pd.DataFrame({"s1": [key[0]], "s2": [key[1]], "w": [w.tolist()]})
+            step, share = np.linalg.solve((x * curve(m, y)[:, None]).T @ x + ridge * np.eye(len(w)), g), 1.0
+            while cost(w - share * step) > cost(w) and share > 1e-10:
+                share /= 2
+            w = w - share * step
+        raise RuntimeError(f"pair {key} has not converged")
 
     rows = pairs.select("s1", "s2", "y", *features).groupBy("s1", "s2").applyInPandas(fit, "s1 int, s2 int, w array<double>").collect()
     return OffsetModel(f"pairwise_{loss}", np.zeros(len(features) + 1), pairs={(r.s1, r.s2): np.array(r.w) for r in rows}, pairs_only=True)
@@ -132,21 +199,86 @@ def gradient_from_moments(moments: DataFrame, d: int, w0: np.ndarray, w: dict[in
     return sum(each.values()), each  # every pair's residual counts half for each of its two sources
 
 
-def solve_on_cluster(moments: DataFrame, d: int, lam: float, scale: float = 1.0, max_iter: int = 30, penalty: str = "l1") -> OffsetModel:
-    """Proximal gradient where each iteration is one job over cached moments; only weights meet on the driver."""
-    doubles = moments.select("s1", "s2", *(F.col(c).cast("double").alias(c) for c in moments.columns if c[0] in "gc" and c[1].isdigit())).cache()
-    trace = doubles.agg(F.sum(sum(F.col(f"g{a}_{a}") / (scale**2 if a else 1) for a in range(d + 1)))).first()[0]
-    rate, w0, w = 1 / (1.5 * float(trace)), np.zeros(d + 1), {}
-    v0, v, t = w0, w, 1.0
+def _standardised(moments_: DataFrame, d: int, scale: float) -> np.ndarray:
+    """T of features of mean 0 and variance 1, from the sums of all source pairs."""
+    total = moments_.agg(*(F.sum(F.col(c).cast("double")).alias(c) for c in (*(f"g0_{a}" for a in range(d + 1)), *(f"g{a}_{a}" for a in range(1, d + 1))))).first()
+    unit = np.concatenate([[1.0], np.full(d, 1 / scale)])
+    first = np.array([total[f"g0_{a}"] for a in range(d + 1)]) * unit
+    square = np.array([total[f"g{a}_{a}"] for a in range(d + 1)]) * unit**2
+    gram = np.zeros((1, d + 1, d + 1))
+    gram[0, 0], gram[0, :, 0] = first, first
+    gram[0][np.diag_indices(d + 1)] = square
+    none = np.zeros((1, d + 1))
+    return moments.scaler(moments.Block(np.zeros(1), np.ones(1), first[:1], gram, none, none[0]))
+
+
+def solve_on_cluster(moments_: DataFrame, d: int, lam: float, scale: float = 1.0, max_iter: int = 3000, penalty: str = "l1", tol: float = 1e-6, standardise: bool = True) -> OffsetModel:
+    """Proximal gradient where each iteration is one job over cached moments; only weights meet on the driver.
+
+    The penalty is on offsets of standardised features, unless standardise is False.  Steps are as long as each source's
+    own moments allow; momentum is dropped where it overshoots.  Ends when the optimality conditions hold to tol, relative
+    to the number of labels, and raises where that isn't reached.
+    """
+    t = _standardised(moments_, d, scale) if standardise else np.eye(d + 1)
+    doubles = moments_.select("s1", "s2", *(F.col(c).cast("double").alias(c) for c in moments_.columns if c[0] in "gc" and c[1].isdigit()))
+    # Few source pairs in many partitions would make each iteration many tiny tasks.
+    n = moments_.count()
+    doubles = doubles.coalesce(-(-n // PAIRS_A_TASK) or 1).cache()
+    try:
+        w0, w = _cluster_steps(doubles, d, lam, scale, max_iter, penalty, tol, t)
+    finally:
+        doubles.unpersist()
+    return OffsetModel("offset", w0, {s: x for s, x in w.items() if np.any(x)}).untransformed(t)
+
+
+def _cluster_steps(doubles: DataFrame, d: int, lam: float, scale: float, max_iter: int, penalty: str, tol: float, t: np.ndarray):
+    none = np.zeros(d + 1)
+
+    def gradients(v0, v):
+        # Weights of standardised features act on the others through T; gradients come back through it.
+        g0, g = gradient_from_moments(doubles, d, t.T @ v0, {s: t.T @ x for s, x in v.items()}, scale)
+        return t @ g0, {s: t @ x for s, x in g.items()}
+
+    sides = doubles.select("s1", F.explode(F.array("s1", "s2")).alias("source"), *(c for c in doubles.columns if c[0] == "g"))
+    upper = list(zip(*np.triu_indices(d + 1), strict=True))
+    unit = np.concatenate([[1.0], np.full(d, 1 / scale)])
+    own = {}
+    for r in sides.groupBy("source").agg(*(F.sum(f"g{a}_{b}").alias(f"g{a}_{b}") for a, b in upper)).collect():
+        gram = np.zeros((d + 1, d + 1))
+        for a, b in upper:
+            gram[a, b] = gram[b, a] = r[f"g{a}_{b}"] * unit[a] * unit[b]
+        own[r.source] = t @ gram @ t.T
+    # (a + b / 2 + c / 2)^2 is at most 3 a^2 + 3/4 b^2 + 3/4 c^2, so these curvatures bound the whole from above.
+    n = sum(x[0, 0] for x in own.values()) / 2
+    rate0 = 1 / (3 * np.linalg.eigvalsh(sum(own.values()) / 2)[-1])
+    rate = {s: 1 / (0.75 * np.linalg.eigvalsh(x)[-1]) for s, x in own.items()}
+    prox = PENALTIES[penalty]
+    if penalty == "group":
+        least = min(rate.values())  # its map joins all sources, so they need one rate
+        rate = dict.fromkeys(rate, least)
+
+    def stepped(v, g):
+        if penalty != "group":
+            return {s: prox(v[s] - rate[s] * g[s], rate[s] * lam) for s in own}
+        together = prox(np.array([v[s] - rate[s] * g[s] for s in own]), next(iter(rate.values())) * lam)
+        return dict(zip(own, together, strict=True))
+
+    w0, w = none, dict.fromkeys(own, none)
+    v0, v, k = w0, w, 1.0
     for _ in range(max_iter):
-        g0, g = gradient_from_moments(doubles, d, v0, v, scale)
-        n0 = v0 - rate * g0
-        n = {s: PENALTIES[penalty](v.get(s, np.zeros(d + 1)) - rate * x, rate * lam) for s, x in g.items()}
-        t2 = (1 + np.sqrt(1 + 4 * t * t)) / 2
-        v0, v, t = n0 + (t - 1) / t2 * (n0 - w0), {s: x + (t - 1) / t2 * (x - w.get(s, np.zeros(d + 1))) for s, x in n.items()}, t2
-        w0, w = n0, n
-    doubles.unpersist()
-    return OffsetModel("offset", w0, {s: x for s, x in w.items() if np.any(x)})
+        g0, g = gradients(v0, v)
+        n0, new = v0 - rate0 * g0, stepped(v, g)
+        # How far the step went, in units of the gradient: 0 at an optimum.
+        left = max(np.abs(n0 - v0).max() / rate0, max(np.abs(new[s] - v[s]).max() / rate[s] for s in own))
+        if left <= tol * n:
+            return n0, new
+        # Momentum that points against the step has overshot.
+        ahead = (v0 - n0) @ (n0 - w0) / rate0 + sum((v[s] - new[s]) @ (new[s] - w[s]) / rate[s] for s in own)
+        k = 1.0 if ahead > 0 else k
+        k2 = (1 + np.sqrt(1 + 4 * k * k)) / 2
+        v0, v = n0 + (k - 1) / k2 * (n0 - w0), {s: new[s] + (k - 1) / k2 * (new[s] - w[s]) for s in own}
+        w0, w, k = n0, new, k2
+    raise RuntimeError(f"no optimum in {max_iter} steps")
 
 
 def random_features(pairs: DataFrame, features: list[str], dim: int, gamma: float, scale: float = 1.0, seed: int = 5) -> DataFrame:

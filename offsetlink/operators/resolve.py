@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+import atexit
+import shutil
+import tempfile
+
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from offsetlink.operators import blocking
@@ -12,13 +16,26 @@ def resolve(scored: DataFrame, tau: float = 0.0) -> DataFrame:
     return scored.where(F.col("score") >= tau)
 
 
+def shared_folder(spark: SparkSession) -> None:
+    """Checkpoints go to spark.checkpoint.dir; to a temporary folder only where that is unset and there is one machine."""
+    sc = spark.sparkContext
+    if sc._jsc.sc().getCheckpointDir().isDefined():
+        return
+    at = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir")
+    if not at:
+        if not sc.master.startswith("local") or sc.master.startswith("local-cluster"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
+        at = tempfile.mkdtemp(prefix="offsetlink-")
+        atexit.register(shutil.rmtree, at, ignore_errors=True)
+    sc.setCheckpointDir(at)
+
+
 def cluster(matches: DataFrame, rounds: int = 50) -> DataFrame:
-    """record and cluster (its least record), by labels that flow along matches and jump; cut by checkpoints."""
-    sc = matches.sparkSession.sparkContext
-    if not sc._jsc.sc().getCheckpointDir().isDefined():
-        import tempfile
+    """record and cluster (its least record), by labels that flow along matches and jump; cut by checkpoints.
 
-        sc.setCheckpointDir(matches.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="offsetlink-"))
+    Raises if labels still move after so many rounds.
+    """
+    shared_folder(matches.sparkSession)
     e = matches.select(F.col("d1").alias("a"), F.col("d2").alias("b"))
     e = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct().checkpoint()
     labels = e.groupBy(F.col("a").alias("record")).agg(F.min("b").alias("low")).select("record", F.least("record", "low").alias("cluster")).checkpoint()
@@ -30,9 +47,9 @@ def cluster(matches: DataFrame, rounds: int = 50) -> DataFrame:
         labels = pushed.join(further, "cluster").select("record", F.col("further").alias("cluster")).checkpoint()
         total = labels.agg(F.sum(F.col("cluster").cast("decimal(38,0)"))).first()[0]
         if total == before:
-            break
+            return labels
         before = total
-    return labels
+    raise RuntimeError(f"clusters still change after {rounds} rounds")
 
 
 def cluster_by_words(records: DataFrame, column: str, tau: float = 0.5, key: str = "doc_id", source: str = "source_id") -> DataFrame:

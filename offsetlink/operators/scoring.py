@@ -8,8 +8,8 @@ from pyspark.sql import functions as F
 from offsetlink.functions.vectors import dot
 from offsetlink.operators.learners import OffsetModel
 
-#: Weights of pairs are broadcast up to so many rows, and shuffled beyond.
-BROADCAST_PAIRS = 2_000_000
+#: Each of the tables of shared vectors, offsets and weights of pairs is broadcast up to so many numbers, and shuffled beyond.
+BROADCAST_NUMBERS = 10_000_000
 
 
 def models_frame(spark: SparkSession, models: list[tuple[dict, OffsetModel]], d: int) -> tuple[DataFrame, DataFrame, DataFrame]:
@@ -36,17 +36,20 @@ def score(pairs: DataFrame, models: list[tuple[dict, OffsetModel]], features: li
     """Each pair under each model, with a column score; null where a model has no weights for the pair.
 
     match names keys of the models that must equal columns of the pairs (such as trial).  Sources without an offset
-    count as nominal.  Nothing is shuffled: models are broadcast, as their size doesn't depend on the pairs.
+    count as nominal.  Models are broadcast, and nothing is shuffled, up to BROADCAST_NUMBERS; beyond, Spark joins them.
     """
     spark, d = pairs.sparkSession, len(features)
     keys = list(models[0][0])
     shared, offsets, own = models_frame(spark, models, d)
-    out = pairs.join(F.broadcast(shared), list(match)) if match else pairs.crossJoin(F.broadcast(shared))
+    small = lambda table, rows: F.broadcast(table) if rows * (d + 1) <= BROADCAST_NUMBERS else table
+    if not match and len(models) * (d + 1) > BROADCAST_NUMBERS:
+        raise ValueError("too many models to score every pair under each; name the columns that they match")
+    out = pairs.join(small(shared, len(models)), list(match)) if match else pairs.crossJoin(F.broadcast(shared))
+    n_offsets = sum(len(m.offsets) for _, m in models)
     for side in ("s1", "s2"):
         named = offsets.select(*keys, F.col("source").alias(side), *(F.col(f"o{a}").alias(f"{side}_{a}") for a in range(d + 1)))
-        out = out.join(F.broadcast(named), [*keys, side], "left")
-    few = sum(len(m.pairs) for _, m in models) <= BROADCAST_PAIRS
-    out = out.join(F.broadcast(own) if few else own, [*keys, "s1", "s2"], "left")
+        out = out.join(small(named, n_offsets), [*keys, side], "left")
+    out = out.join(small(own, sum(len(m.pairs) for _, m in models)), [*keys, "s1", "s2"], "left")
     xs: list[Column] = [F.lit(1.0), *(F.col(f) / scale if scale != 1 else F.col(f) for f in features)]
     weight = lambda a: F.coalesce(F.col(f"p{a}"), F.col(f"w{a}") + F.col("share") * (F.coalesce(F.col(f"s1_{a}"), F.lit(0.0)) + F.coalesce(F.col(f"s2_{a}"), F.lit(0.0))))
     return out.select(*(c for c in pairs.columns), *(k for k in keys if k not in pairs.columns), dot(xs, [weight(a) for a in range(d + 1)]).alias("score"))

@@ -73,11 +73,12 @@ class Problem:
 
     def gradient(self, w0: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         r = np.einsum("pab,pb->pa", self.block.gram, self.pair_weights(w0, w)) - self.block.cross
-        g = np.zeros_like(w)
         gap = self.split * (w[self.left] - w[self.right])
-        np.add.at(g, self.left, self.share * r + gap)
-        np.add.at(g, self.right, self.share * r - gap)
-        return r.sum(0), self.clean(g)
+        return r.sum(0), self.clean(self._by_source(self.left, self.share * r + gap) + self._by_source(self.right, self.share * r - gap))
+
+    def _by_source(self, ends: np.ndarray, rows: np.ndarray) -> np.ndarray:
+        """Sums of the rows of each source."""
+        return np.stack([np.bincount(ends, c, len(self.sources)) for c in rows.T], 1)
 
     def curvature(self, rounds: int = 60) -> float:
         """The largest eigenvalue of the Hessian, by power iteration, a little enlarged."""
@@ -106,6 +107,7 @@ class Solution:
     sources: np.ndarray
     steps: int
     objective: float
+    converged: bool = True
     trace: list[dict] = field(default_factory=list)
 
 
@@ -130,9 +132,11 @@ def solve(problem: Problem, lam: float, penalty: str = "l1", max_iter: int = 500
         n0 = v0 if freeze_w0 else v0 - rate * g0
         n = v if freeze_offsets else problem.clean(prox(v - rate * g, rate * lam))
         # Whether the step stays under its quadratic model, which a step of at most 1 / curvature always does.
+        if not search:
+            return n0, n, True
         d0, d = n0 - v0, n - v
         model = problem.loss(v0, v) + d0 @ g0 + (d * g).sum() + (d0 @ d0 + (d * d).sum()) / (2 * rate)
-        return n0, n, not search or problem.loss(n0, n) <= model + 1e-12 * abs(model)
+        return n0, n, problem.loss(n0, n) <= model + 1e-12 * abs(model)
 
     cost = lambda a, b: problem.loss(a, b) + lam * value(b)
     began, best = time.perf_counter(), cost(w0, w)
@@ -160,8 +164,8 @@ def solve(problem: Problem, lam: float, penalty: str = "l1", max_iter: int = 500
         if trace:
             note(i, now)
         if moved <= tol * (1 + np.abs(w0).max(initial=0)):
-            break
-    return Solution(w0, w, problem.sources, i, best, rows)
+            return Solution(w0, w, problem.sources, i, best, True, rows)
+    return Solution(w0, w, problem.sources, i, best, False, rows)
 
 
 def kkt_residual(problem: Problem, s: Solution, lam: float) -> float:

@@ -5,7 +5,7 @@ from __future__ import annotations
 import re
 
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
@@ -56,3 +56,32 @@ def grouped_gram():
         return float((a.astype(float) * b.astype(float)).sum())
 
     return gram
+
+
+def range_bins(rows: DataFrame, column: str, bins: int = 64) -> Column:
+    """The number of a row's range of a numeric column, rising: ranges of about equal rows, from approximate quantiles."""
+    quantiles = [k / bins for k in range(1, bins)]
+    edges = rows.agg(F.percentile_approx(column, quantiles, 1000)).first()[0] or []
+    return F.size(F.filter(F.array(*(F.lit(float(e)) for e in sorted(set(edges)))).cast("array<double>"), lambda e: e < F.col(column)))
+
+
+def row_numbers(rows: DataFrame, order: list[str], name: str = "row_number", bins: int = 64) -> DataFrame:
+    """Numbers from 1 over all rows in a total order that begins with a numeric column, without one task that sorts them all.
+
+    Rows are numbered within ranges of the first column, and a range starts where the counts of those before end.
+    """
+    binned = rows.withColumn("range_", range_bins(rows, order[0], bins))
+    counts = binned.groupBy("range_").agg(F.count("*").alias("size_"))
+    before = F.coalesce(F.sum("size_").over(Window.orderBy("range_").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    starts = counts.select("range_", before.alias("before_"))
+    inside = F.row_number().over(Window.partitionBy("range_").orderBy(*order))
+    return binned.withColumn("inside_", inside).join(starts, "range_").withColumn(name, F.col("before_") + F.col("inside_")).drop("range_", "inside_", "before_")
+
+
+def tiles(rows: DataFrame, order: list[str], n: int, name: str = "tile") -> DataFrame:
+    """What ntile(n) gives over all rows: the first tiles have one row more where rows don't divide evenly."""
+    count = rows.count()
+    small, longer = divmod(count, n)
+    at, head = F.col(name) - 1, longer * (small + 1)
+    tile = F.when(at < head, F.floor(at / (small + 1))).otherwise(longer + F.floor((at - head) / max(small, 1))) + 1
+    return row_numbers(rows, order, name).withColumn(name, tile.cast("int"))

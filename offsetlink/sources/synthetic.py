@@ -8,7 +8,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
@@ -90,10 +90,14 @@ def pair_keys_sql(d: Design) -> str:
         CROSS JOIN (SELECT count(*) // 2 AS half FROM part) WHERE s1 < s2)"""
 
 
-def synthetic_pairs(part: DataFrame, d: Design) -> DataFrame:
-    """s1, s2, r, trial, e1, e2, y and features x1..xd: attribute differences in ten-thousandths (long)."""
+def synthetic_pairs(part: DataFrame, d: Design, where: Column | None = None) -> DataFrame:
+    """s1, s2, r, trial, e1, e2, y and features x1..xd: attribute differences in ten-thousandths (long).
+
+    where picks pairs by s1, s2, r and trial before their records are made.
+    """
     parts = part.count()
     keys = pair_keys(part.sparkSession, parts, d)
+    keys = keys if where is None else keys.where(where)
     entities = latent(part, d.dims)
     one = entities.select(F.col("entity_id").alias("e1"), *(F.col(f"a{m}").alias(f"p{m}") for m in range(1, d.dims + 1)))
     two = entities.select(F.col("entity_id").alias("e2"), *(F.col(f"a{m}").alias(f"q{m}") for m in range(1, d.dims + 1)))

@@ -59,9 +59,10 @@ def page_records(pages: DataFrame) -> DataFrame:
     return pages.select("page_id", host.alias("host"), F.trim(F.regexp_extract("html", r"(?is)<title[^>]*>([^<]*)", 1)).alias("title"))
 
 
-def write_scored(scored: DataFrame, path: str, partition_by: tuple[str, ...] = ("s1", "s2"), max_records: int = 5_000_000) -> None:
-    """Scored pairs by source pair, sorted by score within files."""
-    scored.repartition(*partition_by).sortWithinPartitions(*partition_by, F.desc("score")).write.option("maxRecordsPerFile", max_records).partitionBy(*partition_by).mode("overwrite").parquet(path)
+def write_scored(scored: DataFrame, path: str, partition_by: tuple[str, ...] = ("s1", "s2"), max_records: int = 5_000_000, salts: int = 16) -> None:
+    """Scored pairs by source pair, sorted by score within files; a large source pair is written by several tasks."""
+    salt = F.pmod(F.xxhash64(*scored.columns), F.lit(salts))
+    scored.repartition(*partition_by, salt).sortWithinPartitions(*partition_by, F.desc("score")).write.option("maxRecordsPerFile", max_records).partitionBy(*partition_by).mode("overwrite").parquet(path)
 
 
 def write_blocks(blocks: DataFrame, table: str, buckets: int) -> None:

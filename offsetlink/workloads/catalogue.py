@@ -2,13 +2,16 @@
 
 from __future__ import annotations
 
+import math
+from functools import reduce
+
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from offsetlink.functions import portable as P
 from offsetlink.functions import similarity, vectors
-from offsetlink.operators import blocking, evaluate, learners, losses, moments, resolve, sampling, scoring, solver, svm, tuning
+from offsetlink.operators import blocking, evaluate, learners, losses, moments, resolve, sampling, scoring, solver, svm, trials, tuning
 from offsetlink.plans import relational
 from offsetlink.sources import synthetic, tables
 from offsetlink.sources.synthetic import Design
@@ -78,6 +81,12 @@ def rounded(df: DataFrame, *columns: str, places: int = 6) -> DataFrame:
     return df.withColumns({c: F.round(c, places) for c in columns})
 
 
+def kept(df: DataFrame) -> DataFrame:
+    """Computed once, in the shared folder."""
+    resolve.shared_folder(df.sparkSession)
+    return df.checkpoint()
+
+
 def flagged(spark, rows: list[tuple], ddl: str) -> DataFrame:
     return spark.createDataFrame(rows, ddl)
 
@@ -165,6 +174,12 @@ def n7_block_sizes(spark, sf_dir):
     return blocking.block_sizes(doc_blocks(spark, sf_dir))
 
 
+@query(f"WITH b AS ({BLOCK_SQL}), n AS (SELECT block_key, count(*) AS size FROM b GROUP BY 1) SELECT CASE WHEN size > 10 THEN block_key || '|' || (source_id % 4) ELSE block_key END AS block_key, count(*) AS records FROM b JOIN n USING (block_key) GROUP BY 1")
+def n7_refined_blocks(spark, sf_dir):
+    """Blocks of more than ten records split by a second key."""
+    return blocking.refine(doc_blocks(spark, sf_dir), (F.col("source_id") % 4).cast("string"), 10).groupBy("block_key").agg(F.count("*").alias("records"))
+
+
 @query(PAIRS_SQL)
 def n7_salted_candidates(spark, sf_dir):
     return blocking.salted_self_join(doc_blocks(spark, sf_dir), 4)
@@ -243,8 +258,9 @@ ORDER_SQL = P.mix_sql("(r * 1009 + s1 * 31 + s2)", 5)
 
 
 def _sample(name: str, per: str, k: int):
-    keys = {"pair": "PARTITION BY s1, s2 ", "source": "PARTITION BY s1 ", "total": ""}[per]
-    sql = f"SELECT s1, s2, r, y FROM (SELECT *, row_number() OVER ({keys}ORDER BY {ORDER_SQL}, s1, s2, r) AS rn FROM ({TRAIN_SQL})) WHERE rn <= {k}"
+    keys = {"pair": "PARTITION BY s1, s2 ", "source": "PARTITION BY source ", "total": ""}[per]
+    rows = TRAIN_SQL if per != "source" else f"WITH t AS ({TRAIN_SQL}) SELECT *, s1 AS source FROM t UNION ALL SELECT *, s2 FROM t"
+    sql = f"SELECT DISTINCT s1, s2, r, y FROM (SELECT *, row_number() OVER ({keys}ORDER BY {ORDER_SQL}, s1, s2, r) AS rn FROM ({rows})) WHERE rn <= {k}"
 
     def run(spark, sf_dir):
         return sampling.sample_labels(train(spark, sf_dir), order(), k, per).select("s1", "s2", "r", "y")
@@ -294,13 +310,14 @@ def nation_pairs(spark, sf_dir) -> DataFrame:
 
 @query(moments.pair_moments_sql(NATION_SQL, 4))
 def w13_moments_nation(spark, sf_dir):
-    return as_long(moments.pair_moments(nation_pairs(spark, sf_dir), ["x1", "x2", "x3", "x4"]), "s1", "s2")
+    """Sums in whole numbers of 64 bits, several times as fast as wider ones; a sum that outgrows them raises an error."""
+    return moments.pair_moments(nation_pairs(spark, sf_dir), ["x1", "x2", "x3", "x4"], number="long")
 
 
 @query(moments.pair_moments_sql(NATION_SQL, 4))
 def lem_pair_moments_nation(spark, sf_dir):
-    """The same sums in whole numbers of 64 bits, for as long as they fit."""
-    return moments.pair_moments(nation_pairs(spark, sf_dir), ["x1", "x2", "x3", "x4"], number="long")
+    """The same sums in whole numbers of any size."""
+    return as_long(moments.pair_moments(nation_pairs(spark, sf_dir), ["x1", "x2", "x3", "x4"]), "s1", "s2")
 
 
 SCALER_SQL = " UNION ALL ".join(f"SELECT 'x{m}' AS feature, round(avg(x{m} / {SCALE}), 6) AS mean, round(stddev_pop(x{m} / {SCALE}), 6) AS sd FROM t" for m in range(1, D + 1))
@@ -378,14 +395,57 @@ def m1_objective(spark, sf_dir):
     return flagged(spark, [(s.steps, round(s.objective, 6), round(solver.solve_reference(learner.problem(b), 5.0).objective, 6))], "steps int, objective double, reference double")
 
 
-@query("SELECT true AS optimal, true AS agrees_with_reference, true AS symmetric")
+def _fit_sql(steps: int = 3000) -> str:
+    """Weights of one feature at the optimum, by many plain steps in SQL: w[1] is shared, w[source + 1] an offset."""
+    pull = "list_sum(list_transform(list_filter(p, lambda q: s = 0 OR q.i = s OR q.j = s), lambda q: q.xx * (w[1] + (w[q.i + 1] + w[q.j + 1]) / 2) - q.xy)) * CASE WHEN s = 0 THEN 1.0 ELSE 0.5 END"
+    step = f"list_transform(range(0, 7), lambda s: list_transform([w[s + 1] - rate * {pull}], lambda v: CASE WHEN s = 0 THEN v ELSE sign(v) * greatest(abs(v) - rate * {LAM}, 0) END)[1])::DOUBLE[]"
+    sums = f"SELECT s1, s2, sum(x1 * x1) / {SCALE**2} AS xx, sum(x1 * y) / {SCALE} AS xy, sum(y * y) AS yy FROM ({TRAIN_SQL}) GROUP BY s1, s2"
+    return f"""WITH RECURSIVE m AS MATERIALIZED (SELECT list({{'i': s1, 'j': s2, 'xx': xx, 'xy': xy}} ORDER BY s1, s2) AS p, 1 / (1.5 * sum(xx)) AS rate, sum(yy) AS yy FROM ({sums})),
+      it(k, w) AS (SELECT 0, list_transform(range(0, 7), lambda s: 0.0::DOUBLE) UNION ALL SELECT k + 1, {step} FROM it, m WHERE k < {steps}),
+      best AS MATERIALIZED (SELECT w FROM it WHERE k = {steps})"""
+
+
+def _fit_d1(spark, sf_dir, **how) -> tuple[solver.Problem, solver.Solution]:
+    b = block_of(train(spark, sf_dir))[()]
+    problem = solver.Problem.of(moments.Block(b.s1, b.s2, b.n, b.gram[:, 1:2, 1:2], b.cross[:, 1:2], b.yy))
+    return problem, solver.solve(problem, LAM, **({"tol": 1e-11, "max_iter": 20000} | how))
+
+
+WEIGHTS_SQL = "SELECT source, round(w[source + 1], 5) + 0.0 AS w FROM best, (SELECT CAST(range AS INTEGER) AS source FROM range(0, 7))"
+
+
+def _weights_d1(s: solver.Solution) -> list[tuple]:
+    return [(0, round(float(s.w0[0]), 5) + 0.0), *((int(k), round(float(w[0]), 5) + 0.0) for k, w in zip(s.sources, s.w, strict=True))]
+
+
+@query(f"{_fit_sql()} {WEIGHTS_SQL}")
+def m1_fit_d1(spark, sf_dir):
+    """Shared weight and offsets of one feature without a constant, at the optimum."""
+    return flagged(spark, _weights_d1(_fit_d1(spark, sf_dir)[1]), "source int, w double")
+
+
+@query(f"{_fit_sql()} SELECT round(list_sum(list_transform(p, lambda q: q.xx * power(w[1] + (w[q.i + 1] + w[q.j + 1]) / 2, 2) / 2 - q.xy * (w[1] + (w[q.i + 1] + w[q.j + 1]) / 2))) + yy / 2 + {LAM} * list_sum(list_transform(w[2:], lambda v: abs(v))), 4) AS objective FROM best, m")
+def m1_objective_d1(spark, sf_dir):
+    return flagged(spark, [(round(_fit_d1(spark, sf_dir)[1].objective, 4),)], "objective double")
+
+
+@query(f"{_fit_sql()}, steps AS (SELECT unnest(['backtrack', 'bound', 'exact']) AS step) SELECT step, f.* FROM steps, ({WEIGHTS_SQL}) f")
+def m3_step_sizes(spark, sf_dir):
+    """All ways to set steps end at the same weights."""
+    rows = [(step, *row) for step in ("backtrack", "bound", "exact") for row in _weights_d1(_fit_d1(spark, sf_dir, step=step)[1])]
+    return flagged(spark, rows, "step string, source int, w double")
+
+
+GRADIENT_SQL = "CASE WHEN source = 0 THEN 1.0 ELSE 0.5 END * list_sum(list_transform(list_filter(p, lambda q: source = 0 OR q.i = source OR q.j = source), lambda q: q.xx * (w[1] + (w[q.i + 1] + w[q.j + 1]) / 2) - q.xy))"
+
+
+@query(f"{_fit_sql()} SELECT source, round({GRADIENT_SQL}, 4) + 0.0 AS gradient, abs(w[source + 1]) > 1e-9 AS moved, abs({GRADIENT_SQL}) <= CASE WHEN source = 0 THEN 0 ELSE {LAM} END + 1e-6 AS optimal FROM best, m, (SELECT CAST(range AS INTEGER) AS source FROM range(0, 7))")
 def m1_kkt_residual(spark, sf_dir):
-    b, _ = scaled(block_of(train(spark, sf_dir))[()])
-    learner = learners.SourceOffsetLearner(5.0)
-    s = learner.solution(b)
-    ref = solver.solve_reference(learner.problem(b), 5.0)
-    ok = solver.kkt_residual(learner.problem(b), s, 5.0) < 1e-6
-    return flagged(spark, [(ok, bool(abs(s.objective - ref.objective) < 1e-6 * abs(ref.objective)), learners.symmetric(learner.model(b, s)))], "optimal boolean, agrees_with_reference boolean, symmetric boolean")
+    """Gradients at the optimum of one feature: 0 for the shared weight, within the penalty for offsets, at it for those not 0."""
+    problem, s = _fit_d1(spark, sf_dir)
+    g0, g = problem.gradient(s.w0, s.w)
+    rows = [(0, float(g0[0]), float(s.w0[0]), 0.0), *((int(k), float(v[0]), float(w[0]), LAM) for k, v, w in zip(s.sources, g, s.w, strict=True))]
+    return flagged(spark, [(k, round(v, 4) + 0.0, abs(w) > 1e-9, abs(v) <= most + 1e-6) for k, v, w, most in rows], "source int, gradient double, moved boolean, optimal boolean")
 
 
 @query(f"SELECT s1, s2, round((xy - xx * 0.1 + 0.5 * 0.4 - (xx + 0.5) * 0.2) / (xx + 1.0), 6) AS deviation FROM (SELECT s1, s2, sum(x1 * x1) / {SCALE**2} AS xx, sum(x1 * y) / {SCALE} AS xy FROM ({TRAIN_SQL}) GROUP BY s1, s2)")
@@ -470,17 +530,47 @@ def m6_hinge_gradient(spark, sf_dir):
     return _gradient(spark, sf_dir, "squared_hinge")
 
 
+def _newton_sql(slope: str, curve: str, steps: int = 25) -> str:
+    """Weights of a constant and one feature at the optimum of a loss, by steps of its quadratic model in SQL."""
+    total = lambda e: f"list_sum(list_transform(p, lambda q: {e}))"
+    m = "(w[1] + w[2] * q.x)"
+    s, c = slope.format(m=m), curve.format(m=m)
+    sums = f"[{total(s)}, {total(f'{s} * q.x')}, {total(c)}, {total(f'{c} * q.x')}, {total(f'{c} * q.x * q.x')}]"
+    step = f"list_transform([{sums}], lambda h: [w[1] - (h[5] * h[1] - h[4] * h[2]) / (h[3] * h[5] - h[4] * h[4]), w[2] - (h[3] * h[2] - h[4] * h[1]) / (h[3] * h[5] - h[4] * h[4])])[1]::DOUBLE[]"
+    return f"WITH RECURSIVE d AS MATERIALIZED (SELECT list({{'x': x1 / {SCALE}, 'y': y}} ORDER BY s1, s2, r) AS p FROM ({TRAIN_SQL})), it(k, w) AS (SELECT 0, [0.0, 0.0]::DOUBLE[] UNION ALL SELECT k + 1, {step} FROM it, d WHERE k < {steps}) SELECT round(w[1], 5) AS intercept, round(w[2], 5) AS slope FROM it WHERE k = {steps}"
+
+
+def _pooled_loss(spark, sf_dir, loss: str) -> DataFrame:
+    df = train(spark, sf_dir).cache()
+    m = losses.LossLearner(0.0, loss, pooled=True).fit(df, ["x1"], SCALE)
+    df.unpersist()
+    return flagged(spark, [(round(float(m.w0[0]), 5), round(float(m.w0[1]), 5))], "intercept double, slope double")
+
+
+@query(_newton_sql("(-q.y / (1 + exp(q.y * {m})))", "(1 / (2 + exp(q.y * {m}) + exp(-q.y * {m})))"))
+def b5_pooled_logistic(spark, sf_dir):
+    return _pooled_loss(spark, sf_dir, "logistic")
+
+
+@query(_newton_sql("(-q.y * greatest(0, 1 - q.y * {m}))", "(CASE WHEN q.y * {m} < 1 THEN 1.0 ELSE 0.0 END)"))
+def b5_pooled_hinge(spark, sf_dir):
+    return _pooled_loss(spark, sf_dir, "squared_hinge")
+
+
 @query()
 def m6_loss_variants(spark, sf_dir):
     df = train(spark, sf_dir).cache()
-    out = _errors(spark, sf_dir, [losses.LossLearner(1.0, loss).fit(df, XS, SCALE) for loss in ("logistic", "squared_hinge")])
-    return out
+    models = [losses.LossLearner(1.0, loss).fit(df, XS, SCALE) for loss in ("logistic", "squared_hinge")]
+    df.unpersist()
+    return _errors(spark, sf_dir, models)
 
 
 @query()
 def m1b_cluster_solve(spark, sf_dir):
+    """The same optimum as on the driver, from iterations over moments that stay on the cluster."""
     m = moments.pair_moments(train(spark, sf_dir), XS, number="long")
-    return _errors(spark, sf_dir, [losses.solve_on_cluster(m, D, 5.0, SCALE)])
+    here = fit_offset(moments.to_driver(m, D, None, SCALE)[()], 5.0)
+    return _errors(spark, sf_dir, [losses.solve_on_cluster(m, D, 5.0, SCALE), _named(here, "offset_on_driver")])
 
 
 @query()
@@ -585,6 +675,14 @@ def b2_pairwise(spark, sf_dir):
     return _errors(spark, sf_dir, fit_three(block_of(train(spark, sf_dir))[()])[1:2])
 
 
+@query()
+def b2a_fallback(spark, sf_dir):
+    """Pairwise scorers where a pair has labels, the pooled one elsewhere; errors on all pairs, three tenths unlabelled."""
+    hidden = P.mix(F.col("s1") * 100 + F.col("s2"), 1) % 10 < 3
+    pooled, pairwise, _ = fit_three(block_of(train(spark, sf_dir).where(~hidden))[()])
+    return _errors(spark, sf_dir, [pooled, pairwise, learners.with_fallback(pairwise, pooled)])
+
+
 @query(f"SELECT s1, s2, r, array_to_string(list_transform(range(1, 7), lambda k: CASE WHEN k = s1 OR k = s2 THEN '1' ELSE '0' END), '') AS code FROM ({TRAIN_SQL})")
 def b3_source_encoding(spark, sf_dir):
     code = F.array_join(F.transform(svm.encode_sources(F.col("s1"), F.col("s2"), 6), lambda v: v.cast("int").cast("string")), "")
@@ -605,7 +703,9 @@ def b3_kernel_matrix(spark, sf_dir):
 
 
 def _svm(df: DataFrame, sources: int, **how) -> svm.RbfSvm:
-    f = df.toPandas().sort_values(["s1", "s2", "r"])
+    f = df.limit(svm.DUAL_ROWS + 1).toPandas().sort_values(["s1", "s2", "r"])
+    if len(f) > svm.DUAL_ROWS:
+        raise ValueError("too many labels for one machine's memory")
     return svm.RbfSvm(**how).fit(svm.inputs(f, XS, sources, SCALE), f.y.to_numpy(float))
 
 
@@ -704,9 +804,12 @@ def r8_grouping_sets(spark, sf_dir):
     return sets.groupBy("level", "s1", "s2").agg(F.count("*").alias("labels"))
 
 
-@query("SELECT * FROM (VALUES ('fixed', 24, 9)) t(method, parameters, nonzero)")
+@query(f"{_fit_sql()} SELECT 'offset' AS method, CAST(1 + len(list_filter(w[2:], lambda v: abs(v) > 1e-9)) AS INTEGER) AS parameters, CAST(len(list_filter(w, lambda v: abs(v) > 1e-9)) AS INTEGER) AS nonzero FROM best")
 def r12_model_size(spark, sf_dir):
-    return flagged(spark, [("fixed", *_fixed_offsets().size())], "method string, parameters int, nonzero int")
+    """Numbers that a fitted model of one feature keeps: the shared weight and those offsets that aren't 0."""
+    _, s = _fit_d1(spark, sf_dir)
+    m = learners.OffsetModel("offset", s.w0, {int(k): w for k, w in zip(s.sources, s.w, strict=True) if np.any(np.abs(w) > 1e-9)})
+    return flagged(spark, [(m.method, *m.size())], "method string, parameters int, nonzero int")
 
 
 # -- documents end to end ----------------------------------------------------------------------------------------------
@@ -714,27 +817,51 @@ def r12_model_size(spark, sf_dir):
 GRAMS_SQL = "SELECT doc_id, unnest(list_distinct(list_transform(range(1, greatest(len(ws) - 1, 1)), lambda i: array_to_string(ws[i:i + 2], ' ')))) AS g FROM (SELECT doc_id, list_filter(string_split_regex(" + P.ascii_fold_sql("text") + ", '[^a-z0-9]+'), lambda w: w <> '') AS ws FROM documents)"
 
 
-def near_copies(spark, sf_dir) -> DataFrame:
-    """d1, d2 of documents whose word triples have Jaccard >= 1/2: the truth, kept apart from the features.
+def near_classes(spark, sf_dir) -> tuple[DataFrame, DataFrame]:
+    """Documents by equal sets of word triples (doc_id, class: the least of them), and pairs of classes (c1 < c2) whose
+    triples have Jaccard >= 1/2: the truth, kept apart from the features.
 
-    Such documents share one of their rarest n - ceil(n / 2) + 1 triples, so only those propose pairs; the proposed pairs
-    are then counted over all triples.
+    Such sets share one of their rarest n - ceil(n / 2) + 1 triples, so only those propose pairs; the proposed pairs are
+    then counted over all triples.  Triples of one set only come first in that order and propose nothing, so they go
+    before sets are ranked.
     """
     words = F.filter(F.split(P.ascii_fold(F.col("text")), "[^a-z0-9]+"), lambda w: w != "")
     docs = documents(spark, sf_dir).select("doc_id", words.alias("ws"))
     # The lambda sees its own argument only: a filter that moves below would else compute the words for each element.
     shifted = F.arrays_zip(F.col("ws").alias("a"), F.slice("ws", 2, F.greatest(F.size("ws"), F.lit(1))).alias("b"), F.slice("ws", 3, F.greatest(F.size("ws"), F.lit(1))).alias("c"))
     triples = F.filter(shifted, lambda z: z["c"].isNotNull())
-    sized = docs.select("doc_id", F.array_distinct(F.transform(triples, lambda z: F.xxhash64(z["a"], z["b"], z["c"]))).alias("grams"))
-    held = sized.select("doc_id", F.size("grams").alias("n"), F.explode("grams").alias("g"))
-    df = held.groupBy("g").agg(F.count("*").alias("df"))
-    rare = Window.partitionBy("doc_id").orderBy("df", "g")
-    first = held.join(df, "g").withColumn("place", F.row_number().over(rare)).where((F.col("place") <= F.floor(F.col("n") / 2) + 1) & (F.col("df") > 1))
-    a, b = first.select(F.col("doc_id").alias("d1"), F.col("n").alias("n1"), "g"), first.select(F.col("doc_id").alias("d2"), F.col("n").alias("n2"), "g")
-    pairs = a.join(b, "g").where("d1 < d2 and 2 * n1 >= n2 and 2 * n2 >= n1").select("d1", "d2", "n1", "n2").distinct()
-    left, right = sized.select(F.col("doc_id").alias("d1"), F.col("grams").alias("g1")), sized.select(F.col("doc_id").alias("d2"), F.col("grams").alias("g2"))
+    grams = F.array_sort(F.array_distinct(F.transform(triples, lambda z: F.xxhash64(z["a"], z["b"], z["c"]))))
+    sized = docs.select("doc_id", grams.alias("grams")).where(F.size("grams") > 0).withColumn("fp", F.xxhash64("grams"))
+    sets = sized.groupBy("fp").agg(F.min("doc_id").alias("class"), F.first("grams").alias("grams")).withColumn("n", F.size("grams"))
+    held = sets.select("class", "n", F.explode("grams").alias("g"))
+    shared = held.groupBy("g").agg(F.count("*").alias("df")).where("df > 1")
+    ranked = held.join(shared, "g").groupBy("class", "n").agg(F.array_sort(F.collect_list(F.struct("df", "g"))).alias("gs"))
+    first = ranked.select("class", "n", F.explode(F.slice("gs", F.lit(1), F.greatest(F.floor(F.col("n") / 2).cast("int") + 1 - (F.col("n") - F.size("gs")), F.lit(0)))).alias("x")).select("class", "n", "x.g")
+    a, b = first.select(F.col("class").alias("c1"), F.col("n").alias("n1"), "g"), first.select(F.col("class").alias("c2"), F.col("n").alias("n2"), "g")
+    pairs = a.join(b, "g").where("c1 < c2 and 2 * n1 >= n2 and 2 * n2 >= n1").select("c1", "c2", "n1", "n2").distinct()
+    left, right = sets.select(F.col("class").alias("c1"), F.col("grams").alias("g1")), sets.select(F.col("class").alias("c2"), F.col("grams").alias("g2"))
     common = F.size(F.array_intersect("g1", "g2"))
-    return pairs.join(left, "d1").join(right, "d2").where(2 * common >= F.col("n1") + F.col("n2") - common).select("d1", "d2")
+    links = pairs.join(left, "c1").join(right, "c2").where(2 * common >= F.col("n1") + F.col("n2") - common).select("c1", "c2")
+    return sized.select("doc_id", "fp").join(sets.select("fp", "class"), "fp").select("doc_id", "class"), links
+
+
+def near_copies(spark, sf_dir) -> DataFrame:
+    """d1, d2 of all near copies, classes expanded."""
+    members, links = near_classes(spark, sf_dir)
+    one, two = members.select(F.col("doc_id").alias("x"), F.col("class").alias("c1")), members.select(F.col("doc_id").alias("y"), F.col("class").alias("c2"))
+    equal = one.join(two, F.col("c1") == F.col("c2")).where("x < y").select("x", "y")
+    every = equal.unionByName(links.join(one, "c1").join(two, "c2").select("x", "y"))
+    return every.select(F.least("x", "y").alias("d1"), F.greatest("x", "y").alias("d2"))
+
+
+def with_truth(pairs: DataFrame, spark, sf_dir) -> DataFrame:
+    """Pairs (d1, d2, ..) with a column match, by their classes: no near copies are expanded into pairs."""
+    members, links = near_classes(spark, sf_dir)
+    named = lambda k: members.select(F.col("doc_id").alias(f"d{k}"), F.col("class").alias(f"class{k}"))
+    known = links.select(F.col("c1").alias("low_"), F.col("c2").alias("high_"), F.lit(True).alias("linked_"))
+    both = pairs.join(named(1), "d1", "left").join(named(2), "d2", "left").withColumns({"low_": F.least("class1", "class2"), "high_": F.greatest("class1", "class2")})
+    match = F.coalesce(F.col("linked_") | (F.col("class1") == F.col("class2")), F.col("class1") == F.col("class2"), F.lit(False))
+    return both.join(known, ["low_", "high_"], "left").withColumn("match", match).drop("low_", "high_", "linked_", "class1", "class2")
 
 
 TRUTH_SQL = f"WITH g AS MATERIALIZED ({GRAMS_SQL}), n AS MATERIALIZED (SELECT doc_id, count(*) AS n FROM g GROUP BY doc_id) SELECT c.d1, c.d2 FROM (SELECT a.doc_id AS d1, b.doc_id AS d2, count(*) AS common FROM g a JOIN g b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY 1, 2) c JOIN n x ON x.doc_id = c.d1 JOIN n y ON y.doc_id = c.d2 WHERE 2 * c.common >= x.n + y.n - c.common"
@@ -747,24 +874,37 @@ def w8_truth(spark, sf_dir):
 
 def doc_pairs(spark, sf_dir) -> DataFrame:
     """Candidates with five features and the label."""
-    s = sides(spark, sf_dir)
-    truth = near_copies(spark, sf_dir).withColumn("match", F.lit(1))
     far = lambda a, b: F.abs(F.col(a) - F.col(b)) / F.greatest(F.col(a), F.col(b), F.lit(1))
-    return s.join(truth, ["d1", "d2"], "left").select(
+    return with_truth(sides(spark, sf_dir), spark, sf_dir).select(
         "d1", "d2", F.col("s1").cast("int"), F.col("s2").cast("int"), similarity.jaccard(F.col("w1"), F.col("w2")).alias("x1"), similarity.jaccard(F.col("b1"), F.col("b2")).alias("x2"),
-        far("n1", "n2").alias("x3"), far("l1", "l2").alias("x4"), (F.col("g1") == F.col("g2")).cast("double").alias("x5"), F.when(F.col("match") == 1, 1).otherwise(-1).alias("y"),
+        far("n1", "n2").alias("x3"), far("l1", "l2").alias("x4"), (F.col("g1") == F.col("g2")).cast("double").alias("x5"), F.when(F.col("match"), 1).otherwise(-1).alias("y"),
     )
 
 
-@query()
+BODY_SQL = "list_distinct(list_filter(string_split_regex(" + P.ascii_fold_sql("text") + ", '[^a-z0-9]+'), lambda w: w <> ''))"
+FEATURES_SQL = f"""WITH t AS MATERIALIZED ({TRUTH_SQL}), b AS MATERIALIZED (SELECT doc_id, {BODY_SQL} AS ws, len(string_split(text, chr(10))) AS l, lang FROM documents)
+  SELECT s.d1, s.d2, s.s1, s.s2, round(coalesce(len(list_intersect(w1, w2)) / nullif(len(list_distinct(list_concat(w1, w2))), 0)::DOUBLE, 0), 6) AS x1,
+    round(coalesce(len(list_intersect(u.ws, v.ws)) / nullif(len(list_distinct(list_concat(u.ws, v.ws))), 0)::DOUBLE, 0), 6) AS x2, round(abs(n1 - n2) / greatest(n1, n2, 1)::DOUBLE, 6) AS x3, round(abs(u.l - v.l) / greatest(u.l, v.l, 1)::DOUBLE, 6) AS x4,
+    CASE WHEN u.lang = v.lang THEN 1.0 ELSE 0.0 END::DOUBLE AS x5, CASE WHEN t.d1 IS NULL THEN -1 ELSE 1 END AS y
+  FROM ({SIDES_SQL}) s JOIN b u ON u.doc_id = s.d1 JOIN b v ON v.doc_id = s.d2 LEFT JOIN t ON t.d1 = s.d1 AND t.d2 = s.d2"""
+
+
+@query(FEATURES_SQL)
 def w8_features(spark, sf_dir):
     return rounded(doc_pairs(spark, sf_dir), *XS)
 
 
-@query(f"SELECT (SELECT count(*) FROM t) AS true_pairs, (SELECT count(*) FROM t JOIN c USING (d1, d2)) AS kept_pairs, (SELECT count(*) FROM c) AS candidates FROM (SELECT 1)".replace("SELECT (SELECT", f"WITH t AS MATERIALIZED ({TRUTH_SQL}), c AS MATERIALIZED ({PAIRS_SQL}) SELECT (SELECT", 1))
+ACROSS_SQL = f"SELECT t.d1, t.d2 FROM ({TRUTH_SQL}) t JOIN documents a ON a.doc_id = t.d1 JOIN documents b ON b.doc_id = t.d2 WHERE a.source <> b.source"
+
+
+@query(f"WITH t AS MATERIALIZED ({ACROSS_SQL}), c AS MATERIALIZED ({PAIRS_SQL}), n AS (SELECT (sum(k) * sum(k) - sum(k * k)) / 2 AS every FROM (SELECT count(*) AS k FROM documents GROUP BY source)), q AS (SELECT (SELECT count(*) FROM t) AS true_pairs, (SELECT count(*) FROM t JOIN c USING (d1, d2)) AS kept_pairs, (SELECT count(*) FROM c) AS candidates) SELECT *, round(kept_pairs / nullif(true_pairs, 0)::DOUBLE, 6) AS completeness, round(1 - candidates / (SELECT every FROM n)::DOUBLE, 6) AS reduction FROM q")
 def r13_blocking_quality(spark, sf_dir):
-    n = documents(spark, sf_dir).count()
-    return evaluate.blocking_quality(n6_candidates_minkey(spark, sf_dir), near_copies(spark, sf_dir), n * (n - 1) // 2).select("true_pairs", "kept_pairs", "candidates")
+    """Pairs of different sources: how many true ones blocking keeps, and how many of all it leaves out."""
+    docs = documents(spark, sf_dir).select("doc_id", "source")
+    sizes = docs.groupBy("source").count().agg(F.sum("count").alias("n"), F.sum(F.col("count") * F.col("count")).alias("nn")).first()
+    side = lambda k: docs.select(F.col("doc_id").alias(f"d{k}"), F.col("source").alias(f"source{k}"))
+    truth = near_copies(spark, sf_dir).join(side(1), "d1").join(side(2), "d2").where("source1 <> source2")
+    return rounded(evaluate.blocking_quality(n6_candidates_minkey(spark, sf_dir), truth, (sizes.n * sizes.n - sizes.nn) // 2), "completeness", "reduction")
 
 
 def doc_model(pairs: DataFrame) -> learners.OffsetModel:
@@ -778,17 +918,17 @@ def doc_model(pairs: DataFrame) -> learners.OffsetModel:
 @query()
 def w8_resolution(spark, sf_dir):
     """Learn on half of the candidates, resolve the others, cluster, and merge."""
-    pairs = doc_pairs(spark, sf_dir).cache()
+    pairs = kept(doc_pairs(spark, sf_dir))
     half = P.mix(F.col("d1") * 7919 + F.col("d2"), 3) % 2
-    scored = scoring.score(pairs, [({"method": "offset"}, doc_model(pairs.where(half == 0)))], XS).cache()
-    clusters = resolve.cluster(resolve.resolve(scored))
+    scored = scoring.score(pairs, [({"method": "offset"}, doc_model(pairs.where(half == 0)))], XS)
+    clusters = resolve.cluster(kept(resolve.resolve(scored)))
     return resolve.merge_records(tables.document_records(documents(spark, sf_dir)), clusters)
 
 
 @query()
 def w11_homogeneous(spark, sf_dir):
     """Twenty sources that are alike: the offsets should add nothing to the pooled learner."""
-    pairs = doc_pairs(spark, sf_dir).cache()
+    pairs = kept(doc_pairs(spark, sf_dir))
     half = P.mix(F.col("d1") * 7919 + F.col("d2"), 3) % 2
     b, t = scaled(moments.to_driver(moments.pair_moments(pairs.where(half == 0), XS, number="double"), D)[()])
     models = [learners.PooledLearner().fit(b).untransformed(t), doc_model(pairs.where(half == 0))]
@@ -804,9 +944,41 @@ def title_matches(spark, sf_dir) -> DataFrame:
     return sides(spark, sf_dir).select("d1", "d2", "s1", "s2", j.alias("score")).where(F.col("score") >= 0.5)
 
 
-@query(f"WITH RECURSIVE e AS MATERIALIZED (SELECT d1 AS a, d2 AS b FROM ({MATCH_SQL}) UNION SELECT d2, d1 FROM ({MATCH_SQL})), r(record, reached) AS (SELECT DISTINCT a, a FROM e UNION SELECT r.record, e.b FROM r JOIN e ON e.a = r.reached) SELECT record, min(reached) AS cluster FROM r GROUP BY record")
+STOPS = "[" + ", ".join(f"'{w}'" for w in blocking.STOP) + "]"
+TITLED_SQL = f"SELECT doc_id, TRY_CAST(nullif(regexp_extract(source, '([0-9]+)$', 1), '') AS INTEGER) AS source_id, {TITLE_SQL} AS title, {WORDS_SQL.format(TITLE_SQL)} AS ws, lang FROM documents"
+ALIKE_SQL = f"2 * len(list_intersect(a.ws, b.ws)) >= len(list_distinct(list_concat(a.ws, b.ws))) AND len(list_filter(list_intersect(a.ws, b.ws), lambda w: NOT list_contains({STOPS}, w))) > 0"
+CLUSTERS_SQL = f"""WITH RECURSIVE h AS MATERIALIZED ({TITLED_SQL}), e AS MATERIALIZED (SELECT a.doc_id AS a, b.doc_id AS b FROM h a JOIN h b ON a.source_id <> b.source_id AND a.doc_id <> b.doc_id WHERE {ALIKE_SQL}),
+  r(a, b) AS (SELECT DISTINCT a, a FROM e UNION SELECT r.a, e.b FROM r JOIN e ON e.a = r.b)"""
+
+
+@query(f"{CLUSTERS_SQL} SELECT a AS record, min(b) AS cluster FROM r GROUP BY a")
 def n15_components(spark, sf_dir):
-    return resolve.cluster(title_matches(spark, sf_dir))
+    """Clusters of records of different sources with alike titles, words of any frequency and all copies included."""
+    return resolve.cluster_by_words(tables.document_records(documents(spark, sf_dir)), "title_tokens")
+
+
+def title_sets(spark, sf_dir) -> DataFrame:
+    """Title word sets (text_, ws, least): records with equal sets stand behind the least of them."""
+    r = tables.document_records(documents(spark, sf_dir)).select("doc_id", F.array_sort("title_tokens").alias("ws")).where(F.size(F.array_except("ws", F.array(*map(F.lit, blocking.STOP)))) > 0)
+    return r.groupBy(F.array_join("ws", " ").alias("text_")).agg(F.first("ws").alias("ws"), F.min("doc_id").alias("least"), F.count("*").alias("copies"))
+
+
+HELD_SETS_SQL = f"SELECT array_to_string(ws, ' ') AS t, any_value(ws) AS ws, min(doc_id) AS least, count(*) AS copies FROM ({TITLED_SQL}) WHERE len(list_filter(ws, lambda w: NOT list_contains({STOPS}, w))) > 0 GROUP BY 1"
+
+
+@query(f"SELECT least, copies FROM ({HELD_SETS_SQL})")
+def n6_title_classes(spark, sf_dir):
+    """Records by equal titles: the least record of each class and the class's size; the exact way beside capped blocks."""
+    return title_sets(spark, sf_dir).select("least", "copies")
+
+
+@query(f"WITH s AS MATERIALIZED ({HELD_SETS_SQL}) SELECT least(a.least, b.least) AS d1, greatest(a.least, b.least) AS d2 FROM s a JOIN s b ON a.t < b.t WHERE {ALIKE_SQL}")
+def n6_similar_titles(spark, sf_dir):
+    """Pairs of classes whose titles are alike, by words of any frequency: exact, where n6_candidates_minkey blocks by rare words."""
+    sets = title_sets(spark, sf_dir)
+    named = lambda k: sets.select(F.col("text_").alias(f"k{k}"), F.col("least").alias(f"least{k}"))
+    pairs = blocking.similar_sets(sets, "text_", "ws", 0.5).join(named(1), "k1").join(named(2), "k2")
+    return pairs.select(F.least("least1", "least2").alias("d1"), F.greatest("least1", "least2").alias("d2"))
 
 
 @query(f"SELECT d1, d2 FROM (SELECT d1, d2, row_number() OVER (PARTITION BY d1 ORDER BY len(list_intersect(w1, w2)) / len(list_distinct(list_concat(w1, w2)))::DOUBLE DESC, d2) AS rn FROM ({SIDES_SQL}) WHERE len(list_intersect(w1, w2)) >= 0.5 * nullif(len(list_distinct(list_concat(w1, w2))), 0)) WHERE rn = 1")
@@ -814,12 +986,21 @@ def n15_best_match(spark, sf_dir):
     return resolve.best_match(title_matches(spark, sf_dir)).select("d1", "d2")
 
 
-@query()
+SCORED_MATCH_SQL = f"SELECT d1, d2, s1, s2, len(list_intersect(w1, w2)) / len(list_distinct(list_concat(w1, w2)))::DOUBLE AS score FROM ({SIDES_SQL}) WHERE len(list_intersect(w1, w2)) >= 0.5 * nullif(len(list_distinct(list_concat(w1, w2))), 0)"
+
+
+@query(f"SELECT d1, d2, s1, s2, round(score, 6) AS score FROM (SELECT *, row_number() OVER (PARTITION BY d1, s2 ORDER BY score DESC, d2) AS a, row_number() OVER (PARTITION BY d2, s1 ORDER BY score DESC, d1) AS b FROM ({SCORED_MATCH_SQL})) WHERE a = 1 AND b = 1")
 def n15_one_per_source(spark, sf_dir):
     return rounded(resolve.one_per_source(title_matches(spark, sf_dir)), "score")
 
 
-@query()
+MERGE_SQL = f"""{CLUSTERS_SQL}, c AS (SELECT a AS doc_id, min(b) AS cluster FROM r GROUP BY a)
+  SELECT coalesce(cluster, doc_id) AS cluster, count(*) AS records, (max({{'n': length(title), 't': title}})).t AS title, arg_min(lang, doc_id) AS lang,
+    coalesce(array_to_string(list_sort(list_distinct(list(source_id) FILTER (WHERE source_id IS NOT NULL))), ','), '') AS sources
+  FROM h LEFT JOIN c USING (doc_id) GROUP BY 1"""
+
+
+@query(MERGE_SQL)
 def n16_merge(spark, sf_dir):
     """Merges by titles, common words and large groups of copies included."""
     records = tables.document_records(documents(spark, sf_dir))
@@ -850,97 +1031,96 @@ def w9_master_match(spark, sf_dir):
 # -- experiment workloads ----------------------------------------------------------------------------------------------
 
 
-def sweep(spark, sf_dir, d: Design, test: Design, budgets: tuple[int, ...], svm_too: bool = False) -> DataFrame:
-    """Scored test pairs of all methods at each number of labels per pair (and trial): one pass over the training pairs
-    gives the moments of every budget, and one join scores all models."""
-    df = train(spark, sf_dir, d)
-    levels = F.filter(F.array(*map(F.lit, budgets)), lambda b: F.col("r") < b)
-    nested = sampling.with_folds(df, P.mix(F.col("e1"), 9), 5).withColumn("budget", F.explode(levels))
-    blocks = block_of(nested, ["trial", "budget", "fold"])
-    models = []
-    for trial in range(d.trials):
-        for budget in budgets:
-            folds = {k[2]: b for k, b in blocks.items() if k[:2] == (trial, budget)}
-            whole = _sum(list(folds.values()))
-            for m in fit_three(whole, folds=folds):
-                models.append(({"method": m.method, "budget": budget, "model_trial": trial}, m))
-    scored = scoring.score(train(spark, sf_dir, test), models, XS, SCALE)
-    if not svm_too:
-        return scored
-    for budget in budgets:
-        one = svm.predict(train(spark, sf_dir, test), _svm(df.where((F.col("r") < budget) & (F.col("trial") == 0)), d.sources, c=1.0, sigma=2.0), XS, d.sources, SCALE)
-        scored = scored.unionByName(one.withColumns({"method": F.lit("rbf_svm"), "budget": F.lit(budget).cast("long"), "model_trial": F.lit(0).cast("long")}).select(*scored.columns))
-    return scored
-
-
-def _sum(blocks: list[moments.Block]) -> moments.Block:
-    total: dict = {}
-    for b in blocks:
-        for p, (i, j) in enumerate(zip(b.s1.tolist(), b.s2.tolist(), strict=True)):
-            row = (b.n[p], b.gram[p], b.cross[p], b.yy[p])
-            total[(i, j)] = tuple(u + v for u, v in zip(total[(i, j)], row, strict=True)) if (i, j) in total else row
-    keys = sorted(total)
-    pick = lambda k: np.array([total[p][k] for p in keys])
-    return moments.Block(np.array([p[0] for p in keys]), np.array([p[1] for p in keys]), pick(0), pick(1), pick(2), pick(3))
+#: Rows of the grid: budgets per source pair, per source and in total, in three steps each; and trials with labels of their own.
+GRID = {"pair": (5, 20, 100), "source": (25, 100, 500), "total": (75, 300, 1500)}
+GRID_TRIALS = 5
+#: The kernel baseline's grid: c, sigma, folds.
+SVM_GRID = ((1.0, 10.0), (1.0, 2.0), 10)
+
+
+def grid_scores(spark, sf_dir, grid: dict = GRID) -> DataFrame:
+    """Scores of four methods on one fixed pair of sources, for all budgets and trials; 200 labels wait per pair."""
+    pool = sampling.with_folds(train(spark, sf_dir, Design(sources=6, per_pair=200, trials=GRID_TRIALS)), P.mix(F.col("e1"), 9), 10)
+    parts = [sampling.sample_labels(pool, order(), k, unit, ["trial"]).withColumns({"unit": F.lit(unit), "budget": F.lit(k)}) for unit, sizes in grid.items() for k in sizes]
+    labels = parts[0]
+    for p in parts[1:]:
+        labels = labels.unionByName(p)
+    test = synthetic.synthetic_pairs(part(spark, sf_dir), Design(sources=6, per_pair=400, role="test"), (F.col("s1") == 1) & (F.col("s2") == 6))
+    return trials.run(labels, ["unit", "budget", "trial"], test, XS, SCALE, folds=5, svm_grid=SVM_GRID, sources=6)
 
 
 @query()
 def w1_pr_grid(spark, sf_dir):
-    """Curves of four methods on one fixed pair of sources, by labels per pair."""
-    scored = sweep(spark, sf_dir, Design(sources=6, per_pair=100), Design(sources=6, per_pair=200, role="test"), (5, 20, 100), svm_too=True)
-    curve = evaluate.pr_curve(scored.where("s1 = 1 and s2 = 6"), ["method", "budget"], bins=256)
-    return rounded(curve, "tau", "precision", "recall")
+    """Three by three curves of four methods on one fixed pair of sources, with bands over trials at each recall."""
+    curve = evaluate.pr_curve(grid_scores(spark, sf_dir), ["unit", "budget", "method", "trial"], bins=256)
+    at = curve.select("unit", "budget", "method", "trial", "precision", F.explode(F.sequence(F.lit(1), F.greatest(F.floor(F.col("recall") * 20 + 1e-9).cast("int"), F.lit(1)))).alias("step"), "recall")
+    best = at.where(F.col("recall") >= F.col("step") / 20 - 1e-9).groupBy("unit", "budget", "method", "trial", "step").agg(F.max("precision").alias("precision"))
+    bands = evaluate.band(best, "precision", ["unit", "budget", "method", "step"]).withColumn("recall", F.col("step") / 20).drop("step")
+    return rounded(bands, "mean", "low", "high", "width")
 
 
 @query()
 def w1_budget_units(spark, sf_dir):
-    """Errors under budgets counted per source pair, per source and in total."""
-    pairs = train(spark, sf_dir, Design(sources=6, per_pair=100)).cache()
-    out, models = None, []
-    for unit, sizes in (("pair", (5, 20, 100)), ("source", (25, 100, 500)), ("total", (75, 300, 1500))):
-        for k in sizes:
-            some = sampling.sample_labels(pairs, order(), k, unit)
-            for m in fit_three(block_of(some)[()]):
-                models.append(({"method": m.method, "unit": unit, "labels": k}, m))
-    scored = scoring.score(train(spark, sf_dir, SIX_TEST), models, XS, SCALE)
-    out = evaluate.test_error(scored, by=["method", "unit", "labels"])
-    return rounded(out, "test_error")
+    """Errors on the fixed pair under budgets counted per source pair, per source and in total."""
+    errors = evaluate.test_error(grid_scores(spark, sf_dir), by=["unit", "budget", "method", "trial", "n_labels"])
+    out = evaluate.band(errors, "test_error", ["unit", "budget", "method"])
+    return rounded(out, "mean", "low", "high", "width")
 
 
 @query()
 def w2_precision_at_085(spark, sf_dir):
-    scored = sweep(spark, sf_dir, Design(sources=6, per_pair=100), SIX_TEST, (5, 20, 100), svm_too=True)
-    curve = evaluate.pr_curve(scored, ["method", "budget"], bins=1024)
-    return rounded(evaluate.precision_at_recall(curve, 0.85, ["method", "budget"]), "tau", "precision", "recall")
+    """Precision at recall 0.85 on the fixed pair against all labels used, for the nine budgets; mean and band of trials."""
+    curve = evaluate.pr_curve(grid_scores(spark, sf_dir), ["unit", "budget", "n_labels", "method", "trial"], bins=1024)
+    at = evaluate.precision_at_recall(curve, 0.85, ["unit", "budget", "n_labels", "method", "trial"])
+    labels = at.groupBy("unit", "budget").agg(F.avg("n_labels").alias("labels"))
+    return rounded(evaluate.band(at, "precision", ["unit", "budget", "method"]).join(F.broadcast(labels), ["unit", "budget"]), "mean", "low", "high", "width", "labels")
+
+
+def budget_errors(spark, sf_dir, d: Design, test: Design, budgets: tuple[int, ...]) -> DataFrame:
+    """Test errors by method, budget (labels per source pair) and trial."""
+    pool = sampling.with_folds(train(spark, sf_dir, d), P.mix(F.col("e1"), 9), 5)
+    nested = pool.withColumn("budget", F.explode(F.filter(F.array(*map(F.lit, budgets)), lambda b: F.col("r") < b)))
+    scored = trials.run(nested, ["budget", "trial"], train(spark, sf_dir, test), XS, SCALE, folds=5)
+    return evaluate.test_error(scored, by=["method", "budget", "trial", "n_labels"])
 
 
 @query()
 def w3_sample_complexity(spark, sf_dir):
-    scored = sweep(spark, sf_dir, TEN, TEN_TEST, BUDGETS)
-    return rounded(evaluate.test_error(scored, by=["method", "budget"]), "test_error")
+    """Error against labels per source pair, on ten sources; mean and band of trials."""
+    errors = budget_errors(spark, sf_dir, Design(sources=10, per_pair=200, trials=5), TEN_TEST, BUDGETS)
+    return rounded(evaluate.band(errors, "test_error", ["method", "budget"]), "mean", "low", "high", "width")
+
+
+#: The sweep over sources: 2 to 30 in steps of two, labels a source, trials, test pairs of each size.
+SWEEP, SWEEP_LABELS, SWEEP_TRIALS, SWEEP_TEST = tuple(range(2, 31, 2)), 40, 50, 10_000
 
 
-def source_sweep(spark, sf_dir, sizes: tuple[int, ...], per_source: int, trials: int) -> DataFrame:
-    """Errors by number of sources, trial and method, with labels in proportion to sources.
+def source_sweep(spark, sf_dir, sizes: tuple[int, ...], per_source: int, n_trials: int, n_test: int) -> DataFrame:
+    """Errors by method, number of sources and trial, with labels in proportion to sources.
 
-    Sources are nested: the first S of one profile.  All trials and sizes share one aggregation and one scoring join.
+    Sources are nested: the first S of one profile, with per_source * S labels spread over their pairs, drawn anew in each
+    trial.  A label is in all sizes whose share of its pair reaches it.
     """
     most = max(sizes)
-    # Each size draws per_source * S labels at random over its pairs.
-    d = Design(sources=most, per_pair=2 * per_source, trials=trials)
-    df = train(spark, sf_dir, d)
-    # A pair's share of S sources' labels falls as the pairs grow.
-    levels = F.filter(F.array(*map(F.lit, sizes)), lambda s: (F.col("s2") <= s) & (F.col("r") < F.ceil(2 * per_source / (s - 1))))
-    blocks = block_of(df.withColumn("size", F.explode(levels)), ["trial", "size"])
-    models = [({"method": m.method, "size": s, "model_trial": t}, m) for (t, s), b in sorted(blocks.items()) for m in fit_three(b)]
-    test = train(spark, sf_dir, Design(sources=most, per_pair=24, role="test"))
-    scored = scoring.score(test, models, XS, SCALE).where(F.col("s2") <= F.col("size"))
-    return evaluate.test_error(scored, by=["method", "size", "model_trial"])
+    in_size = lambda s, labels: (F.col("s2") <= s) & (F.col("r") < math.ceil(2 * labels / (s * (s - 1))))
+    level = lambda s, labels: F.when(in_size(s, labels), F.lit(s))
+    levels = F.filter(F.array(*(level(s, per_source * s) for s in sizes)), lambda s: s.isNotNull())
+    some = lambda of: reduce(Column.__or__, (in_size(s, of(s)) for s in sizes))
+    d = Design(sources=most, per_pair=2 * per_source, trials=n_trials)
+    labels = synthetic.synthetic_pairs(part(spark, sf_dir), d, some(lambda s: per_source * s)).withColumn("size", F.explode(levels))
+    test = synthetic.synthetic_pairs(part(spark, sf_dir), Design(sources=most, per_pair=n_test, role="test"), some(lambda s: n_test))
+
+    def among(key, rows):
+        s = key[0]
+        return ((rows.s2 <= s) & (rows.r < math.ceil(2 * n_test / (s * (s - 1))))).to_numpy()
+
+    return evaluate.test_error(trials.run(labels, ["size", "trial"], test, XS, SCALE, among=among), by=["method", "size", "trial"])
 
 
 @query()
 def w4_source_complexity(spark, sf_dir):
-    errors = source_sweep(spark, sf_dir, (2, 4, 8, 12), 40, 5)
+    """Error against the number of sources at a constant number of labels a source; mean and band of 50 trials."""
+    errors = source_sweep(spark, sf_dir, SWEEP, SWEEP_LABELS, SWEEP_TRIALS, SWEEP_TEST)
     return rounded(evaluate.band(errors, "test_error", ["method", "size"]), "mean", "low", "high", "width")
 
 
@@ -972,15 +1152,16 @@ def w5_runtime_100(spark, sf_dir):
 
 @query()
 def w6_label_growth(spark, sf_dir):
-    """The fewest labels that reach one error, by number of sources, and the exponent of their growth."""
-    parts = []
-    for sources in (4, 6, 8):
-        d = Design(sources=sources, per_pair=100)
-        errors = evaluate.test_error(sweep(spark, sf_dir, d, Design(sources=sources, per_pair=60, role="test"), (5, 10, 20, 40, 100)), by=["method", "budget"])
-        pairs = sources * (sources - 1) // 2
-        parts.append(errors.select("method", F.lit(sources).alias("sources"), (F.col("budget") * pairs).alias("labels"), "test_error"))
-    every = parts[0].unionByName(parts[1]).unionByName(parts[2])
-    costs = evaluate.labels_to_target(every, 0.14, ["method", "sources"])
+    """The fewest labels that reach one error, by number of sources, and the exponent of their growth; errors are means of trials."""
+    sizes, budgets = (4, 6, 8, 10, 12, 16), (3, 5, 8, 12, 18, 27, 40, 60, 90)
+    d = Design(sources=max(sizes), per_pair=max(budgets), trials=3)
+    cells = F.flatten(F.array(*(F.array(*(F.when((F.col("s2") <= s) & (F.col("r") < b), F.struct(F.lit(s).alias("size"), F.lit(b).alias("budget"))) for b in budgets)) for s in sizes)))
+    labels = train(spark, sf_dir, d).withColumn("cell", F.explode(F.filter(cells, lambda c: c.isNotNull()))).select("*", "cell.*").drop("cell")
+    test = train(spark, sf_dir, Design(sources=max(sizes), per_pair=60, role="test"))
+    scored = trials.run(labels, ["size", "budget", "trial"], test, XS, SCALE, among=lambda key, rows: (rows.s2 <= key[0]).to_numpy())
+    errors = evaluate.test_error(scored, by=["method", "size", "budget", "trial", "n_labels"])
+    means = errors.groupBy("method", "size", "budget").agg(F.avg("test_error").alias("test_error"), F.max("n_labels").alias("labels"))
+    costs = evaluate.labels_to_target(means.withColumnRenamed("size", "sources"), 0.14, ["method", "sources"])
     return rounded(evaluate.growth_exponent(costs, by=["method"]), "exponent", places=4)
 
 
@@ -1011,7 +1192,7 @@ def w12_null(spark, sf_dir):
     met = a.withColumn("vec_id2", F.explode(F.transform(F.sequence(F.lit(1), F.lit(30)), lambda k: (F.col("vec_id1") + 7 * k) % n))).join(b, "vec_id2")
     part_ = lambda k: F.aggregate(F.zip_with(F.slice("embedding1", 12 * k + 1, 12), F.slice("embedding2", 12 * k + 1, 12), lambda x, y: F.abs(x - y).cast("double")), F.lit(0.0), lambda t, v: t + v)
     pairs = met.where("s1 <> s2").select("s1", "s2", F.when(F.col("label1") == F.col("label2"), 1).otherwise(-1).alias("y"), *(part_(k).alias(f"x{k + 1}") for k in range(D)), "vec_id1")
-    pairs = moments.canonical(pairs).cache()
+    pairs = kept(moments.canonical(pairs))
     half = F.col("vec_id1") % 2
     b_, t = scaled(moments.to_driver(moments.pair_moments(pairs.where(half == 0), XS, number="double"), D)[()])
     models = [learners.PooledLearner().fit(b_).untransformed(t), learners.PairwiseLearner().fit(b_).untransformed(t), learners.SourceOffsetLearner(5.0).fit(b_).untransformed(t)]
@@ -1136,14 +1317,25 @@ def rel_norms(spark, sf_dir):
     return rounded(part(spark, sf_dir).select("p_partkey", *(vectors.norm(v, k).alias(n) for k, n in (("l1", "l1"), ("l2", "l2"), ("max", "largest")))), "l1", "l2", "largest")
 
 
-@query("SELECT * FROM (VALUES ('backtrack', true), ('bound', true), ('exact', true)) t(step, optimal)")
-def m3_step_sizes(spark, sf_dir):
-    b, _ = scaled(block_of(train(spark, sf_dir))[()])
+@query()
+def r11_scoring_cost(spark, sf_dir):
+    """Seconds and pairs a second of one linear scorer and of the offset learner's, on the same pairs, best of three."""
+    import time
+
+    pairs = train(spark, sf_dir, Design(sources=10, per_pair=1000)).cache()
+    n = pairs.count()
+    model = fit_offset(block_of(pairs)[()])
+    ways = {"linear": lambda: scoring.score_fixed(pairs, list(FIXED_WEIGHTS), XS, SCALE), "offset": lambda: scoring.score(pairs, [({"method": "offset"}, model)], XS, SCALE)}
     rows = []
-    for step in ("backtrack", "bound", "exact"):
-        learner = learners.SourceOffsetLearner(5.0, step=step, max_iter=20000, tol=1e-11)
-        rows.append((step, bool(solver.kkt_residual(learner.problem(b), learner.solution(b), 5.0) < 1e-6)))
-    return flagged(spark, rows, "step string, optimal boolean")
+    for name, way in ways.items():
+        took = []
+        for _ in range(3):
+            began = time.perf_counter()
+            way().agg(F.sum("score")).first()
+            took.append(time.perf_counter() - began)
+        rows.append((name, n, min(took), n / min(took)))
+    pairs.unpersist()
+    return flagged(spark, rows, "scorer string, pairs long, seconds double, pairs_a_second double")
 
 
 @query()
@@ -1159,7 +1351,7 @@ def r14_convergence(spark, sf_dir):
 @query()
 def r15_dominance(spark, sf_dir):
     """Which method leads at which recall, with 20 labels per pair."""
-    scored = sweep(spark, sf_dir, Design(sources=6, per_pair=20), SIX_TEST, (20,), svm_too=True)
+    scored = grid_scores(spark, sf_dir, {"pair": (20,)})
     return rounded(evaluate.dominance(evaluate.pr_curve(scored, ["method"], bins=512)), "precision")
 
 
@@ -1167,15 +1359,17 @@ def r15_dominance(spark, sf_dir):
 def b5_other_losses(spark, sf_dir):
     """Pooled and pairwise learners under logistic and squared hinge losses."""
     df = train(spark, sf_dir).cache()
-    pooled = [losses.LossLearner(0.0, loss, pooled=True).fit(df, XS, SCALE) for loss in ("logistic", "squared_hinge")]
-    return _errors(spark, sf_dir, [*pooled, *(losses.fit_pairwise_loss(df, XS, loss, SCALE) for loss in ("logistic", "squared_hinge"))])
+    models = [losses.LossLearner(0.0, loss, pooled=True).fit(df, XS, SCALE) for loss in ("logistic", "squared_hinge")]
+    models += [losses.fit_pairwise_loss(df, XS, loss, SCALE) for loss in ("logistic", "squared_hinge")]
+    df.unpersist()
+    return _errors(spark, sf_dir, models)
 
 
 @query()
 def w1_documents(spark, sf_dir):
     """Curves on documents in six unequal sources, learned from half of the candidates: pooled against offset learner."""
     pairs = doc_pairs(spark, sf_dir).withColumns({"s1": tables.six_way(F.col("d1")).cast("int"), "s2": tables.six_way(F.col("d2")).cast("int")})
-    pairs = moments.canonical(pairs).cache()
+    pairs = kept(moments.canonical(pairs))
     half = P.mix(F.col("d1") * 7919 + F.col("d2"), 3) % 2
     b, t = scaled(moments.to_driver(moments.pair_moments(pairs.where(half == 0), XS, number="double"), D)[()])
     models = [learners.PooledLearner().fit(b).untransformed(t), doc_model(pairs.where(half == 0))]
@@ -1190,7 +1384,7 @@ def rel_unpivot(spark, sf_dir):
 
 @query("SELECT p_partkey, CAST(ntile(10) OVER (ORDER BY p_retailprice, p_partkey) AS INTEGER) AS tenth FROM part")
 def rel_ntile(spark, sf_dir):
-    return part(spark, sf_dir).select("p_partkey", F.ntile(10).over(Window.orderBy("p_retailprice", "p_partkey")).alias("tenth"))
+    return relational.tiles(part(spark, sf_dir).select("p_partkey", "p_retailprice"), ["p_retailprice", "p_partkey"], 10, "tenth").select("p_partkey", "tenth")
 
 
 @query(f"SELECT token, df FROM (SELECT *, row_number() OVER (ORDER BY df DESC, token) AS rn FROM ({DF_SQL})) WHERE rn <= 25")

@@ -1,6 +1,7 @@
 """Every query with SQL against DuckDB; the others by what must hold of them."""
 
 import pytest
+from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from tests.conftest import TINY, same, values
@@ -29,19 +30,41 @@ def by(rows, *keys):
 
 def test_few_labels_favour_the_offset_learner(spark):
     r = by(MAIN["w3_sample_complexity"](spark, "/root/testdata/sf0.01").collect(), "method", "budget")
+    error = lambda m, b: r[m, b]["mean"]
+    assert all(v.trials == 5 and v.low <= v["mean"] <= v.high for v in r.values())
     for budget in (5, 10, 20):
-        assert r["offset", budget].test_error <= min(r["pooled", budget].test_error, r["pairwise", budget].test_error) + 0.003
-    assert r["pairwise", 5].test_error > r["pooled", 5].test_error > r["offset", 200].test_error
-    assert r["pairwise", 200].test_error < r["pooled", 200].test_error
-    assert abs(r["pooled", 20].test_error - r["pooled", 200].test_error) < 0.03
+        assert error("offset", budget) <= min(error("pooled", budget), error("pairwise", budget)) + 0.003
+    assert error("pairwise", 5) > error("pooled", 5) > error("offset", 200)
+    assert error("pairwise", 200) < error("pooled", 200)
+    assert abs(error("pooled", 20) - error("pooled", 200)) < 0.03
 
 
 def test_more_sources_hurt_the_pairwise_learner(spark):
     r = by(MAIN["w4_source_complexity"](spark, "/root/testdata/sf0.01").collect(), "method", "size")
-    assert r["pairwise", 12]["mean"] > r["pairwise", 4]["mean"] and r["pooled", 12]["mean"] > r["pooled", 4]["mean"]
-    for size in (8, 12):
-        assert r["offset", size]["mean"] < min(r["pooled", size]["mean"], r["pairwise", size]["mean"])
-    assert r["offset", 2]["mean"] == pytest.approx(r["pooled", 2]["mean"], abs=0.03)
+    assert {k[1] for k in r} == set(range(2, 31, 2)) and all(v.trials == 50 for v in r.values())
+    error = lambda m, s: r[m, s]["mean"]
+    for size in range(8, 31, 2):
+        assert error("offset", size) < min(error("pooled", size), error("pairwise", size))
+    assert error("pairwise", 30) > error("pairwise", 12) > error("pairwise", 4) and error("pooled", 12) > error("pooled", 4)
+    assert error("offset", 2) == pytest.approx(error("pooled", 2), abs=0.03)
+
+
+def test_the_grid_of_budgets(spark):
+    from offsetlink.workloads import catalogue as c
+
+    grid = {"pair": (5, 20), "source": (25,), "total": (75,)}
+    scored = c.grid_scores(spark, TINY, grid).cache()
+    cells = {(r.unit, r.budget, r.trial, r.method): r for r in scored.groupBy("unit", "budget", "trial", "method").agg(F.count("*").alias("rows"), F.count("score").alias("n"), F.max("n_labels").alias("labels")).collect()}
+    assert len(cells) == 4 * c.GRID_TRIALS * 4 and len({r.rows for r in cells.values()}) == 1
+    for (unit, budget, _, method), r in cells.items():
+        assert r.n == r.rows or method == "pairwise" and unit == "total"  # a pair may get no label of a total
+        assert r.labels == {"pair": 15 * budget, "total": budget}.get(unit, r.labels) and (unit != "source" or 3 * budget <= r.labels <= 6 * budget)
+    assert scored.where("s1 <> 1 or s2 <> 6").count() == 0
+    from offsetlink.operators import evaluate
+
+    errors = by(evaluate.test_error(scored.where("unit = 'pair'"), by=["method", "budget"]).collect(), "method", "budget")
+    assert errors["pairwise", 20].test_error < errors["pairwise", 5].test_error
+    scored.unpersist()
 
 
 def test_unseen_pairs(spark):

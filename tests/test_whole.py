@@ -62,39 +62,3 @@ def test_w9_equals_brute_force(spark):
     want = {(i, d) for d, v in docs for i, w in items if w and len(v & w) >= 0.6 * len(w)}
     got = [(r.item_id, r.doc_id) for r in entry.queries()["w9_master_match"](spark, at).collect()]
     assert len(got) == len(set(got)) and set(got) == want
-
-
-def test_op1_draws_anew_for_each_occurrence():
-    from collections import Counter
-
-    from offsetlink.llm import common, merge_dropout
-
-    pieces = merge_dropout.Pieces(common.tokenizer_file("piece_bpe_32k.model"))
-    encoder, n = merge_dropout.Encoder(pieces), 20_000
-    seen = Counter()
-    for key in range(n // 100):
-        ids = iter(encoder.encode(" ".join(["boundaries"] * 100), key))
-        for _ in range(100):
-            word = []
-            while len(b"".join(pieces.raw[i] for i in word)) < len(" boundaries"):
-                word.append(next(ids))
-            seen[tuple(word)] += 1
-    plain, pops = pieces.agenda(" boundaries", ())
-    assert len(seen) > 10 and seen.most_common(1)[0][0] == plain
-    # No skip has probability 0.9 ** pops; some skips give the same ids.
-    assert seen[plain] / n >= 0.9**pops - 0.02
-    once = {pieces.agenda(" boundaries", (k,))[0] for k in range(pops)}
-    assert once <= set(seen)
-
-
-def test_op1_caches_change_nothing():
-    import random
-
-    from offsetlink.llm import common, merge_dropout
-
-    pieces = merge_dropout.Pieces(common.tokenizer_file("piece_bpe_32k.model"))
-    encoder, text = merge_dropout.Encoder(pieces, alpha=0.3), "The quick brown foxes jump over x²y 漢字 " + "w" * 50 + " international boundaries, again and again"
-    draws, chunks = merge_dropout.Draws(0.3), merge_dropout.CHUNK.findall(" " + text)
-    for key in random.Random(1).sample(range(10**6), 200):
-        want = [x for c, h in zip(chunks, draws.keys(common.SEED, key, len(chunks)).tolist(), strict=True) for x in pieces.agenda(c, draws.skips(h))[0]]
-        assert encoder.encode(text, key) == want
