@@ -37,7 +37,7 @@ def fit_linear(frame: pd.DataFrame, features: list[str], scale: float, folds: in
     block = block_of_rows(frame, features, scale)
     t = moments.scaler(block)
     b = block.transformed(t)
-    learner = learners.SourceOffsetLearner(0.0, max_iter=1500, tol=1e-7)
+    learner = learners.SourceOffsetLearner(0.0, max_iter=3000, tol=1e-6)
     if folds:
         fold = frame["fold"].to_numpy() % folds
         held = {k: block_of_rows(frame[fold == k], features, scale).transformed(t) for k in np.unique(fold).tolist()}

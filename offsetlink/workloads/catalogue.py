@@ -614,6 +614,20 @@ def m9_cv_curve(spark, sf_dir):
     return flagged(spark, [(round(r["lam"], 6), round(float(r["mse"]), 6)) for r in rows], "lam double, mse double")
 
 
+@query()
+def m9a_holdout(spark, sf_dir):
+    """The penalty chosen by one held-out fold against that of all ten, and the test errors that they give."""
+    df = train(spark, sf_dir)
+    b, t = scaled(block_of(df)[()])
+    folds = {k: f.transformed(t) for k, f in _folds(df).items()}
+    learner, models, lams = learners.SourceOffsetLearner(0.0), [], {}
+    for how, holdout in (("holdout", True), ("folds", False)):
+        learner.lam = lams[how] = tuning.tune(learner, b, folds, holdout=holdout)
+        models.append(_named(learner.fit(b).untransformed(t), how))
+    chosen = flagged(spark, [(k, round(v, 6)) for k, v in lams.items()], "method string, lam double")
+    return _errors(spark, sf_dir, models).join(F.broadcast(chosen), "method")
+
+
 @query(f"SELECT s1, s2, r FROM (SELECT *, row_number() OVER (PARTITION BY s1, s2 ORDER BY abs(score), r) AS rn FROM ({SCORED_SQL})) WHERE rn <= 5")
 def m12_label_queue(spark, sf_dir):
     scored = fixed_scores(spark, sf_dir).withColumns({"d1": F.col("r"), "d2": F.lit(0)})
@@ -1032,7 +1046,7 @@ def w9_master_match(spark, sf_dir):
 
 
 #: Rows of the grid: budgets per source pair, per source and in total, in three steps each; and trials with labels of their own.
-GRID = {"pair": (5, 20, 100), "source": (25, 100, 500), "total": (75, 300, 1500)}
+GRID = {"pair": (5, 20, 60), "source": (25, 100, 300), "total": (75, 300, 900)}
 GRID_TRIALS = 5
 #: The kernel baseline's grid: c, sigma, folds.
 SVM_GRID = ((1.0, 10.0), (1.0, 2.0), 10)
@@ -1411,6 +1425,32 @@ def rel_grouped_gram(spark, sf_dir):
     return train(spark, sf_dir).groupBy("s1", "s2").agg(relational.grouped_gram()("x1", "x2").alias("g1_2"))
 
 
+@query("SELECT l_returnflag, round(covar_pop(l_quantity, l_extendedprice), 3) AS covariance, round(corr(l_quantity, l_extendedprice), 6) AS correlation, round(regr_slope(l_extendedprice, l_quantity), 4) AS slope FROM lineitem GROUP BY l_returnflag")
+def rel_covariance(spark, sf_dir):
+    li = tables.load(spark, sf_dir, "lineitem")
+    out = li.groupBy("l_returnflag").agg(F.covar_pop("l_quantity", "l_extendedprice").alias("covariance"), F.corr("l_quantity", "l_extendedprice").alias("correlation"), F.regr_slope("l_extendedprice", "l_quantity").alias("slope"))
+    return out.select("l_returnflag", F.round("covariance", 3).alias("covariance"), F.round("correlation", 6).alias("correlation"), F.round("slope", 4).alias("slope"))
+
+
+@query()
+def rel_approximate(spark, sf_dir):
+    """Distinct counts and quantiles in bounded memory beside the exact ones."""
+    li = tables.load(spark, sf_dir, "lineitem")
+    return li.groupBy("l_returnflag").agg(
+        F.approx_count_distinct("l_partkey", 0.02).alias("distinct_parts"), F.count_distinct("l_partkey").alias("exact_parts"),
+        F.percentile_approx("l_extendedprice", 0.5, 10_000).alias("median"), F.percentile("l_extendedprice", F.lit(0.5)).alias("exact_median"),
+    )
+
+
+@query("WITH f AS (SELECT p_partkey, nullif(p_size % 7, 0)::DOUBLE AS a, CASE WHEN p_partkey % 5 = 0 THEN NULL ELSE p_retailprice END AS b FROM part), m AS (SELECT avg(a) AS a, avg(b) AS b FROM f) SELECT p_partkey, round(coalesce(f.a, m.a), 6) AS a, round(coalesce(f.b, m.b), 6) AS b, f.a IS NULL AS a_missing FROM f, m")
+def rel_filled_features(spark, sf_dir):
+    """Missing features by their mean, from one aggregate, and a flag that they were missing."""
+    f = part(spark, sf_dir).select("p_partkey", F.nullif(F.col("p_size") % 7, F.lit(0)).cast("double").alias("a"), F.when(F.col("p_partkey") % 5 != 0, F.col("p_retailprice")).alias("b"))
+    m = f.agg(F.avg("a").alias("mean_a"), F.avg("b").alias("mean_b"))
+    filled = f.crossJoin(F.broadcast(m)).select("p_partkey", F.coalesce("a", "mean_a").alias("x"), F.coalesce("b", "mean_b").alias("y"), F.col("a").isNull().alias("a_missing"))
+    return filled.select("p_partkey", F.round("x", 6).alias("a"), F.round("y", 6).alias("b"), "a_missing")
+
+
 @query("SELECT approx.source, approx.langs FROM (SELECT source, count(DISTINCT lang) AS langs FROM documents GROUP BY source) approx")
 def rel_distinct_counts(spark, sf_dir):
     return documents(spark, sf_dir).groupBy("source").agg(F.count_distinct("lang").alias("langs"))
