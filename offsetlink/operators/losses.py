@@ -35,8 +35,8 @@ def _squared_hinge(m, y):
     return slack**2 / 2, -y * slack
 
 
-#: Source pairs for each task of an iteration on the cluster.
-PAIRS_A_TASK = 2000
+#: Source pairs for each task of an iteration on the cluster, and tasks whose sums the driver adds up itself.
+PAIRS_A_TASK, FEW_TASKS = 2000, 16
 #: Value and derivative by margin, and a bound of the second derivative.
 LOSSES: dict[str, tuple[Callable, float]] = {"squared": (_squared, 1.0), "logistic": (_logistic, 0.25), "squared_hinge": (_squared_hinge, 1.0)}
 
@@ -176,26 +176,40 @@ def fit_pairwise_loss(pairs: DataFrame, features: list[str], loss: str = "logist
     return OffsetModel(f"pairwise_{loss}", np.zeros(len(features) + 1), pairs={(r.s1, r.s2): np.array(r.w) for r in rows}, pairs_only=True)
 
 
-def gradient_from_moments(moments: DataFrame, d: int, w0: np.ndarray, w: dict[int, np.ndarray], scale: float = 1.0) -> tuple[np.ndarray, dict[int, np.ndarray]]:
-    """The squared loss's gradients with the moments left on the cluster: a map and one sum per source."""
+def gradient_from_moments(moments: DataFrame, d: int, w0: np.ndarray, w: dict[int, np.ndarray], scale: float = 1.0, tasks: int | None = None) -> tuple[np.ndarray, dict[int, np.ndarray]]:
+    """The squared loss's gradients with the moments left on the cluster: a map and one sum per source.
+
+    A task sums its pairs by source.  The sums of so few tasks as FEW_TASKS meet on the driver, those of more in a shuffle.
+    """
     upper = np.triu_indices(d + 1)
     names = [f"g{a}_{b}" for a, b in zip(*upper, strict=True)], [f"c{a}" for a in range(d + 1)]
     unit, none = np.concatenate([[1.0], np.full(d, 1 / scale)]), np.zeros(d + 1)
 
     def partial(frames):
+        total: dict[int, np.ndarray] = {}
         for f in frames:
             gram = np.zeros((len(f), d + 1, d + 1))
             gram[:, upper[0], upper[1]] = f[names[0]].to_numpy()
             gram = (gram + np.transpose(np.triu(gram, 1), (0, 2, 1))) * unit[:, None] * unit[None, :]
             u = np.array([w0 + (w.get(i, none) + w.get(j, none)) / 2 for i, j in zip(f.s1, f.s2, strict=True)])
             r = np.einsum("pab,pb->pa", gram, u) - f[names[1]].to_numpy() * unit
-            out = [f[["s1"]].rename(columns={"s1": "source"}).assign(r=list(r / 2)), f[["s2"]].rename(columns={"s2": "source"}).assign(r=list(r / 2))]
-            yield from out
+            for ends in (f.s1.to_numpy(), f.s2.to_numpy()):
+                sources, at = np.unique(ends, return_inverse=True)
+                sums = np.stack([np.bincount(at, c, len(sources)) for c in r.T / 2], 1)
+                for s, v in zip(sources.tolist(), sums, strict=True):
+                    total[s] = total.get(s, 0) + v
+        if total:
+            yield pd.DataFrame({"source": list(total), "r": [v.tolist() for v in total.values()]})
 
     doubles = [moments[c].cast("double").alias(c) for c in (*names[0], *names[1])]
     parts = moments.select("s1", "s2", *doubles).mapInPandas(partial, "source int, r array<double>")
-    sums = parts.groupBy("source").agg(*(F.sum(F.col("r")[a]).alias(f"r{a}") for a in range(d + 1))).collect()
-    each = {r.source: np.array([r[f"r{a}"] for a in range(d + 1)]) for r in sums}
+    each: dict[int, np.ndarray] = {}
+    if tasks is not None and tasks <= FEW_TASKS:
+        for r in parts.collect():
+            each[r.source] = each.get(r.source, 0) + np.array(r.r)
+    else:
+        for r in parts.groupBy("source").agg(*(F.sum(F.col("r")[a]).alias(f"r{a}") for a in range(d + 1))).collect():
+            each[r.source] = np.array([r[f"r{a}"] for a in range(d + 1)])
     return sum(each.values()), each  # every pair's residual counts half for each of its two sources
 
 
@@ -219,24 +233,25 @@ def solve_on_cluster(moments_: DataFrame, d: int, lam: float, scale: float = 1.0
     own moments allow; momentum is dropped where it overshoots.  Ends when the optimality conditions hold to tol, relative
     to the number of labels, and raises where that isn't reached.
     """
-    t = _standardised(moments_, d, scale) if standardise else np.eye(d + 1)
-    doubles = moments_.select("s1", "s2", *(F.col(c).cast("double").alias(c) for c in moments_.columns if c[0] in "gc" and c[1].isdigit()))
+    doubles = moments_.select("s1", "s2", *(F.col(c).cast("double").alias(c) for c in moments_.columns if c[0] in "gc" and c[1].isdigit())).cache()
     # Few source pairs in many partitions would make each iteration many tiny tasks.
-    n = moments_.count()
-    doubles = doubles.coalesce(-(-n // PAIRS_A_TASK) or 1).cache()
+    tasks = -(-doubles.count() // PAIRS_A_TASK) or 1
+    fewer = doubles.coalesce(tasks).cache()
     try:
-        w0, w = _cluster_steps(doubles, d, lam, scale, max_iter, penalty, tol, t)
+        t = _standardised(fewer, d, scale) if standardise else np.eye(d + 1)
+        w0, w, steps = _cluster_steps(fewer, d, lam, scale, max_iter, penalty, tol, t, tasks)
     finally:
+        fewer.unpersist()
         doubles.unpersist()
-    return OffsetModel("offset", w0, {s: x for s, x in w.items() if np.any(x)}).untransformed(t)
+    return OffsetModel("offset", w0, {s: x for s, x in w.items() if np.any(x)}, info={"steps": steps}).untransformed(t)
 
 
-def _cluster_steps(doubles: DataFrame, d: int, lam: float, scale: float, max_iter: int, penalty: str, tol: float, t: np.ndarray):
+def _cluster_steps(doubles: DataFrame, d: int, lam: float, scale: float, max_iter: int, penalty: str, tol: float, t: np.ndarray, tasks: int):
     none = np.zeros(d + 1)
 
     def gradients(v0, v):
         # Weights of standardised features act on the others through T; gradients come back through it.
-        g0, g = gradient_from_moments(doubles, d, t.T @ v0, {s: t.T @ x for s, x in v.items()}, scale)
+        g0, g = gradient_from_moments(doubles, d, t.T @ v0, {s: t.T @ x for s, x in v.items()}, scale, tasks)
         return t @ g0, {s: t @ x for s, x in g.items()}
 
     sides = doubles.select("s1", F.explode(F.array("s1", "s2")).alias("source"), *(c for c in doubles.columns if c[0] == "g"))
@@ -248,35 +263,50 @@ def _cluster_steps(doubles: DataFrame, d: int, lam: float, scale: float, max_ite
         for a, b in upper:
             gram[a, b] = gram[b, a] = r[f"g{a}_{b}"] * unit[a] * unit[b]
         own[r.source] = t @ gram @ t.T
-    # (a + b / 2 + c / 2)^2 is at most 3 a^2 + 3/4 b^2 + 3/4 c^2, so these curvatures bound the whole from above.
-    n = sum(x[0, 0] for x in own.values()) / 2
-    rate0 = 1 / (3 * np.linalg.eigvalsh(sum(own.values()) / 2)[-1])
-    rate = {s: 1 / (0.75 * np.linalg.eigvalsh(x)[-1]) for s, x in own.items()}
-    prox = PENALTIES[penalty]
-    if penalty == "group":
-        least = min(rate.values())  # its map joins all sources, so they need one rate
-        rate = dict.fromkeys(rate, least)
+    return bounded_steps(gradients, own, lam, max_iter, penalty, tol)
+
+
+def bounded_steps(gradients: Callable, own: dict[int, np.ndarray], lam: float, max_iter: int, penalty: str, tol: float):
+    """Minimise a squared loss of w0 + (w_i + w_j) / 2 from its gradients and each source's own moments.
+
+    (a + b / 2 + c / 2)^2 is at most 3 a^2 + 3/4 b^2 + 3/4 c^2, so the sources' own moments bound the loss from above, for
+    each source by itself; a step minimises that bound and the penalty, source by source.
+    """
+    names, prox = sorted(own), PENALTIES[penalty]
+    each = np.array([own[s] for s in names])
+    n, whole, bound = each[:, 0, 0].sum() / 2, 1.5 * each.sum(0), 0.75 * each
+    if penalty == "group":  # its map joins all sources, so they need one rate
+        bound = np.broadcast_to(np.eye(each.shape[1]) * np.linalg.eigvalsh(bound)[:, -1].max(), each.shape)
+    diagonal = np.maximum(np.einsum("skk->sk", bound), 1e-12)
 
     def stepped(v, g):
-        if penalty != "group":
-            return {s: prox(v[s] - rate[s] * g[s], rate[s] * lam) for s in own}
-        together = prox(np.array([v[s] - rate[s] * g[s] for s in own]), next(iter(rate.values())) * lam)
-        return dict(zip(own, together, strict=True))
-
-    w0, w = none, dict.fromkeys(own, none)
-    v0, v, k = w0, w, 1.0
-    for _ in range(max_iter):
-        g0, g = gradients(v0, v)
-        n0, new = v0 - rate0 * g0, stepped(v, g)
+        if penalty == "group":
+            return prox(v - g / diagonal, lam / diagonal[0, 0])
+        x = v.copy()
+        for _ in range(200):
+            before = x.copy()
+            for k in range(x.shape[1]):
+                slope = g[:, k] + np.einsum("sl,sl->s", bound[:, k], x - v)
+                x[:, k] = prox(x[:, k] - slope / diagonal[:, k], lam / diagonal[:, k])
+            if np.abs(x - before).max() <= 1e-13:
+                break
+        return x
+
+    w0 = v0 = np.zeros(each.shape[1])
+    w = v = np.zeros(each.shape[:2])
+    inverse, k = np.linalg.pinv(whole, rcond=1e-12, hermitian=True), 1.0
+    for step in range(1, max_iter + 1):
+        g0, parts = gradients(v0, dict(zip(names, v, strict=True)))
+        g = np.array([parts[s] for s in names])
+        n0, new = v0 - inverse @ g0, stepped(v, g)
         # How far the step went, in units of the gradient: 0 at an optimum.
-        left = max(np.abs(n0 - v0).max() / rate0, max(np.abs(new[s] - v[s]).max() / rate[s] for s in own))
-        if left <= tol * n:
-            return n0, new
+        back0, back = whole @ (v0 - n0), np.einsum("skl,sl->sk", bound, v - new)
+        if max(np.abs(g0).max(), np.abs(back).max()) <= tol * n:
+            return n0, dict(zip(names, new, strict=True)), step
         # Momentum that points against the step has overshot.
-        ahead = (v0 - n0) @ (n0 - w0) / rate0 + sum((v[s] - new[s]) @ (new[s] - w[s]) / rate[s] for s in own)
-        k = 1.0 if ahead > 0 else k
+        k = 1.0 if back0 @ (n0 - w0) + (back * (new - w)).sum() > 0 else k
         k2 = (1 + np.sqrt(1 + 4 * k * k)) / 2
-        v0, v = n0 + (k - 1) / k2 * (n0 - w0), {s: new[s] + (k - 1) / k2 * (new[s] - w[s]) for s in own}
+        v0, v = n0 + (k - 1) / k2 * (n0 - w0), new + (k - 1) / k2 * (new - w)
         w0, w, k = n0, new, k2
     raise RuntimeError(f"no optimum in {max_iter} steps")
 
