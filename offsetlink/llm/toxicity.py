@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import math
 import re
+from array import array
 from itertools import chain
 
 import numpy as np
@@ -75,42 +76,65 @@ class Lexicon:
         return -math.expm1(log_clean), found
 
 
+def _different(a: np.ndarray, b: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """The different pairs of two arrays, the second of numbers below n."""
+    pairs = np.unique(a.astype(np.int64) * max(n, 1) + b)
+    return (pairs // max(n, 1)).astype(np.int32), (pairs % max(n, 1)).astype(np.int32)
+
+
 class Bags:
-    """Sentences of documents as sets of features: parallel arrays of sentence and feature, and each sentence's document."""
+    """Sentences of documents as sets of features: parallel arrays of sentence and feature, and each sentence's document.
 
-    def __init__(self, texts: list[str]) -> None:
+    Features are those of support documents at least of either label.  Words are kept as small numbers and taken apart into
+    features one kind at a time, so that whole texts of the sample fit a driver.
+    """
+
+    def __init__(self, texts: list[str], y: np.ndarray, support: list[float]) -> None:
         known: dict[str, int] = {}
-        words, sentences, owners = [], [], []
+        words, sentences, owners = array("i"), array("i"), array("i")
         for i, text in enumerate(texts):
             for sentence in SENTENCE.findall(text.lower()) or [""]:
-                ids = [known.setdefault(w, len(known)) for w in WORD.findall(sentence)]
-                words += ids
-                sentences += [len(owners)] * len(ids)
+                ids = {known.setdefault(w, len(known)) for w in WORD.findall(sentence)}
+                words.extend(ids)
+                sentences.extend([len(owners)] * len(ids))
                 owners.append(i)
-        self.doc = np.array(owners, np.int64)
-        names: dict[str, int] = {}
-        per_word = [[names.setdefault(f, len(names)) for f in features(w)] for w in known]
-        size = np.array([len(x) for x in per_word], np.int64)
-        flat = np.array(list(chain.from_iterable(per_word)), np.int64)
-        words, sentences = np.array(words, np.int64), np.array(sentences, np.int64)
-        count = size[words] if len(words) else words
-        ends = np.cumsum(count)
-        first = (np.cumsum(size) - size)[words] if len(words) else words
-        at = np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(first - (ends - count), count)
-        pairs = np.unique(np.repeat(sentences, count) * len(names) + flat[at]) if len(words) else words
-        self.rows, self.cols, self.names = pairs // max(len(names), 1), pairs % max(len(names), 1), list(names)
-
-    def support(self, chosen: np.ndarray) -> np.ndarray:
-        """In how many of the chosen documents each feature occurs."""
-        n = max(len(self.names), 1)
-        pairs = np.unique(self.doc[self.rows] * n + self.cols)
-        return np.bincount(pairs % n, chosen[pairs // n], len(self.names))
-
-    def keep(self, features: np.ndarray) -> None:
-        place = np.full(len(self.names), -1)
-        place[features] = np.arange(len(features))
-        ok = place[self.cols] >= 0
-        self.rows, self.cols, self.names = self.rows[ok], place[self.cols[ok]], [self.names[i] for i in features.tolist()]
+        self.doc = np.frombuffer(owners, np.int32)
+        words, sentences = np.frombuffer(words, np.int32), np.frombuffer(sentences, np.int32)
+        vocabulary = list(known)
+        del known
+        self.names, rows, cols, up, down = [], [], [], [], []
+        for kind in range(1 + len(PREFIXES)):
+            ids: dict[str, int] = {}
+            if kind:
+                n = PREFIXES[kind - 1]
+                of_word = np.array([ids.setdefault(w[:n], len(ids)) if len(w) > n else -1 for w in vocabulary], np.int32)
+                names = list(ids)
+            else:
+                of_word, names = np.arange(len(vocabulary), dtype=np.int32), vocabulary
+            feature = of_word[words]
+            has = feature >= 0
+            d, f = _different(self.doc[sentences[has]], feature[has], len(names))
+            with_label = np.bincount(f, y[d], len(names))
+            without = np.bincount(f, 1 - y[d], len(names))
+            some = np.flatnonzero((with_label >= support[0]) | (without >= support[1]))
+            place = np.full(len(names) + 1, -1, np.int32)
+            place[some] = np.arange(len(some)) + len(self.names)
+            feature = place[feature]
+            has = feature >= 0
+            r, c = _different(sentences[has], feature[has], len(self.names) + len(some))
+            rows.append(r)
+            cols.append(c)
+            up.append(with_label[some] >= support[0])
+            down.append(without[some] >= support[1])
+            self.names += [f"{names[i]}-" if kind else names[i] for i in some.tolist()]
+        self.rows, self.cols, self.up, self.down = map(np.concatenate, (rows, cols, up, down))
+
+    def by_feature(self, of_sentence: np.ndarray) -> np.ndarray:
+        """Sums over each feature's sentences."""
+        out = np.zeros(len(self.names))
+        for at in range(0, len(self.rows), 1 << 20):
+            out += np.bincount(self.cols[at : at + (1 << 20)], of_sentence[self.rows[at : at + (1 << 20)]], len(out))
+        return out
 
 
 def train(texts: list[str], labels: list[int], screen: float = SCREEN, passes: int = PASSES, rounds: int = ROUNDS) -> Lexicon:
@@ -122,14 +146,8 @@ def train(texts: list[str], labels: list[int], screen: float = SCREEN, passes: i
     y = np.array(labels, float)
     if not y.any() or y.all():
         return Lexicon(12.0 if len(y) and y.all() else -12.0, {})
-    bags = Bags(texts)
-    few = [max(5, SUPPORT * y.sum()), max(5, SUPPORT * (1 - y).sum())]
-    with_label = bags.support(y)
-    without = bags.support(1 - y)
-    some = np.flatnonzero((with_label >= few[0]) | (without >= few[1]))
-    up, down = with_label[some] >= few[0], without[some] >= few[1]
-    bags.keep(some)
-    doc, rows, cols, n = bags.doc, bags.rows, bags.cols, len(bags.names)
+    bags = Bags(texts, y, [max(5, SUPPORT * y.sum()), max(5, SUPPORT * (1 - y).sum())])
+    doc, up, down, n = bags.doc, bags.up, bags.down, len(bags.names)
 
     def pulls(logits):
         """d log likelihood / d logit of a sentence: its share of a positive document, or minus its own probability."""
@@ -139,14 +157,14 @@ def train(texts: list[str], labels: list[int], screen: float = SCREEN, passes: i
         return p, clean, dirty, np.where(y[doc] > 0, p * np.exp(clean)[doc] / dirty[doc], -p)
 
     bias, w, working, penalty = -math.log(len(doc) / y.sum()), np.zeros(n), np.zeros(0, np.int64), None
+    r, c = np.zeros(0, np.int32), np.zeros(0, np.int32)
     for _ in range(passes):
-        logits = bias + np.bincount(rows, w[cols], len(doc))
-        p, clean, dirty, pull = pulls(logits)
-        gradient = np.bincount(cols, pull[rows], n)
+        p, clean, dirty, pull = pulls(bias + np.bincount(r, w[working][c], len(doc)))
+        gradient = bags.by_feature(pull)
         if penalty is None:
             # Variance of a sentence's pull where labels are drawn with the model's own probabilities.
             spread = dirty[doc] * (p * np.exp(clean)[doc] / dirty[doc]) ** 2 + (1 - dirty[doc]) * p**2
-            penalty = screen * np.sqrt(np.bincount(cols, spread[rows], n))
+            penalty = screen * np.sqrt(bags.by_feature(spread))
         more = np.flatnonzero((w == 0) & (up & (gradient > penalty) | down & (gradient < -penalty)))
         fresh = np.setdiff1d(more, working)
         if not len(fresh) and len(working):
@@ -154,8 +172,8 @@ def train(texts: list[str], labels: list[int], screen: float = SCREEN, passes: i
         working = np.union1d(working, fresh)
         place = np.full(n, -1)
         place[working] = np.arange(len(working))
-        ok = place[cols] >= 0
-        r, c, v, cost = rows[ok], place[cols[ok]], w[working], penalty[working]
+        ok = place[bags.cols] >= 0
+        r, c, v, cost = bags.rows[ok], place[bags.cols[ok]], w[working], penalty[working]
         low, high = np.where(down[working], -np.inf, 0), np.where(up[working], np.inf, 0)
         mean, square, mean_bias, square_bias = np.zeros(len(v)), np.zeros(len(v)), 0.0, 0.0
         for step in range(1, rounds + 1):
