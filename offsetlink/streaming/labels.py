@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from offsetlink.operators import moments
+from offsetlink.operators import moments, resolve
 
 EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
@@ -40,6 +42,15 @@ def run_to_memory(frame: DataFrame, name: str, mode: str = "complete", checkpoin
     return frame.sparkSession.table(name)
 
 
+def run_to_files(frame: DataFrame, name: str) -> DataFrame:
+    """Run a stream that only appends over all that is there now, into files of the shared folder: its rows pass no driver."""
+    spark = frame.sparkSession
+    at = f"{resolve.shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+    query = frame.writeStream.outputMode("append").format("parquet").option("path", f"{at}/rows").option("checkpointLocation", f"{at}/progress").trigger(availableNow=True).start()
+    query.awaitTermination()
+    return spark.read.schema(frame.schema).parquet(f"{at}/rows")
+
+
 def throughput(labels: DataFrame, width: str = "1 day", slide: str | None = None) -> DataFrame:
     """Labels per window of event time."""
     w = F.window("ts", width, slide) if slide else F.window("ts", width)
