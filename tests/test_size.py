@@ -9,3 +9,35 @@ def test_stream_scores_go_to_files(spark, duck):
     assert got.inputFiles()  # a table in the driver's memory has none
     want = duck(TINY).sql(entry.oracle_sql()["w14_stream_scores"]).df()
     assert values(got.collect(), ["event_id", "score"]) == values(want.to_dict("records"), ["event_id", "score"])
+
+
+def _same(spark, duck, sf_dir, name, columns):
+    got = entry.queries()[name](spark, sf_dir)
+    want = duck(sf_dir).sql(entry.oracle_sql()[name]).df()
+    assert values(got.collect(), columns) == values(want.to_dict("records"), columns)
+    return got
+
+
+def test_features_of_candidates_need_no_triples_of_all_documents(spark, duck, tmp_path):
+    from pyspark.sql import functions as F
+
+    d = spark.read.parquet(f"{TINY}/documents.parquet")
+    lang = F.when(F.col("doc_id") % 3 > 0, F.col("lang"))
+    d.withColumn("lang", lang).coalesce(1).write.parquet(str(tmp_path / "out"))
+    next((tmp_path / "out").glob("*.parquet")).rename(tmp_path / "documents.parquet")
+    got = _same(spark, duck, str(tmp_path), "w8_features", ["d1", "d2", "s1", "s2", "x1", "x2", "x3", "x4", "x5", "y"])
+    assert "Generate" not in got._jdf.queryExecution().optimizedPlan().toString()  # of candidates only, from what was stored
+
+
+def test_bit_maps_bound_what_two_sets_share():
+    import numpy as np
+
+    from offsetlink.operators import compare
+
+    rng = np.random.default_rng(1)
+    for n1, n2, both in [(1, 1, 0), (1, 1, 1), (5, 9, 4), (300, 500, 250), (400, 400, 0), (1000, 40, 40), (64, 65, 64)]:
+        every = np.unique(rng.integers(0, 1 << 63, n1 + n2 - both, np.int64).astype(np.uint64))
+        a, b = np.sort(every[:n1]), np.sort(every[n1 - both :])
+        bound = compare.most_shared(len(a), compare.bit_map(a), len(b), compare.bit_map(b))
+        assert both <= bound <= min(n1, n2)
+        assert both or n1 < 100 or 3 * bound < n1 + n2  # far sets of some size are told apart without their texts
