@@ -41,3 +41,33 @@ def test_bit_maps_bound_what_two_sets_share():
         bound = compare.most_shared(len(a), compare.bit_map(a), len(b), compare.bit_map(b))
         assert both <= bound <= min(n1, n2)
         assert both or n1 < 100 or 3 * bound < n1 + n2  # far sets of some size are told apart without their texts
+
+
+def test_range_pairs_meet_once_and_few_others(spark, duck):
+    from pyspark.sql import functions as F
+
+    from offsetlink.plans import relational
+
+    _same(spark, duck, "/root/testdata/sf0.01", "rel_range_join", ["p1", "p2"])
+    rows = spark.createDataFrame([(1, 0.0), (2, 5.0), (3, 5.0), (4, -5.0), (5, 10.1), (6, None), (7, -0.0), (8, 0.3)], "k long, x double")
+    got = {tuple(r) for r in relational.range_pairs(rows, "k", "x", 5.0).collect()}
+    x = {r.k: r.x for r in rows.collect() if r.x is not None}
+    assert got == {(a, b) for a in x for b in x if a < b and abs(x[a] - x[b]) <= 5.0}
+    # Of rows at steps of 1, a row meets its own bin and the nine above it: 0.5 + 9 bins for 8 bins of pairs.
+    even = spark.range(4000).select(F.col("id").alias("k"), F.col("id").cast("double").alias("x"))
+    assert relational.range_pairs(even, "k", "x", 400.0).count() == sum(min(400, 3999 - k) for k in range(4000))
+
+
+def test_hashes_of_words_are_bounded(monkeypatch):
+    import pyarrow as pa
+
+    from offsetlink.operators import compare
+
+    made = []
+    monkeypatch.setattr(compare, "Hashes", type("Spy", (compare.Hashes,), {"__init__": lambda self: made.append(self)}))
+    most = 0
+    texts = [" ".join(f"w{k}x{i}" for i in range(1000)) for k in range(150)]
+    batches = [pa.RecordBatch.from_arrays([pa.array([k]), pa.array([1]), pa.array(["en"]), pa.array([9]), pa.array([t])], names=["doc_id", "source", "lang", "n_chars", "text"]) for k, t in enumerate(texts)]
+    for _ in compare._packed(iter(batches)):
+        most = max(most, len(made[0]))
+    assert 40_000 < most <= 60_000
