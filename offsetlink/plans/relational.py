@@ -16,6 +16,23 @@ def range_bin_join(a: DataFrame, b: DataFrame, x: str, y: str, width: float, key
     return left.join(right, ["bin_", *(keys or [])]).where(F.abs(F.col(x) - F.col(y)) <= width).drop("bin_")
 
 
+def range_pairs(rows: DataFrame, key: str, x: str, width: float, keys: list[str] | None = None, parts: int = 8) -> DataFrame:
+    """Pairs of rows of one table with |x - x'| <= width, each once: the lesser key as key_1, the other as key_2.
+
+    Bins are a part of the width, and a row meets its own bin and those above only.  So rows that are too far apart meet in
+    the outermost bin alone, not in two thirds of all meetings, and no pair is made twice to be dropped by its order.
+    """
+    keys = keys or []
+    step = width / parts
+    at = rows.select(*keys, F.col(key).alias("key_"), F.col(x).alias("x_"), F.floor(F.col(x) / step).alias("bin_"))
+    # A bin more than the width has, against rounding where bins are cut.
+    lower = at.select(*keys, F.col("key_").alias("k1_"), F.col("x_").alias("v1_"), F.col("bin_").alias("own_"), F.explode(F.array(*(F.col("bin_") + k for k in range(parts + 2)))).alias("bin_"))
+    upper = at.select(*keys, F.col("key_").alias("k2_"), F.col("x_").alias("v2_"), "bin_")
+    once = (F.col("own_") < F.col("bin_")) | (F.col("k1_") < F.col("k2_"))
+    met = lower.join(upper, [*keys, "bin_"]).where(once & (F.abs(F.col("v1_") - F.col("v2_")) <= width))
+    return met.select(*keys, F.least("k1_", "k2_").alias(f"{key}_1"), F.greatest("k1_", "k2_").alias(f"{key}_2"))
+
+
 def asof_join(events: DataFrame, versions: DataFrame, key: str, time: str, value: str) -> DataFrame:
     """events with the latest version's value at their time, by one sorted pass over the union of both."""
     v = versions.select(key, time, F.lit(0).alias("kind_"), F.struct(F.col(value)).alias("new_"))
