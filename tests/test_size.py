@@ -71,3 +71,17 @@ def test_hashes_of_words_are_bounded(monkeypatch):
     for _ in compare._packed(iter(batches)):
         most = max(most, len(made[0]))
     assert 40_000 < most <= 60_000
+
+
+def _without_triples_of_all(monkeypatch, spark, name):
+    from offsetlink.workloads import catalogue
+
+    def refused(*_):
+        raise AssertionError("triples of all documents")
+
+    monkeypatch.setattr(catalogue, "near_classes", refused)
+    return entry.queries()[name](spark, "/root/testdata/sf0.01").collect()
+
+
+def test_homogeneous_sources_label_candidates_only(spark, monkeypatch):
+    assert {r.method for r in _without_triples_of_all(monkeypatch, spark, "w11_homogeneous")} == {"pooled", "offset"}
