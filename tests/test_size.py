@@ -85,3 +85,7 @@ def _without_triples_of_all(monkeypatch, spark, name):
 
 def test_homogeneous_sources_label_candidates_only(spark, monkeypatch):
     assert {r.method for r in _without_triples_of_all(monkeypatch, spark, "w11_homogeneous")} == {"pooled", "offset"}
+
+
+def test_six_way_curves_label_candidates_only(spark, monkeypatch):
+    assert {r.method for r in _without_triples_of_all(monkeypatch, spark, "w1_documents")} == {"pooled", "offset"}
