@@ -3,11 +3,18 @@
 from __future__ import annotations
 
 import re
+from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+#: Partitions of pairs for each core at least; pairs in a batch.
+DEALT, PAIRS = 8, 1 << 16
+
 
 def range_bin_join(a: DataFrame, b: DataFrame, x: str, y: str, width: float, keys: list[str] | None = None) -> DataFrame:
     """Rows of a and b with |x - y| <= width: an equi-join on bins, with one side in three neighbouring bins."""
@@ -16,21 +23,51 @@ def range_bin_join(a: DataFrame, b: DataFrame, x: str, y: str, width: float, key
     return left.join(right, ["bin_", *(keys or [])]).where(F.abs(F.col(x) - F.col(y)) <= width).drop("bin_")
 
 
-def range_pairs(rows: DataFrame, key: str, x: str, width: float, keys: list[str] | None = None, parts: int = 8) -> DataFrame:
-    """Pairs of rows of one table with |x - x'| <= width, each once: the lesser key as key_1, the other as key_2.
+def range_pairs(rows: DataFrame, key: str, x: str, width: float, keys: list[str] | None = None, parts: int = 4) -> DataFrame:
+    """Pairs of rows of one table with |x - x'| <= width and equal keys, each once: the lesser key as key_1, the other as key_2.
 
-    Bins are a part of the width, and a row meets its own bin and those above only.  So rows that are too far apart meet in
-    the outermost bin alone, not in two thirds of all meetings, and no pair is made twice to be dropped by its order.
+    Bins are a part of the width, and a row goes to its own bin and those below from where it can be met.  In a bin sorted
+    by x the partners of a row follow it, up to an end found by bisection: no pair is tried in vain.  As pairs are many more
+    than rows, bins are dealt by number, not by bytes of rows.  x is taken as a double; null, NaN and infinities meet nothing.
     """
     keys = keys or []
-    step = width / parts
-    at = rows.select(*keys, F.col(key).alias("key_"), F.col(x).alias("x_"), F.floor(F.col(x) / step).alias("bin_"))
+    session, kind = rows.sparkSession, rows.schema[key].dataType.simpleString()
+    at = rows.select(*keys, F.col(key).alias("key_"), F.col(x).cast("double").alias("x_")).where(F.abs("x_") < float("inf")).dropna(subset=[*keys, "key_"])
+    own = at.withColumn("own_", F.floor(F.col("x_") / (width / parts)))
     # A bin more than the width has, against rounding where bins are cut.
-    lower = at.select(*keys, F.col("key_").alias("k1_"), F.col("x_").alias("v1_"), F.col("bin_").alias("own_"), F.explode(F.array(*(F.col("bin_") + k for k in range(parts + 2)))).alias("bin_"))
-    upper = at.select(*keys, F.col("key_").alias("k2_"), F.col("x_").alias("v2_"), "bin_")
-    once = (F.col("own_") < F.col("bin_")) | (F.col("k1_") < F.col("k2_"))
-    met = lower.join(upper, [*keys, "bin_"]).where(once & (F.abs(F.col("v1_") - F.col("v2_")) <= width))
-    return met.select(*keys, F.least("k1_", "k2_").alias(f"{key}_1"), F.greatest("k1_", "k2_").alias(f"{key}_2"))
+    met = own.select("*", F.explode(F.array(*(F.col("own_") - k for k in range(parts + 2)))).alias("bin_"))
+    n = max(int(session.conf.get("spark.sql.shuffle.partitions")), DEALT * session.sparkContext.defaultParallelism)
+    return met.repartition(n, *keys, "bin_").groupBy(*keys, "bin_").applyInArrow(_pairs_of_bin(width, [f"{key}_1", f"{key}_2"]), f"`{key}_1` {kind}, `{key}_2` {kind}")
+
+
+def _pairs_of_bin(width: float, names: list[str]):
+    def pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        t = pa.Table.from_batches(batches)
+        x = t.column("x_").to_numpy()
+        order = np.argsort(x, kind="stable")
+        x, key = x[order], t.column("key_").to_numpy()[order]
+        # A bin's own rows are before those of bins above.
+        i = np.arange(pc.sum(pc.equal(t.column("own_"), t.column("bin_"))).as_py())
+        low, high = i + 1, np.full(len(i), len(x))
+        while (some := np.flatnonzero(low < high)).size:
+            middle = (low[some] + high[some]) // 2
+            near = np.abs(x[some] - x[middle]) <= width
+            low[some[near]], high[some[~near]] = middle[near] + 1, middle[~near]
+        count = low - i - 1
+        ends = np.cumsum(count)
+        total = int(ends[-1]) if len(ends) else 0
+        for begin in range(0, total, PAIRS):
+            end = min(begin + PAIRS, total)
+            a, b = np.searchsorted(ends, (begin, end - 1), "right")
+            c, first = count[a : b + 1].copy(), i[a : b + 1] + 1
+            done = begin - (ends[a] - count[a])  # pairs of row a that were made before
+            c[0] -= done
+            first[0] += done
+            c[-1] -= ends[b] - end
+            one, two = np.repeat(key[a : b + 1], c), key.take(np.arange(end - begin) + np.repeat(first - (np.cumsum(c) - c), c))
+            yield pa.RecordBatch.from_arrays([pa.array(np.minimum(one, two)), pa.array(np.maximum(one, two))], names=names)
+
+    return pairs
 
 
 def asof_join(events: DataFrame, versions: DataFrame, key: str, time: str, value: str) -> DataFrame:

@@ -58,6 +58,43 @@ def test_range_pairs_meet_once_and_few_others(spark, duck):
     assert relational.range_pairs(even, "k", "x", 400.0).count() == sum(min(400, 3999 - k) for k in range(4000))
 
 
+def test_range_pairs_are_dealt_by_number_whatever_the_rows_weigh(spark, duck):
+    got = _same(spark, duck, "/root/testdata/sf0.01", "rel_range_join", ["p1", "p2"])
+    assert "Join" not in got._jdf.queryExecution().optimizedPlan().toString()  # no pair is tried in vain
+    # Few bytes of rows make many pairs: their partitions aren't merged into as many as rows fill.
+    assert got.rdd.getNumPartitions() >= 8 * spark.sparkContext.defaultParallelism
+
+
+def test_range_pairs_of_odd_rows(spark):
+    import math
+    import random
+
+    from offsetlink.plans import relational
+
+    draw = random.Random(3)
+    odd = [0.0, -0.0, 5.0, -5.0, 4e-16, 1e-17, -1e-17, 900.1, 905.1, 905.1000000000001, 1e17, 1e17 + 16, math.nan, math.inf, -math.inf, None]
+    rows = [(k, g, v) for k, (g, v) in enumerate((g, v) for g in ("a", "b", None) for v in odd + [round(draw.uniform(-20, 20), 1) for _ in range(40)])]
+    rows += [(None, "a", 1.0), (0, "a", 3.0), (0, "b", 7.0)]  # a null key, a key that occurs in more rows
+    got = sorted(map(tuple, relational.range_pairs(spark.createDataFrame(rows, "k long, g string, x double"), "k", "x", 5.0, ["g"]).collect()))
+    whole = [r for r in rows if None not in r and math.isfinite(r[2])]
+    assert got == sorted((min(a[0], b[0]), max(a[0], b[0])) for i, a in enumerate(whole) for b in whole[:i] if a[1] == b[1] and abs(a[2] - b[2]) <= 5.0)
+
+
+def test_range_pairs_of_a_bin_go_out_in_batches(monkeypatch):
+    import pyarrow as pa
+
+    from offsetlink.plans import relational
+
+    monkeypatch.setattr(relational, "PAIRS", 7)
+    x = [0.0, 3.0, 1.0, 2.0, 2.0, 4.9, 6.0, 5.5, 0.0, 9.0]
+    bins = [int(v // 5) for v in x]
+    batch = pa.RecordBatch.from_arrays([pa.array(range(len(x))), pa.array(x), pa.array(bins), pa.array([0] * len(x))], names=["key_", "x_", "own_", "bin_"])
+    out = list(relational._pairs_of_bin(5.0, ["k1", "k2"])(iter([batch[:4], batch[4:]])))
+    assert all(b.num_rows == 7 for b in out[:-1]) and 0 < out[-1].num_rows <= 7
+    got = [tuple(r.values()) for b in out for r in b.to_pylist()]
+    assert sorted(got) == [(i, j) for i in range(len(x)) for j in range(i + 1, len(x)) if min(bins[i], bins[j]) == 0 and abs(x[i] - x[j]) <= 5.0]
+
+
 def test_hashes_of_words_are_bounded(monkeypatch):
     import pyarrow as pa
 
